@@ -166,11 +166,11 @@ class QuantisedGraph:
         self.bits = np.zeros((n, g.params.cap, -(-d // 8)), dtype=np.uint8)
         self.factor = np.ones((n, g.params.cap), dtype=np.float32)
         for i in range(0, n, 256):
-            near = g.adj[i : i + 256]
+            near = g.adj[i : min(i + 256, n)]
             diff = g.x[np.maximum(near, 0)] - g.x[i : min(i + 256, n), None, :]
-            self.bits[i : i + 256] = np.packbits(diff > 0, axis=2)
+            self.bits[i : i + len(near)] = np.packbits(diff > 0, axis=2)
             length = np.linalg.norm(diff, axis=2)
-            self.factor[i : i + 256] = np.abs(diff).sum(axis=2) / (np.sqrt(d) * np.where(length > 0, length, 1))
+            self.factor[i : i + len(near)] = np.abs(diff).sum(axis=2) / (np.sqrt(d) * np.where(length > 0, length, 1))
         self.factor[self.factor == 0] = 1
 
     def bytes_by_part(self) -> dict[str, int]:

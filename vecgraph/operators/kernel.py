@@ -81,6 +81,7 @@ class Graph:
     upper: list[Graph] = field(default_factory=list)
     places: np.ndarray = field(default=None)  # of an upper layer's nodes in the base layer
     exact: int = 0  # exact distances paid for by building
+    exact_search: int = 0  # those of them that searches paid
     batches: int = 0
 
     def __post_init__(self) -> None:
@@ -287,10 +288,10 @@ class Graph:
             v = self.x[np.maximum(c, 0)]
             sq = np.einsum("med,med->me", v, v)
             between = np.sqrt(np.maximum(sq[:, :, None] + sq[:, None, :] - 2 * np.matmul(v, v.transpose(0, 2, 1)), 0))
-            self.exact += int((c >= 0).sum()) * cap
             free = (c >= 0) & np.isfinite(d)
             have = np.zeros(len(c), dtype=np.int64)
             for j in range(e):
+                self.exact += int(have[c[:, j] >= 0].sum())  # a candidate is held against those kept before it
                 take = free[:, j] & (have < cap)
                 kept[i : i + step, j] = take
                 have += take
@@ -379,6 +380,7 @@ class Graph:
         screen = p.screen and old > 0
         found = self.search_prepared(q, p.ef_build, limit=old, screen=screen, gate=p.gate and p.gate_in_build, rings=p.rings and p.gate_in_build)
         self.exact += int(found.counters["n_exact"].sum())
+        self.exact_search += int(found.counters["n_exact"].sum())
         at = np.full(len(ids), -1)
         if old:
             same = found.dist[:, 0] == 0

@@ -77,31 +77,6 @@ def word_vec(spark: SparkSession, sf_dir: str, dim: int, most: int = 20_000) ->
     return hash_vectors(rows.join(kept, "word").select("vec_id", F.explode("near").alias("token")), dim)
 
 
-def _bucketed(columns: list[tuple[str, Column]]) -> Column:
-    return F.array(*[F.concat(F.lit(n + "="), c.cast("string")) for n, c in columns])
-
-
-def line_vec(spark: SparkSession, sf_dir: str, dim: int, share: int = 1) -> DataFrame:
-    """lineitem rows as column=bucket tokens; one row in ``share`` by a hash of its key."""
-    rows = load(spark, sf_dir, "lineitem").withColumn("id", F.col("l_orderkey") * 10 + F.col("l_linenumber"))
-    if share > 1:
-        rows = rows.where(F.pmod(F.xxhash64("id"), F.lit(share)) == 0)
-    tokens = _bucketed(
-        [
-            ("part", F.col("l_partkey") % 97),
-            ("supp", F.col("l_suppkey") % 31),
-            ("qty", F.col("l_quantity").cast("int")),
-            ("price", (F.col("l_extendedprice") / 2000).cast("int")),
-            ("disc", (F.col("l_discount") * 100).cast("int")),
-            ("tax", (F.col("l_tax") * 100).cast("int")),
-            ("flag", F.col("l_returnflag")),
-            ("status", F.col("l_linestatus")),
-            ("month", F.date_format("l_shipdate", "yyyy-MM")),
-        ]
-    )
-    return hash_vectors(rows.select(F.col("id").alias("vec_id"), F.explode(tokens).alias("token")), dim)
-
-
 def part_vec(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
     rows = load(spark, sf_dir, "part")
     tokens = F.concat(
@@ -117,17 +92,39 @@ PART_TOKENS_SQL = """SELECT p_partkey AS vec_id, unnest(list_concat(string_split
 
 
 def user_vec(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Users by counts of (hour, event type): 24 x 5 numbers, unit length."""
-    kinds = ["click", "login", "logout", "purchase", "view"]
+    """Users by counts of (hour, event type): 24 x 5 numbers, unit length; the five kinds of events are fixed."""
+    kinds = ["click", "error", "purchase", "signup", "view"]
     rows = load(spark, sf_dir, "events").select("user_id", F.hour("ts").alias("h"), "event_type")
-    found = rows.groupBy("user_id", "h", "event_type").count()
-    slot = F.col("h") * 5 + F.pmod(F.crc32(F.col("event_type").cast("binary")), F.lit(5)).cast("int")
+    found = rows.where(F.col("event_type").isin(kinds)).groupBy("user_id", "h", "event_type").count()
+    slot = F.col("h") * 5 + F.array_position(F.array(*[F.lit(k) for k in kinds]), F.col("event_type")).cast("int") - 1
     sums = found.groupBy("user_id", slot.alias("slot")).agg(F.sum("count").alias("v"))
     rows = sums.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("slot", "v"))).alias("m"), F.sqrt(F.sum((F.col("v") * F.col("v")).cast("double"))).alias("norm"))
     dense = F.transform(F.sequence(F.lit(0), F.lit(24 * len(kinds) - 1)), lambda i: (F.coalesce(F.try_element_at("m", i), F.lit(0)) / F.col("norm")).cast("float"))
     return rows.select(F.col("user_id").alias("vec_id"), dense.alias("embedding"))
 
 
+USER_VEC_SQL = """SELECT user_id AS vec_id, list_transform(range(0, 120), lambda i: CAST(coalesce(map_extract(m, i)[1], 0) / norm AS FLOAT)) AS embedding FROM (
+  SELECT user_id, map_from_entries(list((slot, v))) AS m, sqrt(sum(CAST(v * v AS DOUBLE))) AS norm FROM (
+    SELECT user_id, CAST(hour(ts) * 5 + list_position(['click','error','purchase','signup','view'], event_type) - 1 AS BIGINT) AS slot, count(*) AS v
+    FROM events WHERE event_type IN ('click','error','purchase','signup','view') GROUP BY 1, 2) GROUP BY user_id)"""
+
+
+def customer_vec(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
+    """Customers by tokens of their orders: month, priority, status and price band."""
+    orders = load(spark, sf_dir, "orders")
+    tokens = F.array(
+        F.concat(F.lit("month="), F.date_format("o_orderdate", "yyyy-MM")),
+        F.concat(F.lit("priority="), "o_orderpriority"),
+        F.concat(F.lit("status="), "o_orderstatus"),
+        F.concat(F.lit("price="), (F.col("o_totalprice") / 20_000).cast("int").cast("string")),
+    )
+    return hash_vectors(orders.select(F.col("o_custkey").alias("vec_id"), F.explode(tokens).alias("token")), dim)
+
+
+CUSTOMER_TOKENS_SQL = """SELECT o_custkey AS vec_id, unnest(['month=' || strftime(o_orderdate, '%Y-%m'), 'priority=' || o_orderpriority, 'status=' || o_orderstatus,
+  'price=' || CAST(trunc(o_totalprice / 20000) AS INTEGER)]) AS token FROM orders"""
+
+
 def embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "embeddings").select("vec_id", "embedding")
 
@@ -146,5 +143,5 @@ def held_out(df: DataFrame, n: int) -> tuple[DataFrame, DataFrame]:
 
 
 def native_queries(df: DataFrame) -> DataFrame:
-    """Every 25th vector of ``embeddings``: the fixed query set of the native corpus."""
-    return df.where("vec_id % 25 = 0").select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec"))
+    """The query set of searches within a corpus: every id divisible by 100."""
+    return df.where("vec_id % 100 = 0").select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec"))
