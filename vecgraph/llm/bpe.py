@@ -31,11 +31,26 @@ from pyspark.sql import DataFrame
 from .common import map_texts
 from .vocabulary import Vocabulary, load, locate
 
-#: Pre-tokens and pairs that a worker remembers.
-REMEMBERED = 300_000
+#: Pre-tokens (in each of two generations) and pairs that a worker remembers.
+REMEMBERED = 200_000
 _LAST = 1 << 60
 
 
+class _Encodings(dict):
+    """Encodings of pre-tokens, made when they are first asked for; what the generation before has moves on."""
+
+    def __init__(self, make, before: dict):
+        self.make, self.before = make, before
+
+    def __missing__(self, piece: str) -> tuple[str, bytes]:
+        found = self.before.get(piece)
+        if found is None:
+            ids = self.make(piece)
+            found = (",".join(map(str, ids)), array("i", ids).tobytes())
+        self[piece] = found
+        return found
+
+
 class Encoder:
     """Exact BPE of pre-tokens by backtracking."""
 
@@ -49,12 +64,15 @@ class Encoder:
         for (left, right), (rank, token) in vocabulary.merges.items():
             self.made.setdefault(token, (rank, left, right))
         self.automaton = ahocorasick.Automaton()
+        self.matches: dict[str, tuple[int, int, str]] = {}
         for token, i in vocabulary.tokens.items():
             if token not in vocabulary.specials:
-                self.automaton.add_word(token, (len(token), i))
+                self.matches[token] = (len(token), i, token)
+                self.automaton.add_word(token, self.matches[token])
         self.automaton.make_automaton()
+        self.shorter: dict[str, tuple[int, int, str] | None] = {}
         self.pairs: dict[tuple[int, int], bool] = {}
-        self.known: dict[str, tuple[str, bytes, int]] = {}
+        self.known = _Encodings(self.encode_piece, {})
 
     def _edge(self, token: int, side: int) -> list[tuple[int, int]]:
         """Tokens that stand at the token's right (2) or left (1) end while it is built, each with the rank at which it is built on."""
@@ -83,55 +101,58 @@ class Encoder:
             self.pairs[a, b] = found
         return found
 
+    def next_shorter(self, token: str) -> tuple[int, int, str] | None:
+        """The longest token that opens this one."""
+        if token not in self.shorter:
+            self.shorter[token] = next((self.matches[token[:k]] for k in range(len(token) - 1, 0, -1) if token[:k] in self.matches), None)
+        return self.shorter[token]
+
     def encode_piece(self, piece: str) -> list[int]:
+        special = self.vocabulary.specials.get(piece)
+        if special is not None:
+            return [special]
         word = "".join(map(self.vocabulary.to_alphabet.__getitem__, piece.encode("utf-8")))
         n = len(word)
-        # Tokens by start, the shortest first: an automaton reports a start's shorter tokens at earlier ends.
-        starts: list[list[tuple[int, int]]] = [[] for _ in range(n)]
-        for end, (size, token) in self.automaton.iter(word):
-            starts[end + 1 - size].append((size, token))
+        # The longest token at each place: the automaton reports longer ones later.
+        longest: list = [None] * (n + 1)
+        for end, match in self.automaton.iter(word):
+            longest[end + 1 - match[0]] = match
         dead = bytearray(n + 1)
         ids: list[int] = []
-        begun: list[int] = []  # where each chosen token starts
-        choice: list[int] = []  # its place in starts
-        at, k = 0, len(starts[0]) - 1 if n else -1
+        chosen: list[tuple[int, int, str]] = []
+        pairs, last, at, match = self.pairs, -1, 0, longest[0]
         while at < n:
-            options = starts[at]
-            while k >= 0:
-                size, token = options[k]
-                if not dead[at + size] and (not ids or self.compatible(ids[-1], token)):
-                    break
-                k -= 1
-            if k >= 0:
+            while match is not None:
+                size, token, text = match
+                if not dead[at + size]:
+                    fits = last < 0 or pairs.get((last, token))
+                    if fits is None:
+                        fits = self.compatible(last, token)
+                    if fits:
+                        break
+                match = self.next_shorter(text)
+            if match is not None:
                 ids.append(token)
-                begun.append(at)
-                choice.append(k)
+                chosen.append(match)
+                last = token
                 at += size
-                k = len(starts[at]) - 1 if at < n else -1
+                match = longest[at]
             else:
                 dead[at] = 1
                 if not ids:
                     raise ValueError("the vocabulary has no encoding for a piece")
                 ids.pop()
-                at = begun.pop()
-                k = choice.pop() - 1
+                size, token, text = chosen.pop()
+                last = ids[-1] if ids else -1
+                at -= size
+                match = self.next_shorter(text)
         return ids
 
-    def learn(self, pieces: list[str]) -> None:
-        """Put the encodings of all distinct pieces in the table."""
-        known, specials = self.known, self.vocabulary.specials
-        if len(known) > REMEMBERED:
-            known.clear()
-        for p in set(pieces):
-            if p not in known:
-                ids = [specials[p]] if p in specials else self.encode_piece(p)
-                known[p] = (",".join(map(str, ids)), array("i", ids).tobytes(), len(ids))
-
     def encode(self, text: str) -> tuple[str, np.ndarray]:
         """The ids of a text, as decimals joined by commas and as an array."""
-        pieces = self.vocabulary.split(text)
-        self.learn(pieces)
-        found = [self.known[p] for p in pieces]
+        if len(self.known) > REMEMBERED:
+            self.known = _Encodings(self.encode_piece, dict(self.known))
+        found = list(map(self.known.__getitem__, self.vocabulary.split(text)))
         return ",".join([f[0] for f in found]), np.frombuffer(b"".join([f[1] for f in found]), dtype=np.int32)
 
     def decode(self, ids: np.ndarray) -> str:
