@@ -132,4 +132,6 @@ def tier_methods(scores: DataFrame, tiers: int = 4) -> DataFrame:
 
 def robustness(runs: DataFrame, axis: str, ratio: str) -> DataFrame:
     """(method, slope, correlation) of a ratio over the logarithm of an axis."""
-    return runs.groupBy("method").agg(F.regr_slope(F.col(ratio), F.log(axis)).alias("slope"), F.corr(F.col(ratio), F.log(axis)).alias("corr"))
+    x, y = F.log(axis), F.col(ratio)
+    both = F.covar_samp(x, y)
+    return runs.groupBy("method").agg(F.try_divide(both, F.var_samp(x)).alias("slope"), F.try_divide(both, F.stddev_samp(x) * F.stddev_samp(y)).alias("corr"))

@@ -8,8 +8,11 @@ same vectors. Rows without a token (or whose signs cancel) are left out.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, functions as F
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession, functions as F
 
+from .session import ship
 from .tables import load
 
 
@@ -22,9 +25,26 @@ def hash_vectors(tokens: DataFrame, dim: int) -> DataFrame:
         (1 - 2 * (F.conv(F.substring(digest, 8, 1), 16, 10).cast("bigint") % 2)).alias("sign"),
     )
     sums = slots.groupBy("vec_id", "slot").agg(F.sum("sign").alias("v")).where("v != 0")
-    rows = sums.groupBy("vec_id").agg(F.map_from_entries(F.collect_list(F.struct("slot", "v"))).alias("m"), F.sqrt(F.sum((F.col("v") * F.col("v")).cast("double"))).alias("norm"))
-    dense = F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda i: (F.coalesce(F.try_element_at("m", i), F.lit(0)) / F.col("norm")).cast("float"))
-    return rows.select("vec_id", dense.alias("embedding"))
+    rows = sums.groupBy("vec_id").agg(F.collect_list("slot").alias("slots"), F.collect_list("v").alias("values"), F.sqrt(F.sum((F.col("v") * F.col("v")).cast("double"))).alias("norm"))
+    return _dense(rows, dim)
+
+
+def _dense(rows: DataFrame, dim: int) -> DataFrame:
+    """(vec_id, embedding) of ``rows(vec_id, slots, values, norm)``: sparse sums scattered into arrays, batch by batch."""
+    ship(rows.sparkSession)
+
+    def work(batches):
+        for b in batches:
+            if not b.num_rows:
+                continue
+            out = np.zeros((b.num_rows, dim), dtype=np.float64)
+            at = np.repeat(np.arange(b.num_rows), np.diff(b.column(1).offsets.to_numpy()))
+            out[at, b.column(1).flatten().to_numpy()] = b.column(2).flatten().to_numpy()
+            out /= b.column(3).to_numpy()[:, None]
+            flat = pa.array(out.astype(np.float32).ravel())
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(pa.array(np.arange(b.num_rows + 1, dtype=np.int32) * dim), flat)], ["vec_id", "embedding"])
+
+    return rows.select("vec_id", "slots", "values", "norm").mapInArrow(work, "vec_id bigint, embedding array<float>")
 
 
 def hash_vectors_sql(tokens: str, dim: int) -> str:
@@ -68,12 +88,12 @@ def doc_line_vec(spark: SparkSession, sf_dir: str, dim: int, least_chars: int =
     return hash_vectors(_words(lines, "id", "line"), dim)
 
 
-def word_vec(spark: SparkSession, sf_dir: str, dim: int, most: int = 20_000) -> DataFrame:
-    """Words by the words within two places of them, the most frequent words only (a vocabulary, not a cap on rows)."""
+def word_vec(spark: SparkSession, sf_dir: str, dim: int, least: int = 10) -> DataFrame:
+    """Words by the words within two places of them; a word belongs to the vocabulary if it occurs ``least`` times."""
     words = load(spark, sf_dir, "documents").select(F.split("text", " ").alias("w"))
     near = F.transform("w", lambda x, i: F.struct(x.alias("word"), F.concat(F.slice("w", F.greatest(i - 1, F.lit(1)), F.least(i, F.lit(2))), F.slice("w", i + 2, 2)).alias("near")))
     rows = words.select(F.explode(near).alias("x")).select("x.word", "x.near").where("word != ''")
-    kept = rows.groupBy("word").count().orderBy(F.desc("count"), "word").limit(most).select("word", F.xxhash64("word").alias("vec_id"))
+    kept = rows.groupBy("word").count().where(F.col("count") >= least).select("word", F.xxhash64("word").alias("vec_id"))
     return hash_vectors(rows.join(kept, "word").select("vec_id", F.explode("near").alias("token")), dim)
 
 
@@ -98,9 +118,8 @@ def user_vec(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = rows.where(F.col("event_type").isin(kinds)).groupBy("user_id", "h", "event_type").count()
     slot = F.col("h") * 5 + F.array_position(F.array(*[F.lit(k) for k in kinds]), F.col("event_type")).cast("int") - 1
     sums = found.groupBy("user_id", slot.alias("slot")).agg(F.sum("count").alias("v"))
-    rows = sums.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("slot", "v"))).alias("m"), F.sqrt(F.sum((F.col("v") * F.col("v")).cast("double"))).alias("norm"))
-    dense = F.transform(F.sequence(F.lit(0), F.lit(24 * len(kinds) - 1)), lambda i: (F.coalesce(F.try_element_at("m", i), F.lit(0)) / F.col("norm")).cast("float"))
-    return rows.select(F.col("user_id").alias("vec_id"), dense.alias("embedding"))
+    rows = sums.groupBy(F.col("user_id").alias("vec_id")).agg(F.collect_list("slot").alias("slots"), F.collect_list("v").alias("values"), F.sqrt(F.sum((F.col("v") * F.col("v")).cast("double"))).alias("norm"))
+    return _dense(rows, 24 * len(kinds))
 
 
 USER_VEC_SQL = """SELECT user_id AS vec_id, list_transform(range(0, 120), lambda i: CAST(coalesce(map_extract(m, i)[1], 0) / norm AS FLOAT)) AS embedding FROM (
