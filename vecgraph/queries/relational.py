@@ -14,8 +14,9 @@ BOOK = Book()
 _HASH_PART = "CAST(('0x' || substr(md5(CAST({} AS VARCHAR)), 1, 7))::BIGINT % {} AS BIGINT)"
 
 
-#: Microseconds of events.ts since 1970; the column has no time zone.
-MICROS = F.expr("timestampdiff(MICROSECOND, TIMESTAMP_NTZ '1970-01-01 00:00:00', ts)")
+def _micros():
+    """Microseconds of events.ts since 1970; the column has no time zone."""
+    return F.expr("timestampdiff(MICROSECOND, TIMESTAMP_NTZ '1970-01-01 00:00:00', ts)")
 
 
 def _bucket(c, n):
@@ -133,7 +134,7 @@ def j08b(spark, d):
 )
 def j10(spark, d):
     """Events of the same user within the hour after a purchase: an equi-join on (user, hour bin), each purchase in two bins."""
-    e = load(spark, d, "events").withColumn("bin", F.floor(MICROS / 3_600_000_000))
+    e = load(spark, d, "events").withColumn("bin", F.floor(_micros() / 3_600_000_000))
     a = e.where("event_type = 'purchase'").select(F.col("event_id").alias("a_id"), F.col("ts").alias("a_ts"), "user_id", F.explode(F.array("bin", F.col("bin") + 1)).alias("bin"))
     j = a.join(e, ["user_id", "bin"]).where("ts > a_ts AND ts <= a_ts + INTERVAL 1 HOUR")
     return j.groupBy(F.col("a_id").alias("event_id")).agg(F.count("*").alias("within_hour"))
@@ -333,7 +334,7 @@ def n03(spark, d):
     return load(spark, d, "events").select(
         "event_id",
         F.round(F.avg("value").over(by.orderBy("ts", "event_id").rowsBetween(-4, 0)), 6).alias("rolling"),
-        F.count("*").over(by.orderBy(MICROS).rangeBetween(-3_600_000_000, 0)).alias("last_hour"),
+        F.count("*").over(by.orderBy(_micros()).rangeBetween(-3_600_000_000, 0)).alias("last_hour"),
     )
 
 
