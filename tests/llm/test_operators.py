@@ -361,6 +361,39 @@ def test_links_and_components_against_brute_force(spark):
             assert roots[p] == min(x for x in signed if brute[x] == brute[p])
 
 
+@pytest.mark.parametrize("bits", [0, 1, 2, 3])
+def test_hot_cells_give_the_same_components(spark, bits):
+    rng = random.Random(bits)
+    points = {rng.getrandbits(64) for _ in range(20)}
+    for p in list(points)[:4]:  # dense groups
+        for _ in range(40):
+            q = p
+            for b in rng.sample(range(64), rng.randint(1, 3)):
+                q ^= 1 << b
+            points.add(q)
+    signed = [p - 2**64 if p >= 2**63 else p for p in points]
+    df = spark.createDataFrame([(p,) for p in signed], "fp bigint")
+    near = lambda a, b: ((a ^ b) & (2**64 - 1)).bit_count() <= bits
+    found = {(r.a, r.b) for r in simhash.links(df, bits, hot_cell=3).collect()}
+    everything = {(r.a, r.b) for r in simhash.links(df, bits).collect()}
+    assert found <= everything and all(near(a, b) for a, b in everything)
+
+    def groups(edges):
+        root = {p: p for p in signed}
+
+        def find(x):
+            while root[x] != x:
+                x = root[x]
+            return x
+
+        for a, b in edges:
+            root[find(a)] = find(b)
+        return Counter(frozenset(p for p in signed if find(p) == r) for r in {find(p) for p in signed})
+
+    brute = {(min(a, b), max(a, b)) for i, a in enumerate(signed) for b in signed[:i] if near(a, b)}
+    assert everything == brute and groups(found) == groups(brute)
+
+
 def test_long_chain_of_links(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(300)], "a bigint, b bigint")
     assert {r.root for r in simhash.components(edges).collect()} == {0}

@@ -16,7 +16,11 @@ vectors the bit count of their exclusive or. Survivors are verified on the
 fingerprints.
 
 Copies never meet in pairs: fingerprints are made distinct first (partial
-aggregation takes the hot groups), and only distinct fingerprints are joined.
+aggregation takes the hot groups), and only distinct fingerprints are joined. A
+cell that more than ``HOT_CELL`` distinct fingerprints own is not joined: all
+fingerprints that enter it are linked through words at most one bit from one and
+two bits from the other, each such word giving one star instead of all pairs.
+That finds the same components, in work that grows with the fingerprints alone.
 
 Cases: a null or blank text has fingerprint 0 and is linked like any other. A
 null doc_id is never smaller than another id; a component of null ids only has
@@ -37,6 +41,8 @@ from .common import checkpoint, map_texts
 SHINGLE = 3
 SEED = 42
 MAX_BITS = 3
+#: About where a cell's pairs outnumber the 1 + 64 + 2080 words around each of its fingerprints.
+HOT_CELL = 4096
 #: The lower bit of each two-bit segment.
 LOW = 0x5555555555555555
 #: bits[v] holds the eight bits of byte v.
@@ -75,8 +81,31 @@ def fingerprints(docs: DataFrame, shingle: int = SHINGLE, seed: int = SEED) -> D
     return map_texts(docs, ["doc_id", "text"], work, "doc_id bigint, fp bigint")
 
 
-def links(points: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
-    """(a, b): all pairs a < b of the distinct longs in ``points.fp`` within ``max_bits`` (at most 3)."""
+def stars(points: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
+    """(a, b): links a < b among the distinct longs in ``points.fp`` that connect exactly what all links would.
+
+    Two fingerprints are within three bits exactly if some word is within one bit
+    of one and two of the other; whoever is within two bits of a word is linked to
+    the least fingerprint within one bit of it.
+    """
+    flips = [0, *(1 << i for i in range(64))]
+    signed = lambda m: m - (1 << 64) if m >> 63 else m
+    near, far = max_bits // 2, max_bits - max_bits // 2
+    masks = {0: [0], 1: flips}
+    array = lambda ms: F.array(*[F.lit(signed(m)).cast("bigint") for m in ms])
+    own = points.select("fp", F.explode(array(masks[near])).alias("m")).select("fp", F.col("fp").bitwiseXOR(F.col("m")).alias("word"))
+    hubs = own.groupBy("word").agg(F.min("fp").alias("hub"))
+    # two flips of one bit each, drawn from one short list, instead of a list of all pairs
+    twice = points.select("fp", F.explode(array(masks[near])).alias("m"))
+    for _ in range(far - near):
+        twice = twice.select("fp", "m", F.explode(array(flips)).alias("m2")).select("fp", F.col("m").bitwiseXOR(F.col("m2")).alias("m"))
+    reach = twice.select("fp", F.col("fp").bitwiseXOR(F.col("m")).alias("word"))
+    met = reach.join(hubs, "word").where("fp != hub")
+    return met.select(F.least("fp", "hub").alias("a"), F.greatest("fp", "hub").alias("b")).distinct()
+
+
+def links(points: DataFrame, max_bits: int = MAX_BITS, hot_cell: int = HOT_CELL) -> DataFrame:
+    """(a, b): all pairs a < b of the distinct longs in ``points.fp`` within ``max_bits`` (at most 3); of hot cells, their stars."""
     if not 0 <= max_bits <= 3:
         raise ValueError("two halves and one step of the grid cover at most 3 bits")
     low = F.lit(LOW)
@@ -100,7 +129,10 @@ def links(points: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
     ]
     around = F.filter(F.array(F.col("key"), *steps), lambda k: k.isNotNull())
     raised = cells.select(F.col("fp").alias("b"), F.col("u").alias("ub"), "half", F.col("key").alias("own"), F.explode(around).alias("key"))
-    met = cells.select(F.col("fp").alias("a"), F.col("u").alias("ua"), "half", "key").join(
+    hot = checkpoint(cells.groupBy("half", "key").count().where(F.col("count") > hot_cell).select("half", "key"))
+    some_hot = not hot.isEmpty()
+    own_side = cells.join(hot, ["half", "key"], "left_anti") if some_hot else cells
+    met = own_side.select(F.col("fp").alias("a"), F.col("u").alias("ua"), "half", "key").join(
         raised,
         ["half", "key"],
     ).where(
@@ -109,7 +141,11 @@ def links(points: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
         & (F.bit_count(F.col("ua").bitwiseXOR(F.col("ub"))) <= max_bits)
         & (F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= max_bits)
     )
-    return met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    pairs = met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    if some_hot:
+        entered = raised.join(hot, ["half", "key"], "left_semi").select(F.col("b").alias("fp")).distinct()
+        pairs = pairs.union(stars(checkpoint(entered), max_bits))
+    return pairs.distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:
