@@ -152,7 +152,6 @@ class Graph:
         p = self.params
         gate = p.gate if gate is None else gate
         rings = p.rings if rings is None else rings
-        from_queue = not rings or p.threshold == "queue"
         w = min(work or p.work, ef) if rings else ef
         m = len(q)
         count = {c: np.zeros(m, dtype=np.int64) for c in COUNTERS}
@@ -215,33 +214,41 @@ class Graph:
                 count["n_checked"][rows] += fresh.sum(axis=1)
                 full = wi[rows, -1] >= 0
                 rim = np.where(full, wd[rows, -1], np.inf).astype(np.float32)
-                passed = fresh
-                if gate or screen:
+                at_r, at_c = np.nonzero(fresh)
+                if screen:
+                    # The screen looks at all neighbours, measured or not; the gate reads the same estimates.
                     a, own = self.length[pivots], self.own[pivots]
                     dots = table[rows[:, None, None], blocks, self.codes[pivots]].sum(axis=2) - self.shift[pivots]
                     with np.errstate(divide="ignore", invalid="ignore"):
                         estimate = dots / b[:, None] / own
-                        if gate:
-                            r = rim
-                            if from_queue is False or rings:
-                                r = rim
-                            tau = (a * a + (b * b)[:, None] - (r * r)[:, None]) / (2 * a * b[:, None])
-                            # a target on its pivot, or a neighbour on it, has no angle: such pass
-                            passed = fresh & ((estimate >= tau) | (a == 0) | (b == 0)[:, None] | ~full[:, None])
-                        if screen:
-                            term = np.where(valid, estimate - a / (2 * b[:, None]), -np.inf)
-                            stat = np.where(b > 0, term.max(axis=1), np.inf)
-                            seen.append((rows, pivots, stat))
-                count["n_pass"][rows] += passed.sum(axis=1)
-                rr, cc = np.nonzero(passed)
-                nd = np.full(near.shape, np.inf, dtype=np.float32)
-                if len(rr):
-                    hits = near[rr, cc]
-                    nd[rr, cc] = np.linalg.norm(self.x[hits] - q[rows[rr]], axis=1)
-                    measured[rows[rr], hits] = True
-                    count["n_exact"][rows] += passed.sum(axis=1)
-                all_i = np.hstack([wi[rows], np.where(np.isfinite(nd), near, -1)])
-                all_d = np.hstack([wd[rows], nd])
+                        term = np.where(valid, estimate - a / (2 * b[:, None]), -np.inf)
+                        stat = np.where(b > 0, term.max(axis=1), np.inf)
+                    seen.append((rows, pivots, stat))
+                    estimate, a = estimate[at_r, at_c], a[at_r, at_c]
+                elif gate:
+                    edge = (pivots[at_r], at_c)
+                    a = self.length[edge]
+                    dots = table[rows[at_r][:, None], blocks, self.codes[edge]].sum(axis=1) - self.shift[edge]
+                    with np.errstate(divide="ignore", invalid="ignore"):
+                        estimate = dots / b[at_r] / self.own[edge]
+                if gate:
+                    way, r = b[at_r], rim[at_r]
+                    with np.errstate(divide="ignore", invalid="ignore"):
+                        tau = (a * a + way * way - r * r) / (2 * a * way)
+                        # a target on its pivot, or a neighbour on it, has no angle: such pass
+                        ok = (estimate >= tau) | (a == 0) | (way == 0) | ~full[at_r]
+                    at_r, at_c = at_r[ok], at_c[ok]
+                passes = np.bincount(at_r, minlength=len(rows))
+                count["n_pass"][rows] += passes
+                count["n_exact"][rows] += passes
+                ni = np.full((len(rows), int(passes.max(initial=0))), -1)
+                nd = np.full(ni.shape, np.inf, dtype=np.float32)
+                if len(at_r):
+                    hits, place = near[at_r, at_c], _ranks(at_r)
+                    ni[at_r, place] = hits
+                    nd[at_r, place] = np.linalg.norm(self.x[hits] - q[rows[at_r]], axis=1)
+                    measured[rows[at_r], hits] = True
+                all_i, all_d = np.hstack([wi[rows], ni]), np.hstack([wd[rows], nd])
                 all_e = np.hstack([we[rows], np.zeros(nd.shape, dtype=bool)])
                 order = _by_distance(all_i, all_d)
                 all_i, all_d, all_e = (np.take_along_axis(v, order, 1) for v in (all_i, all_d, all_e))

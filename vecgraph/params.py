@@ -54,7 +54,8 @@ class Params:
     @staticmethod
     def throughput(dim: int, **changes) -> Params:
         """Many queries a second: more links, longer codes."""
-        blocks = max(b for b in range(1, min(32, max(1, dim // 4)) + 1) if -(-dim // b) * b - dim < b)
+        most = 64 if dim >= 768 else 32  # longer codes where they are small beside the vectors
+        blocks = max(b for b in range(1, min(most, max(1, dim // 4)) + 1) if -(-dim // b) * b - dim < b)
         return Params(dim=dim, m_links=32, ef_build=128, work=32, blocks=blocks, refs_per_block=64, preset="throughput").but(**changes)
 
     @staticmethod
