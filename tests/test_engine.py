@@ -91,6 +91,19 @@ def test_all_methods_reach_recall(spark, native):
     assert runs["gate_rings"].n_exact < runs["gate"].n_exact < runs["no_gate"].n_exact
 
 
+def test_curve_over_shards_searches_and_counts_all_of_them(spark, native, monkeypatch):
+    emb, q = native
+    method, assign = X.Method("throughput", "graph", Params.throughput(64)), X.assign_shards
+    one, built = X.curve(spark, emb, q, [method], 10, [128])
+    monkeypatch.setattr(X, "assign_shards", lambda corpus, params: assign(corpus, params.but(shard_size=120)))
+    many, parts = X.curve(spark, emb, q, [method], 10, [128])
+    one, many, built, parts = one.collect(), many.collect(), built.collect(), parts.collect()
+    assert len(many) == len(parts) == len(built) == 1 and parts[0].n == built[0].n == emb.count()
+    assert many[0].recall >= one[0].recall - 0.01 and many[0].n_exact > one[0].n_exact
+    # builds are reported without queries as well
+    assert X.run(emb, q.where("qid < 0"), [method], 10, [128])[1].collect()[0].n == emb.count()
+
+
 @pytest.mark.parametrize("kind", ["pq", "aniso", "scalar"])
 def test_quantised_tables(native, kind):
     emb, q = native

@@ -29,6 +29,9 @@ RUN = (
 )
 BUILT = "method string, shard int, n bigint, build_exact bigint, build_search bigint, build_s double, edges bigint, screen_edges bigint, vectors_b bigint, edges_b bigint, projection_b bigint, codes_b bigint, zero_in bigint"
 
+#: What a search costs in a shard.
+COUNTED = ("n_checked", "n_pass", "n_exact", "n_visited", "n_fp", "n_fp_reused", "n_rounds", "search_s")
+
 
 @dataclass(frozen=True)
 class Method:
@@ -173,7 +176,11 @@ def _answers(method: Method, made, qid, q, k: int, ef: int) -> pd.DataFrame:
 
 
 def run(corpus: DataFrame, queries: DataFrame, methods: list[Method], k: int, efs: list[int]) -> tuple[DataFrame, DataFrame]:
-    """(answers, builds) of all methods; both tables are materialised."""
+    """(answers, builds) of all methods; both tables are materialised.
+
+    Every query is searched in every shard. Counters of a query and sizes and
+    seconds of a build are sums over the shards.
+    """
     spark = corpus.sparkSession
     ship(spark)
     dim = methods[0].params.dim
@@ -182,7 +189,7 @@ def run(corpus: DataFrame, queries: DataFrame, methods: list[Method], k: int, ef
     tasks = placed.crossJoin(F.broadcast(names))  # a dozen names
     asked = queries.crossJoin(F.broadcast(names.select(F.concat("method").alias("method"))))
     shards = placed.select((F.col("shard") + 0).alias("shard")).distinct()
-    asked = asked.crossJoin(F.broadcast(shards)) if methods[0].params.shard_size < 500_000 else asked.withColumn("shard", F.lit(0))
+    asked = asked.crossJoin(F.broadcast(shards))  # a row a shard
     by_name = {m.name: m for m in methods}
 
     def work(key, rows: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
@@ -195,18 +202,21 @@ def run(corpus: DataFrame, queries: DataFrame, methods: list[Method], k: int, ef
         asked = asked.sort_values("qid", ignore_index=True)
         q = np.array(asked["qvec"].tolist(), dtype=np.float32).reshape(-1, dim)
         parts = [_answers(method, made, asked["qid"].to_numpy(), q, k, ef) for ef in efs] if len(asked) else []
-        out = pd.concat(parts, ignore_index=True) if parts else pd.DataFrame(columns=[c.split()[0] for c in RUN.split(", ")])
+        if not any(len(p) for p in parts):  # the build has its row without answers too
+            parts = [pd.DataFrame([{c.split()[0]: None for c in RUN.split(", ")}])]
+        out = pd.concat(parts, ignore_index=True)
         for c, v in row.items():
-            if c != "method":
-                out[c] = v
+            out[c] = v
         return out
 
     both = RUN + ", " + BUILT.removeprefix("method string, ")
     done = materialise(tasks.groupBy("method", "shard").cogroup(asked.groupBy("method", "shard")).applyInPandas(work, both), "experiment")
-    answers = done.select(*[c.split()[0] for c in RUN.split(", ")])
-    order = Window.partitionBy("method", "ef", "qid").orderBy("dist", "vec_id")
-    answers = answers.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
-    builds = done.select(*[c.split()[0] for c in BUILT.split(", ")]).distinct()
+    answers = done.select(*[c.split()[0] for c in RUN.split(", ")]).where("qid IS NOT NULL")
+    over = Window.partitionBy("method", "ef", "qid")
+    totals = {c: F.sum(F.when(F.col("rank") == 1, F.col(c))).over(over) for c in COUNTED}  # one answer of each shard has rank 1
+    answers = answers.withColumns(totals | {"rank": F.row_number().over(over.orderBy("dist", "vec_id"))}).where(F.col("rank") <= k)
+    built = [c.split()[0] for c in BUILT.split(", ")]
+    builds = done.select(*built).distinct().groupBy("method").agg(*[F.sum(c).alias(c) for c in built if c not in ("method", "shard")])
     return answers, builds
 
 
