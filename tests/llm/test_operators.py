@@ -163,6 +163,34 @@ def test_decontamination_finds_edited_passages(texts):
     assert found >= 0.9 * len(items)
 
 
+def spread_edits(rng, m, n):
+    """Items of m random words and texts with floor(0.2 * m) of their words replaced, evenly spread."""
+    def word():
+        return "w" + str(rng.random())[2:]
+
+    items, texts, edits = [], [], int(0.2 * m)
+    for k in range(n):
+        words = [word() for _ in range(m)]
+        items.append((k, " ".join(words)))
+        for j in range(edits):
+            words[j * m // edits + m // edits // 2] = word()
+        texts.append(" ".join([*(word() for _ in range(40)), *words, *(word() for _ in range(40))]))
+    return items, texts
+
+
+@pytest.mark.parametrize("m", [50, 59, 100])
+def test_decontamination_filter_loses_nothing_at_the_limit(m):
+    items, texts = spread_edits(random.Random(m), m, 20)
+    assert all(brute_contaminated(t, i) for t, (_, i) in zip(texts, items))
+    assert sum(t == i for t, i, _ in decontaminate.Matcher(items).match(texts)) >= 10  # none before
+
+
+def test_decontamination_texts_of_a_group_stay_apart():
+    own = decontaminate.Matcher([(1, "a a a a a"), (2, "a b c d e")])
+    assert own.match(["a a a a a"] * 3) == [(0, 0, 0), (1, 0, 0), (2, 0, 0)]
+    assert own.match([None, "a b c d e", "", "a", "a b c d e", "", None]) == [(1, 1, 0), (4, 1, 0)]
+
+
 def test_decontamination_odd_cases(spark, odd, empty):
     bench = spark.createDataFrame([(1, "same text here twice"), (2, None), (3, ""), (4, "lorem ipsum dolor lorem ipsum dolor lorem ipsum")], "item_id bigint, text string")
     got = keyed(decontaminate.contaminations(odd, bench).select("doc_id", "item_id"))

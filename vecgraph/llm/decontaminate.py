@@ -6,11 +6,12 @@ if some stretch of it is within ``floor(0.2 * words)`` word edits of the item,
 a similarity of 0.8 or more.
 
 1. Count filter. An edit spoils at most two neighbouring pairs of words, so a
-   window of an item's size that is close to the item keeps most of the item's
-   distinct pairs. Prefix sums over a table of pair flags (a pair that repeats
-   within two places counts once) leave the documents that can match at all;
-   there, the exact number of distinct known pairs of each item-sized window
-   leaves the windows. This loses nothing.
+   window of an item's size that is close to the item keeps all of the item's
+   distinct pairs but two for each edit, and a shorter window one less for each
+   word. Prefix sums over a table of pair flags (a pair that repeats within two
+   places counts once, so two more may be missing) leave the documents and sizes
+   that can match at all; there, the exact number of distinct known pairs of
+   each item-sized window leaves the windows. This loses nothing.
 2. Embedding. Each window and each item walk their words: at step j the word at
    hand is written down, and a bit hashed from it and j says whether to move on.
    Sequences within a small edit distance then agree in most places (CGK maps
@@ -127,17 +128,16 @@ class Matcher:
         for k in long:
             m = int(sizes[k])
             self.distinct[m] = min(self.distinct.get(m, m), len(np.unique(_pairs(self.words[k]))))
-        #: (window, pairs it needs) of the first filter, for sizes within a seventh of each other
-        self.classes: list[tuple[int, int]] = []
+        #: (window, pairs it needs, sizes) of the first filter, for sizes within a sixteenth of each other
+        self.classes: list[tuple[int, int, list[int]]] = []
         left = self.sizes.tolist()
         while left:
-            low = left[0]
-            high = max(m for m in left if m <= low * 8 // 7)
-            window = low - int(EDIT_SHARE * low)
-            # A shorter window misses pairs of the item besides the spoiled ones; two may hide behind a repeat.
-            need = min(self.distinct[m] - (m - window) - int(EDIT_SHARE * m) for m in left if m <= high) - 2
-            self.classes.append((window, max(1, need)))
-            left = [m for m in left if m > high]
+            window = left[0]
+            own = [m for m in left if m <= window * 17 // 16]
+            # A shorter window misses pairs of the item besides the two that each edit spoils; two may hide behind a repeat.
+            need = min(self.distinct[m] - (m - window) - 2 * int(EDIT_SHARE * m) for m in own) - 2
+            self.classes.append((window, max(1, need), own))
+            left = left[len(own) :]
         self.most = int(self.sizes.max()) if long else 0
         rng = np.random.default_rng(20)
         self.seeds = rng.integers(1, 1 << 63, size=(WALKS, 2 * self.most + 1)).astype(_U) | _U(1)
@@ -193,18 +193,26 @@ class Matcher:
             return
         pairs = _pairs(words)
         flags = self.flags[pairs]
-        flags[np.maximum(at[1:-1], 1) - 1] = 0  # no pair across texts
+        ends = at[1:-1]
+        flags[ends[(ends > 0) & (ends <= len(pairs))] - 1] = 0  # no pair across texts
         once = flags.copy()
         once[1:] &= pairs[1:] != pairs[:-1]
         once[2:] &= pairs[2:] != pairs[:-2]
-        sums = np.concatenate([[0], np.cumsum(once, dtype=np.int64)])
-        possible = np.zeros(len(texts), dtype=bool)
-        for window, need in self.classes:
-            if len(sums) > window - 1:
-                hit = np.flatnonzero(sums[window - 1 :] - sums[: len(sums) - window + 1] >= need)
-                possible[np.searchsorted(at, hit, side="right") - 1] = True
+        # The pairs of one text do not hide those of the next.
+        second = at[:-1][at[:-1] + 1 < len(pairs)] + 1
+        once[second] = flags[second] & (pairs[second] != pairs[second - 1])
+        start = at[:-1][at[:-1] < len(pairs)]
+        once[start] = flags[start]
+        sums = np.zeros(len(pairs) + 1 + self.most, dtype=np.int32)
+        np.cumsum(once, out=sums[1 : len(pairs) + 1])
+        sums[len(pairs) + 1 :] = sums[len(pairs)]  # windows at the end, and of texts shorter than them, are cut
+        possible: dict[int, list[int]] = {}
+        for window, need, own_sizes in self.classes:
+            hit = np.flatnonzero(sums[window - 1 : window - 1 + len(pairs)] - sums[: len(pairs)] >= need)
+            for k in np.unique(np.searchsorted(at, hit, side="right") - 1).tolist():
+                possible.setdefault(k, []).extend(own_sizes)
         rows, sizes, own, first = [], [], [], []
-        for k in np.flatnonzero(possible):
+        for k in sorted(possible):
             lo, hi = int(at[k]), int(at[k + 1])
             known = lo + np.flatnonzero(flags[lo : hi - 1])
             # The place of the same pair before each known pair.
@@ -213,7 +221,7 @@ class Matcher:
             before = np.full(len(known), lo - 1)
             same = kind[order][1:] == kind[order][:-1]
             before[order[1:][same]] = known[order[:-1][same]]
-            for m in self.sizes.tolist():
+            for m in possible[k]:
                 edits = int(EDIT_SHARE * m)
                 if hi - lo < m - edits:
                     continue
