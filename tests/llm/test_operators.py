@@ -166,7 +166,7 @@ def test_decontamination_finds_edited_passages(texts):
 def spread_edits(rng, m, n):
     """Items of m random words and texts with floor(0.2 * m) of their words replaced, evenly spread."""
     def word():
-        return "w" + str(rng.random())[2:]
+        return f"w{rng.getrandbits(48)}"
 
     items, texts, edits = [], [], int(0.2 * m)
     for k in range(n):
@@ -185,6 +185,35 @@ def test_decontamination_filter_loses_nothing_at_the_limit(m):
     assert sum(t == i for t, i, _ in decontaminate.Matcher(items).match(texts)) >= 10  # none before
 
 
+@pytest.mark.parametrize("m", [5, 15, 30, 40, 50, 59, 80, 100, 120])
+def test_decontamination_finds_all_at_the_limit(m):
+    items, texts = spread_edits(random.Random(m), m, 40)
+    got = decontaminate.Matcher(items).match(texts)
+    assert got == [(k, k, int(0.2 * m)) for k in range(40)]
+
+
+def test_decontamination_equals_brute_force_on_mixed_edits():
+    rng = random.Random(9)
+    common = [f"c{k}" for k in range(60)]
+    items = [(k, " ".join(rng.choice(common) for _ in range(rng.randrange(5, 90)))) for k in range(60)]
+    items += [(60, "la " * 30), (61, "la di " * 20)]
+    texts = []
+    for _, t in items:
+        words = t.split()
+        for _ in range(rng.randrange(int(0.2 * len(words)) + 2)):
+            j, what = rng.randrange(len(words)), rng.randrange(3)
+            words[j : j + (what != 1)] = [] if what == 0 else [rng.choice(common)]
+        texts.append(" ".join(rng.choices(common, k=rng.randrange(30)) + words + rng.choices(common, k=rng.randrange(30))))
+    want = []
+    for t, text in enumerate(texts):
+        for i, (_, item) in enumerate(items):
+            own, words = decontaminate.word_hashes([item])[0], decontaminate.word_hashes([text])[0]
+            d = decontaminate.edit_distance_within(own, words)
+            if d <= int(0.2 * len(own)):
+                want.append((t, i, d))
+    assert decontaminate.Matcher(items).match(texts) == want and len(want) > 40
+
+
 def test_decontamination_texts_of_a_group_stay_apart():
     own = decontaminate.Matcher([(1, "a a a a a"), (2, "a b c d e")])
     assert own.match(["a a a a a"] * 3) == [(0, 0, 0), (1, 0, 0), (2, 0, 0)]

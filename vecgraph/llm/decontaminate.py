@@ -10,8 +10,10 @@ a similarity of 0.8 or more.
    distinct pairs but two for each edit, and a shorter window one less for each
    word. Prefix sums over a table of pair flags (a pair that repeats within two
    places counts once, so two more may be missing) leave the documents and sizes
-   that can match at all; there, the exact number of distinct known pairs of
-   each item-sized window leaves the windows. This loses nothing.
+   that can match at all. Of any 2 * edits + 1 distinct pairs of an item one
+   stays, so its rarest ones find the items to ask about; the exact number of
+   the item's distinct pairs in each item-sized window leaves the windows. This
+   loses nothing.
 2. Embedding. Each window and each item walk their words: at step j the word at
    hand is written down, and a bit hashed from it and j says whether to move on.
    Sequences within a small edit distance then agree in most places (CGK maps
@@ -19,7 +21,8 @@ a similarity of 0.8 or more.
 3. Sampling. Several walks, each with many small sets of places; a window meets
    the items of its size with which it agrees on some set.
 4. Verification by the edit distance of the item to the best stretch around the
-   window.
+   window; the windows of all items that the sampling has not shown to be whole
+   in the text are verified as well, so the result is exact.
 
 Items with fewer than five words match only documents that consist of them.
 Items beyond ``BLOCK`` are taken in blocks, each with its own pass.
@@ -125,9 +128,13 @@ class Matcher:
         self.sizes = np.unique(sizes[long]) if long else np.zeros(0, dtype=np.int64)
         #: the least number of distinct pairs that an item of a size has
         self.distinct: dict[int, int] = {}
+        #: the distinct pairs of each item
+        self.own = {k: np.unique(_pairs(self.words[k])) for k in long}
         for k in long:
             m = int(sizes[k])
-            self.distinct[m] = min(self.distinct.get(m, m), len(np.unique(_pairs(self.words[k]))))
+            self.distinct[m] = min(self.distinct.get(m, m), len(self.own[k]))
+        self._index_rarest(long)
+        self.mark = np.zeros(1 << _FLAGS, dtype=bool)
         #: (window, pairs it needs, sizes) of the first filter, for sizes within a sixteenth of each other
         self.classes: list[tuple[int, int, list[int]]] = []
         left = self.sizes.tolist()
@@ -152,6 +159,26 @@ class Matcher:
             #: All signatures in order, and the item of each.
             self.keys, self.key_items = keys[order], np.tile(np.array(long), len(columns))[order]
 
+    def _index_rarest(self, long: list[int]) -> None:
+        """Of each item the rarest pairs, one more than its edits can spoil (all of an item with fewer), in order, and their items."""
+        every = np.concatenate([np.zeros(0, dtype=np.int64), *self.own.values()])
+        kinds, items_with = np.unique(every, return_counts=True)
+        rare = []
+        for k in long:
+            own = self.own[k]
+            spoiled = 2 * int(EDIT_SHARE * len(self.words[k]))
+            rare.append(own[np.argsort(items_with[np.searchsorted(kinds, own)], kind="stable")[: spoiled + 1]])
+        flat = np.concatenate([np.zeros(0, dtype=np.int64), *rare])
+        order = np.argsort(flat, kind="stable")
+        self.rare, self.rare_items = flat[order], np.repeat(np.array(long, dtype=np.int64), [len(r) for r in rare])[order]
+
+    def _asked(self, kinds: np.ndarray) -> list[int]:
+        """The items that have one of these pairs among their rarest."""
+        left, right = np.searchsorted(self.rare, kinds, "left"), np.searchsorted(self.rare, kinds, "right")
+        n = right - left
+        at = np.repeat(left - (np.cumsum(n) - n), n) + np.arange(n.sum())
+        return np.unique(self.rare_items[at]).tolist()
+
     def _signatures(self, rows: np.ndarray, sizes: np.ndarray):
         """For each walk and set, one signature of each row."""
         n = len(rows)
@@ -211,60 +238,82 @@ class Matcher:
             hit = np.flatnonzero(sums[window - 1 : window - 1 + len(pairs)] - sums[: len(pairs)] >= need)
             for k in np.unique(np.searchsorted(at, hit, side="right") - 1).tolist():
                 possible.setdefault(k, []).extend(own_sizes)
-        rows, sizes, own, first = [], [], [], []
+        asked: list[tuple[int, int, np.ndarray]] = []
+        windows: set[tuple[int, int, int]] = set()
         for k in sorted(possible):
-            lo, hi = int(at[k]), int(at[k + 1])
+            lo, hi, wanted = int(at[k]), int(at[k + 1]), set(possible[k])
             known = lo + np.flatnonzero(flags[lo : hi - 1])
-            # The place of the same pair before each known pair.
-            kind = pairs[known]
-            order = np.argsort(kind, kind="stable")
-            before = np.full(len(known), lo - 1)
-            same = kind[order][1:] == kind[order][:-1]
-            before[order[1:][same]] = known[order[:-1][same]]
-            for m in possible[k]:
-                edits = int(EDIT_SHARE * m)
-                if hi - lo < m - edits:
+            kinds = pairs[known]
+            for i in self._asked(np.unique(kinds)):
+                m = len(self.words[i])
+                if m not in wanted or hi - lo < m - int(EDIT_SHARE * m):
                     continue
-                # Pair i is new in the windows that begin after its earlier copy and still hold it whole.
-                opens = np.maximum(before + 1, known - m + 2)
-                count = np.zeros(hi - lo + 2, dtype=np.int64)
-                ahead = opens <= known
-                np.add.at(count, np.maximum(opens[ahead], lo) - lo, 1)
-                np.add.at(count, known[ahead] + 1 - lo, -1)
-                count = np.cumsum(count)[: max(1, hi - lo - m + 1)]  # a text shorter than the window is one window
-                for b in np.flatnonzero(count >= max(1, self.distinct[m] - 2 * edits)).tolist():
-                    rows.append(words[lo + b : min(lo + b + m, hi)])
-                    sizes.append(m)
-                    own.append(int(k))
-                    first.append(lo + b)
+                self.mark[self.own[i]] = True
+                mine = known[self.mark[kinds]]
+                self.mark[self.own[i]] = False
+                starts = self._windows(pairs, mine, lo, hi, i)
+                if len(starts):
+                    asked.append((k, i, starts))
+                    windows.update((k, m, b) for b in starts.tolist())
+        rows = sorted(windows)
         for part in range(0, len(rows), 4096):
-            self._verify(words, at, places, rows[part : part + 4096], sizes[part : part + 4096], own[part : part + 4096], first[part : part + 4096], found)
-
-    def _verify(self, words, at, places, rows, sizes, own, first, found) -> None:
-        block = np.zeros((len(rows), self.most), dtype=_U)
-        for i, r in enumerate(rows):
-            block[i, : len(r)] = r
-        met: set[tuple[int, int]] = set()
-        for column in self._signatures(block, np.array(sizes)):
+            self._sample(words, at, places, rows[part : part + 4096], found)
+        for k, i, starts in asked:
+            if found.get((places[k], i)) != 0:
+                self._verify(words, at, places, k, i, starts.tolist(), found)
+
+    def _windows(self, pairs: np.ndarray, known: np.ndarray, lo: int, hi: int, item: int) -> np.ndarray:
+        """Where item-sized windows of a text begin that hold as many of the item's distinct pairs as its edits must leave."""
+        m = len(self.words[item])
+        need = max(1, len(self.own[item]) - 2 * int(EDIT_SHARE * m))
+        if len(known) < need:
+            return known[:0]
+        # The place of the same pair before each known pair.
+        kind = pairs[known]
+        order = np.argsort(kind, kind="stable")
+        before = np.full(len(known), lo - 1)
+        same = kind[order][1:] == kind[order][:-1]
+        before[order[1:][same]] = known[order[:-1][same]]
+        # Pair i is new in the windows that begin after its earlier copy and still hold it whole.
+        opens = np.maximum(before + 1, known - m + 2)
+        count = np.zeros(hi - lo + 2, dtype=np.int64)
+        ahead = opens <= known
+        np.add.at(count, np.maximum(opens[ahead], lo) - lo, 1)
+        np.add.at(count, known[ahead] + 1 - lo, -1)
+        count = np.cumsum(count)[: max(1, hi - lo - m + 1)]  # a text shorter than the window is one window
+        return lo + np.flatnonzero(count >= need)
+
+    def _sample(self, words, at, places, windows, found) -> None:
+        """Verify the items that windows (text, size, begin) meet in a sample of their embeddings."""
+        block = np.zeros((len(windows), self.most), dtype=_U)
+        for i, (k, m, b) in enumerate(windows):
+            row = words[b : min(b + m, int(at[k + 1]))]
+            block[i, : len(row)] = row
+        met: dict[tuple[int, int], set[int]] = {}
+        for column in self._signatures(block, np.array([m for _, m, _ in windows])):
             left, right = np.searchsorted(self.keys, column, "left"), np.searchsorted(self.keys, column, "right")
-            for i in np.flatnonzero(right > left).tolist():
-                met.update((i, k) for k in self.key_items[left[i] : right[i]].tolist())
-        # The stretches that an item may lie in, joined where they overlap.
-        stretches: dict[tuple[int, int], list[list[int]]] = {}
-        for i, k in sorted(met, key=lambda x: (own[x[0]], x[1], first[x[0]])):
-            size = len(self.words[k])
-            edits = int(EDIT_SHARE * size)
-            lo, hi = max(int(at[own[i]]), first[i] - edits), min(int(at[own[i] + 1]), first[i] + size + edits)
-            known = stretches.setdefault((own[i], k), [])
-            if known and lo <= known[-1][1]:
-                known[-1][1] = max(known[-1][1], hi)
+            for w in np.flatnonzero(right > left).tolist():
+                for i in self.key_items[left[w] : right[w]].tolist():
+                    met.setdefault((windows[w][0], i), set()).add(windows[w][2])
+        for (k, i), starts in met.items():
+            self._verify(words, at, places, k, i, sorted(starts), found)
+
+    def _verify(self, words, at, places, text: int, item: int, starts: list[int], found) -> None:
+        """Note the item if a stretch around these windows of the text is within its edits."""
+        size = len(self.words[item])
+        edits = int(EDIT_SHARE * size)
+        # The stretches that the item may lie in, joined where they overlap.
+        parts: list[list[int]] = []
+        for b in starts:
+            lo, hi = max(int(at[text]), b - edits), min(int(at[text + 1]), b + size + edits)
+            if parts and lo <= parts[-1][1]:
+                parts[-1][1] = max(parts[-1][1], hi)
             else:
-                known.append([lo, hi])
-        for (text, k), parts in stretches.items():
-            d = min(edit_distance_within(self.words[k], words[lo:hi]) for lo, hi in parts)
-            if d <= int(EDIT_SHARE * len(self.words[k])):
-                key = (places[text], k)
-                found[key] = min(d, found.get(key, d))
+                parts.append([lo, hi])
+        d = min(edit_distance_within(self.words[item], words[lo:hi]) for lo, hi in parts)
+        if d <= edits:
+            key = (places[text], item)
+            found[key] = min(d, found.get(key, d))
 
 
 _MATCHERS: dict[bytes, Matcher] = {}
