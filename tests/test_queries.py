@@ -1,9 +1,13 @@
 """Every query with SQL gives the rows of its SQL; the rest of the cheap ones give rows."""
 
+from collections import Counter
+
 import pytest
 
 import __spark_entry__ as entry_module
 from tests_oracle import connect, same
+from vecgraph.queries import workloads
+from vecgraph.sources import corpora as C
 
 BOOKS = entry_module.BOOKS
 WITH_SQL = [(n, b.queries[n], b.sql[n]) for b in BOOKS for n in b.sql]
@@ -28,3 +32,13 @@ def test_names_are_unique_and_sql_has_queries():
     queries, sql = entry_module.queries(), entry_module.oracle_sql()
     assert set(sql) <= set(queries)
     assert len(queries) > 150 or entry_module.corpus_operators is None
+
+
+def test_memory_searches_all_earlier_turns(spark, small):
+    ids = [r.vec_id for r in C.conv_vec(spark, small, 384).select("vec_id").collect()]
+    rows = workloads.memory(spark, small).collect()
+    assert all(r.turn == r.qid % 1000 > r.vec_id % 1000 for r in rows)
+    found = Counter(r.qid for r in rows)
+    earlier = {i: sum(j % 1000 < i % 1000 for j in ids) for i in ids}
+    assert found == Counter({i: min(5, n) for i, n in earlier.items() if n})
+    assert any(r.vec_id % 1000 > 2 for r in rows)  # turns after the second are remembered

@@ -266,12 +266,15 @@ def memory(spark, d):
     """An agent's memory: turns come one after the other; each search sees only earlier turns."""
     from ..operators.index import insert_batch
 
-    turns = materialise(C.conv_vec(spark, d, 384), "corpus").withColumn("turn", F.col("vec_id") % 1000)
-    index, out = build_index(turns.where("turn = 0"), Params(384, ef_build=64)), []
-    for t in (1, 2):
-        out.append(index.search(as_queries(turns.where(F.col("turn") == t)), 5, 32).withColumn("turn", F.lit(t)))
-        index = insert_batch(index, turns.where(F.col("turn") == t))
-    out.append(index.search(as_queries(turns.where("turn > 2")), 5, 32).withColumn("turn", F.lit(3)))
+    turns = materialise(C.conv_vec(spark, d, 384), "corpus").withColumn("turn", (F.col("vec_id") % 1000).cast("int"))
+    times = sorted(r.turn for r in turns.select("turn").distinct().collect())  # a row a turn
+    out = [spark.createDataFrame([], "qid bigint, rank int, vec_id bigint, dist double, turn int")]
+    index = build_index(turns.where(F.col("turn") == times[0]), Params(384, ef_build=64)) if times else None
+    for t in times[1:]:
+        now = turns.where(F.col("turn") == t)
+        out.append(index.search(as_queries(now), 5, 32).select("qid", "rank", "vec_id", "dist", F.lit(t).alias("turn")))
+        if t != times[-1]:  # nothing is searched after the last turn
+            index = insert_batch(index, now)
     return reduce(DataFrame.unionByName, out).select("turn", "qid", "rank", "vec_id", F.round("dist", 5).alias("dist"))
 
 
