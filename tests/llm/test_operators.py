@@ -34,6 +34,8 @@ ODD = [
 def odd(spark):
     df = spark.createDataFrame(ODD, SCHEMA)
     # names that operators use for their own columns
+    for name in ("__w", "__q", "__keys", "__met", "__at", "__lines", "__m", "__host", "__v", "__kept", "__id", "__kept_id", "__one", "row", "t", "q", "host", "kept", "salt", "h", "component_id"):
+        df = df.withColumn(name, F.lit("x"))
     return df.withColumn("score", F.lit("mine")).withColumn("fp", F.lit(1)).withColumn("n_words", F.lit("w")).withColumn("seq", F.lit(2)).withColumn("root", F.lit(3))
 
 
@@ -72,12 +74,13 @@ def test_sql(spark, small, name):
         (quality.quality_report, len(ODD)),
         (lambda d: langid.language_report(d, langid.fit(d)), len(ODD)),
         (lambda d: toxicity.toxicity_report(d, toxicity.train([], [])), len(ODD)),
+        (pii.redact, len(ODD)),
     ],
-    ids=["bpe", "secrets", "pii", "simhash", "counts", "quality", "language", "toxicity"],
+    ids=["bpe", "secrets", "pii", "simhash", "counts", "quality", "language", "toxicity", "redact"],
 )
-def test_odd_rows_and_empty_tables(odd, empty, operator, rows):
+def test_odd_rows_and_empty_tables(odd, operator, rows):
     assert operator(odd).count() == rows
-    out = operator(empty)
+    out = operator(odd.limit(0))
     assert out.count() == 0 and out.columns == operator(odd).columns
 
 
@@ -97,13 +100,18 @@ def levenshtein(a, b):
 def test_automaton_is_levenshtein():
     terms = ["idiot", "moron", "pathetic", "disgusting", "scum", "ab*", "loser"]
     automaton, rng = toxicity.LexiconAutomaton(terms), random.Random(3)
+    def stem_distance(word, stem):
+        return min(levenshtein(word[:k], stem) for k in range(len(word) + 1))
+
+    terms += ["offensiv*"]
+    automaton = toxicity.LexiconAutomaton(terms)
     for _ in range(4000):
         word = list(rng.choice(terms).rstrip("*"))
         for _ in range(rng.randint(0, 3)):
             word.insert(rng.randrange(len(word) + 1), rng.choice("abdiot")) if rng.random() < 0.5 or not word else word.pop(rng.randrange(len(word)))
         word = "".join(word)
-        want = [0 if word.startswith(t[:-1]) else 9 for t in terms if t.endswith("*")] + [levenshtein(word, t) for t in terms if not t.endswith("*") and levenshtein(word, t) <= toxicity.edits_allowed(len(t))]
-        best = min(want)
+        want = [(stem_distance(word, t[:-1]) if t.endswith("*") else levenshtein(word, t), toxicity.term_edits(t)) for t in terms]
+        best = min((d for d, most in want if d <= most), default=9)
         found = automaton.match(word)
         assert (found[1] if found else 9) == best, word
 
@@ -123,6 +131,62 @@ def test_toxicity_learns_and_separates(spark, small):
     assert all(r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 5 == 0) and 0 <= r.score <= 1 and r.predicted == (r.score >= 0.5) for r in out)
 
 
+def labelled(spark, sf):
+    """(texts, labels) of the rows to learn from, and of the held-out ones."""
+    docs = {r.doc_id: r.text or "" for r in read_table(spark, sf, "documents").collect()}
+    rows = [(docs[r.doc_id], r.toxic, zlib.crc32(str(r.doc_id).encode()) % 5) for r in read_table(spark, sf, "labels").collect() if r.doc_id in docs and r.toxic is not None]
+    return [([t for t, _, f in rows if (f == 0) == held], [y for _, y, f in rows if (f == 0) == held]) for held in (False, True)]
+
+
+def test_misspelled_and_reported_terms(spark):
+    """Held-out toxic texts stay toxic when every hit is misspelled; clean ones stay clean when they report a term."""
+    (texts, marks), (held, truth) = labelled(spark, "/root/testdata/sf0.1")
+    model = toxicity.train(texts, marks)
+    assert model.coefficients[2] > 0 > model.coefficients[3]  # edited hits speak for toxicity, quoted ones against
+    scorer, rng = model.scorer(), random.Random(5)
+    toxic, clean = ([t for t, y in zip(held, truth) if y == v] for v in (1, 0))
+    before = [scorer.score(t) for t in toxic]
+    assert np.mean([s >= 0.5 for s in before]) > 0.9 and np.mean([scorer.score(t) >= 0.5 for t in clean]) < 0.01
+
+    def garble(text):
+        hits = {w for w in set(toxicity._WORD.findall(text.lower())) if scorer.known.get(w)}
+        return toxicity._WORD.sub(lambda m: toxicity.misspelled(m.group(), rng) if m.group().lower() in hits else m.group(), text)
+
+    garbled = [garble(t) for t in toxic]
+    assert np.mean([scorer.score(t) >= 0.5 for t in garbled]) > 0.75
+    # ablation: without edits most of them are lost
+    blind = toxicity.Model(model.terms, {k: (w if k[1] == 0 else -1.0) for k, w in model.weights.items()}, model.coefficients, model.ordinary).scorer()
+    assert np.mean([blind.score(t) >= 0.5 for t in garbled]) < 0.3
+    assert np.mean([scorer.score(t + ' he said "stupid" and called it an insult') >= 0.5 for t in clean]) < 0.02
+    assert np.mean([scorer.score(t + " you stupid moron") >= 0.5 for t in clean]) > 0.98
+
+
+def test_toxicity_query_against_brute_force(spark, small):
+    """Hits by plain edit distance instead of the automaton give every row's score."""
+    docs, labels = read_table(spark, small, "documents"), read_table(spark, small, "labels")
+    model = toxicity.fit(docs, labels)
+
+    class Plain:
+        def match(self, word):
+            near = [(min(levenshtein(word[:k], t[:-1]) for k in range(len(word) + 1)) if t.endswith("*") else levenshtein(word, t), i) for i, t in enumerate(model.terms) if t[0] == word[0] or abs(len(t) - len(word)) < 4]
+            found = min(((d, i) for d, i in near if d <= toxicity.term_edits(model.terms[i])), default=None)
+            return found and (found[1], found[0])
+
+    brute = model.scorer()
+    brute.automaton = Plain()
+    given = {r.doc_id: r.text or "" for r in docs.collect()}
+    for r in toxicity.toxicity(spark, small).collect():
+        text = " ".join(given[r.doc_id].split(" "))
+        assert abs(r.score - brute.score(text)) < 1e-9
+
+
+def test_fragments_of_ordinary_words_are_no_terms():
+    clean = ["the fragment of xmoronx stands inside"] * 40 + ["stone river light"] * 40
+    toxic = ["you moron are bad"] * 10 + ["stupid stone light"] * 10
+    terms = toxicity.learn_lexicon(clean + toxic, [0] * 80 + [1] * 20)
+    assert "stupid" in terms and "moron" not in terms
+
+
 def test_toxicity_ranks_held_out_rows(spark):
     labels = {r.doc_id: r.toxic for r in read_table(spark, "/root/testdata/sf0.1", "labels").collect()}
     out = [(r.score, labels[r.doc_id]) for r in toxicity.toxicity(spark, "/root/testdata/sf0.1").where("held_out").collect() if r.doc_id in labels]
@@ -135,8 +199,8 @@ def test_toxicity_ranks_held_out_rows(spark):
 
 def brute_contaminated(text, item):
     words, own = (decontaminate.word_hashes([t])[0] for t in (text, item))
-    if len(own) < decontaminate.MIN_WORDS:
-        return len(own) > 0 and words.tolist() == own.tolist()
+    if len(own) == 0:
+        return False
     return decontaminate.edit_distance_within(own, words) <= int(0.2 * len(own))
 
 
@@ -214,6 +278,42 @@ def test_decontamination_equals_brute_force_on_mixed_edits():
     assert decontaminate.Matcher(items).match(texts) == want and len(want) > 40
 
 
+def edited(rng, words, kind, fresh):
+    edits, words = int(0.2 * len(words)), list(words)
+    if kind == "even":
+        for j in range(edits):
+            words[j * len(words) // edits + len(words) // edits // 2] = fresh()
+        return words
+    if kind == "random":
+        for j in rng.sample(range(len(words)), edits):
+            words[j] = fresh()
+        return words
+    for _ in range(edits):
+        j, what = rng.randrange(len(words)), {"insertions": 0, "deletions": 1}.get(kind, rng.randrange(3))
+        words[j : j + (what > 0)] = [] if what == 1 else [fresh()]
+    return words
+
+
+@pytest.mark.parametrize("m", [5, 15, 38, 59, 100, 200])
+@pytest.mark.parametrize("kind", ["even", "random", "insertions", "deletions", "mix"])
+def test_decontamination_recall_at_the_full_budget(m, kind):
+    """The sampling alone meets 0.95 of the passages with all their edits; with the rest verified, all are found."""
+    rng = random.Random(m)
+    fresh = lambda: f"w{rng.getrandbits(48)}"
+    items = [(k, " ".join(fresh() for _ in range(m))) for k in range(60)]
+    texts = [" ".join([*(fresh() for _ in range(80)), *edited(rng, t.split(), kind, fresh), *(fresh() for _ in range(80))]) for _, t in items]
+    sampled = decontaminate.Matcher(items, complete=False).match(texts)
+    assert sum(t == i for t, i, _ in sampled) >= 57
+    assert {(t, i) for t, i, _ in decontaminate.Matcher(items).match(texts)} == {(k, k) for k in range(60)}
+
+
+def test_short_items_are_found_inside_texts():
+    own = decontaminate.Matcher([(1, "alpha"), (2, "beta gamma"), (3, "one two three"), (4, "a b c d"), (5, "gamma x"), (6, "b c d")])
+    texts = ["Alpha!", "the beta, gamma ray", "one two", "three", "zero one two three a b c d", "beta", "gamma", None, "x gamma"]
+    assert own.match(texts) == [(0, 0, 0), (1, 1, 0), (4, 2, 0), (4, 3, 0), (4, 5, 0)]
+    assert decontaminate.Matcher([(1, "alpha")]).match(["", None]) == []
+
+
 def test_decontamination_texts_of_a_group_stay_apart():
     own = decontaminate.Matcher([(1, "a a a a a"), (2, "a b c d e")])
     assert own.match(["a a a a a"] * 3) == [(0, 0, 0), (1, 0, 0), (2, 0, 0)]
@@ -221,9 +321,9 @@ def test_decontamination_texts_of_a_group_stay_apart():
 
 
 def test_decontamination_odd_cases(spark, odd, empty):
-    bench = spark.createDataFrame([(1, "same text here twice"), (2, None), (3, ""), (4, "lorem ipsum dolor lorem ipsum dolor lorem ipsum")], "item_id bigint, text string")
+    bench = spark.createDataFrame([(1, "Text, here."), (2, None), (3, ""), (4, "lorem ipsum dolor lorem ipsum dolor lorem ipsum")], "item_id bigint, text string")
     got = keyed(decontaminate.contaminations(odd, bench).select("doc_id", "item_id"))
-    assert got == [(4, 4), (5, 1), (5, 1), (6, 1)]  # short items only match whole documents
+    assert got == [(4, 4), (5, 1), (5, 1), (6, 1)]
     assert decontaminate.contaminations(empty, bench).count() == 0
     assert decontaminate.contaminations(odd, bench.where("item_id > 9")).count() == 0
     kept = decontaminate.drop_contaminated(odd, bench)
@@ -257,6 +357,39 @@ def test_encoder_and_counter_are_exact(texts, library):
     assert token_count.count_texts([*STRANGE, *texts.values()], path) == [len(library.encode(t, add_special_tokens=False).ids) for t in [*STRANGE, *texts.values()]]
 
 
+def test_long_pre_tokens(library):
+    """Merging by rank takes over from rounds without a change of counts, and a very long piece takes seconds."""
+    import time
+
+    path, library = library
+    rng = random.Random(4)
+    made = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(n)) for n in (300, 3000, 20000)] + ["ab" * 5000, "a" * 9999, "theing" * 2000 + "aaa", "é" * 3000 + "ßa" * 1500, "<|endoftext|>" + "xyzzy" * 900]
+    assert token_count.count_texts(made, path) == [len(library.encode(t, add_special_tokens=False).ids) for t in made]
+    merger = token_count.RankMerger(bpe.load(path))
+    words = [t.encode() for t in made[:7]]
+    counts = merger.count(words)
+    symbols, sizes = merger.base[np.frombuffer(b"".join(words), dtype=np.uint8)], np.array([len(w) for w in words])
+    again = sizes.copy()
+    merger._merge_by_rank(symbols.copy(), np.repeat(np.arange(len(words)), sizes), again)
+    assert again.tolist() == counts.tolist()
+    began = time.time()
+    merger.count([("".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(300_000))).encode()])
+    assert time.time() - began < 20
+
+
+def test_pieces_bound_rows_and_bytes():
+    import pyarrow as pa
+
+    from vecgraph.llm.common import pieces
+
+    texts = ["x" * 10] * 500 + ["y" * 100_000] * 20 + [None, ""]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(len(texts))), pa.array(texts)], ["k", "t"])
+    cut = list(pieces(batch, 128, 250_000))
+    assert [v for p in cut for v in p.column(1).to_pylist()] == texts
+    assert all(p.num_rows <= 128 and (p.num_rows == 1 or p.nbytes <= 500_000) for p in cut)
+    assert list(pieces(batch.slice(0, 0), 5, 5)) == []
+
+
 def test_tables_are_bounded_and_forgetting_changes_nothing(texts, library, monkeypatch):
     path, library = library
     monkeypatch.setattr(bpe, "REMEMBERED", 50)
@@ -353,6 +486,65 @@ def test_field_labels_linked_segments(spark):
     assert pii.train([]) is None and pii.find(text, None) == (base, base)
 
 
+def exact_beliefs(field, text, nodes):
+    """Label probabilities by summing over all labellings."""
+    from itertools import product
+
+    k = len(pii.LABELS)
+    local = np.stack([pii.features(text, s, e) @ field.unary for s, e, _ in nodes])
+    local[:, 0] += [pii.DOUBT * (label < 0) for _, _, label in nodes]
+    links = [(a, b, field.chain) for a, b in pii.chain_links(nodes)] + [(a, b, field.skip) for a, b in pii.skip_links(text, nodes)]
+    out = np.zeros((len(nodes), k))
+    choices = [[n[2]] if n[2] > 0 else range(k) for n in nodes]
+    for labels in product(*choices):
+        w = np.exp(sum(local[i, x] for i, x in enumerate(labels) if nodes[i][2] < 0) + sum(p[labels[a], labels[b]] for a, b, p in links))
+        for i, x in enumerate(labels):
+            out[i, x] += w
+    return out / out.sum(axis=1, keepdims=True)
+
+
+def planted_field(rng):
+    """A field learned from texts with phones, addresses and unrelated numbers."""
+    rows = []
+    for k in range(200):
+        phone = f"+1 ({rng.randrange(200, 999)}) 555-{rng.randrange(1000, 9999)}"
+        rows.append(f"call {phone} or mail a.b{k}@mail.example.com now, order {rng.randrange(10**8, 10**9)} shipped, again {phone}")
+    return pii.train(rows)
+
+
+def test_beliefs_against_enumeration():
+    rng = random.Random(2)
+    field = planted_field(rng)
+    chain = "number 5550001234 then 5559998888 near"  # two nodes, one link: a tree, so messages are exact
+    loop = "call +1 (974) 555-3436 now" + " filler" * 20 + " 974 555-3436 or 555-3436 twice" + " filler" * 20 + " (974) 555-3436 end 7771234567"
+    for text, close in ((chain, 1e-6), (loop, 0.12)):
+        nodes = pii.segments(text, pii.base_spans(text))
+        assert len(nodes) >= 2 and any(k < 0 for _, _, k in nodes)
+        got, want = field.beliefs(text, nodes), exact_beliefs(field, text, nodes)
+        assert np.abs(got - want).max() < close and (got.argmax(axis=1) == want.argmax(axis=1)).all()
+
+
+def test_what_the_field_adds():
+    """Numbers and names that repeat personal data without its marks are found; unrelated numbers are left alone."""
+    rng = random.Random(7)
+    field = planted_field(random.Random(1))
+    plain, by_field, wrong, planted, others = 0, 0, 0, 0, 0
+    for k in range(120):
+        area, line = rng.randrange(200, 999), rng.randrange(1000, 9999)
+        filler = " ".join(rng.choice("stone river light house walk".split()) for _ in range(40))
+        again, order = f"({area}) 555-{line}", str(rng.randrange(10**9, 10**10))
+        text = f"reach me at +1 {again} today. {filler} later {again} rang. {filler} order {order} is due, write j.doe{k}@example.com. {filler} j.doe{k} agreed"
+        base, spans = pii.find(text, field)
+        cover = lambda found, part: any(text[s:e] == part for s, _, e in found)
+        planted += 2
+        others += 1
+        second = [(s, e) for s, e in ((m.start(), m.end()) for m in re.finditer(re.escape(again), text))][1]
+        plain += any((s, e) == second for s, _, e in base) + cover(base, f"j.doe{k}")
+        by_field += any((s, e) == second for s, _, e in spans) + cover(spans, f"j.doe{k}")
+        wrong += cover(spans, order)
+    assert plain == 0 and by_field >= 0.95 * planted and wrong <= 0.02 * others
+
+
 def test_redaction_keeps_rows_and_columns(odd):
     out = pii.redact(odd)
     assert out.columns == odd.columns and out.count() == len(ODD)
@@ -451,6 +643,14 @@ def test_hot_cells_give_the_same_components(spark, bits):
     assert everything == brute and groups(found) == groups(brute)
 
 
+def test_hubs_are_salted_without_a_change(spark, monkeypatch):
+    monkeypatch.setattr(simhash, "HUB_EDGES", 5)
+    rng = random.Random(1)
+    edges = [(0, i) for i in range(1, 60)] + [(i, i + 100) for i in range(1, 30)] + [(500, 501), (501, 502)] + [(700, 701 + rng.randrange(40)) for _ in range(40)] + [(129, 700)]
+    found = {r.node: r.root for r in simhash.components(spark.createDataFrame(sorted(set(edges)), "a bigint, b bigint")).collect()}
+    assert all(root == (500 if 500 <= node <= 502 else 0) for node, root in found.items()) and len(found) == len({x for e in edges for x in e})
+
+
 def test_long_chain_of_links(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(300)], "a bigint, b bigint")
     assert {r.root for r in simhash.components(edges).collect()} == {0}
@@ -485,6 +685,53 @@ def test_language_held_out_accuracy(spark):
     assert np.mean([r.lang_pred == given[r.doc_id] for r in held]) > 0.97 and all(0 <= r.score <= 1 for r in rows)
 
 
+def test_language_kernel_against_plain_sets():
+    """Scores equal a kernel of n-gram sets, Nystroem features and ridge regression written out."""
+    rng = random.Random(3)
+    words = {"en": "the and of stone water is".split(), "fr": "le la et pierre eau est".split(), "de": "der die und stein wasser ist".split()}
+    rows = [(" ".join(rng.choice(words[g]) for _ in range(12)), g) for _ in range(15) for g in words]
+    texts, labels = [t for t, _ in rows], [g for _, g in rows]
+    model = langid.train(texts, labels, landmarks_each=4, ridge=0.1)
+
+    def spectrum(t):
+        return frozenset(langid.grams(t).tolist())
+
+    def kernel(a, b):
+        return len(a & b) / np.sqrt(len(a) * len(b))
+
+    sets = [spectrum(t) for t in texts]
+    taken, land = Counter(), []
+    for s, g in zip(sets, labels):
+        if taken[g] < 4:
+            taken[g] += 1
+            land.append(s)
+    values, vectors = np.linalg.eigh(np.array([[kernel(a, b) for b in land] for a in land]))
+    white = vectors / np.sqrt(np.maximum(values, 1e-6))
+    f = np.array([[kernel(a, b) for b in land] for a in sets]) @ white
+    y = np.array([[1.0 if g == h else -1.0 for h in sorted(words)] for g in labels])
+    w = np.diag([1 / labels.count(g) for g in labels])
+    c = np.linalg.solve(f.T @ w @ f + 0.1 * np.eye(f.shape[1]) / len(rows), f.T @ w @ y)
+    probes = ["the water of stone", "la pierre et le", "und das wasser", "mixed la the der"]
+    names, scores = model.predict(probes)
+    for t, name, score in zip(probes, names, scores):
+        s = np.array([kernel(spectrum(t), b) for b in land]) @ white @ c
+        e = np.exp(langid.SCALE * (s - s.max()))
+        assert name == sorted(words)[int(s.argmax())] and abs(score - e.max() / e.sum()) < 1e-3
+
+
+def test_language_training_rows_are_bounded(spark):
+    """Ids that repeat, with one or several languages, train once for each language."""
+    rows = [(1, "the cat sat on it", "en", None, 1)] * 500 + [(2, "le chat est là", "fr", None, 1), (2, "the cat is here", "en", None, 1), (3, None, "en", None, 0), (None, "x y", "en", None, 3)]
+    rows += [(k, f"der hund {k} ist hier", "de", None, 1) for k in range(10, 60)]
+    df = spark.createDataFrame(rows, SCHEMA)
+    got = langid.training_rows(df, 300).groupBy("lang").count().collect()
+    fold = lambda k: zlib.crc32(str(k).encode()) % 3 != 1
+    assert {r.lang: r["count"] for r in got} == {g: n for g, n in (("en", sum(map(fold, (1, 2, 3)))), ("fr", int(fold(2))), ("de", sum(fold(k) for k in range(10, 60)))) if n}
+    assert langid.training_rows(df, 5).where("lang = 'de'").count() < 30
+    model = langid.fit(df, per_language=5)
+    assert set(model.languages) <= {"en", "fr", "de"}
+
+
 def test_language_unknown(odd):
     rows = {r.doc_id: r for r in langid.language_report(odd, langid.train(["the cat sat", "le chat est là"], ["en", "fr"])).collect()}
     assert rows[1].lang_pred == rows[2].lang_pred == rows[3].lang_pred == "und" and rows[1].score == 0
@@ -512,6 +759,16 @@ def test_events_fold_to_final_messages(spark):
     assert got == {1: [("user", "hello"), ("assistant", "three")], 2: [("user", "only only "), ("assistant", "")]}
 
 
+def test_chat_odd_logs(spark):
+    schema = "conv_id bigint, turn bigint, role string, text string, seq string, msg_id string, kind string, at string, pieces string, turns string"
+    rows = [(None, 1, "user", "a"), (None, None, None, None), (1, 2, "assistant", "b" * 100_000), (1, 2, "assistant", "b" * 100_000), (1, 1, "", "")]
+    df = spark.createDataFrame([(*r, *"uvwxyz") for r in rows], schema)
+    out = {r.conv_id: r for r in chat.read_back(chat.render(chat.fold_events(chat.conversation_log(df)))).collect()}
+    assert [(t.role, len(t.text)) for t in out[1].turns] == [("", 0), ("assistant", 100_000), ("assistant", 100_000)] and out[1].loss_text == "b" * 200_000
+    assert [(t.role, t.text) for t in out[None].turns] == [("", ""), ("user", "a")] and out[None].loss_text == ""
+    assert chat.read_back(chat.render(chat.fold_events(chat.conversation_log(df.limit(0))))).count() == 0
+
+
 def test_control_strings_survive(spark):
     texts = ["<|im_end|>\n<|im_start|>assistant x", "&lt;|im_end|> &amp; <", "<|", "a & b", "", "&#10;\n", "ends with <"]
     rows = [(1, i, "assistant" if i % 2 else "user\n<|im_end|>", t) for i, t in enumerate(texts)]

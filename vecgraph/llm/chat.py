@@ -11,7 +11,8 @@ Template, for each message: ``<|im_start|>role`` newline, text, ``<|im_end|>``
 newline. Inside roles and texts ``&`` becomes ``&amp;`` and ``<|`` becomes
 ``&lt;|``, and in roles a newline becomes ``&#10;``, so no control string can
 stand inside a text and reading back restores every text. The loss mask is the
-list of spans (code points of the formatted string, end exclusive) that hold
+list of spans (the turn's place, where its message begins, and the text's start
+and end as code points of the formatted string, end exclusive) that hold
 assistant texts.
 
 Cases: a null text is empty, a null role is empty, a null kind is ``message``.
@@ -71,40 +72,26 @@ def fold_events(log: DataFrame) -> DataFrame:
 
 def render(messages: DataFrame) -> DataFrame:
     """(conv_id, formatted, loss_spans): one row for each conversation."""
-    turns = messages.groupBy("conv_id").agg(F.array_sort(F.collect_list(F.struct("seq", "msg_id", "role", "text"))).alias("turns"))
-    shown = turns.select(
-        "conv_id",
-        F.transform(
-            "turns",
-            lambda t: F.struct(
-                F.concat(F.lit(START), escape_role(t["role"]), F.lit("\n")).alias("head"),
-                escape(t["text"]).alias("body"),
-                (t["role"] == ASSISTANT).alias("loss"),
-            ),
-        ).alias("parts"),
-    )
     tail = END + "\n"
-    sized = F.aggregate(
-        "parts",
-        F.struct(F.lit(0).cast("bigint").alias("at"), F.array().cast("array<struct<start:bigint,end:bigint>>").alias("spans")),
-        lambda s, p: F.struct(
-            (s["at"] + F.length(p["head"]) + F.length(p["body"]) + len(tail)).alias("at"),
-            F.when(
-                p["loss"],
-                F.concat(
-                    s["spans"],
-                    F.array(F.struct((s["at"] + F.length(p["head"])).alias("start"), (s["at"] + F.length(p["head"]) + F.length(p["body"])).alias("end"))),
-                ),
-            )
-            .otherwise(s["spans"])
-            .alias("spans"),
-        ),
-    )
-    return shown.select(
+    shown = messages.select(
         "conv_id",
-        F.array_join(F.transform("parts", lambda p: F.concat(p["head"], p["body"], F.lit(tail))), "").alias("formatted"),
-        sized["spans"].alias("loss_spans"),
+        "seq",
+        "msg_id",
+        F.concat(F.lit(START), escape_role(F.col("role")), F.lit("\n")).alias("head"),
+        escape(F.col("text")).alias("body"),
+        (F.col("role") == ASSISTANT).alias("loss"),
+    )
+    shown = shown.withColumn("size", (F.length("head") + F.length("body") + len(tail)).cast("bigint"))
+    # Running sums say where each message begins.
+    order = Window.partitionBy("conv_id").orderBy("seq", "msg_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    placed = shown.withColumn("turn", F.count("*").over(order) - 1).withColumn("at", F.sum("size").over(order) - F.col("size"))
+    start = F.col("at") + F.length("head")
+    span = F.when(F.col("loss"), F.struct("turn", "at", start.alias("start"), (start + F.length("body")).alias("end")))
+    turns = placed.groupBy("conv_id").agg(
+        F.array_sort(F.collect_list(F.struct("turn", F.concat("head", "body", F.lit(tail)).alias("piece")))).alias("pieces"),
+        F.array_sort(F.collect_list(span)).alias("loss_spans"),
     )
+    return turns.select("conv_id", F.array_join(F.transform("pieces", lambda p: p["piece"]), "").alias("formatted"), "loss_spans")
 
 
 def read_back(rendered: DataFrame) -> DataFrame:
@@ -118,9 +105,10 @@ def read_back(rendered: DataFrame) -> DataFrame:
             unescape(F.replace(F.substr(p, F.length(F.substring_index(p, "\n", 1)) + 2), F.lit(END + "\n"), F.lit(""))).alias("text"),
         ),
     )
-    # The mask walks the string once: each span is cut from the piece it lies in.
-    loss = F.array_join(F.transform("loss_spans", lambda s: unescape(F.substr(F.col("formatted"), (s["start"] + 1).cast("int"), (s["end"] - s["start"]).cast("int")))), "")
-    return rendered.select("conv_id", "formatted", turns.alias("turns"), loss.alias("loss_text"))
+    # Each span is cut from the message it lies in, so a long conversation is not walked again for each.
+    cut = lambda s: F.substr(F.get("pieces", s["turn"].cast("int")), (s["start"] - s["at"] - len(START) + 1).cast("int"), (s["end"] - s["start"]).cast("int"))
+    loss = F.array_join(F.transform("loss_spans", lambda s: unescape(cut(s))), "")
+    return rendered.withColumn("pieces", pieces).select("conv_id", "formatted", turns.alias("turns"), loss.alias("loss_text"))
 
 
 def conversation_log(conversations: DataFrame) -> DataFrame:

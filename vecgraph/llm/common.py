@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 import zipfile
 from collections.abc import Callable, Iterator
 
@@ -34,13 +35,6 @@ def ship(spark: SparkSession) -> None:
     context._corpus_operators_shipped = True
 
 
-def small_batches(spark: SparkSession, rows: int = 512) -> None:
-    """Bound the rows of an Arrow batch, so that long texts stay within memory."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if int(spark.conf.get(key, "10000")) != rows:
-        spark.conf.set(key, str(rows))
-
-
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -51,37 +45,74 @@ def fold(column: str | Column, parts: int) -> Column:
     return F.coalesce(F.crc32(c.cast("string").cast("binary")) % F.lit(parts), F.lit(0))
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share; without a setting a local one, which only a local master may use."""
+    context = spark.sparkContext
+    folder = spark.conf.get("spark.checkpoint.dir", None) or context.getConf().get("spark.checkpoint.dir")
+    if not folder and (known := context._jsc.sc().getCheckpointDir()).isDefined():
+        folder = known.get()
+    if not folder:
+        if not context.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all machines share")
+        folder = tempfile.mkdtemp(prefix="corpus_checkpoints_")
+    return folder.rstrip("/")
+
+
 def checkpoint(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint in the folder the session names; a folder of our own only if unset."""
+    """Reliable checkpoint in the shared folder."""
     context = df.sparkSession.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
-        folder = df.sparkSession.conf.get("spark.checkpoint.dir", None) or context.getConf().get("spark.checkpoint.dir")
-        context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="corpus_checkpoints_"))
+        context.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint(eager=True)
 
 
+def materialise(df: DataFrame, name: str) -> DataFrame:
+    """The rows written as Parquet to the shared folder and read again."""
+    path = f"{shared_folder(df.sparkSession)}/{name}_{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def pieces(batch: pa.RecordBatch, rows: int, size: int) -> Iterator[pa.RecordBatch]:
+    """The batch cut in pieces of at most ``rows`` rows and about ``size`` bytes (one row at least)."""
+    step = max(1, min(rows, batch.num_rows * size // max(1, batch.nbytes)))
+    for i in range(0, batch.num_rows, step):
+        part = batch.slice(i, step)
+        if part.num_rows > 1 and part.nbytes > 2 * size:  # long texts stand together here
+            yield from pieces(part, max(1, step // 2), size)
+        else:
+            yield part
+
+
 def map_texts(
     docs: DataFrame,
     columns: list[str],
     work: Callable[[pa.RecordBatch], pa.RecordBatch | None],
     schema: str,
     rows: int = 512,
+    size: int = 4 << 20,
 ) -> DataFrame:
-    """Apply ``work`` to Arrow batches of the named columns only."""
-    spark = docs.sparkSession
-    ship(spark)
-    small_batches(spark, rows)
+    """Apply ``work`` to the named columns in batches of at most ``rows`` rows and about ``size`` bytes."""
+    ship(docs.sparkSession)
 
     def over(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            if batch.num_rows:
-                out = work(batch)
+            for part in pieces(batch, rows, size):
+                out = work(part)
                 if out is not None and out.num_rows:
                     yield out
 
     return docs.select(*columns).mapInArrow(over, schema)
 
 
+def clear_name(docs: DataFrame, name: str) -> str:
+    """The name, or with more underscores, so that no column of ``docs`` has it (names differ by more than case)."""
+    taken = {c.lower() for c in docs.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def sample_rows(docs: DataFrame, columns: list[str], cap: int, seed: int = 7) -> DataFrame:
     """At most ``2 * cap`` rows: those whose doc_id is among the ``cap`` ids with the least seeded hashes.
 

@@ -19,13 +19,17 @@ a similarity of 0.8 or more.
    Sequences within a small edit distance then agree in most places (CGK maps
    edit to Hamming distance).
 3. Sampling. Several walks, each with many small sets of places; a window meets
-   the items of its size with which it agrees on some set.
+   the items of its size with which it agrees on some set. Walks are repeated
+   until pairs at the edit limit, simulated for the largest item, meet with the
+   target recall (``RECALL``).
 4. Verification by the edit distance of the item to the best stretch around the
-   window; the windows of all items that the sampling has not shown to be whole
-   in the text are verified as well, so the result is exact.
+   window. With ``complete`` the windows of items that the sampling has not shown
+   to be whole in the text are verified as well, so the result is exact; without
+   it the result is what the sampling meets.
 
-Items with fewer than five words match only documents that consist of them.
-Items beyond ``BLOCK`` are taken in blocks, each with its own pass.
+Items with fewer than five words allow no edit and are found as sequences of
+words. Items beyond ``BLOCK`` (or ``BLOCK_BYTES`` of text) are taken in blocks,
+each with its own pass; a block is broadcast once.
 
 Cases: null texts, of documents or items, have no words and match nothing. A
 null doc_id is carried as null. Repeated rows each get their rows; empty tables
@@ -35,9 +39,11 @@ give an empty result. Long texts are read whole.
 from __future__ import annotations
 
 import hashlib
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame, functions as F
 
 from .common import map_texts
@@ -45,9 +51,13 @@ from .common import map_texts
 MIN_WORDS = 5
 #: Word edits allowed, in fifths of an item's words: similarity 0.8.
 EDIT_SHARE = 0.2
-WALKS, SETS, SAMPLED = 3, 8, 3
-#: Items held by a worker at once.
+#: Sets of places in each walk, places in a set, and the most walks.
+SETS, SAMPLED, MOST_WALKS = 16, 2, 16
+#: Share of the pairs at the edit limit that the sampling is to meet.
+RECALL = 0.97
+#: Items, and bytes of their texts, that a worker holds at once.
 BLOCK = 20_000
+BLOCK_BYTES = 32 << 20
 #: Bytes of text whose words are hashed at once.
 CHUNK = 1 << 20
 _FLAGS = 22
@@ -98,6 +108,14 @@ def _pairs(words: np.ndarray) -> np.ndarray:
     return (_mix(words[:-1] * _U(0xD6E8FEB86659FD93) + words[1:]) >> _U(64 - _FLAGS)).astype(np.int64)
 
 
+def _sequences(words: np.ndarray, m: int) -> np.ndarray:
+    """A hash of each m neighbouring words."""
+    out = words[: len(words) - m + 1]
+    for j in range(1, m):
+        out = _mix(out * _U(0xD6E8FEB86659FD93) + words[j : len(words) - m + 1 + j])
+    return out
+
+
 def edit_distance_within(item: np.ndarray, stretch: np.ndarray) -> int:
     """The least number of word edits between the item and any part of the stretch."""
     places = np.arange(len(stretch) + 1)
@@ -110,17 +128,60 @@ def edit_distance_within(item: np.ndarray, stretch: np.ndarray) -> int:
     return int(row.min())
 
 
+def walk(rows: np.ndarray, sizes: np.ndarray, seeds: np.ndarray) -> np.ndarray:
+    """The embeddings of word sequences (rows padded with at least one zero) by one walk: two places a word."""
+    each = np.arange(len(rows))
+    steps = int(2 * sizes.max())
+    out = np.empty((len(rows), steps), dtype=_U)
+    at = np.zeros(len(rows), dtype=np.int64)
+    for j in range(steps):
+        word = rows[each, at]
+        out[:, j] = word
+        at = np.minimum(at + (_mix(word * seeds[j]) >> _U(63)).astype(np.int64), sizes)
+    return out
+
+
+@lru_cache(maxsize=16)
+def walks_needed(size: int, recall: float, pairs: int = 96) -> int:
+    """Walks after which simulated pairs at the edit limit meet with this recall: evenly spread replacements, and deletions."""
+    edits = int(EDIT_SHARE * size)
+    if edits == 0:
+        return 1
+    rng = np.random.default_rng([size, 6])
+    a = rng.integers(1, 1 << 63, size=(2 * pairs, size + edits + 1)).astype(_U)
+    b = a.copy()
+    b[:pairs, np.arange(edits) * size // edits + size // edits // 2] ^= _U(1)
+    for i in range(pairs, 2 * pairs):
+        kept = np.setdiff1d(np.arange(size + edits), rng.choice(size, size=edits, replace=False))
+        b[i, : len(kept)] = a[i, kept]
+    a[:, size:] = b[:, size:] = 0
+    sizes = np.full(2 * pairs, size)
+    met = np.zeros(2 * pairs, dtype=bool)
+    for w in range(MOST_WALKS):
+        seeds = rng.integers(1, 1 << 63, size=2 * size + 1).astype(_U) | _U(1)
+        same = walk(a, sizes, seeds) == walk(b, sizes, seeds)
+        for places in rng.integers(0, 2 * size, size=(SETS, SAMPLED)):
+            met |= same[:, places].all(axis=1)
+        if met[:pairs].mean() >= recall and met[pairs:].mean() >= recall:
+            return w + 1
+    return MOST_WALKS
+
+
 class Matcher:
     """The items of a block, ready to be met by texts."""
 
-    def __init__(self, items: list[tuple[int, str]]):
+    def __init__(self, items: list[tuple[int, str]], recall: float = RECALL, complete: bool = True):
+        self.complete = complete
         words, at = word_hashes([t for _, t in items])
         self.ids = [i for i, _ in items]
         self.words = [words[at[k] : at[k + 1]] for k in range(len(items))]
         sizes = np.diff(at)
-        self.short: dict[bytes, list[int]] = {}
-        for k in np.flatnonzero((sizes > 0) & (sizes < MIN_WORDS)):
-            self.short.setdefault(self.words[k].tobytes(), []).append(int(k))
+        #: items without edits, by their size and words
+        self.short: dict[int, dict[bytes, list[int]]] = {}
+        for k in np.flatnonzero((sizes > 0) & (sizes < MIN_WORDS)).tolist():
+            self.short.setdefault(int(sizes[k]), {}).setdefault(self.words[k].tobytes(), []).append(k)
+        #: their hashes in order, by size
+        self.short_keys = {m: np.sort(_sequences(np.concatenate([np.frombuffer(w, dtype=_U) for w in own]), m)[::m]) for m, own in self.short.items()}
         long = [int(k) for k in np.flatnonzero(sizes >= MIN_WORDS)]
         self.flags = np.zeros(1 << _FLAGS, dtype=np.uint8)
         for k in long:
@@ -147,8 +208,9 @@ class Matcher:
             left = left[len(own) :]
         self.most = int(self.sizes.max()) if long else 0
         rng = np.random.default_rng(20)
-        self.seeds = rng.integers(1, 1 << 63, size=(WALKS, 2 * self.most + 1)).astype(_U) | _U(1)
-        self.draws = rng.random(size=(WALKS, SETS, SAMPLED))
+        self.walks = walks_needed(self.most, recall) if long else 0
+        self.seeds = rng.integers(1, 1 << 63, size=(self.walks, 2 * self.most + 1)).astype(_U) | _U(1)
+        self.draws = rng.random(size=(self.walks, SETS, SAMPLED))
         if long:
             rows = np.zeros((len(long), self.most), dtype=_U)
             for i, k in enumerate(long):
@@ -181,17 +243,10 @@ class Matcher:
 
     def _signatures(self, rows: np.ndarray, sizes: np.ndarray):
         """For each walk and set, one signature of each row."""
-        n = len(rows)
-        each = np.arange(n)
-        padded = np.hstack([rows, np.zeros((n, 1), dtype=_U)])
-        for w in range(WALKS):
-            steps = int(2 * sizes.max())
-            out = np.empty((n, steps), dtype=_U)
-            at = np.zeros(n, dtype=np.int64)
-            for j in range(steps):
-                word = padded[each, at]
-                out[:, j] = word
-                at = np.minimum(at + (_mix(word * self.seeds[w, j]) >> _U(63)).astype(np.int64), sizes)
+        each = np.arange(len(rows))
+        padded = np.hstack([rows, np.zeros((len(rows), 1), dtype=_U)])
+        for w in range(self.walks):
+            out = walk(padded, sizes, self.seeds[w])
             for k in range(SETS):
                 s = sizes.astype(_U) * _U(_ODD) + _U(w * SETS + k)
                 for d in self.draws[w, k]:
@@ -212,10 +267,13 @@ class Matcher:
 
     def _match_group(self, places: list[int], texts: list[str], found: dict) -> None:
         words, at = word_hashes(texts)
-        if self.short:
-            for k in np.flatnonzero(np.diff(at) < MIN_WORDS):
-                for i in self.short.get(words[at[k] : at[k + 1]].tobytes(), ()):
-                    found[places[k], i] = 0
+        for m, own in self.short.items():
+            if len(words) >= m:
+                begins = np.flatnonzero(np.isin(_sequences(words, m), self.short_keys[m]))
+                of = np.searchsorted(at, begins, side="right") - 1
+                for b, k in zip(begins[begins + m <= at[of + 1]].tolist(), of[begins + m <= at[of + 1]].tolist()):
+                    for i in own.get(words[b : b + m].tobytes(), ()):
+                        found[places[k], i] = 0
         if len(words) < 2 or not self.classes:
             return
         pairs = _pairs(words)
@@ -258,7 +316,7 @@ class Matcher:
         rows = sorted(windows)
         for part in range(0, len(rows), 4096):
             self._sample(words, at, places, rows[part : part + 4096], found)
-        for k, i, starts in asked:
+        for k, i, starts in asked if self.complete else ():
             if found.get((places[k], i)) != 0:
                 self._verify(words, at, places, k, i, starts.tolist(), found)
 
@@ -316,35 +374,36 @@ class Matcher:
             found[key] = min(d, found.get(key, d))
 
 
-_MATCHERS: dict[bytes, Matcher] = {}
+_MATCHERS: dict[str, Matcher] = {}
 
 
-def matcher(items: list[tuple[int, str]]) -> Matcher:
-    """The matcher of these items, kept by the worker."""
-    key = hashlib.sha256(repr(items).encode("utf-8", "surrogatepass")).digest()
+def matcher(key: str, items: Broadcast) -> Matcher:
+    """The matcher of the items with this key, kept by the worker."""
     if key not in _MATCHERS:
         _MATCHERS.clear()
-        _MATCHERS[key] = Matcher(items)
+        _MATCHERS[key] = Matcher(items.value)
     return _MATCHERS[key]
 
 
 def item_blocks(benchmark: DataFrame, block: int = BLOCK):
-    """Lists of (item_id, text), each of about ``block`` items at most."""
+    """(key, broadcast list of (item_id, text)) of blocks of about ``block`` items or ``BLOCK_BYTES`` at most."""
     rows = benchmark.select("item_id", "text").where("text is not null")
-    parts = -(-rows.count() // block)
+    n, size = rows.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    parts = max(-(-n // block), -(-size // BLOCK_BYTES))
     for k in range(parts):
         part = rows if parts == 1 else rows.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(parts)) == k)
-        yield sorted(((r.item_id, r.text) for r in part.collect()), key=lambda r: (r[0] is None, r[0], r[1]))
+        items = sorted(((r.item_id, r.text) for r in part.collect()), key=lambda r: (r[0] is None, r[0], r[1]))  # a block of bounded size
+        yield hashlib.sha256(repr(items).encode("utf-8", "surrogatepass")).hexdigest(), benchmark.sparkSession.sparkContext.broadcast(items)
 
 
 def contaminations(docs: DataFrame, benchmark: DataFrame, block: int = BLOCK) -> DataFrame:
     """doc_id, item_id, item_words, edits, similarity: one row for each row of ``docs`` and item that contaminates it."""
     schema = "doc_id bigint, item_id bigint, item_words bigint, edits bigint"
     out = docs.sparkSession.createDataFrame([], schema)
-    for n, items in enumerate(item_blocks(benchmark, block)):
+    for n, (key, items) in enumerate(item_blocks(benchmark, block)):
 
-        def work(batch: pa.RecordBatch, items=items) -> pa.RecordBatch | None:
-            own = matcher(items)
+        def work(batch: pa.RecordBatch, key=key, items=items) -> pa.RecordBatch | None:
+            own = matcher(key, items)
             hits = own.match(batch.column(1).to_pylist())
             if not hits:
                 return None
@@ -367,11 +426,11 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, block: int = BLOCK)
     """The rows of ``docs`` that no item contaminates, with all their columns."""
     names = docs.columns
     out = docs
-    for items in item_blocks(benchmark, block):
+    for key, items in item_blocks(benchmark, block):
 
-        def work(batch: pa.RecordBatch, items=items) -> pa.RecordBatch:
+        def work(batch: pa.RecordBatch, key=key, items=items) -> pa.RecordBatch:
             texts = batch.column(names.index("text")).to_pylist()
-            bad = {t for t, _, _ in matcher(items).match(texts)}
+            bad = {t for t, _, _ in matcher(key, items).match(texts)}
             return batch.filter(pa.array([k not in bad for k in range(batch.num_rows)]))
 
         out = map_texts(out, [f"`{n}`" for n in names], work, out.schema)

@@ -8,7 +8,8 @@ segment. Neighbours in the text share chain potentials; segments with the same
 key, however distant, share skip potentials (equal trailing digits, equal local
 parts, or digits that differ in one place). Loopy sum-product passes messages
 until labels settle; an uncertain segment whose label is most likely not
-"other" becomes a span.
+"other" becomes a span. Shape alone seldom makes it one: the patterns have
+refused it already, and ``DOUBT`` says so; a link to a certain span outweighs it.
 
 Skip links join consecutive members of a key's group, so their number is linear
 in the segments of a document.
@@ -38,7 +39,11 @@ KINDS = ("email", "ip", "card", "phone")
 LABELS = ("other", *KINDS)
 #: Ids sampled for training.
 TRAIN_DOCS = 4_000
-ROUNDS = 20
+ROUNDS = 60
+#: What speaks against an uncertain segment: it has failed the patterns that made the labels.
+DOUBT = 4.0
+#: Bounds of the potential of two linked segments with one label.
+AGREEMENT = (7.0, 9.0)
 
 # Runs are taken whole (possessively) from their beginning, which matches the same
 # spans as trying every place of a run, in linear time.
@@ -179,6 +184,8 @@ class Field:
             if label > 0:
                 local[i] = -50.0
                 local[i, label] = 0.0
+            else:
+                local[i, 0] += DOUBT
         links = [(a, b, self.chain) for a, b in chain_links(nodes)] + [(a, b, self.skip) for a, b in skip_links(text, nodes)]
         if links:
             # Both directions of each link: the message of edge j goes from src[j] to dst[j].
@@ -196,7 +203,7 @@ class Field:
                 new -= new.max(axis=1, keepdims=True)
                 moved = np.abs(new - messages).max()
                 messages = 0.5 * messages + 0.5 * new
-                if moved < 1e-4:
+                if moved < 1e-6:
                     break
             np.add.at(local, dst, messages)
         local -= local.max(axis=1, keepdims=True)
@@ -225,9 +232,10 @@ def train(texts: list[str], steps: int = 300) -> Field | None:
         p /= p.sum(axis=1, keepdims=True)
         w += 0.5 * (x.T @ (target - p) / len(y) - 1e-3 * w)
     # Pair potentials: how much more often two labels are linked than chance has it. A
-    # base label is hidden from nobody, so a skip link from "other" says nothing against.
+    # base label is hidden from nobody, so a skip link from "other" says nothing against;
+    # where nearly all links join one label chance explains them, so agreement has a floor.
     pot = lambda c: np.log(c / c.sum() / np.outer(c.sum(0), c.sum(1)) * c.sum() ** 2)
-    skip_pot = np.clip(pot(skip), 0.0, 6.0) * np.eye(len(LABELS))
+    skip_pot = np.clip(pot(skip), *AGREEMENT) * np.eye(len(LABELS))
     skip_pot[0, 0] = 0.0
     return Field(w, np.clip(pot(chain), -2.0, 2.0), skip_pot)
 

@@ -24,7 +24,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, functions as F
 
-from .common import checkpoint
+from .common import checkpoint, materialise
 
 #: Fixed values of the base rules.
 MIN_WORDS = 50
@@ -40,6 +40,7 @@ HOST_RULES = {
 }
 #: Distrusted hosts are broadcast up to this many rows (a name and five flags each), joined by shuffle beyond.
 BROADCAST_HOSTS = 50_000
+SALTS = 32
 _POSITION_BITS = 24
 _SPACE = "[ \\t-\\r]+"
 _MEASURES = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
@@ -53,11 +54,10 @@ def _covered(positions: Column) -> Column:
 
 
 def measure(docs: DataFrame) -> DataFrame:
-    """``docs`` with the columns of ``_MEASURES``, ``n_lines`` and ``base_failed`` in a struct ``__q``."""
-    names = docs.columns
-    text = F.coalesce(F.col("text"), F.lit(""))
-    words = F.filter(F.split(text, _SPACE), lambda w: w != "")
-    df = docs.withColumn("__w", words)
+    """(row, q): each row of ``docs`` as a struct, and its measures (``_MEASURES``, ``n_lines``, ``base_failed``) as another."""
+    df = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.coalesce(F.col("text"), F.lit("")).alias("t"))
+    text = F.col("t")
+    df = df.withColumn("__w", F.filter(F.split(text, _SPACE), lambda w: w != ""))
     n = F.size("__w")
     mask = F.lit((1 << _POSITION_BITS) - 1)
     starts = F.slice("__w", 1, F.greatest(n - 2, F.lit(0)))
@@ -100,9 +100,9 @@ def measure(docs: DataFrame) -> DataFrame:
         _covered(F.col("__at")).alias("n_repeat_words"),
         F.size("__lines").cast("bigint").alias("n_lines"),
     )
-    df = df.select(*[F.col(f"`{c}`") for c in names], measured.alias("__m"))
-    failed = (F.col("__m.n_words") < MIN_WORDS) | (100 * F.col("__m.n_repeat_words") > MAX_REPEAT_PERCENT * F.col("__m.n_words"))
-    return df.withColumn("__q", F.col("__m").withField("base_failed", failed)).drop("__m")
+    df = df.select("row", measured.alias("m"))
+    failed = (F.col("m.n_words") < MIN_WORDS) | (100 * F.col("m.n_repeat_words") > MAX_REPEAT_PERCENT * F.col("m.n_words"))
+    return df.select("row", F.col("m").withField("base_failed", failed).alias("q"))
 
 
 def host_verdicts(measured: DataFrame, host: str = "source") -> DataFrame:
@@ -112,7 +112,7 @@ def host_verdicts(measured: DataFrame, host: str = "source") -> DataFrame:
     strength comes from their variance (method of moments); where all hosts
     agree, the strength is that of one host of mean size.
     """
-    q = measured.select(F.col(f"`{host}`").alias("host"), "__q.*")
+    q = measured.select(F.col(f"row.`{host}`").alias("host"), "q.*")
     by_host = checkpoint(q.where("host is not null").groupBy("host").agg(F.count("*").alias("n_docs"), *[F.sum(F.expr(c).cast("bigint")).alias(f"{r}_failed") for r, (c, _) in HOST_RULES.items()]))
     rate = {r: F.col(f"{r}_failed") / F.col("n_docs") for r in HOST_RULES}
     prior = by_host.agg(F.avg("n_docs").alias("mean_docs"), *[f(rate[r]).alias(f"{r}_{n}") for r in HOST_RULES for n, f in (("mean", F.avg), ("var", F.var_samp))])
@@ -125,41 +125,39 @@ def host_verdicts(measured: DataFrame, host: str = "source") -> DataFrame:
     return out.select("host", "n_docs", *[f"{r}_{x}" for r in HOST_RULES for x in ("failed", "rate", "distrusted")])
 
 
-def judged(docs: DataFrame, host: str = "source") -> DataFrame:
-    """``docs`` with the measures in ``__q`` and the verdict in ``__kept``; texts are measured once."""
-    return _judge(checkpoint(measure(docs)), host)
-
-
-def _judge(measured: DataFrame, host: str) -> DataFrame:
+def judged(measured: DataFrame, host: str = "source") -> DataFrame:
+    """(row, q, kept) of measured rows, which are read twice."""
     verdicts = host_verdicts(measured, host)
-    distrusted = verdicts.select(F.col("host").alias("__host"), F.struct(*[f"{r}_distrusted" for r in HOST_RULES]).alias("__v")).where(
-        " or ".join(f"__v.{r}_distrusted" for r in HOST_RULES)
-    )
+    distrusted = verdicts.select("host", F.struct(*[f"{r}_distrusted" for r in HOST_RULES]).alias("v")).where(" or ".join(f"v.{r}_distrusted" for r in HOST_RULES))
     distrusted = checkpoint(distrusted)
+    own = F.col(f"row.`{host}`")
     if distrusted.count() <= BROADCAST_HOSTS:
-        distrusted = F.broadcast(distrusted)
-    joined = measured.join(distrusted, measured[host] == distrusted["__host"], "left")
+        joined = measured.withColumn("host", own).join(F.broadcast(distrusted), "host", "left")
+    else:  # the rows of a host are dealt by a salt, as one host may have most of them
+        salt = F.pmod(F.xxhash64("q", "row.doc_id"), F.lit(SALTS)).cast("int")
+        every = distrusted.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        joined = measured.withColumn("host", own).withColumn("salt", salt).join(every, ["host", "salt"], "left")
     against = F.lit(False)
     for r, (condition, _) in HOST_RULES.items():
-        against = against | (F.coalesce(F.col(f"__v.{r}_distrusted"), F.lit(False)) & F.expr(_within(condition)))
-    return joined.withColumn("__kept", ~F.col("__q.base_failed") & ~against).drop("__host", "__v")
+        against = against | (F.coalesce(F.col(f"v.{r}_distrusted"), F.lit(False)) & F.expr(_within(condition)))
+    return joined.select("row", "q", (~F.col("q.base_failed") & ~against).alias("kept"))
 
 
 def _within(condition: str) -> str:
-    """The rule's condition on the fields of ``__q``."""
-    return " ".join(f"__q.{t}" if t[0].isalpha() else t for t in condition.split())
+    """The rule's condition on the fields of ``q``."""
+    return " ".join(f"q.{t}" if t[0].isalpha() else t for t in condition.split())
 
 
 def quality_report(docs: DataFrame, host: str = "source") -> DataFrame:
     """doc_id, the measures, base_failed and kept: one row for each row of ``docs``."""
-    measured = measure(docs.select("doc_id", "text", host)).drop("text")
-    out = _judge(checkpoint(measured), host)
-    return out.select("doc_id", *[f"__q.{m}" for m in _MEASURES], "__q.base_failed", F.col("__kept").alias("kept"))
+    measured = measure(docs.select("doc_id", "text", host)).withColumn("row", F.col("row").dropFields("text"))
+    out = judged(checkpoint(measured), host)
+    return out.select("row.doc_id", *[f"q.{m}" for m in _MEASURES], "q.base_failed", "kept")
 
 
 def keep_good(docs: DataFrame, host: str = "source") -> DataFrame:
-    """The rows of ``docs`` that are kept, with the columns of ``docs``."""
-    return judged(docs, host).where("__kept").select(*[F.col(f"`{c}`") for c in docs.columns])
+    """The rows of ``docs`` that are kept, with the columns of ``docs``; texts are measured once and wait as a Parquet table."""
+    return judged(materialise(measure(docs), "measured"), host).where("kept").select("row.*")
 
 
 def quality_sql() -> str:

@@ -43,6 +43,9 @@ SEED = 42
 MAX_BITS = 3
 #: About where a cell's pairs outnumber the 1 + 64 + 2080 words around each of its fingerprints.
 HOT_CELL = 4096
+#: A node with more edges is a hub, whose edges are dealt by a salt.
+HUB_EDGES = 1_000
+SALTS = 32
 #: The lower bit of each two-bit segment.
 LOW = 0x5555555555555555
 #: bits[v] holds the eight bits of byte v.
@@ -157,17 +160,31 @@ def components(edges: DataFrame) -> DataFrame:
     """
     both = checkpoint(edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))))
     state = checkpoint(both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("root")))
+    # The edges of a hub are dealt by a salt, and its row is repeated for each salt.
+    hubs = checkpoint(both.groupBy("b").count().where(F.col("count") > HUB_EDGES).select("b"))
+    some_hubs = not hubs.isEmpty()
+    salts = F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt")
+    salt = lambda c: F.pmod(F.xxhash64(c), F.lit(SALTS)).cast("int").alias("salt")
+    if some_hubs:
+        of_hubs = checkpoint(both.join(hubs, "b", "left_semi").select("a", "b", salt("a")))
+        both = checkpoint(both.join(hubs, "b", "left_anti"))
     while True:
-        near = both.join(state.select(F.col("node").alias("b"), F.col("root").alias("rb")), "b").groupBy(F.col("a").alias("node")).agg(F.min("rb").alias("m"))
+        roots = state.select(F.col("node").alias("b"), F.col("root").alias("rb"))
+        met = both.join(roots, "b").select("a", "rb")
+        if some_hubs:
+            met = met.union(of_hubs.join(roots.join(hubs, "b", "left_semi").select("b", "rb", salts), ["b", "salt"]).select("a", "rb"))
+        near = met.groupBy(F.col("a").alias("node")).agg(F.min("rb").alias("m"))
         seen = state.join(near, "node").select("node", "root", F.least("root", "m").alias("low"))
         # what any member has seen is offered to its root too
         offers = seen.groupBy(F.col("root").alias("node")).agg(F.min("low").alias("offer"))
-        hooked = seen.join(offers, "node", "left").select("node", "root", F.least("low", F.coalesce("offer", "low")).alias("low"))
-        above = hooked.select(F.col("node").alias("low"), F.col("low").alias("up"))
-        after = checkpoint(hooked.join(above, "low", "left").select("node", F.least("low", F.coalesce("up", "low")).alias("root"), F.col("root").alias("was")))
-        if after.where("root != was").isEmpty():
-            return after.select("node", "root")
-        state = after.select("node", "root")
+        hooked = checkpoint(seen.join(offers, "node", "left").select("node", "root", F.least("low", F.coalesce("offer", "low")).alias("low")))
+        # The few lows that have a lower one themselves; all members of a class share a low, so it is salted.
+        above = hooked.select("low").distinct().join(hooked.select(F.col("node").alias("low"), F.col("low").alias("up")), "low").where("up < low").select("low", "up", salts)
+        after = hooked.withColumn("salt", salt("node")).join(above, ["low", "salt"], "left")
+        state = checkpoint(after.select("node", F.coalesce("up", "low").alias("root"), F.col("root").alias("was")))
+        if state.where("root != was").isEmpty():
+            return state.select("node", "root")
+        state = state.select("node", "root")
 
 
 def classes(prints: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:

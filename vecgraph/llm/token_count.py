@@ -10,13 +10,15 @@ Counts of pre-tokens seen before are kept in a table of bounded size, which is
 emptied when full; no text is cut or skipped.
 
 Cases: a null text is empty and has no tokens. A special string inside a text
-is one token, as the tokenizers library has it. Very long pre-tokens take more
-rounds, not more memory than their length. Repeated rows each get a row; a null
+is one token, as the tokenizers library has it. Very long pre-tokens take time
+and memory in proportion to their length. Repeated rows each get a row; a null
 doc_id stays null; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+import heapq
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -27,6 +29,7 @@ from .vocabulary import Vocabulary, load, locate
 #: Pre-tokens whose count a worker remembers.
 REMEMBERED = 300_000
 LIMIT = 512
+ROUNDS = 48
 _NEVER = np.int64(1) << 40
 
 
@@ -45,7 +48,12 @@ class RankMerger:
         symbols = self.base[np.frombuffer(b"".join(words), dtype=np.uint8)]
         owner = np.repeat(np.arange(len(words)), sizes)
         counts = sizes.copy()
+        done = 0
         while len(symbols) > 1:
+            if done == ROUNDS:
+                self._merge_by_rank(symbols, owner, counts)
+                break
+            done += 1
             inside = owner[:-1] == owner[1:]
             key = symbols[:-1] << 32 | symbols[1:]
             at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
@@ -72,6 +80,54 @@ class RankMerger:
             symbols, owner = symbols[keep], owner[keep]
         return counts
 
+    def _merge_by_rank(self, symbols: np.ndarray, owner: np.ndarray, counts: np.ndarray) -> None:
+        """Merge what is left, rank by rank; each removed symbol is taken off its word's count."""
+        n = len(symbols)
+        after, before, alive = np.arange(1, n + 1), np.arange(-1, n - 1), np.ones(n, dtype=bool)
+        waiting: dict[int, list[np.ndarray]] = {}
+        ranks: list[int] = []
+
+        def pairs(left: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            """Rank of the pair that begins at each place, and its place in the table."""
+            right = np.minimum(after[left], n - 1)
+            key = symbols[left] << 32 | symbols[right]
+            at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
+            return np.where((after[left] < n) & (owner[left] == owner[right]) & (self.keys[at] == key), self.ranks[at], _NEVER), at
+
+        def wait(left: np.ndarray) -> None:
+            rank, _ = pairs(left)
+            left, rank = left[rank < _NEVER], rank[rank < _NEVER]
+            order = np.argsort(rank, kind="stable")
+            left, rank = left[order], rank[order]
+            cuts = np.flatnonzero(rank[1:] != rank[:-1]) + 1
+            for r, part in zip(rank[np.concatenate([[0], cuts])].tolist() if len(rank) else (), np.split(left, cuts)):
+                if r not in waiting:
+                    waiting[r] = []
+                    heapq.heappush(ranks, r)
+                waiting[r].append(part)
+
+        wait(np.arange(n))
+        while ranks:
+            r = heapq.heappop(ranks)
+            left = np.unique(np.concatenate(waiting.pop(r)))
+            left = left[alive[left]]
+            rank, at = pairs(left)
+            left, at = left[rank == r], at[rank == r]
+            if not len(left):
+                continue
+            right = after[left]
+            # In a run of overlapping pairs every second one merges.
+            place = np.arange(len(left))
+            first = np.concatenate([[True], left[1:] != right[:-1]])
+            keep = (place - np.maximum.accumulate(np.where(first, place, 0))) % 2 == 0
+            left, right, at = left[keep], right[keep], at[keep]
+            symbols[left], alive[right] = self.made[at], False
+            after[left] = after[right]
+            inner = after[left] < n
+            before[after[left][inner]] = left[inner]
+            np.subtract.at(counts, owner[left], 1)
+            wait(np.unique(np.concatenate([left, before[left][before[left] >= 0]])))
+
 
 _MERGERS: dict[str, tuple[RankMerger, dict[str, int]]] = {}
 

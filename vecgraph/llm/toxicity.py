@@ -1,15 +1,20 @@
 """Toxicity by Levenshtein automata over a lexicon trie, with context windows.
 
 The lexicon is learned from labelled rows: words, and stems that open many
-different words, whose presence separates the two labels. Its trie is
-intersected with the Levenshtein automaton of each term (none, one or two edits
-by the term's length); the product is determinised step by step as words are
-read, so a word costs one table lookup a character and most die early.
-
-Every hit is weighed by how its term and number of edits separated the labels,
-and by its context: within a window of words it counts as quoted (quotation
-marks around it or a reporting word near) or as directed (a word of address
-near). A logistic model over these sums gives the score.
+different words, whose presence separates the two labels; a term that stands
+inside the words of unlabelled-toxic texts as often is a fragment and left out.
+The lexicon's trie is intersected with the Levenshtein automaton of each term
+(none, one or two edits by the term's length); the product is determinised step
+by step as words are read, so a word costs one table lookup a character and most
+die early. A word that clean training texts use is no misspelling.
+
+Every hit is weighed by how its term separated the labels, and by its context:
+within a window of words it counts as quoted (quotation marks around it or a
+reporting word near) or as directed (a word of address near). A logistic model
+over sums of plain, edited, quoted and directed hits gives the score. Labelled
+rows hold few misspellings and quotations, so the model also learns from copies:
+toxic texts whose hits are misspelled stay toxic, and clean texts into which a
+report of a term is put stay clean.
 
 Training reads a bounded sample of labelled rows (a parameter) outside the held-out
 fold. Language, source and ids are no inputs.
@@ -23,6 +28,7 @@ empty table gives an empty result.
 from __future__ import annotations
 
 import math
+import random
 import re
 from collections import Counter
 
@@ -38,6 +44,8 @@ TRAIN_ROWS = 4_000
 REMEMBERED = 400_000
 STATES = 100_000
 WINDOW = 6
+#: What a misspelled hit must weigh at least to count.
+NOISE = 1.5
 _WORD = re.compile(r"\w+")
 _QUOTES = re.compile("[\"“”«»„‘‹›]")
 #: Fixed context words.
@@ -46,7 +54,12 @@ ADDRESS = frozenset("you your youre yourself u du dich dein vous toi tu te usted
 
 
 def edits_allowed(length: int) -> int:
-    return 0 if length < 5 else 1 if length < 9 else 2
+    return 0 if length < 4 else 1 if length < 9 else 2
+
+
+def term_edits(term: str) -> int:
+    """Edits allowed to a term; a stem, whose words go on, has one fewer."""
+    return max(0, edits_allowed(len(term) - 1) - 1) if term.endswith("*") else edits_allowed(len(term))
 
 
 class LexiconAutomaton:
@@ -63,7 +76,7 @@ class LexiconAutomaton:
         self.stems: set[int] = set()
         for t, term in enumerate(terms):
             word = term.rstrip("*")
-            allowed = 0 if term.endswith("*") else edits_allowed(len(word))
+            allowed = term_edits(term)
             node = 0
             self.budget[0] = max(self.budget[0], allowed)
             for c in word:
@@ -106,7 +119,7 @@ class LexiconAutomaton:
             self.states.append(at)
             self.steps.append({})
             ends = [(e, self.ends[n]) for n, e in at.items() if self.ends[n] is not None and e <= self.budget[n]]
-            best = min(((e, t) for e, t in ends if e == 0 or e <= edits_allowed(len(self.terms[t].rstrip("*")))), default=None)
+            best = min(((e, t) for e, t in ends if e <= term_edits(self.terms[t])), default=None)
             self.found.append((best[1], best[0]) if best else None)
         return self.numbers[key]
 
@@ -119,7 +132,7 @@ class LexiconAutomaton:
 
         for node, e in self.states[state].items():
             if node in self.stems:
-                at[node] = 0
+                reach(node, e)  # whatever follows a stem belongs to its word
             for letter, child in self.children[node].items():
                 reach(child, e + (letter != c))
             reach(node, e + 1)
@@ -166,14 +179,39 @@ def learn_lexicon(texts: list[str], labels: list[int], least_docs: int = 6, prec
         if good[k] > 1.5 * max(inside, default=0) and not any(k.startswith(s[:-1]) for s in chosen if s.endswith("*")):
             chosen.append(k)
     stems = [s[:-1] for s in chosen if s.endswith("*")]
-    return [k for k in chosen if k.endswith("*") or not any(k.startswith(s) for s in stems)]
+    chosen = [k for k in chosen if k.endswith("*") or not any(k.startswith(s) for s in stems)]
+    return _without_fragments(chosen, texts, labels, share)
+
+
+def _without_fragments(terms: list[str], texts: list[str], labels: list[int], share: float) -> list[str]:
+    """The terms that, wherever they stand inside words, mostly stand in toxic texts."""
+    if not terms:
+        return []
+    inside = re.compile("(?=(" + "|".join(re.escape(t.rstrip("*")) for t in sorted(terms, key=len, reverse=True)) + "))")
+    seen, toxic = Counter(), Counter()
+    for text, y in zip(texts, labels):
+        here = set(inside.findall(text.lower()))
+        # of terms that begin at one place only the longest was found; its openings stand there too
+        here |= {h[:k] for h in here for k in range(3, len(h))}
+        seen.update(here)
+        if y:
+            toxic.update(here)
+    return [t for t in terms if (toxic[t.rstrip("*")] + 0.5) / (seen[t.rstrip("*")] + 1) >= share]
+
+
+def misspelled(word: str, rng: random.Random) -> str:
+    """The word with one letter changed, doubled, left out or swapped with the next, the first one kept."""
+    if len(word) < 4:
+        return word
+    k = rng.randrange(1, len(word) - 1)
+    return rng.choice((word[:k] + rng.choice("aeioust") + word[k + 1 :], word[:k] + word[k] + word[k:], word[:k] + word[k + 1 :], word[:k] + word[k + 1] + word[k] + word[k + 2 :]))
 
 
 class Model:
-    """Lexicon, weights of its hits, and the logistic model over them."""
+    """Lexicon, weights of its terms, the logistic model over its hits, and words of clean texts near the lexicon."""
 
-    def __init__(self, terms: list[str], weights: dict[tuple[int, int], float], coefficients: np.ndarray):
-        self.terms, self.weights, self.coefficients = terms, weights, coefficients
+    def __init__(self, terms: list[str], weights: dict[tuple[int, int], float], coefficients: np.ndarray, ordinary: frozenset[str] = frozenset()):
+        self.terms, self.weights, self.coefficients, self.ordinary = terms, weights, coefficients, ordinary
 
     def scorer(self) -> Scorer:
         return Scorer(self)
@@ -199,7 +237,8 @@ class Scorer:
             if w in known:
                 m = known[w]
             else:
-                m = known[w] = match(w)
+                m = match(w)
+                m = known[w] = None if m is not None and m[1] and w in self.model.ordinary else m
             if m is not None:
                 here[w] = m
         if not here:
@@ -219,14 +258,15 @@ class Scorer:
         sums = np.zeros(4)  # plain exact, edited, quoted, directed
         terms, top, n = set(), 0.0, 0
         for term, edits, quoted, directed, _ in self.hits(text):
-            w = self.model.weights.get((term, min(edits, 1)), 0.0)
+            w = self.model.weights.get((term, edits), 0.0) - (NOISE if edits else 0.0)
             if w <= 0:
                 continue
-            n += 1
-            terms.add(term)
-            top = max(top, w * (0.3 if quoted else 1.0))
             sums[2 if quoted else 1 if edits else 0] += w
-            sums[3] += w * directed * (not quoted)
+            if not quoted:
+                n += not edits
+                terms.add(term)
+                top = max(top, 0.0 if edits else w)
+                sums[3] += w * directed
         return np.array([1.0, *np.log1p(sums), top, math.log1p(len(terms)), n > 0, n > 1], dtype=np.float64)
 
     def score(self, text: str) -> float:
@@ -234,24 +274,54 @@ class Scorer:
         return 1.0 / (1.0 + math.exp(-max(-30.0, min(30.0, z))))
 
 
+def copies(texts: list[str], labels: list[int], scorer: Scorer) -> tuple[list[str], list[int]]:
+    """Copies to learn from: toxic texts with misspelled hits, and clean texts that report a term."""
+    rng, terms = random.Random(11), scorer.model.terms
+    more, marks = [], []
+    clean = [t for t, y in zip(texts, labels) if not y]
+    for text in [t for t, y in zip(texts, labels) if y]:
+        words = {m.group() for m in _WORD.finditer(text.lower())}
+        hits = {w for w in words if scorer.known.get(w)}
+        if not hits:
+            continue
+        more.append(_WORD.sub(lambda m: misspelled(m.group(), rng) if m.group().lower() in hits else m.group(), text))
+        marks.append(1)
+        if clean:
+            own = rng.choice(clean).split(" ")
+            term = rng.choice(terms).rstrip("*")
+            at = rng.randrange(len(own) + 1)
+            own[at:at] = rng.choice(([f'said "{term}"'], ["the", "word", f'"{term}"', "is", "an", "insult"], ["wrote", f"“{term}”"]))
+            more.append(" ".join(own))
+            marks.append(0)
+    return more, marks
+
+
 def train(texts: list[str], labels: list[int], ridge: float = 1.0) -> Model:
     terms = learn_lexicon(texts, labels)
     n, t = len(labels), sum(labels)
     bias = math.log((t + 1) / (n - t + 1)) if n else 0.0
-    model = Model(terms, {}, np.array([bias, 0, 0, 0, 0, 0, 0, 0, 0], dtype=np.float64))
     if not terms:
-        return model
+        return Model([], {}, np.array([bias, 0, 0, 0, 0, 0, 0, 0, 0], dtype=np.float64))
+    plain = LexiconAutomaton(terms)
+    used = Counter(w for text, y in zip(texts, labels) if not y for w in set(_WORD.findall(text.lower())))
+    ordinary = frozenset(w for w, c in used.items() if c > 1 and (m := plain.match(w)) is not None and m[1])
+    model = Model(terms, {}, np.zeros(9), ordinary)
     scorer = model.scorer()
     seen, toxic = Counter(), Counter()
     for text, y in zip(texts, labels):
-        keys = {(term, min(edits, 1)) for term, edits, *_ in scorer.hits(text)}
+        keys = {(term, edits) for term, edits, *_ in scorer.hits(text)}
         seen.update(keys)
         if y:
             toxic.update(keys)
-    for key in [(k, e) for k in range(len(terms)) for e in (0, 1)]:
-        model.weights[key] = math.log((toxic[key] + 1) / (t + 2)) - math.log((seen[key] - toxic[key] + 1) / (n - t + 2))
-    x = np.stack([scorer.features(text) for text in texts])
-    y, w = np.array(labels, dtype=np.float64), model.coefficients.copy()
+    more, marks = copies(texts, labels, scorer)
+    # How often a misspelled term is met in toxic texts is counted in their copies.
+    again = Counter(key for text, y in zip(more, marks) if y for key in {(term, edits) for term, edits, *_ in scorer.hits(text) if edits})
+    for key in [(k, e) for k in range(len(terms)) for e in (0, 1, 2)]:
+        bad, good = again[key] if key[1] else toxic[key], seen[key] - toxic[key]
+        model.weights[key] = math.log((bad + 1) / (t + 2)) - math.log((good + 1) / (n - t + 2))
+    x = np.stack([scorer.features(text) for text in [*texts, *more]])
+    y, w = np.array([*labels, *marks], dtype=np.float64), np.zeros(9)
+    w[0] = bias
     penalty = ridge * np.diag([1e-3] + [1.0] * (x.shape[1] - 1))
     for _ in range(30):  # Newton's method
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
