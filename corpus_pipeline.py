@@ -7,12 +7,12 @@ checkpoint folder and reads it again for the next.
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
 from vecgraph.llm import bpe, decontaminate, pii, quality, simhash
+from vecgraph.llm.common import shared_folder
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -46,18 +46,9 @@ STAGES = [
 ORACLE_SQL = None
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """A new folder under the session's checkpoint folder; a local one only where none is set."""
-    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not folder:
-        set_already = spark.sparkContext._jsc.sc().getCheckpointDir()
-        folder = set_already.get() if set_already.isDefined() else tempfile.mkdtemp(prefix="corpus_pipeline_")
-    return f"{folder.rstrip('/')}/pipeline_{uuid.uuid4().hex}"
-
-
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    folder = shared_folder(spark)
+    folder = f"{shared_folder(spark)}/pipeline_{uuid.uuid4().hex}"
     for name, stage in STAGES:
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
         docs = spark.read.parquet(f"{folder}/{name}")
