@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 
 from vecgraph.operators import baselines as B
-from vecgraph.operators.kernel import Graph, _push, build
+from vecgraph.operators.kernel import EMPTY, Graph, _ids, _keys, _push, build
 from vecgraph.operators.projection import orthogonal, prepare, profile, references, target_table
 from vecgraph.params import Params
 
@@ -80,9 +80,9 @@ def test_projection_estimate_is_unbiased_and_better_with_more_blocks():
 
 
 def test_ring_overwrites_its_oldest():
-    ids, dist, used = np.full((2, 3), -1), np.full((2, 3), np.inf), np.zeros(2, dtype=np.int64)
-    _push(ids, dist, used, np.array([0, 0, 0, 0, 1]), np.array([10, 11, 12, 13, 20]), np.arange(5.0), True)
-    assert ids.tolist() == [[13, 11, 12], [20, -1, -1]] and used.tolist() == [4, 1]
+    keys, used = np.full((2, 3), EMPTY), np.zeros(2, dtype=np.int64)
+    _push(keys, used, np.array([0, 0, 0, 0, 1]), _keys(np.array([10, 11, 12, 13, 20]), np.arange(5.0)), True)
+    assert _ids(keys)[:, 0].tolist() == [13, 20] and _ids(keys)[0].tolist() == [13, 11, 12] and (keys[1, 1:] == EMPTY).all() and used.tolist() == [4, 1]
 
 
 @pytest.mark.parametrize("params", [Params(32), Params.throughput(32), Params.compact(32), B.hnsw_params(32), B.plugin_params(32), B.gate_only_params(32), B.no_gate_params(32)])

@@ -10,7 +10,7 @@ from __future__ import annotations
 import numpy as np
 
 from ..params import Params
-from .kernel import COUNTERS, Found, Graph, _by_distance, _scramble, build
+from .kernel import COUNTERS, EMPTY, EXPANDED, Found, Graph, _by_distance, _dist, _ids, _keys, _ranks, _scramble, build
 from .projection import prepare
 
 
@@ -181,34 +181,38 @@ class QuantisedGraph:
     def search(self, vectors: np.ndarray, k: int, ef: int) -> Found:
         g = self.graph
         q = prepare(vectors, g.params, g.rotation)
+        if not len(q) or not g.size:
+            return g.search_prepared(q, ef, k)
         parts = [self._search(q[i : i + 64], k, max(ef, k)) for i in range(0, len(q), 64)]
         return Found(np.concatenate([p.ids for p in parts]), np.concatenate([p.dist for p in parts]), {c: np.concatenate([p.counters[c] for p in parts]) for c in COUNTERS})
 
     def _search(self, q: np.ndarray, k: int, ef: int) -> Found:
         g, m, n, d = self.graph, len(q), self.graph.size, q.shape[1]
         count = {c: np.zeros(m, dtype=np.int64) for c in COUNTERS}
-        seen = np.zeros((m, n), dtype=bool)
-        start = g.entries[0]
-        wi, wd, we = np.full((m, ef), -1), np.full((m, ef), np.inf, dtype=np.float32), np.zeros((m, ef), dtype=bool)
-        exact = np.full((m, n), np.inf, dtype=np.float32)
-        wi[:, 0], wd[:, 0], seen[:, start] = start, 0, True
+        stamps = g.stamps
+        stamps.begin(m, n)
+        start = np.full(m, g.entries[0])
+        work = np.full((m, ef), EMPTY)
+        work[:, 0] = _keys(start, np.zeros(m))
+        stamps.mark(np.arange(m), start)
+        measured: list[tuple[np.ndarray, np.ndarray]] = []  # the rows and exact keys of expanded nodes
         active = np.arange(m)
         while len(active):
-            open_ = np.where(we[active] | (wi[active] < 0), np.inf, wd[active])
-            best = open_.argmin(axis=1)
-            go = np.isfinite(open_[np.arange(len(active)), best])
+            closed = (work[active] & EXPANDED).astype(bool)
+            best = closed.argmin(axis=1)
+            go = ~closed[np.arange(len(active)), best]
             active, best = active[go], best[go]
             if not len(active):
                 break
-            pivot = wi[active, best]
-            we[active, best] = True
+            pivot = _ids(work[active, best])
+            work[active, best] |= EXPANDED
             way = q[active] - g.x[pivot]
             b = np.linalg.norm(way, axis=1)
-            exact[active, pivot] = b
+            measured.append((active, _keys(pivot, b)))
             count["n_exact"][active] += 1
             count["n_visited"][active] += 1
             near = g.adj[pivot]
-            fresh = (near >= 0) & ~seen[active[:, None], np.maximum(near, 0)]
+            fresh = (near >= 0) & ~stamps.seen(active[:, None], np.maximum(near, 0))
             count["n_checked"][active] += fresh.sum(axis=1)
             # Inner products of sign codes with the quantised way: sums of levels where the bit is set.
             low, span = way.min(axis=1), np.maximum(np.ptp(way, axis=1), 1e-12)
@@ -225,17 +229,14 @@ class QuantisedGraph:
             a = g.length[pivot]
             guess = np.sqrt(np.maximum(a * a + (b * b)[:, None] - 2 * a * b[:, None] * np.clip(cosine, -1, 1), 0)).astype(np.float32)
             r, c = np.nonzero(fresh)
-            seen[active[r], near[r, c]] = True
-            nd = np.where(fresh, guess, np.inf)
-            all_i, all_d = np.hstack([wi[active], np.where(fresh, near, -1)]), np.hstack([wd[active], nd])
-            all_e = np.hstack([we[active], np.zeros(nd.shape, dtype=bool)])
-            order = _by_distance(all_i, all_d)[:, :ef]
-            wi[active], wd[active], we[active] = (np.take_along_axis(v, order, 1) for v in (all_i, all_d, all_e))
-            wi[active] = np.where(np.isfinite(wd[active]), wi[active], -1)
-        take = min(k, n)
-        order = np.argsort(exact, axis=1, kind="stable")[:, :take]
-        dist = np.take_along_axis(exact, order, 1)
-        ids = np.where(np.isfinite(dist), order, -1)
-        if take < k:
-            ids, dist = np.pad(ids, ((0, 0), (0, k - take)), constant_values=-1), np.pad(dist, ((0, 0), (0, k - take)), constant_values=np.inf)
-        return Found(ids, dist, count)
+            stamps.mark(active[r], near[r, c])
+            new = np.full(near.shape, EMPTY)
+            new[r, c] = _keys(near[r, c], guess[r, c])
+            work[active] = np.sort(np.hstack([work[active], new]), axis=1)[:, :ef]
+        out = np.full((m, k), EMPTY)
+        rows, keys = (np.concatenate([v[j] for v in measured]) for j in (0, 1))
+        order = np.lexsort((keys, rows))
+        rows, keys = rows[order], keys[order]
+        place = _ranks(rows)
+        out[rows[place < k], place[place < k]] = keys[place < k]
+        return Found(np.where(out == EMPTY, -1, _ids(out)), _dist(out), count)

@@ -25,6 +25,8 @@ from .projection import orthogonal, prepare, profile, references, target_table
 ORIGINS = ("out", "in", "screen")
 #: Bytes of the table of measured nodes that one batch of targets may have.
 MEASURED_BYTES = 64 << 20
+#: Candidates that are pruned against each other at once.
+PIECE = 48
 COUNTERS = ("n_checked", "n_pass", "n_exact", "n_visited", "n_fp", "n_fp_reused", "n_rounds")
 
 
@@ -45,14 +47,33 @@ def _ranks(rows: np.ndarray) -> np.ndarray:
     return np.arange(len(rows)) - np.repeat(starts, np.diff(np.append(starts, len(rows))))
 
 
-def _push(ids, dist, used, rows, new_ids, new_dist, ring: bool) -> None:
-    """Append entries (rows sorted) to bounded lists; a ring overwrites its oldest."""
+# A member of a list is one 64-bit key: the bits of its distance (which order as the
+# distances do), its place, and two flags. Sorting keys sorts by (distance, place).
+_U = np.uint64
+EMPTY = _U(0x7F800000FFFFFFFD)  # an infinite distance; the flags say expanded, not new
+EXPANDED, NEW = _U(1), _U(2)
+
+
+def _keys(ids: np.ndarray, dist: np.ndarray) -> np.ndarray:
+    return (dist.astype(np.float32).view(np.uint32).astype(_U) << _U(32)) | (ids.astype(_U) << _U(2))
+
+
+def _ids(keys: np.ndarray) -> np.ndarray:
+    return ((keys & _U(0xFFFFFFFF)) >> _U(2)).astype(np.int64)
+
+
+def _dist(keys: np.ndarray) -> np.ndarray:
+    return (keys >> _U(32)).astype(np.uint32).view(np.float32)
+
+
+def _push(lists: np.ndarray, used: np.ndarray, rows: np.ndarray, keys: np.ndarray, ring: bool) -> None:
+    """Append keys (rows sorted) to bounded lists; a ring overwrites its oldest."""
     if not len(rows):
         return
     at = used[rows] + _ranks(rows)
     if ring:
-        at %= ids.shape[1]
-    ids[rows, at], dist[rows, at] = new_ids, new_dist
+        at %= lists.shape[1]
+    lists[rows, at] = keys
     np.add.at(used, rows, 1)
 
 
@@ -62,6 +83,28 @@ def _by_distance(ids: np.ndarray, dist: np.ndarray) -> np.ndarray:
     return np.take_along_axis(first, np.argsort(np.take_along_axis(dist, first, 1), axis=1, kind="stable"), 1)
 
 
+class Stamps:
+    """Which nodes each target of a batch has seen: a table that is cleared once in 255 batches."""
+
+    def __init__(self) -> None:
+        self.table, self.now = np.zeros((0, 0), dtype=np.uint8), 0
+
+    def begin(self, targets: int, nodes: int) -> None:
+        if self.table.shape[0] < targets or self.table.shape[1] < nodes:
+            width = nodes if nodes <= self.table.shape[1] else max(nodes, min(2 * self.table.shape[1], MEASURED_BYTES // max(1, targets)))
+            self.table, self.now = np.zeros((max(targets, self.table.shape[0]), max(width, self.table.shape[1])), dtype=np.uint8), 0
+        self.now += 1
+        if self.now == 256:
+            self.table[:], self.now = 0, 1
+        self.flat, self.stride = self.table.ravel(), self.table.shape[1]
+
+    def seen(self, rows: np.ndarray, nodes: np.ndarray) -> np.ndarray:
+        return self.flat.take(rows * self.stride + nodes) == self.now
+
+    def mark(self, rows: np.ndarray, nodes: np.ndarray) -> None:
+        self.flat[rows * self.stride + nodes] = self.now
+
+
 @dataclass
 class Graph:
     params: Params
@@ -86,6 +129,7 @@ class Graph:
 
     def __post_init__(self) -> None:
         p = self.params
+        self.stamps = Stamps()
         self.rotation = orthogonal(p.padded, p.seed)
         self.refs = references(p.padded, p.blocks, p.refs_per_block, p.seed)
         if self.x is None:
@@ -148,137 +192,135 @@ class Graph:
     def _inverse(self, base: np.ndarray) -> np.ndarray:
         return np.searchsorted(self.places[: self.size], base)
 
-    def _lockstep(self, q, ef, n, keep, gate=None, rings=None, work=None, screen=False, starts=None, exact_screen=False) -> Found:
+    def _dots(self, table: np.ndarray, row: np.ndarray, edge: np.ndarray) -> np.ndarray:
+        """<reference of each edge, way to its row's target>: one table lookup a block."""
+        blocks, per_block = self.refs.shape[:2]
+        at = self.codes.reshape(-1, blocks).take(edge, axis=0).astype(np.intp)
+        at += (row * (blocks * per_block))[:, None] + np.arange(blocks) * per_block
+        return table.take(at) @ np.ones(blocks, dtype=np.float32) - self.shift.ravel().take(edge)
+
+    def _lockstep(self, q, ef, n, keep, gate=None, rings=None, work=None, screen=False, starts=None, scope="visited") -> Found:
         p = self.params
         gate = p.gate if gate is None else gate
         rings = p.rings if rings is None else rings
         w = min(work or p.work, ef) if rings else ef
         m = len(q)
         count = {c: np.zeros(m, dtype=np.int64) for c in COUNTERS}
-        measured = np.zeros((m, n), dtype=bool)
-        wi, wd, we = np.full((m, w), -1), np.full((m, w), np.inf, dtype=np.float32), np.zeros((m, w), dtype=bool)
-        fi, fd, fn = np.full((m, w), -1), np.full((m, w), np.inf, dtype=np.float32), np.zeros(m, dtype=np.int64)
-        oi, od, on = fi.copy(), fd.copy(), fn.copy()
-        room = ef + w + 1
-        hi, hd, hn = np.full((m, room), -1), np.full((m, room), np.inf, dtype=np.float32), np.zeros(m, dtype=np.int64)
-        table = target_table(q, self.refs) if gate or screen else None
-        blocks = np.arange(p.blocks)
+        stamps = self.stamps
+        stamps.begin(m, n)
+        room = ef + w + 1 if rings else 0
+        work_, harvest, n_harvest = np.full((m, w), EMPTY), np.full((m, room), EMPTY), np.zeros(m, dtype=np.int64)
+        shape = (m, w if rings else 0)
+        fp, n_fp, out, n_out = np.full(shape, EMPTY), np.zeros(m, dtype=np.int64), np.full(shape, EMPTY), np.zeros(m, dtype=np.int64)
+        table = target_table(q, self.refs).ravel() if gate or screen else None
+        cap = self.adj.shape[1]
+        length, own = self.length.ravel(), self.own.ravel()
         seen: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
 
-        starts = self._starts(q, n, count) if starts is None else starts
+        if starts is None:
+            starts = self._starts(q, n, count)
+            stamps.begin(m, n)  # descents have used the table
         d = np.linalg.norm(self.x[starts] - q[:, None, :], axis=2).astype(np.float32)
-        np.put_along_axis(measured, starts, True, 1)
+        stamps.mark(np.arange(m)[:, None], starts)
         count["n_exact"] += starts.shape[1]
-        order = _by_distance(starts, d)
-        si, sd = np.take_along_axis(starts, order, 1), np.take_along_axis(d, order, 1)
+        first = np.sort(_keys(starts, d), axis=1)
         take = min(w, starts.shape[1])
-        wi[:, :take], wd[:, :take] = si[:, :take], sd[:, :take]
-        for j in range(take, starts.shape[1]):
-            _push(oi, od, on, np.arange(m), si[:, j], sd[:, j], True)
+        work_[:, :take] = first[:, :take]
+        for j in range(take, starts.shape[1] if rings else 0):
+            _push(out, n_out, np.arange(m), first[:, j], True)
 
         active = np.arange(m)
         while len(active):
-            open_ = np.where(we[active] | (wi[active] < 0), np.inf, wd[active])
-            best = open_.argmin(axis=1)
-            idle = ~np.isfinite(open_[np.arange(len(active)), best])
+            closed = (work_[active] & EXPANDED).astype(bool)
+            best = closed.argmin(axis=1)  # lists are sorted: the first that is not expanded
+            idle = closed[np.arange(len(active)), best]
             done = count["n_visited"][active] >= ef
-            if (ending := idle & ~done).any():
+            ending = idle & ~done
+            if not rings:
+                done |= ending
+            elif ending.any():
                 rows = active[ending]
                 count["n_rounds"][rows] += 1
-                r, c = np.nonzero(wi[rows] >= 0)
-                _push(hi, hd, hn, rows[r], wi[rows[r], c], wd[rows[r], c], False)
-                both_i, both_d = np.hstack([fi[rows], oi[rows]]), np.hstack([fd[rows], od[rows]])
-                both_d = np.where(both_i < 0, np.inf, both_d)
-                order = _by_distance(both_i, both_d)
-                mi, md = np.take_along_axis(both_i, order, 1), np.take_along_axis(both_d, order, 1)
-                wi[rows], wd[rows], we[rows] = np.where(np.isfinite(md[:, :w]), mi[:, :w], -1), md[:, :w], False
-                count["n_fp_reused"][rows] += ((order[:, :w] < w) & np.isfinite(md[:, :w])).sum(axis=1)
-                oi[rows], od[rows] = np.where(np.isfinite(md[:, w:]), mi[:, w:], -1), md[:, w:]
-                on[rows] = np.isfinite(md[:, w:]).sum(axis=1)
-                fi[rows], fd[rows], fn[rows] = -1, np.inf, 0
-                done |= ending & (wi[active, 0] < 0)
-                if not rings:
-                    done |= ending
+                r, c = np.nonzero(work_[rows] != EMPTY)
+                _push(harvest, n_harvest, rows[r], work_[rows[r], c], False)
+                both = np.sort(np.hstack([fp[rows], out[rows]]), axis=1)
+                count["n_fp_reused"][rows] += ((both[:, :w] & NEW) > 0).sum(axis=1)
+                both &= ~NEW
+                work_[rows], out[rows], fp[rows] = both[:, :w], both[:, w:], EMPTY
+                n_out[rows], n_fp[rows] = (both[:, w:] != EMPTY).sum(axis=1), 0
+                done |= ending & (work_[active, 0] == EMPTY)
             act = ~idle & ~done
             rows, pick = active[act], best[act]
             if len(rows):
-                pivots, b = wi[rows, pick], wd[rows, pick]
-                we[rows, pick] = True
+                pivot_keys = work_[rows, pick]
+                pivots, b = _ids(pivot_keys), _dist(pivot_keys)
+                work_[rows, pick] |= EXPANDED
                 count["n_visited"][rows] += 1
                 near = self.adj[pivots]
-                valid = near >= 0
-                if n < self.size:
-                    valid &= near < n
-                near = np.where(valid, near, 0)
-                fresh = valid & ~measured[rows[:, None], near]
-                count["n_checked"][rows] += fresh.sum(axis=1)
-                full = wi[rows, -1] >= 0
-                rim = np.where(full, wd[rows, -1], np.inf).astype(np.float32)
-                at_r, at_c = np.nonzero(fresh)
+                valid = near >= 0 if n == self.size else (near >= 0) & (near < n)
+                place = np.flatnonzero(valid)
+                r = place // cap
+                node = near.ravel().take(place).astype(np.int64)
+                edge = (pivots * cap).take(r) + place - r * cap
+                fresh = ~stamps.seen(rows.take(r), node)
+                rim = _dist(work_[rows, -1])  # infinite while work is not full
+                dots = None
                 if screen:
                     # The screen looks at all neighbours, measured or not; the gate reads the same estimates.
-                    a, own = self.length[pivots], self.own[pivots]
-                    dots = table[rows[:, None, None], blocks, self.codes[pivots]].sum(axis=2) - self.shift[pivots]
+                    dots = self._dots(table, rows.take(r), edge)
                     with np.errstate(divide="ignore", invalid="ignore"):
-                        estimate = dots / b[:, None] / own
-                        term = np.where(valid, estimate - a / (2 * b[:, None]), -np.inf)
-                        stat = np.where(b > 0, term.max(axis=1), np.inf)
-                    seen.append((rows, pivots, stat))
-                    estimate, a = estimate[at_r, at_c], a[at_r, at_c]
-                elif gate:
-                    edge = (pivots[at_r], at_c)
-                    a = self.length[edge]
-                    dots = table[rows[at_r][:, None], blocks, self.codes[edge]].sum(axis=1) - self.shift[edge]
-                    with np.errstate(divide="ignore", invalid="ignore"):
-                        estimate = dots / b[at_r] / self.own[edge]
+                        way = b.take(r)
+                        term = dots / (way * own.take(edge)) - length.take(edge) / (2 * way)
+                    stat = np.full(len(rows), -np.inf, dtype=np.float32)
+                    begins = np.flatnonzero(np.concatenate([[True], r[1:] != r[:-1]])) if len(r) else r
+                    if len(r):
+                        stat[r[begins]] = np.maximum.reduceat(term, begins)
+                    seen.append((rows, pivots, np.where(b > 0, stat, np.inf)))
+                    dots = dots[fresh]
+                r, node, edge = r[fresh], node[fresh], edge[fresh]
+                count["n_checked"][rows] += np.bincount(r, minlength=len(rows))
                 if gate:
-                    way, r = b[at_r], rim[at_r]
-                    with np.errstate(divide="ignore", invalid="ignore"):
-                        tau = (a * a + way * way - r * r) / (2 * a * way)
+                    if dots is None:
+                        dots = self._dots(table, rows.take(r), edge)
+                    a, way, far = length.take(edge), b.take(r), rim.take(r)
+                    with np.errstate(invalid="ignore"):
+                        # the estimate dots / (way * own) against (a^2 + way^2 - far^2) / (2 * a * way), both multiplied out;
                         # a target on its pivot, or a neighbour on it, has no angle: such pass
-                        ok = (estimate >= tau) | (a == 0) | (way == 0) | ~full[at_r]
-                    at_r, at_c = at_r[ok], at_c[ok]
-                passes = np.bincount(at_r, minlength=len(rows))
+                        ok = (2 * a * dots >= own.take(edge) * (a * a + way * way - far * far)) | (a == 0) | (way == 0) | np.isinf(far)
+                    r, node = r[ok], node[ok]
+                passes = np.bincount(r, minlength=len(rows))
                 count["n_pass"][rows] += passes
                 count["n_exact"][rows] += passes
-                ni = np.full((len(rows), int(passes.max(initial=0))), -1)
-                nd = np.full(ni.shape, np.inf, dtype=np.float32)
-                if len(at_r):
-                    hits, place = near[at_r, at_c], _ranks(at_r)
-                    ni[at_r, place] = hits
-                    nd[at_r, place] = np.linalg.norm(self.x[hits] - q[rows[at_r]], axis=1)
-                    measured[rows[at_r], hits] = True
-                all_i, all_d = np.hstack([wi[rows], ni]), np.hstack([wd[rows], nd])
-                all_e = np.hstack([we[rows], np.zeros(nd.shape, dtype=bool)])
-                order = _by_distance(all_i, all_d)
-                all_i, all_d, all_e = (np.take_along_axis(v, order, 1) for v in (all_i, all_d, all_e))
-                wi[rows], wd[rows], we[rows] = np.where(np.isfinite(all_d[:, :w]), all_i[:, :w], -1), all_d[:, :w], all_e[:, :w]
-                if rings:
-                    left_i, left_d, left_e = all_i[:, w:], all_d[:, w:], all_e[:, w:]
-                    is_new = order[:, w:] >= w
-                    there = np.isfinite(left_d)
-                    false = there & is_new & (left_d >= rim[:, None])
-                    count["n_fp"][rows] += false.sum(axis=1)
-                    for lists, chosen, ring in (((fi, fd, fn), false, True), ((oi, od, on), there & ~false & ~left_e, True), ((hi, hd, hn), there & left_e, False)):
-                        rr, cc = np.nonzero(chosen)
-                        _push(*lists, rows[rr], left_i[rr, cc], left_d[rr, cc], ring)
+                if len(r):
+                    mine = rows.take(r)
+                    stamps.mark(mine, node)
+                    diff = self.x.take(node, axis=0)
+                    diff -= q.take(mine, axis=0)
+                    new = np.full((len(rows), int(passes.max())), EMPTY)
+                    new[r, _ranks(r)] = _keys(node, np.sqrt(np.einsum("nd,nd->n", diff, diff))) | NEW
+                    some = np.flatnonzero(passes)
+                    rows, rim = rows[some], rim[some]
+                    both = np.sort(np.hstack([work_[rows], new[some]]), axis=1)
+                    work_[rows] = both[:, :w] & ~NEW
+                    if rings:
+                        at, c = np.nonzero(both[:, w:] != EMPTY)
+                        left, mine = both[at, w + c], rows[at]
+                        expanded = (left & EXPANDED) > 0
+                        false = ((left & NEW) > 0) & (_dist(left) >= rim[at])
+                        np.add.at(count["n_fp"], mine[false], 1)
+                        _push(fp, n_fp, mine[false], left[false], True)
+                        rest = ~false & ~expanded
+                        _push(out, n_out, mine[rest], left[rest] & ~NEW, True)
+                        _push(harvest, n_harvest, mine[expanded], left[expanded], False)
             active = active[~done]
-        rows, c = np.nonzero(wi >= 0)
-        if len(rows):
-            # what is still in work has an exact distance: it joins the harvest
-            all_i, all_d = np.hstack([hi, wi]), np.hstack([hd, wd])
-        else:
-            all_i, all_d = hi, hd
-        all_d = np.where(all_i < 0, np.inf, all_d)
-        order = _by_distance(all_i, all_d)[:, :keep]
-        out_i, out_d = np.take_along_axis(all_i, order, 1), np.take_along_axis(all_d, order, 1)
-        if out_i.shape[1] < keep:
-            pad = keep - out_i.shape[1]
-            out_i, out_d = np.pad(out_i, ((0, 0), (0, pad)), constant_values=-1), np.pad(out_d, ((0, 0), (0, pad)), constant_values=np.inf)
+        # what is still in work has an exact distance: it joins the harvest
+        every = np.sort(np.hstack([harvest, work_]), axis=1)[:, :keep]
+        if every.shape[1] < keep:
+            every = np.pad(every, ((0, 0), (0, keep - every.shape[1])), constant_values=EMPTY)
         visited = None
         if screen:
-            visited = tuple(np.concatenate([s[j] for s in seen]) if seen else np.zeros(0, dtype=np.int64) for j in range(3))
-        return Found(np.where(np.isfinite(out_d), out_i, -1), out_d, count, visited)
+            visited = tuple(np.concatenate([v[j] for v in seen]) if seen else np.zeros(0, dtype=np.int64) for j in range(3))
+        return Found(np.where(every == EMPTY, -1, _ids(every)), _dist(every), count, visited)
 
     # --- pruning -------------------------------------------------------------------
 
@@ -289,21 +331,44 @@ class Graph:
         """
         m, e = cand.shape
         kept = np.zeros((m, e), dtype=bool)
-        step = max(1, (64 << 20) // max(1, 4 * e * max(e, self.x.shape[1])))
+        step = max(1, (64 << 20) // max(1, 4 * e * self.x.shape[1]))
         for i in range(0, m, step):
-            c, d = cand[i : i + step], dist[i : i + step]
+            self._prune_rows(cand[i : i + step], dist[i : i + step], cap, alpha, kept[i : i + step])
+        return kept
+
+    def _prune_rows(self, cand: np.ndarray, dist: np.ndarray, cap: int, alpha: float, kept: np.ndarray) -> None:
+        """Candidates are taken in pieces: a piece is held against what was kept before it, then against itself."""
+        have = np.zeros(len(cand), dtype=np.int64)
+        free = (cand >= 0) & np.isfinite(dist)
+        chosen = np.full((len(cand), min(cap, cand.shape[1])), -1)
+        for at in range(0, cand.shape[1], PIECE):
+            part = slice(at, at + PIECE)
+            rows = np.flatnonzero(free[:, part].any(axis=1) & (have < cap))
+            if not len(rows):
+                continue
+            c, d, open_ = cand[rows, part], dist[rows, part], free[rows, part]
             v = self.x[np.maximum(c, 0)]
             sq = np.einsum("med,med->me", v, v)
+            most = int(have[rows].max())
+            if most:
+                before = chosen[rows, :most]
+                u = self.x[np.maximum(before, 0)]
+                gap = np.einsum("med,med->me", u, u)[:, :, None] + sq[:, None, :] - 2 * np.matmul(u, v.transpose(0, 2, 1))
+                self.exact += int((have[rows, None] * open_).sum())
+                open_ &= ~((alpha * np.sqrt(np.maximum(gap, 0)) <= d[:, None, :]) & (before >= 0)[:, :, None]).any(axis=1)
             between = np.sqrt(np.maximum(sq[:, :, None] + sq[:, None, :] - 2 * np.matmul(v, v.transpose(0, 2, 1)), 0))
-            free = (c >= 0) & np.isfinite(d)
-            have = np.zeros(len(c), dtype=np.int64)
-            for j in range(e):
-                self.exact += int(have[c[:, j] >= 0].sum())  # a candidate is held against those kept before it
-                take = free[:, j] & (have < cap)
-                kept[i : i + step, j] = take
-                have += take
-                free &= ~(take[:, None] & (alpha * between[:, j, :] <= d))
-        return kept
+            now = np.zeros(len(rows), dtype=np.int64)
+            for j in range(c.shape[1]):
+                some = np.flatnonzero(open_[:, j] & (have[rows] < cap))
+                self.exact += int(now[some].sum())
+                if not len(some):
+                    continue
+                mine = rows[some]
+                kept[mine, at + j] = True
+                chosen[mine, have[mine]] = c[some, j]
+                have[mine] += 1
+                now[some] += 1
+                open_[some] &= alpha * between[some, j, :] > d[some]
 
     def keeps_incoming(self, pivots: np.ndarray, targets: np.ndarray) -> np.ndarray:
         """Whether the edge pivot -> target has no witness among the pivot's out-neighbours."""
@@ -385,7 +450,7 @@ class Graph:
         """Places of the new nodes; a vector equal to a node joins it."""
         p, old = self.params, self.size
         screen = p.screen and old > 0
-        found = self.search_prepared(q, p.ef_build, limit=old, screen=screen, gate=p.gate and p.gate_in_build, rings=p.rings and p.gate_in_build)
+        found = self.search_prepared(q, p.ef_build, p.ef_build, limit=old, screen=screen, gate=p.gate and p.gate_in_build, rings=p.rings and p.gate_in_build)
         self.exact += int(found.counters["n_exact"].sum())
         self.exact_search += int(found.counters["n_exact"].sum())
         at = np.full(len(ids), -1)

@@ -11,18 +11,24 @@ and way as their ratio, up to noise.
 
 from __future__ import annotations
 
+from functools import lru_cache
+
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from ..params import Params
 
 
+@lru_cache(maxsize=4)
 def orthogonal(dim: int, seed: int) -> np.ndarray:
-    """A random orthogonal matrix (QR of a Gaussian one, signs fixed)."""
+    """A random orthogonal matrix (QR of a Gaussian one, signs fixed); kept, so not to be written to."""
     q, r = np.linalg.qr(np.random.default_rng(seed).normal(size=(dim, dim)))
-    return (q * np.sign(np.diag(r))).astype(np.float32)
+    out = (q * np.sign(np.diag(r))).astype(np.float32)
+    out.flags.writeable = False
+    return out
 
 
+@lru_cache(maxsize=8)
 def references(dim: int, blocks: int, per_block: int, seed: int) -> np.ndarray:
     """(blocks, per_block, dim/blocks): the axes and their opposites under as many rotations as are needed, scaled."""
     width = dim // blocks
@@ -35,7 +41,9 @@ def references(dim: int, blocks: int, per_block: int, seed: int) -> np.ndarray:
             q = q * np.sign(np.diag(r))
             got += [x for row in q for x in (row, -row)]
         out[b] = np.array(got[:per_block])
-    return out / np.sqrt(blocks)
+    out /= np.sqrt(blocks)
+    out.flags.writeable = False
+    return out
 
 
 def prepare(vectors: np.ndarray, params: Params, rotation: np.ndarray | None = None) -> np.ndarray:
