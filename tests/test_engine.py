@@ -8,7 +8,8 @@ from vecgraph.operators import baselines as B
 from vecgraph.operators import exact as E
 from vecgraph.operators import measures as M
 from vecgraph.operators import quantised as Z
-from vecgraph.operators.index import Index, build_index, from_rows, insert_batch, to_rows
+from vecgraph.operators import index as I
+from vecgraph.operators.index import Index, build_index, from_parts, insert_batch, to_parts
 from vecgraph.operators.kernel import Graph, build
 from vecgraph.operators.projection import target_table
 from vecgraph.params import Params
@@ -30,7 +31,7 @@ def test_rows_round_trip_with_layers_and_copies():
     x[150:] = x[:50]
     for params in (Params(16), B.hnsw_params(16, m_links=4), Params(16, half=True)):
         g = build(np.arange(200), x, params)
-        h = from_rows(to_rows(g, 0), params)
+        h = from_parts([r for b in to_parts(g, 0) for r in b.to_pylist()], params)
         assert (h.adj[: h.size] == g.adj[: g.size]).all() and h.copies == g.copies and len(h.upper) == len(g.upper)
         if not params.half:
             a, b = g.search(x[:10], 5, 32), h.search(x[:10], 5, 32)
@@ -92,16 +93,65 @@ def test_all_methods_reach_recall(spark, native):
 
 
 def test_curve_over_shards_searches_and_counts_all_of_them(spark, native, monkeypatch):
+    """Whatever the limit of a shard, every vector is built once, every query reaches every shard, and a full width is exact."""
     emb, q = native
-    method, assign = X.Method("throughput", "graph", Params.throughput(64)), X.assign_shards
-    one, built = X.curve(spark, emb, q, [method], 10, [128])
-    monkeypatch.setattr(X, "assign_shards", lambda corpus, params: assign(corpus, params.but(shard_size=120)))
-    many, parts = X.curve(spark, emb, q, [method], 10, [128])
-    one, many, built, parts = one.collect(), many.collect(), built.collect(), parts.collect()
-    assert len(many) == len(parts) == len(built) == 1 and parts[0].n == built[0].n == emb.count()
-    assert many[0].recall >= one[0].recall - 0.01 and many[0].n_exact > one[0].n_exact
+    n = emb.count()
+    one = None
+    for size in (0, n - 1, n, n + 1, 120):
+        method = X.Method("none", "graph", B.no_gate_params(64, shard_size=size))
+        runs, builds = (df.collect() for df in X.curve(spark, emb, q, [method], 10, [n]))
+        assert len(runs) == len(builds) == 1 and builds[0].n == n and runs[0].recall == 1.0
+        one = runs[0].n_exact if one is None else one
+        assert runs[0].n_exact >= one - 5
+    monkeypatch.setattr(X, "SENT_FLOATS", 64 * 2)  # queries in blocks of two
+    again, builds = X.curve(spark, emb, q, [method], 10, [n])
+    assert again.collect()[0].recall == 1.0 and builds.collect()[0].n == n
     # builds are reported without queries as well
-    assert X.run(emb, q.where("qid < 0"), [method], 10, [128])[1].collect()[0].n == emb.count()
+    assert X.run(emb, q.where("qid < 0"), [method], 10, [128])[1].collect()[0].n == n
+    with pytest.raises(ValueError):
+        X.curve(spark, emb, q, [method], n, [n])
+
+
+def test_search_moves_no_index_and_insertion_writes_one_shard(spark, native):
+    emb, q = native
+    index = build_index(emb.where("vec_id != 7"), Params(64), shards=4)
+    assert index.shards >= 4
+    plan = index.search(q, 10, 64)._jdf.queryExecution().executedPlan().toString()
+    scan = plan[plan.index("MapInArrow") :]
+    assert "Exchange" not in scan and plan.count("Exchange") == 1  # only answers are exchanged
+    few = index.search(q.where("qid = 0"), 10, 64, probes=1)._jdf.queryExecution().executedPlan().toString()
+    assert "PartitionFilters: [isnotnull(shard" in few or "PartitionFilters: [(shard" in few or "shard#" in few.split("PartitionFilters")[1][:80]
+    more = insert_batch(index, emb.where("vec_id = 7"))
+    assert [len(held) for _, held in more.generations[1:]] == [1] and more.generations[0] == index.generations[0]
+    assert more.rows.count() == emb.count() and index.rows.count() == emb.count() - 1
+    hit = more.search(emb.where("vec_id = 7").selectExpr("vec_id AS qid", "embedding AS qvec"), 1, 32).first()
+    assert hit.vec_id == 7 and hit.dist == 0
+
+
+def test_shuffled_search_and_generations(spark, native, monkeypatch):
+    emb, q = native
+    truth = E.exact_knn(emb, q, 10).persist()
+    index = build_index(emb.where("vec_id % 3 = 0"), Params(64), shards=3)
+    for i in range(I.MOST_GENERATIONS + 2):
+        index = insert_batch(index, emb.where(f"vec_id % 3 != 0 AND vec_id % {I.MOST_GENERATIONS + 2} = {i}"))
+    assert len(index.generations) <= I.MOST_GENERATIONS and index.rows.count() == emb.count()
+    again = Index.open(spark, index.path)
+    want = [tuple(r) for r in again.search(q, 10, 96).orderBy("qid", "rank").collect()]
+    monkeypatch.setattr(I, "MOST_READS", 0)
+    assert [tuple(r) for r in index.search(q, 10, 96).orderBy("qid", "rank").collect()] == want
+    assert M.recall_at_k(index.search(q, 10, 96), truth, 10).first()[0] >= 0.95
+    monkeypatch.setattr(I, "MOST_READS", 8)
+    monkeypatch.setattr(I, "SENT_FLOATS", 64 * 2)
+    assert sorted(tuple(r) for r in index.search(q, 10, 96).collect()) == sorted(want)
+
+
+def test_pending_edges_wait_in_the_shards(spark, small):
+    corpus = C.doc_vec(spark, small, 64).persist()
+    half = build_index(corpus.where("vec_id % 2 = 0"), Params(64))
+    held = insert_batch(half, corpus.where("vec_id % 4 = 1"), verify=False)
+    assert held.pending().count() > 0 and held.size_report().where("part = 'pending'").first().bytes > 0
+    done = insert_batch(held, corpus.where("vec_id % 4 = 3"))
+    assert done.pending().count() == 0 and done.edges().where("origin = 'screen'").count() > 0
 
 
 @pytest.mark.parametrize("kind", ["pq", "aniso", "scalar"])

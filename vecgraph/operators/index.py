@@ -1,23 +1,29 @@
-"""The sharded index: graphs as tables, built, searched and extended by Spark.
-
-A corpus is cut into shards of bounded size; each shard is a graph of its own
-that one task builds (``kernel``). The index is a table with one row for each
-node, holding its vector and the arrays of its edges; views of it give edges,
-copies and sizes. A search sends every query to the shards it probes, searches
-each there, and merges the answers by (distance, id).
-
-Shards: with one shard no vector moves. With more, vectors go to the nearest of
-the coarse centroids (k-means on a bounded sample); a cell over the size limit is
-dealt into several shards by a hash of the id, so no task ever exceeds it.
+"""The sharded index: graphs as files of array blobs, built, searched and extended by Spark.
+
+A corpus is cut into shards of bounded size in bytes; each shard is a graph of its
+own that one task builds (``kernel``). A shard is a file: a few rows, each with
+the arrays of a range of nodes, in one row group, so that one task reads it whole.
+A search sends every query to the shards it probes: the queries go to the files
+(in blocks of a checked size), no row of the index is exchanged, and files of
+shards that nobody probes are not read. Answers are merged by (distance, id).
+
+An insertion routes the new vectors and rewrites the shards they go to; the other
+shards stay where they are. A version of the index is a manifest that names the
+generation of every shard; generations are never changed, so readers of an older
+version are not disturbed.
+
+Shards: with more than one, vectors go to the nearest of the coarse centroids
+(k-means on a bounded sample); a cell over the size limit is dealt into several
+shards by a hash of the id.
 """
 
 from __future__ import annotations
 
 import json
-from dataclasses import dataclass
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass, field, replace
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
@@ -25,115 +31,198 @@ from ..params import Params
 from ..sources.session import materialise, shared_folder, ship
 from .kernel import COUNTERS, ORIGINS, Graph, build
 
-ROW = (
+#: Arrays of a range of nodes as bytes; what belongs to the whole graph stands in a shard's first part.
+_ARRAYS = ("ids", "x", "degree", "adj", "length", "own", "shift", "codes", "origin", "entries", "copy_at", "copy_id", "pending")
+PARTS = "part int, n int, " + ", ".join(f"{c} binary" for c in _ARRAYS) + ", layers array<struct<places:binary,degree:binary,adj:binary>>, shard int"
+RAW = "part int, ids binary, x binary, shard int"
+HIT = "qid bigint, vec_id bigint, dist double, " + ", ".join(f"{c} bigint" for c in COUNTERS)
+NODE = (
     "shard int, place int, vec_id bigint, vector binary, adj array<int>, edge_len array<float>, cos_own array<float>, "
-    "proj_src array<float>, codes binary, origin array<tinyint>, copies array<bigint>, entry boolean, layers array<struct<level:int,adj:array<int>>>"
+    "proj_src array<float>, codes binary, origin array<tinyint>, copies array<bigint>, entry boolean"
 )
-HIT = "qid bigint, vec_id bigint, dist double, n_checked bigint, n_pass bigint, n_exact bigint, n_visited bigint, n_fp bigint, n_fp_reused bigint, n_rounds bigint"
-#: Vectors read for the coarse centroids.
-CENTROID_SAMPLE = 20_000
-
-
-def to_rows(graph: Graph, shard: int) -> pd.DataFrame:
-    """The graph of one shard as rows of the index table."""
-    n, kind = graph.size, np.float16 if graph.params.half else np.float32
-    deg = graph.degree[:n]
-    upper = [dict(zip(layer.places.tolist(), range(layer.size))) for layer in graph.upper]
-
-    def levels(i: int):
-        out = []
-        for l, at in enumerate(upper):
-            if i in at:
-                layer = graph.upper[l]
-                out.append({"level": l + 1, "adj": layer.places[layer.adj[at[i], : layer.degree[at[i]]]].astype(np.int32)})
-        return out
-
-    entries = set(graph.entries)
-    return pd.DataFrame(
-        {
-            "shard": np.full(n, shard, dtype=np.int32),
-            "place": np.arange(n, dtype=np.int32),
-            "vec_id": graph.ids[:n],
-            "vector": [graph.x[i].astype(kind).tobytes() for i in range(n)],
-            "adj": [graph.adj[i, : deg[i]] for i in range(n)],
-            "edge_len": [graph.length[i, : deg[i]] for i in range(n)],
-            "cos_own": [graph.own[i, : deg[i]] for i in range(n)],
-            "proj_src": [graph.shift[i, : deg[i]] for i in range(n)],
-            "codes": [graph.codes[i, : deg[i]].tobytes() for i in range(n)],
-            "origin": [graph.origin[i, : deg[i]].astype(np.int8) for i in range(n)],
-            "copies": [np.array(graph.copies.get(i, []), dtype=np.int64) for i in range(n)],
-            "entry": [i in entries for i in range(n)],
-            "layers": [levels(i) for i in range(n)],
-        }
-    )
-
-
-def from_rows(rows: pd.DataFrame, params: Params) -> Graph:
-    """The graph of one shard's rows."""
-    rows = rows.sort_values("place", ignore_index=True)
-    n, kind = len(rows), np.float16 if params.half else np.float32
-    graph = Graph(params)
+EDGE = "shard int, src bigint, dst bigint, edge_len float, cos_own float, proj_src float, origin string"
+#: Vectors read for each coarse centroid, the fewest read in all, and the most centroids; beyond, cells are dealt by a hash.
+SAMPLE_EACH, SAMPLE_LEAST, MOST_CELLS = 32, 20_000, 1024
+#: Numbers of vectors (rows x dimension) that are sent to every task at once, and how often the index is read for queries before they are shuffled to it.
+SENT_FLOATS, MOST_READS = 20_000_000, 8
+#: Bytes of vectors in one part of a shard.
+PART_BYTES = 8 << 20
+#: Generations after which the changed shards are written together.
+MOST_GENERATIONS = 8
+#: A shard's file is one row group, whatever its size.
+_ONE_GROUP = {"parquet.block.size": str(1 << 30), "parquet.enable.dictionary": "false", "compression": "none"}
+
+
+# --- graphs as blobs ------------------------------------------------------------------
+
+
+def _schema(ddl: str) -> pa.Schema:
+    kinds = {"int": pa.int32(), "bigint": pa.int64(), "binary": pa.binary(), "double": pa.float64(), "float": pa.float32(), "string": pa.string(), "boolean": pa.bool_()}
+    kinds |= {"array<int>": pa.list_(pa.int32()), "array<float>": pa.list_(pa.float32()), "array<bigint>": pa.list_(pa.int64()), "array<tinyint>": pa.list_(pa.int8())}
+    kinds["array<struct<places:binary,degree:binary,adj:binary>>"] = pa.list_(pa.struct([(c, pa.binary()) for c in ("places", "degree", "adj")]))
+    cut = []
+    for part in ddl.split(", "):
+        name, kind = part.split(" ", 1)
+        cut.append((name, kinds[kind]))
+    return pa.schema(cut)
+
+
+_PARTS, _RAW, _HIT, _NODE, _EDGE = map(_schema, (PARTS, RAW, HIT, NODE, EDGE))
+
+
+def _ranges(n: int, width: int) -> list[tuple[int, int]]:
+    step = max(1, PART_BYTES // max(1, width))
+    return [(i, min(n, i + step)) for i in range(0, n, step)] or [(0, 0)]
+
+
+def to_parts(graph: Graph, shard: int) -> Iterator[pa.RecordBatch]:
+    """The rows of a shard's file, one batch each."""
+    kind = np.float16 if graph.params.half else np.float32
+    for part, (i, j) in enumerate(_ranges(graph.size, 4 * graph.x.shape[1])):
+        edges = graph.adj[i:j] >= 0
+        row: dict = {"shard": shard, "part": part, "n": j - i, "ids": graph.ids[i:j], "x": graph.x[i:j].astype(kind), "degree": graph.degree[i:j]}
+        row |= {c: getattr(graph, c)[i:j][edges] for c in ("adj", "length", "own", "shift", "codes", "origin")}
+        if part == 0:
+            row["entries"] = np.array(graph.entries, dtype=np.int32)
+            row["copy_at"] = np.repeat(np.array(list(graph.copies), dtype=np.int32), [len(v) for v in graph.copies.values()])
+            row["copy_id"] = np.array([v for own in graph.copies.values() for v in own], dtype=np.int64)
+            row["pending"] = np.concatenate([np.zeros((0, 3)), *[np.column_stack(p) for p in graph.pending]])
+            row["layers"] = [
+                {"places": l.places.astype(np.int32).tobytes(), "degree": l.degree[: l.size].tobytes(), "adj": l.adj[: l.size][l.adj[: l.size] >= 0].tobytes()} for l in graph.upper
+            ]
+        blob = {c: [v.tobytes() if isinstance(v, np.ndarray) else v] for c, v in row.items()}
+        yield pa.RecordBatch.from_arrays([pa.array(blob.get(f.name, [None]), type=f.type) for f in _PARTS], schema=_PARTS)
+
+
+def from_parts(parts: list[dict], params: Params) -> Graph:
+    """The graph of a shard's rows."""
+    parts = sorted(parts, key=lambda r: r["part"])
+    graph, n = Graph(params), sum(r["n"] for r in parts)
     graph._room(n)
     graph.size = n
     if n == 0:
         return graph
-    graph.ids[:n] = rows["vec_id"]
-    graph.x[:n] = np.frombuffer(b"".join(rows["vector"]), dtype=kind).reshape(n, -1)
-    deg = np.array([len(a) for a in rows["adj"]])
-    graph.degree[:n] = deg
-    r = np.repeat(np.arange(n), deg)
-    c = np.arange(len(r)) - np.repeat(np.cumsum(deg) - deg, deg)
-    for name, column in (("adj", "adj"), ("length", "edge_len"), ("own", "cos_own"), ("shift", "proj_src"), ("origin", "origin")):
-        getattr(graph, name)[r, c] = np.concatenate([np.asarray(v) for v in rows[column]]) if len(r) else 0
-    graph.codes[r, c] = np.frombuffer(b"".join(rows["codes"]), dtype=np.uint8).reshape(-1, params.blocks)
-    graph.copies = {i: [int(x) for x in v] for i, v in enumerate(rows["copies"]) if len(v)}
-    graph.entries = np.flatnonzero(rows["entry"].to_numpy()).tolist()
-    graph.entries_at = n
-    levels: dict[int, list[tuple[int, np.ndarray]]] = {}
-    for i, found in enumerate(rows["layers"]):
-        for level in found if found is not None else ():
-            levels.setdefault(int(level["level"]), []).append((i, np.asarray(level["adj"])))
+    read = lambda c, kind: np.frombuffer(b"".join(r[c] for r in parts), dtype=kind)
+    graph.ids[:n] = read("ids", np.int64)
+    graph.x[:n] = read("x", np.float16 if params.half else np.float32).reshape(n, -1)
+    degree = graph.degree[:n] = read("degree", np.int32)
+    there = np.arange(params.cap) < degree[:, None]
+    for c, kind in (("adj", np.int32), ("length", np.float32), ("own", np.float32), ("shift", np.float32), ("origin", np.uint8)):
+        getattr(graph, c)[:n][there] = read(c, kind)
+    graph.codes[:n][there] = read("codes", np.uint8).reshape(-1, params.blocks)
+    first = parts[0]
+    graph.entries, graph.entries_at = np.frombuffer(first["entries"], dtype=np.int32).tolist(), n
+    for at, vec_id in zip(np.frombuffer(first["copy_at"], dtype=np.int32).tolist(), np.frombuffer(first["copy_id"], dtype=np.int64).tolist()):
+        graph.copies.setdefault(at, []).append(vec_id)
+    pending = np.frombuffer(first["pending"]).reshape(-1, 3)
+    if len(pending):
+        graph.pending = [(pending[:, 0].astype(np.int64), pending[:, 1].astype(np.int64), pending[:, 2])]
     flat = params.but(layers=False, gate=False, rings=False, screen=False, m_links=max(2, params.m_links // 2))
-    for level in sorted(levels):
-        places = np.array([i for i, _ in levels[level]])
+    for level in first["layers"] or ():
+        places = np.frombuffer(level["places"], dtype=np.int32).astype(np.int64)
         layer = Graph(flat, places=places)
         layer._room(len(places))
         layer.size = len(places)
         layer.x[: layer.size], layer.ids[: layer.size] = graph.x[places], graph.ids[places]
-        for j, (_, adj) in enumerate(levels[level]):
-            layer.adj[j, : len(adj)] = np.searchsorted(places, adj)
-            layer.degree[j] = len(adj)
+        degree = layer.degree[: layer.size] = np.frombuffer(level["degree"], dtype=np.int32)
+        layer.adj[: layer.size][np.arange(flat.cap) < degree[:, None]] = np.frombuffer(level["adj"], dtype=np.int32)
         layer._choose_entries()
         graph.upper.append(layer)
     return graph
 
 
-def assign_shards(corpus: DataFrame, params: Params, n: int | None = None) -> tuple[DataFrame, np.ndarray]:
-    """``corpus`` with ``shard``, and the centroid of each shard."""
-    n = corpus.count() if n is None else n
-    cells = max(1, -(-n // params.shard_size))
-    if cells == 1:
-        return corpus.withColumn("shard", F.lit(0)), np.zeros((1, params.dim), dtype=np.float32)
-    share = max(1, n // CENTROID_SAMPLE)
-    rows = corpus.where(F.pmod(F.xxhash64(F.lit(params.seed), "vec_id"), F.lit(share)) == 0).select("embedding").limit(2 * CENTROID_SAMPLE).collect()
-    centroids = kmeans(np.array([r[0] for r in rows], dtype=np.float32), cells, params.seed)
+def shards_of(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, list[dict]]]:
+    """(shard, its rows) one after the other; the rows of a shard stand together in its file."""
+    shard, rows = None, []
+    for batch in batches:
+        for row in batch.to_pylist():
+            if rows and row["shard"] != shard:
+                yield shard, rows
+                rows = []
+            shard = row["shard"]
+            rows.append(row)
+    if rows:
+        yield shard, rows
+
+
+def on_shards(blobs: DataFrame, work: Callable[[int, list[dict]], Iterator[pa.RecordBatch]], ddl: str) -> DataFrame:
+    """``work(shard, rows)`` on every shard, where its file is read: nothing is exchanged."""
+    ship(blobs.sparkSession)
+
+    def over(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for shard, rows in shards_of(batches):
+            yield from work(shard, rows)
+
+    return blobs.mapInArrow(over, ddl)
+
+
+def vectors_of(column: pa.Array, dim: int) -> np.ndarray:
+    """An Arrow list column as a matrix."""
+    return np.asarray(column.flatten(), dtype=np.float32).reshape(len(column), dim)
+
+
+# --- shards ---------------------------------------------------------------------------
+
+
+def packed(corpus: DataFrame, dim: int, centroids: np.ndarray | None = None) -> DataFrame:
+    """(vec_id, cell, x): vectors as bytes, with the nearest centroid's place."""
     ship(corpus.sparkSession)
 
-    @F.pandas_udf("int")
-    def nearest(v: pd.Series) -> pd.Series:
-        x = np.array(v.tolist(), dtype=np.float32)
-        return pd.Series(((centroids**2).sum(1) - 2 * x @ centroids.T).argmin(axis=1))
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if b.num_rows:
+                x = np.ascontiguousarray(vectors_of(b.column(1), dim))
+                cell = np.zeros(len(x), dtype=np.int32) if centroids is None else nearest_cells(x, centroids, 1)[:, 0].astype(np.int32)
+                whole = pa.py_buffer(x)
+                ends = pa.py_buffer(np.arange(len(x) + 1, dtype=np.int32) * (4 * dim))
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(cell), pa.Array.from_buffers(pa.binary(), len(x), [None, ends, whole])], ["vec_id", "cell", "x"])
+
+    return corpus.select("vec_id", "embedding").mapInArrow(work, "vec_id bigint, cell int, x binary")
+
+
+def nearest_cells(x: np.ndarray, centroids: np.ndarray, k: int) -> np.ndarray:
+    """Places of the k nearest centroids of each vector, nearest first."""
+    out = np.empty((len(x), k), dtype=np.int64)
+    norms = (centroids**2).sum(axis=1)
+    for i in range(0, len(x), 256):
+        d = norms - 2 * x[i : i + 256] @ centroids.T
+        out[i : i + 256] = d.argmin(axis=1)[:, None] if k == 1 else d.argsort(axis=1, kind="stable")[:, :k]
+    return out
+
 
-    placed = materialise(corpus.withColumn("cell", nearest("embedding")), "cells")
-    sizes = {r.cell: r["count"] for r in placed.groupBy("cell").count().collect()}  # one row a cell
+def assign_shards(corpus: DataFrame, params: Params, shards: int = 1) -> tuple[DataFrame, np.ndarray]:
+    """(vec_id, x, shard) of ``corpus(vec_id, embedding)``, and the centroid of each shard; ``shards`` asks for more than the size needs."""
+    spark = corpus.sparkSession
+    n = corpus.count()
+    wanted = max(1, shards, -(-n // params.per_shard))
+    cells = min(wanted, MOST_CELLS, max(1, n // 2))
+    if cells == 1:
+        limit = -(-n // wanted) if wanted > 1 else n
+        centroids = np.zeros((1, params.dim), dtype=np.float32)
+        placed = packed(corpus, params.dim)
+        sizes = {0: n}
+    else:
+        limit = max(params.per_shard, 1) if shards == 1 else min(params.per_shard, -(-2 * n // wanted))
+        sample = max(SAMPLE_LEAST, SAMPLE_EACH * cells)
+        share = max(1, n // sample)
+        rows = corpus.where(F.pmod(F.xxhash64(F.lit(params.seed), "vec_id"), F.lit(share)) == 0).select("vec_id", "embedding").limit(2 * sample).toArrow().sort_by("vec_id")
+        x = vectors_of(rows.column("embedding").combine_chunks(), params.dim)
+        if params.metric == "cosine":
+            x = x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
+        centroids = kmeans(x, cells, params.seed)
+        placed = materialise(packed(corpus, params.dim, centroids), "cells")
+        sizes = {r.cell: r["count"] for r in placed.groupBy("cell").count().collect()}  # one row a cell
     first, at, of = {}, 0, []
     for cell in sorted(sizes):
-        first[cell] = (at, -(-sizes[cell] // params.shard_size))
-        of += [cell] * first[cell][1]
-        at += first[cell][1]
-    table = corpus.sparkSession.createDataFrame([(c, a, k) for c, (a, k) in first.items()], "cell int, base int, parts int")
-    out = placed.join(F.broadcast(table), "cell").withColumn("shard", (F.col("base") + F.pmod(F.xxhash64("vec_id"), F.col("parts"))).cast("int"))
-    return out.drop("cell", "base", "parts"), centroids[of]
+        parts = max(1, -(-sizes[cell] // max(1, limit)))
+        first[cell] = (at, parts)
+        of += [cell] * parts
+        at += parts
+    if at <= 1:
+        return placed.select("vec_id", "x", F.lit(0).alias("shard")), centroids[of or [0]]
+    table = spark.createDataFrame([(c, a, k) for c, (a, k) in first.items()], "cell int, base int, parts int")
+    out = placed.join(F.broadcast(table), "cell")  # a row a cell
+    return out.select("vec_id", "x", (F.col("base") + F.pmod(F.xxhash64("vec_id"), F.col("parts"))).cast("int").alias("shard")), centroids[of]
 
 
 def kmeans(x: np.ndarray, k: int, seed: int, rounds: int = 8) -> np.ndarray:
@@ -149,157 +238,348 @@ def kmeans(x: np.ndarray, k: int, seed: int, rounds: int = 8) -> np.ndarray:
     return c.astype(np.float32)
 
 
+def raw_shards(corpus: DataFrame, params: Params, shards: int = 1) -> tuple[DataFrame, np.ndarray]:
+    """The vectors of each shard as blobs in a file of its own (``RAW``), and the centroids."""
+    spark = corpus.sparkSession
+    placed, centroids = assign_shards(corpus, params, shards)
+
+    def work(key: tuple[pa.Scalar, ...], rows: pa.Table) -> pa.Table:
+        rows = rows.sort_by("vec_id")
+        ids, x = rows.column("vec_id").to_numpy(), rows.column("x").combine_chunks()
+        width = 4 * params.dim
+        out = [(p, ids[i:j].tobytes(), b"".join(x[i:j].to_pylist()), key[0].as_py()) for p, (i, j) in enumerate(_ranges(len(ids), width))]
+        return pa.Table.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*out), _RAW)], schema=_RAW)
+
+    path = shared_folder(spark, "raw")
+    placed.groupBy("shard").applyInArrow(work, RAW).write.options(**_ONE_GROUP).partitionBy("shard").parquet(path)
+    return spark.read.schema(RAW).parquet(path), centroids
+
+
+def raw_vectors(rows: list[dict], dim: int) -> tuple[np.ndarray, np.ndarray]:
+    """(ids, vectors) of a raw shard's rows."""
+    rows = sorted(rows, key=lambda r: r["part"])
+    return np.frombuffer(b"".join(r["ids"] for r in rows), dtype=np.int64), np.frombuffer(b"".join(r["x"] for r in rows), dtype=np.float32).reshape(-1, dim)
+
+
+# --- the index ------------------------------------------------------------------------
+
+
 @dataclass
 class Index:
-    """A built index: its table, its parameters, and the centroids of its shards."""
+    """A built index: its parameters, the centroids of its shards, and the generations that hold them."""
 
-    rows: DataFrame
+    spark: SparkSession
     params: Params
     centroids: np.ndarray
+    #: (folder, the shards it holds; None: all that no later generation holds)
+    generations: list[tuple[str, list[int] | None]]
     path: str | None = None
+    _cells: np.ndarray | None = field(default=None, repr=False)
 
     @property
     def shards(self) -> int:
         return len(self.centroids)
 
+    @property
+    def cells(self) -> np.ndarray:
+        """The number of each shard's cell; shards that a hash deals share one."""
+        if self._cells is None:
+            self._cells = np.unique(self.centroids, axis=0, return_inverse=True)[1].ravel()
+        return self._cells
+
+    def blobs(self, shards: list[int] | None = None) -> DataFrame:
+        """The rows (``PARTS``) of all shards, or of some: files of others are not read."""
+        taken: set[int] = set()
+        parts = []
+        for folder, held in reversed(self.generations):
+            rows = self.spark.read.schema(PARTS).parquet(folder)
+            if held is None:
+                mine = rows.where(~F.col("shard").isin(sorted(taken))) if taken else rows
+                parts.append(mine if shards is None else mine.where(F.col("shard").isin(shards)))
+            else:
+                live = [s for s in held if s not in taken and (shards is None or s in set(shards))]
+                taken.update(held)
+                if live:
+                    parts.append(rows.where(F.col("shard").isin(live)))
+        out = parts[0]
+        for p in parts[1:]:
+            out = out.unionByName(p)
+        return out
+
     # --- views ---------------------------------------------------------------------
 
+    @property
+    def rows(self) -> DataFrame:
+        """A row for each node (``NODE``)."""
+        params = self.params
+
+        def work(shard: int, parts: list[dict]) -> Iterator[pa.RecordBatch]:
+            g = from_parts(parts, params)
+            n, entries = g.size, set(g.entries)
+            each = lambda a: [a[i, : g.degree[i]] for i in range(n)]
+            kind = np.float16 if params.half else np.float32
+            columns = [
+                np.full(n, shard), np.arange(n), g.ids[:n], [v.tobytes() for v in g.x[:n].astype(kind)], each(g.adj), each(g.length), each(g.own), each(g.shift),
+                [c.tobytes() for c in each(g.codes)], [o.astype(np.int8) for o in each(g.origin)], [g.copies.get(i, []) for i in range(n)], [i in entries for i in range(n)],
+            ]
+            yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(columns, _NODE)], schema=_NODE)
+
+        return on_shards(self.blobs(), work, NODE)
+
     def nodes(self) -> DataFrame:
         return self.rows.select("shard", "place", "vec_id", "vector", "entry")
 
     def edges(self) -> DataFrame:
         """(shard, src, dst, edge_len, cos_own, proj_src, origin) by vector id."""
-        each = F.posexplode(F.arrays_zip("adj", "edge_len", "cos_own", "proj_src", "origin")).alias("at", "e")
-        found = self.rows.select("shard", F.col("vec_id").alias("src"), each)
-        name = F.element_at(F.array(*[F.lit(o) for o in ORIGINS]), F.col("e.origin").cast("int") + 1).alias("origin")
-        found = found.select("shard", "src", F.col("e.adj").alias("place"), "e.edge_len", "e.cos_own", "e.proj_src", name)
-        return found.join(self.rows.select("shard", "place", F.col("vec_id").alias("dst")), ["shard", "place"]).drop("place")
+        params = self.params
+
+        def work(shard: int, parts: list[dict]) -> Iterator[pa.RecordBatch]:
+            g = from_parts(parts, params)
+            source, target, length, origin = g.edges()
+            there = g.adj[: g.size] >= 0
+            columns = [np.full(len(source), shard), g.ids[source], g.ids[target], length, g.own[: g.size][there], g.shift[: g.size][there], np.array(ORIGINS)[origin]]
+            yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(columns, _EDGE)], schema=_EDGE)
+
+        return on_shards(self.blobs(), work, EDGE)
 
     def copies(self) -> DataFrame:
         """(rep_id, vec_id): exact copies and the node that stands for them."""
         return self.rows.select(F.col("vec_id").alias("rep_id"), F.explode("copies").alias("vec_id"))
 
+    def pending(self) -> DataFrame:
+        """(shard, pivot, target, stat): screened edges that wait for their verification."""
+        params = self.params
+
+        def work(shard: int, parts: list[dict]) -> Iterator[pa.RecordBatch]:
+            g = from_parts(parts, params)
+            for pivot, node, stat in g.pending:
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(pivot), shard, dtype=np.int32)), pa.array(g.ids[pivot]), pa.array(g.ids[node]), pa.array(stat.astype(np.float64))], ["shard", "pivot", "target", "stat"])
+
+        return on_shards(self.blobs(), work, "shard int, pivot bigint, target bigint, stat double")
+
     def size_report(self) -> DataFrame:
-        """(part, bytes) of the index."""
+        """(part, bytes) of the index, from the lengths of its arrays."""
+        total = lambda *cs: F.coalesce(sum((F.sum(F.coalesce(F.octet_length(c), F.lit(0))) for c in cs), F.lit(0)), F.lit(0)).cast("bigint")
         p = self.params
-        edges = F.coalesce(F.sum(F.size("adj")), F.lit(0))
-        one = self.rows.agg(
-            (F.count("*") * p.dim * (2 if p.half else 4)).alias("vectors"),
-            (edges * 4).alias("edges"),
-            (edges * ((12 + p.blocks) if p.gate or p.screen else 0)).alias("projection"),
-            (F.coalesce(F.sum(F.size("copies")), F.lit(0)) * 16).alias("copies"),
+        tested = ("length", "own", "shift", "codes") if p.gate or p.screen else ()
+        upper = F.aggregate(F.coalesce("layers", F.array()), F.lit(0), lambda s, l: s + (F.octet_length(l["degree"]) + F.octet_length(l["adj"]) + F.octet_length(l["places"])).cast("int"))
+        one = self.blobs().agg(
+            total("x").alias("vectors"),
+            (total("adj", "degree") + F.coalesce(F.sum(upper), F.lit(0))).alias("edges"),
+            (total(*tested) if tested else F.lit(0).cast("bigint")).alias("projection"),
+            total("ids", "origin", "copy_at", "copy_id", "entries").alias("names"),
+            total("pending").alias("pending"),
         )
-        return one.unpivot([], ["vectors", "edges", "projection", "copies"], "part", "bytes")
+        return one.unpivot([], ["vectors", "edges", "projection", "names", "pending"], "part", "bytes")
 
     def manifest(self) -> dict:
-        return {"format_version": 1, "params": self.params.as_dict(), "shards": self.shards}
+        return {"format_version": 2, "params": self.params.as_dict(), "shards": self.shards, "generations": self.generations, "centroids": self.centroids.tolist()}
 
     # --- searching -----------------------------------------------------------------
 
     def search(self, queries: DataFrame, k: int, ef: int, probes: int | None = None, **options) -> DataFrame:
         """(qid, rank, vec_id, dist and the counters): the k nearest found for each ``queries(qid, qvec)``."""
-        params, spark = self.params, self.rows.sparkSession
-        ship(spark)
-        routed = self.route(queries, probes)
-
-        def work(key, rows: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
-            return search_shard(from_rows(rows, params), asked, k, ef, options)
-
-        found = self.rows.groupBy("shard").cogroup(routed.groupBy("shard")).applyInPandas(work, HIT)
+        params = self.params
+        reads = max(1, -(-queries.count() * params.dim // SENT_FLOATS))
+        if reads <= MOST_READS:
+            parts = queries if reads == 1 else None
+            blocks = [parts] if parts is not None else [queries.where(F.pmod(F.xxhash64("qid"), F.lit(reads)) == i) for i in range(reads)]
+            found = None
+            for block in blocks:
+                one = self._search_in_place(block, k, ef, probes, options)
+                found = one if found is None else found.unionByName(one)
+        else:
+            found = self._search_shuffled(queries, k, ef, probes, options)
         order = Window.partitionBy("qid").orderBy("dist", "vec_id")
         over = Window.partitionBy("qid")
         totals = [F.sum(c).over(over).alias(c) for c in COUNTERS]  # each shard reports its counters on one row
         ranked = found.select("qid", "vec_id", "dist", *totals, F.row_number().over(order).alias("rank"))
-        return ranked.where((F.col("rank") <= k) & F.col("vec_id").isNotNull()).select("qid", "rank", "vec_id", "dist", *COUNTERS)
+        return ranked.where(F.col("rank") <= k).select("qid", "rank", "vec_id", "dist", *COUNTERS)
+
+    def _search_in_place(self, block: DataFrame, k: int, ef: int, probes: int | None, options: dict) -> DataFrame:
+        """A block of queries of checked size goes to the files of the shards that it probes."""
+        params = self.params
+        rows = block.select("qid", "qvec").toArrow()
+        qid, q = rows.column("qid").to_numpy(), vectors_of(rows.column("qvec").combine_chunks(), params.dim)
+        asked = self.probed(q, probes)
+        wanted = {s: np.flatnonzero((asked == s).any(axis=1)) for s in np.unique(asked).tolist()} if probes and probes < self.shards else None
+        sent = self.spark.sparkContext.broadcast((qid, q, wanted))
+
+        def work(shard: int, parts: list[dict]) -> Iterator[pa.RecordBatch]:
+            qid, q, wanted = sent.value
+            mine = slice(None) if wanted is None else wanted[shard]
+            yield answers(from_parts(parts, params), qid[mine], q[mine], k, ef, options)
+
+        return on_shards(self.blobs(None if wanted is None else sorted(wanted)), work, HIT)
+
+    def _search_shuffled(self, queries: DataFrame, k: int, ef: int, probes: int | None, options: dict) -> DataFrame:
+        """Queries without a bound are shuffled to the shards, and the blobs with them."""
+        params = self.params
+        ship(self.spark)
+
+        def work(key: tuple[pa.Scalar, ...], parts: pa.Table, asked: pa.Table) -> pa.Table:
+            graph = from_parts(parts.to_pylist(), params)
+            hits = [
+                answers(graph, b.column("qid").to_numpy(), vectors_of(b.column("qvec"), params.dim), k, ef, options) for b in asked.to_batches(max_chunksize=4096) if b.num_rows
+            ]
+            return pa.Table.from_batches(hits, schema=_HIT)
+
+        return self.blobs().groupBy("shard").cogroup(self.route(queries, probes).groupBy("shard")).applyInArrow(work, HIT)
+
+    def probed(self, q: np.ndarray, probes: int | None) -> np.ndarray:
+        """Places of the shards that each vector probes (all if not said)."""
+        if probes is None or probes >= self.shards:
+            return np.tile(np.arange(self.shards), (len(q), 1))
+        return nearest_cells(self._unit(q), self.centroids, probes)
+
+    def _unit(self, x: np.ndarray) -> np.ndarray:
+        return x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12) if self.params.metric == "cosine" else x
+
+    def home(self, ids: np.ndarray, x: np.ndarray) -> np.ndarray:
+        """The shard that each new vector goes to: of the nearest cell's shards, by a hash of the id."""
+        from .kernel import _scramble
+
+        near = self.cells[nearest_cells(self._unit(x), self.centroids, 1)[:, 0]]
+        members = [np.flatnonzero(self.cells == c) for c in range(int(self.cells.max()) + 1)]
+        return np.array([members[c][h % len(members[c])] for c, h in zip(near.tolist(), _scramble(ids, self.params.seed).tolist())], dtype=np.int64)
 
     def route(self, queries: DataFrame, probes: int | None = None) -> DataFrame:
-        """(shard, qid, qvec): each query once for each shard it probes (all if not said)."""
-        if self.shards == 1:
-            return queries.select(F.lit(0).alias("shard"), "qid", "qvec")
+        """(shard, qid, qvec): each query once for each shard it probes."""
         if probes is None or probes >= self.shards:
             return queries.select(F.explode(F.sequence(F.lit(0), F.lit(self.shards - 1))).alias("shard"), "qid", "qvec")
-        centroids = self.centroids
+        ship(self.spark)
+        me, dim = replace(self, spark=None), self.params.dim
 
-        @F.pandas_udf("array<int>")
-        def nearest(v: pd.Series) -> pd.Series:
-            x = np.array(v.tolist(), dtype=np.float32)
-            return pd.Series(list(((centroids**2).sum(1) - 2 * x @ centroids.T).argsort(axis=1)[:, :probes].astype(np.int32)))
+        def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                if b.num_rows:
+                    near = me.probed(vectors_of(b.column(1), dim), probes)
+                    at = pa.array(np.repeat(np.arange(b.num_rows), probes))
+                    yield pa.RecordBatch.from_arrays([pa.array(near.ravel().astype(np.int32)), b.column(0).take(at), b.column(1).take(at)], ["shard", "qid", "qvec"])
 
-        return queries.select(F.explode(nearest("qvec")).alias("shard"), "qid", "qvec")
+        return queries.select("qid", "qvec").mapInArrow(work, "shard int, qid bigint, qvec array<float>")
 
     # --- files ---------------------------------------------------------------------
 
-    def save(self, path: str) -> Index:
-        """Write the table and the manifest; the manifest comes last, so a reader never sees a part."""
-        spark = self.rows.sparkSession
-        self.rows.write.partitionBy("shard").parquet(f"{path}/rows")
-        note = json.dumps(self.manifest() | {"centroids": self.centroids.tolist()})
-        spark.createDataFrame([(note,)], "manifest string").coalesce(1).write.text(f"{path}/manifest")
-        return Index.open(spark, path)
+    def write(self, rows: DataFrame) -> str:
+        """A new generation: the rows of whole shards, a file each."""
+        folder = shared_folder(self.spark, "generation")
+        rows.write.options(**_ONE_GROUP).partitionBy("shard").parquet(folder)
+        return folder
+
+    def save(self, path: str | None = None) -> Index:
+        """Write the manifest, which comes last, so that a reader never sees a part."""
+        self.path = path or shared_folder(self.spark, "index")
+        self.spark.createDataFrame([(json.dumps(self.manifest()),)], "manifest string").coalesce(1).write.text(f"{self.path}/manifest")
+        return self
 
     @staticmethod
     def open(spark: SparkSession, path: str) -> Index:
         note = json.loads(spark.read.text(f"{path}/manifest").first()[0])
-        if note["format_version"] != 1:
+        if note["format_version"] != 2:
             raise ValueError(f"index format {note['format_version']} is not known")
-        rows = spark.read.schema(ROW).parquet(f"{path}/rows")
-        return Index(rows, Params(**note["params"]), np.array(note["centroids"], dtype=np.float32), path)
-
-
-def search_shard(graph: Graph, asked: pd.DataFrame, k: int, ef: int, options: dict) -> pd.DataFrame:
-    """Answers of one shard; copies of a node are answers too."""
-    columns = [c.split()[0] for c in HIT.split(", ")]
-    if not len(asked) or graph.size == 0:
-        return pd.DataFrame({c: [] for c in columns}).astype({c: "float64" if c == "dist" else "int64" for c in columns})
-    q = np.array(asked["qvec"].tolist(), dtype=np.float32)
+        return Index(spark, Params(**note["params"]), np.array(note["centroids"], dtype=np.float32), [(f, s) for f, s in note["generations"]], path)
+
+    def compacted(self) -> Index:
+        """The same index with all changed shards in one generation; blobs are copied as they are."""
+        changed = sorted({s for _, held in self.generations[1:] for s in held})
+        if len(self.generations) < 3:
+            return self
+        # A shard's rows stand together in a partition and stay so: nothing is exchanged.
+        folder = self.write(self.blobs(changed))
+        return replace(self, generations=[self.generations[0], (folder, changed)], path=None)
+
+
+def answers(graph: Graph, qid: np.ndarray, q: np.ndarray, k: int, ef: int, options: dict) -> pa.RecordBatch:
+    """Answers of one shard; copies of a node are answers too, the k least ids of them."""
+    if not len(qid) or graph.size == 0:
+        return pa.RecordBatch.from_arrays([pa.array([], type=f.type) for f in _HIT], schema=_HIT)
     found = graph.search(q, k, ef, **options)
-    out = {c: [] for c in columns}
-    for i, qid in enumerate(asked["qid"].tolist()):
-        first = True
-        for at, d in zip(found.ids[i].tolist(), found.dist[i].tolist()):
-            if at < 0:
-                continue
-            for vec_id in (int(graph.ids[at]), *graph.copies.get(at, ())):
-                out["qid"].append(qid)
-                out["vec_id"].append(vec_id)
-                out["dist"].append(d)
-                for c in COUNTERS:
-                    out[c].append(int(found.counters[c][i]) if first else 0)
-                first = False
-    return pd.DataFrame(out)
-
-
-def build_index(corpus: DataFrame, params: Params, path: str | None = None) -> Index:
-    """Build and save the index of ``corpus(vec_id, embedding)``; each shard by one task."""
+    row, col = np.nonzero(found.ids >= 0)
+    at = found.ids[row, col]
+    ids, dist = graph.ids[at], found.dist[row, col].astype(np.float64)
+    if graph.copies:
+        more = [(i, c) for i, a in enumerate(at.tolist()) if a in graph.copies for c in sorted(graph.copies[a])[:k]]
+        if more:
+            source = np.array([i for i, _ in more])
+            row, dist, ids = np.concatenate([row, row[source]]), np.concatenate([dist, dist[source]]), np.concatenate([ids, np.array([c for _, c in more])])
+    first = np.zeros(len(row), dtype=bool)
+    first[np.unique(row, return_index=True)[1]] = True
+    counters = [np.where(first, found.counters[c][row], 0) for c in COUNTERS]
+    return pa.RecordBatch.from_arrays([pa.array(v, type=f.type) for v, f in zip([qid[row], ids, dist, *counters], _HIT)], schema=_HIT)
+
+
+def build_index(corpus: DataFrame, params: Params, path: str | None = None, shards: int = 1) -> Index:
+    """Build and save the index of ``corpus(vec_id, embedding)``; each shard by one task. ``shards`` asks for more shards than the size needs."""
     spark = corpus.sparkSession
     ship(spark)
-    placed, centroids = assign_shards(corpus.select("vec_id", "embedding"), params)
+    placed, centroids = assign_shards(corpus.select("vec_id", "embedding"), params, shards)
 
-    def work(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("vec_id", ignore_index=True)
-        return to_rows(build(pdf["vec_id"].to_numpy(), np.array(pdf["embedding"].tolist(), dtype=np.float32), params), int(key[0]))
+    def work(key: tuple[pa.Scalar, ...], rows: pa.Table) -> pa.Table:
+        rows = rows.sort_by("vec_id")
+        x = np.frombuffer(b"".join(rows.column("x").to_pylist()), dtype=np.float32).reshape(-1, params.dim)
+        return pa.Table.from_batches(to_parts(build(rows.column("vec_id").to_numpy(), x, params), key[0].as_py()), schema=_PARTS)
 
-    rows = placed.groupBy("shard").applyInPandas(work, ROW)
-    return Index(rows, params, centroids).save(path or shared_folder(spark, "index"))
+    index = Index(spark, params, centroids, [])
+    index.generations = [(index.write(placed.groupBy("shard").applyInArrow(work, PARTS)), None)]
+    return index.save(path)
 
 
-def insert_batch(index: Index, new: DataFrame, path: str | None = None) -> Index:
-    """A new version of the index with ``new(vec_id, embedding)``; pending edges are verified at its end.
+def insert_batch(index: Index, new: DataFrame, path: str | None = None, verify: bool = True, stats: list | None = None) -> Index:
+    """A new version of the index with ``new(vec_id, embedding)``; only shards that get vectors are written again.
 
-    Ids that are there already are left out, so a repeated batch changes nothing.
+    A vector that its shard holds under the same id is left out, so a repeated
+    batch changes nothing. Without ``verify`` screened edges wait in the shards.
+    ``stats`` receives (shard, vectors, seconds, exact distances) of each insertion.
     """
-    params, spark = index.params, new.sparkSession
+    params, spark = index.params, index.spark
     ship(spark)
-    known = index.rows.select("vec_id").union(index.copies().select("vec_id"))
-    fresh = new.select("vec_id", "embedding").dropDuplicates(["vec_id"]).join(known, "vec_id", "left_anti")
-    routed = index.route(fresh.select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec")), 1 if index.shards > 1 else None)
-
-    def work(key, rows: pd.DataFrame, added: pd.DataFrame) -> pd.DataFrame:
-        graph = from_rows(rows, params)
-        if len(added):
-            added = added.sort_values("qid", ignore_index=True)
-            graph.insert(added["qid"].to_numpy(), np.array(added["qvec"].tolist(), dtype=np.float32))
-        return to_rows(graph, int(key[0]))
-
-    rows = index.rows.groupBy("shard").cogroup(routed.groupBy("shard")).applyInPandas(work, ROW)
-    return Index(rows, params, index.centroids).save(path or shared_folder(spark, "index"))
+    fresh = new.select("vec_id", "embedding").dropDuplicates(["vec_id"])
+    reads = -(-fresh.count() * params.dim // SENT_FLOATS)
+    if reads == 0:
+        return index
+    for i in range(reads):
+        part = fresh if reads == 1 else fresh.where(F.pmod(F.xxhash64("vec_id"), F.lit(reads)) == i)
+        index = _insert_block(index, part, verify, stats)
+    if len(index.generations) > MOST_GENERATIONS:
+        index = index.compacted()
+    return index.save(path)
+
+
+def _insert_block(index: Index, part: DataFrame, verify: bool, stats: list | None) -> Index:
+    """Vectors of a checked size go to the files of their shards."""
+    import time
+
+    params, spark = index.params, index.spark
+    rows = part.toArrow().sort_by("vec_id")
+    ids, x = rows.column("vec_id").to_numpy(), vectors_of(rows.column("embedding").combine_chunks(), params.dim)
+    home = index.home(ids, x)
+    touched = np.unique(home).tolist()
+    sent = spark.sparkContext.broadcast((ids, x, home))
+    spent = spark.sparkContext.accumulator([], _Notes()) if stats is not None else None
+
+    def work(shard: int, parts: list[dict]) -> Iterator[pa.RecordBatch]:
+        ids, x, home = sent.value
+        graph = from_parts(parts, params)
+        held = np.isin(ids, np.concatenate([graph.ids[: graph.size], *[np.array(v) for v in graph.copies.values()]]))
+        mine = (home == shard) & ~held
+        began, paid = time.perf_counter(), graph.exact
+        graph.insert(ids[mine], x[mine], verify)
+        if spent is not None:
+            spent.add([(shard, int(mine.sum()), time.perf_counter() - began, graph.exact - paid)])
+        yield from to_parts(graph, shard)
+
+    folder = index.write(on_shards(index.blobs(touched), work, PARTS))
+    if stats is not None:
+        stats += spent.value
+    return replace(index, generations=[*index.generations, (folder, touched)], path=None)
+
+
+class _Notes:
+    """Lists that tasks add to."""
+
+    def zero(self, value: list) -> list:
+        return []
+
+    def addInPlace(self, a: list, b: list) -> list:  # noqa: N802  Spark's name
+        return a + b

@@ -426,8 +426,9 @@ class Graph:
             self._set_edges(u[r], cand[r, c], 0)
             self.origin[u[r], _ranks(r)] = marks[r, c]
 
-    def insert(self, ids: np.ndarray, vectors: np.ndarray) -> None:
-        """Insert raw vectors, in batches that double up to ``max_batch``; pending edges are verified on the way."""
+    def insert(self, ids: np.ndarray, vectors: np.ndarray, verify: bool = True) -> None:
+        """Insert raw vectors, in batches that double up to ``max_batch``; pending edges are verified on the way, or wait."""
+        self.verify = verify
         q = prepare(vectors, self.params, self.rotation)
         ids = np.asarray(ids, dtype=np.int64)
         # Copies among the new vectors follow their first.
@@ -444,7 +445,8 @@ class Graph:
             done += size
         for i in np.flatnonzero(lead != np.arange(len(ids))).tolist():
             self.copies.setdefault(place[int(lead[i])], []).append(int(ids[i]))
-        self.verify_pending()
+        if verify:
+            self.verify_pending()
 
     def _insert_batch(self, ids: np.ndarray, q: np.ndarray) -> list[int]:
         """Places of the new nodes; a vector equal to a node joins it."""
@@ -501,7 +503,7 @@ class Graph:
             best = _ranks(node) < p.cap if len(node) else np.zeros(0, dtype=bool)
             self.pending.append((pivot[best], node[best], stat[best]))
         self.batches += 1
-        if self.batches % p.verify_every == 0:
+        if self.verify and self.batches % p.verify_every == 0:
             self.verify_pending()
         if p.layers:
             self._insert_upper(np.arange(old, self.size))
@@ -523,6 +525,7 @@ class Graph:
         self.entries = list(dict.fromkeys([medoid, *range(min(4, self.size))]))
 
     entries_at = 0
+    verify = True
 
     def _insert_upper(self, places: np.ndarray) -> None:
         """Nodes whose drawn level is l also enter the layers 1..l."""
@@ -564,7 +567,7 @@ class Graph:
             "vectors": self.size * self.params.dim * (2 if self.params.half else 4),
             "edges": edges * 4,
             "projection": edges * (12 + self.params.blocks) if self.params.gate or self.params.screen else 0,
-            "pending": sum(len(p[0]) for p in self.pending) * 12,
+            "pending": sum(len(p[0]) for p in self.pending) * 24,
         }
 
 

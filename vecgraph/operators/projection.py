@@ -19,6 +19,10 @@ from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 from ..params import Params
 
 
+#: Vectors that are turned at once.
+ROTATED = 64
+
+
 @lru_cache(maxsize=4)
 def orthogonal(dim: int, seed: int) -> np.ndarray:
     """A random orthogonal matrix (QR of a Gaussian one, signs fixed); kept, so not to be written to."""
@@ -54,7 +58,15 @@ def prepare(vectors: np.ndarray, params: Params, rotation: np.ndarray | None = N
         x = x / np.where(norms > 0, norms, 1)
     if params.padded > params.dim:
         x = np.hstack([x, np.zeros((len(x), params.padded - params.dim), dtype=np.float32)])
-    return x @ (orthogonal(params.padded, params.seed) if rotation is None else rotation)
+    rotation = orthogonal(params.padded, params.seed) if rotation is None else rotation
+    # In blocks of one shape, so that a vector turns to the same bits whatever stands beside it, and copies stay copies.
+    out = np.empty((-(-len(x) // ROTATED) * ROTATED, params.padded), dtype=np.float32)
+    for i in range(0, len(x), ROTATED):
+        part = x[i : i + ROTATED]
+        if len(part) < ROTATED:
+            part = np.vstack([part, np.zeros((ROTATED - len(part), params.padded), dtype=np.float32)])
+        np.matmul(part, rotation, out=out[i : i + ROTATED])
+    return out[: len(x)]
 
 
 def profile(source: np.ndarray, target: np.ndarray, refs: np.ndarray):

@@ -27,7 +27,8 @@ class Params:
     half: bool = False  # two-byte floats for stored vectors
     max_batch: int = 256
     verify_every: int = 1  # build batches between two verifications of pending edges
-    shard_size: int = 500_000
+    shard_bytes: int = 128 << 20  # of one shard's vectors and links
+    shard_size: int = 0  # vectors of one shard; 0: as many as fit the bytes
     preset: str = "custom"
 
     def __post_init__(self) -> None:
@@ -45,6 +46,16 @@ class Params:
         """The dimension with zeros added so that it divides into equal blocks; distances stay."""
         return -(-self.dim // self.blocks) * self.blocks
 
+    @property
+    def node_bytes(self) -> int:
+        """Bytes of a node with all its links in memory."""
+        return 4 * self.padded + self.cap * (4 * 4 + 1 + self.blocks) + 12
+
+    @property
+    def per_shard(self) -> int:
+        """Vectors of one shard at most."""
+        return self.shard_size or max(64, self.shard_bytes // self.node_bytes)
+
     def but(self, **changes) -> Params:
         return replace(self, **changes)
 

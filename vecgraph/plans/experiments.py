@@ -1,23 +1,28 @@
 """Experiments: every method over one corpus, each (method, shard) by one task.
 
-``run`` gives the answers of all methods at all widths with their counters;
-``summary`` joins them with the exact answers. Times are taken inside the tasks;
-counts are what comparisons rest on, as they do not depend on the machine.
+The corpus is written once as blobs, a file a shard; each method reads the files
+in place, so vectors are not copied for methods and nothing is exchanged. ``run``
+gives the answers of all methods at all widths with their counters; ``summary``
+joins them with the exact answers. Times and peaks of memory are taken inside the
+tasks, after a search that warms up; counts are what comparisons rest on, as they
+do not depend on the machine.
 """
 
 from __future__ import annotations
 
 import time
 from dataclasses import dataclass, replace
+from functools import reduce
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from ..operators import baselines as B
 from ..operators import measures as M
 from ..operators.exact import exact_knn
-from ..operators.index import assign_shards, kmeans
+from ..operators.index import SENT_FLOATS, kmeans, on_shards, raw_shards, raw_vectors, vectors_of
 from ..operators.kernel import Graph, build
 from ..operators.quantised import Coder
 from ..params import Params
@@ -27,7 +32,7 @@ RUN = (
     "method string, ef int, qid bigint, vec_id bigint, dist double, rank int, n_checked bigint, n_pass bigint, n_exact bigint, n_visited bigint, "
     "n_fp bigint, n_fp_reused bigint, n_rounds bigint, search_s double"
 )
-BUILT = "method string, shard int, n bigint, build_exact bigint, build_search bigint, build_s double, edges bigint, screen_edges bigint, vectors_b bigint, edges_b bigint, projection_b bigint, codes_b bigint, zero_in bigint"
+BUILT = "method string, shard int, n bigint, build_exact bigint, build_search bigint, build_s double, edges bigint, screen_edges bigint, vectors_b bigint, edges_b bigint, projection_b bigint, codes_b bigint, zero_in bigint, build_peak bigint, search_peak bigint"
 
 #: What a search costs in a shard.
 COUNTED = ("n_checked", "n_pass", "n_exact", "n_visited", "n_fp", "n_fp_reused", "n_rounds", "search_s")
@@ -175,7 +180,30 @@ def _answers(method: Method, made, qid, q, k: int, ef: int) -> pd.DataFrame:
     return rows.assign(method=method.name, ef=ef).drop(columns="i")
 
 
-def run(corpus: DataFrame, queries: DataFrame, methods: list[Method], k: int, efs: list[int]) -> tuple[DataFrame, DataFrame]:
+class Peak:
+    """Bytes by which this process's memory rises at most, where the system tells."""
+
+    def __enter__(self) -> Peak:
+        self.bytes = None
+        try:
+            with open("/proc/self/clear_refs", "w") as f:
+                f.write("5")  # the peak starts anew
+            self.before = self._read("VmRSS")
+        except OSError:
+            self.before = None
+        return self
+
+    def __exit__(self, *_) -> None:
+        if self.before is not None:
+            self.bytes = max(0, self._read("VmHWM") - self.before)
+
+    @staticmethod
+    def _read(name: str) -> int:
+        with open("/proc/self/status") as f:
+            return next(int(line.split()[1]) * 1024 for line in f if line.startswith(name))
+
+
+def run(corpus: DataFrame, queries: DataFrame, methods: list[Method], k: int, efs: list[int], shards: int = 1) -> tuple[DataFrame, DataFrame]:
     """(answers, builds) of all methods; both tables are materialised.
 
     Every query is searched in every shard. Counters of a query and sizes and
@@ -183,43 +211,55 @@ def run(corpus: DataFrame, queries: DataFrame, methods: list[Method], k: int, ef
     """
     spark = corpus.sparkSession
     ship(spark)
-    dim = methods[0].params.dim
-    placed, _ = assign_shards(corpus, methods[0].params)
-    names = spark.createDataFrame([(m.name,) for m in methods], "method string")
-    tasks = placed.crossJoin(F.broadcast(names))  # a dozen names
-    asked = queries.crossJoin(F.broadcast(names.select(F.concat("method").alias("method"))))
-    shards = placed.select((F.col("shard") + 0).alias("shard")).distinct()
-    asked = asked.crossJoin(F.broadcast(shards))  # a row a shard
-    by_name = {m.name: m for m in methods}
-
-    def work(key, rows: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
-        method = by_name[key[0]]
-        rows = rows.sort_values("vec_id", ignore_index=True)
-        x = np.array(rows["embedding"].tolist(), dtype=np.float32).reshape(-1, dim)
-        began = time.perf_counter()
-        made = make(method, rows["vec_id"].to_numpy(), x)
-        row = built_row(method, made, time.perf_counter() - began, len(rows)) | {"method": method.name, "shard": int(key[1])}
-        asked = asked.sort_values("qid", ignore_index=True)
-        q = np.array(asked["qvec"].tolist(), dtype=np.float32).reshape(-1, dim)
-        parts = [_answers(method, made, asked["qid"].to_numpy(), q, k, ef) for ef in efs] if len(asked) else []
-        if not any(len(p) for p in parts):  # the build has its row without answers too
-            parts = [pd.DataFrame([{c.split()[0]: None for c in RUN.split(", ")}])]
-        out = pd.concat(parts, ignore_index=True)
-        for c, v in row.items():
-            out[c] = v
-        return out
-
-    both = RUN + ", " + BUILT.removeprefix("method string, ")
-    done = materialise(tasks.groupBy("method", "shard").cogroup(asked.groupBy("method", "shard")).applyInPandas(work, both), "experiment")
-    answers = done.select(*[c.split()[0] for c in RUN.split(", ")]).where("qid IS NOT NULL")
+    params = methods[0].params
+    raw, _ = raw_shards(corpus, params, shards)
+    reads = max(1, -(-queries.count() * params.dim // SENT_FLOATS))
+    builds, parts = None, []
+    for i in range(reads):
+        block = queries if reads == 1 else queries.where(F.pmod(F.xxhash64("qid"), F.lit(reads)) == i)
+        done = materialise(reduce(DataFrame.unionByName, [_run_block(raw, block, m, k, efs) for m in methods]), "experiment")
+        parts.append(done.select(*[c.split()[0] for c in RUN.split(", ")]).where("qid IS NOT NULL"))
+        built = [c.split()[0] for c in BUILT.split(", ")]
+        if builds is None:
+            one = done.select(*built).distinct().groupBy("method")
+            builds = one.agg(*[(F.max if c.endswith("_peak") else F.sum)(c).alias(c) for c in built if c not in ("method", "shard")])
+    answers = reduce(DataFrame.unionByName, parts)
     over = Window.partitionBy("method", "ef", "qid")
     totals = {c: F.sum(F.when(F.col("rank") == 1, F.col(c))).over(over) for c in COUNTED}  # one answer of each shard has rank 1
     answers = answers.withColumns(totals | {"rank": F.row_number().over(over.orderBy("dist", "vec_id"))}).where(F.col("rank") <= k)
-    built = [c.split()[0] for c in BUILT.split(", ")]
-    builds = done.select(*built).distinct().groupBy("method").agg(*[F.sum(c).alias(c) for c in built if c not in ("method", "shard")])
     return answers, builds
 
 
+def _run_block(raw: DataFrame, block: DataFrame, method: Method, k: int, efs: list[int]) -> DataFrame:
+    """One method over all shards with queries of a checked size; a build has its row without answers too."""
+    dim = method.params.dim
+    rows = block.select("qid", "qvec").toArrow().sort_by("qid")
+    sent = raw.sparkSession.sparkContext.broadcast((rows.column("qid").to_numpy(), vectors_of(rows.column("qvec").combine_chunks(), dim)))
+    both = RUN + ", " + BUILT.removeprefix("method string, ")
+    kinds = {"string": "object", "int": "Int32", "bigint": "Int64", "double": "float64"}
+
+    def work(shard: int, parts: list[dict]):
+        qid, q = sent.value
+        ids, x = raw_vectors(parts, dim)
+        with Peak() as build_peak:
+            began = time.perf_counter()
+            made = make(method, ids, x)
+            seconds = time.perf_counter() - began
+        row = built_row(method, made, seconds, len(ids)) | {"method": method.name, "shard": shard, "build_peak": build_peak.bytes}
+        if len(qid):
+            made.search(q[:8], min(k, 8), min(efs))  # warms up
+        with Peak() as search_peak:
+            found = [_answers(method, made, qid, q, k, ef) for ef in efs] if len(qid) else []
+        row["search_peak"] = search_peak.bytes
+        if not any(len(p) for p in found):
+            found = [pd.DataFrame([{c.split()[0]: None for c in RUN.split(", ")}])]
+        out = pd.concat(found, ignore_index=True).assign(**row)
+        columns = [c.split() for c in both.split(", ")]
+        yield pa.RecordBatch.from_pandas(out[[c for c, _ in columns]].astype({c: kinds[t] for c, t in columns}), preserve_index=False)
+
+    return on_shards(raw, work, both)
+
+
 def summary(answers: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     """(method, ef, recall, and mean counters) of each run."""
     recall = M.recall_at_k(answers, truth, k, ["method", "ef"])
@@ -228,13 +268,13 @@ def summary(answers: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     return recall.join(cost, ["method", "ef"]).join(speed, ["method", "ef"])
 
 
-def curve(spark: SparkSession, corpus: DataFrame, queries: DataFrame, methods: list[Method], k: int, efs: list[int], metric: str = "l2") -> tuple[DataFrame, DataFrame]:
-    """(runs, builds): the throughput-recall runs of all methods over a corpus."""
+def curve(spark: SparkSession, corpus: DataFrame, queries: DataFrame, methods: list[Method], k: int, efs: list[int], metric: str = "l2", shards: int = 1) -> tuple[DataFrame, DataFrame]:
+    """(runs, builds): the throughput-recall runs of all methods over a corpus of more than k vectors."""
     corpus = materialise(corpus, "corpus")
     queries = materialise(queries, "queries")
-    n = corpus.count()
-    k = max(1, min(k, n))
-    answers, builds = run(corpus, queries, methods, k, efs)
+    if k >= (n := corpus.count()):
+        raise ValueError(f"{k} of {n} vectors are asked for")
+    answers, builds = run(corpus, queries, methods, k, efs, shards)
     # Under cosine the methods report Euclidean distances of unit vectors.
     truth = exact_knn(corpus, queries, k, metric)
     if metric == "cosine":
