@@ -107,7 +107,7 @@ def test_curve_over_shards_searches_and_counts_all_of_them(spark, native, monkey
     again, builds = X.curve(spark, emb, q, [method], 10, [n])
     assert again.collect()[0].recall == 1.0 and builds.collect()[0].n == n
     # builds are reported without queries as well
-    assert X.run(emb, q.where("qid < 0"), [method], 10, [128])[1].collect()[0].n == n
+    assert X.run(emb, q.where("qid < 0"), [method], [(10, 128)])[1].collect()[0].n == n
     with pytest.raises(ValueError):
         X.curve(spark, emb, q, [method], n, [n])
 

@@ -3,7 +3,7 @@
 Two ways with one result. ``plan="sql"`` compares every pair in a nested-loop
 join and keeps the k best with a ranking window, which Spark limits within each
 partition before it shuffles. ``plan="blocks"`` multiplies blocks of vectors in
-the workers and emits k rows for each query and partition. Either needs the
+the workers and emits k rows for each query and batch. Either needs the
 queries on every machine, so their size is checked; more queries are taken in
 blocks of their own.
 """
@@ -56,17 +56,19 @@ def exact_knn(corpus: DataFrame, queries: DataFrame, k: int, metric: str = "l2",
 
 
 def _block_pairs(corpus: DataFrame, block: DataFrame, k: int, metric: str, exclude_self: bool) -> DataFrame:
-    """The k best of each partition for each query, by block products and exact re-measurement."""
+    """The k best of each batch for each query, by block products and exact re-measurement."""
     if metric not in ("l2", "cosine", "dot"):
         raise ValueError("block products serve l2, cosine and dot")
     ship(corpus.sparkSession)
-    rows = block.select("qid", "qvec").collect()  # a block of checked size
-    qid = np.array([r.qid for r in rows], dtype=np.int64)
-    q = np.array([r.qvec for r in rows], dtype=np.float64)
+    rows = block.select("qid", "qvec").toArrow()  # a block of checked size
+    qid = rows.column("qid").to_numpy().astype(np.int64)
+    q = np.asarray(rows.column("qvec").combine_chunks().flatten(), dtype=np.float64).reshape(len(qid), -1)
+    sent = corpus.sparkSession.sparkContext.broadcast((qid, q))
 
     def work(batches):
+        qid, q = sent.value
         for batch in batches:
-            if not batch.num_rows:
+            if not batch.num_rows or not len(qid):
                 continue
             ids = batch.column(0).to_numpy(zero_copy_only=False)
             x = np.asarray(batch.column(1).flatten(), dtype=np.float64).reshape(batch.num_rows, -1)
@@ -90,15 +92,21 @@ def _best(ids, x, qid, q, k, metric, exclude_self):
         if exclude_self:
             rough[qid[i : i + 256, None] == ids[None, :]] = np.inf
         rough = np.where(np.isnan(rough), np.inf, rough)
-        # The k-th value, and all rows within rounding of it, so that ties are settled by id later.
+        # The k-th value, and all rows within rounding of it: they are measured again, and the k least by (distance, id) stay.
         kth = np.partition(rough, take - 1, axis=1)[:, take - 1]
         r, c = np.nonzero(rough <= kth[:, None] + 1e-9 * (1 + np.abs(kth[:, None])))
         keep = np.isfinite(rough[r, c])
         r, c = r[keep], c[keep]
         if metric == "l2":
-            dist = np.sqrt(((part[r] - x[c]) ** 2).sum(axis=1))
+            dist = np.concatenate([np.zeros(0), *[np.sqrt(((part[r[j : j + 65536]] - x[c[j : j + 65536]]) ** 2).sum(axis=1)) for j in range(0, len(r), 65536)]])
         else:
             dist = rough[r, c]
+        order = np.lexsort((ids[c], dist, r))
+        r, c, dist = r[order], c[order], dist[order]
+        if len(r):
+            begins = np.flatnonzero(np.concatenate([[True], r[1:] != r[:-1]]))
+            first = np.arange(len(r)) - np.repeat(begins, np.diff(np.append(begins, len(r)))) < k
+            r, c, dist = r[first], c[first], dist[first]
         yield pa.RecordBatch.from_arrays([pa.array(qid[i + r]), pa.array(ids[c]), pa.array(dist)], ["qid", "vec_id", "dist"])
 
 

@@ -20,6 +20,7 @@ shards by a hash of the id.
 from __future__ import annotations
 
 import json
+import time
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field, replace
 
@@ -35,7 +36,7 @@ from .kernel import COUNTERS, ORIGINS, Graph, build
 _ARRAYS = ("ids", "x", "degree", "adj", "length", "own", "shift", "codes", "origin", "entries", "copy_at", "copy_id", "pending")
 PARTS = "part int, n int, " + ", ".join(f"{c} binary" for c in _ARRAYS) + ", layers array<struct<places:binary,degree:binary,adj:binary>>, shard int"
 RAW = "part int, ids binary, x binary, shard int"
-HIT = "qid bigint, vec_id bigint, dist double, " + ", ".join(f"{c} bigint" for c in COUNTERS)
+HIT = "qid bigint, vec_id bigint, dist double, " + ", ".join(f"{c} bigint" for c in COUNTERS) + ", search_s double"
 NODE = (
     "shard int, place int, vec_id bigint, vector binary, adj array<int>, edge_len array<float>, cos_own array<float>, "
     "proj_src array<float>, codes binary, origin array<tinyint>, copies array<bigint>, entry boolean"
@@ -377,8 +378,8 @@ class Index:
 
     # --- searching -----------------------------------------------------------------
 
-    def search(self, queries: DataFrame, k: int, ef: int, probes: int | None = None, **options) -> DataFrame:
-        """(qid, rank, vec_id, dist and the counters): the k nearest found for each ``queries(qid, qvec)``."""
+    def search(self, queries: DataFrame, k: int, ef: int, probes: int | None = None, timed: bool = False, **options) -> DataFrame:
+        """(qid, rank, vec_id, dist and the counters): the k nearest found for each ``queries(qid, qvec)``; ``timed`` adds the query's share of the tasks' seconds."""
         params = self.params
         reads = max(1, -(-queries.count() * params.dim // SENT_FLOATS))
         if reads <= MOST_READS:
@@ -392,9 +393,10 @@ class Index:
             found = self._search_shuffled(queries, k, ef, probes, options)
         order = Window.partitionBy("qid").orderBy("dist", "vec_id")
         over = Window.partitionBy("qid")
-        totals = [F.sum(c).over(over).alias(c) for c in COUNTERS]  # each shard reports its counters on one row
+        told = [*COUNTERS, *["search_s"] * timed]
+        totals = [F.sum(c).over(over).alias(c) for c in told]  # each shard reports its counters on one row
         ranked = found.select("qid", "vec_id", "dist", *totals, F.row_number().over(order).alias("rank"))
-        return ranked.where(F.col("rank") <= k).select("qid", "rank", "vec_id", "dist", *COUNTERS)
+        return ranked.where(F.col("rank") <= k).select("qid", "rank", "vec_id", "dist", *told)
 
     def _search_in_place(self, block: DataFrame, k: int, ef: int, probes: int | None, options: dict) -> DataFrame:
         """A block of queries of checked size goes to the files of the shards that it probes."""
@@ -494,19 +496,27 @@ def answers(graph: Graph, qid: np.ndarray, q: np.ndarray, k: int, ef: int, optio
     """Answers of one shard; copies of a node are answers too, the k least ids of them."""
     if not len(qid) or graph.size == 0:
         return pa.RecordBatch.from_arrays([pa.array([], type=f.type) for f in _HIT], schema=_HIT)
+    began = time.perf_counter()
     found = graph.search(q, k, ef, **options)
-    row, col = np.nonzero(found.ids >= 0)
-    at = found.ids[row, col]
-    ids, dist = graph.ids[at], found.dist[row, col].astype(np.float64)
-    if graph.copies:
-        more = [(i, c) for i, a in enumerate(at.tolist()) if a in graph.copies for c in sorted(graph.copies[a])[:k]]
-        if more:
-            source = np.array([i for i, _ in more])
-            row, dist, ids = np.concatenate([row, row[source]]), np.concatenate([dist, dist[source]]), np.concatenate([ids, np.array([c for _, c in more])])
+    seconds = (time.perf_counter() - began) / len(qid)
+    row, ids, dist = with_copies(found.ids, found.dist, graph.ids, graph.copies, k)
     first = np.zeros(len(row), dtype=bool)
     first[np.unique(row, return_index=True)[1]] = True
     counters = [np.where(first, found.counters[c][row], 0) for c in COUNTERS]
-    return pa.RecordBatch.from_arrays([pa.array(v, type=f.type) for v, f in zip([qid[row], ids, dist, *counters], _HIT)], schema=_HIT)
+    return pa.RecordBatch.from_arrays([pa.array(v, type=f.type) for v, f in zip([qid[row], ids, dist, *counters, np.where(first, seconds, 0.0)], _HIT)], schema=_HIT)
+
+
+def with_copies(found: np.ndarray, dist: np.ndarray, labels: np.ndarray, copies: dict[int, list[int]], k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row, label, distance) of all found places and of the k least copies of each."""
+    row, col = np.nonzero(found >= 0)
+    at = found[row, col]
+    ids, dist = labels[at], dist[row, col].astype(np.float64)
+    if copies:
+        more = [(i, c) for i, a in enumerate(at.tolist()) if a in copies for c in sorted(copies[a])[:k]]
+        if more:
+            source = np.array([i for i, _ in more])
+            row, dist, ids = np.concatenate([row, row[source]]), np.concatenate([dist, dist[source]]), np.concatenate([ids, np.array([c for _, c in more])])
+    return row, ids, dist
 
 
 def build_index(corpus: DataFrame, params: Params, path: str | None = None, shards: int = 1) -> Index:
@@ -548,8 +558,6 @@ def insert_batch(index: Index, new: DataFrame, path: str | None = None, verify:
 
 def _insert_block(index: Index, part: DataFrame, verify: bool, stats: list | None) -> Index:
     """Vectors of a checked size go to the files of their shards."""
-    import time
-
     params, spark = index.params, index.spark
     rows = part.toArrow().sort_by("vec_id")
     ids, x = rows.column("vec_id").to_numpy(), vectors_of(rows.column("embedding").combine_chunks(), params.dim)

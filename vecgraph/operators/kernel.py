@@ -199,7 +199,7 @@ class Graph:
         at += (row * (blocks * per_block))[:, None] + np.arange(blocks) * per_block
         return table.take(at) @ np.ones(blocks, dtype=np.float32) - self.shift.ravel().take(edge)
 
-    def _lockstep(self, q, ef, n, keep, gate=None, rings=None, work=None, screen=False, starts=None, scope="visited") -> Found:
+    def _lockstep(self, q, ef, n, keep, gate=None, rings=None, work=None, screen=False, starts=None) -> Found:
         p = self.params
         gate = p.gate if gate is None else gate
         rings = p.rings if rings is None else rings
@@ -496,7 +496,8 @@ class Graph:
             chosen = (stat < 0) & (node >= 0)
             pairs = set(zip(source.tolist(), target.tolist()))
             node, pivot, stat = node[chosen], pivot[chosen], stat[chosen]
-            fresh = np.array([(a, b) not in pairs for a, b in zip(node.tolist(), pivot.tolist())], dtype=bool)
+            # The rule has judged the out-neighbours already; looking at them alone finds nothing more.
+            fresh = np.array([p.scope == "visited" and (a, b) not in pairs for a, b in zip(node.tolist(), pivot.tolist())], dtype=bool)
             node, pivot, stat = node[fresh], pivot[fresh], stat[fresh]
             order = np.lexsort((pivot, stat, node))
             node, pivot, stat = node[order], pivot[order], stat[order]

@@ -60,13 +60,13 @@ def in_degrees(edges: DataFrame, nodes: DataFrame) -> DataFrame:
     return nodes.select("vec_id").join(found, "vec_id", "left").select("vec_id", F.coalesce("n", F.lit(0)).alias("in_degree"))
 
 
-def unreachable(edges: DataFrame, nodes: DataFrame, entries: DataFrame, most_steps: int = 64) -> DataFrame:
-    """Nodes that no path of edges reaches from the entries: a frontier loop over checkpointed tables."""
+def unreachable(edges: DataFrame, nodes: DataFrame, entries: DataFrame) -> DataFrame:
+    """Nodes that no path of edges reaches from the entries: a frontier loop over checkpointed tables, until nothing new is reached."""
     from ..sources.session import checkpoint
 
     reached = checkpoint(entries.select("vec_id").distinct())
     frontier = reached
-    for _ in range(most_steps):
+    while True:
         step = edges.join(frontier.select(F.col("vec_id").alias("src")), "src", "left_semi").select(F.col("dst").alias("vec_id")).distinct()
         frontier = checkpoint(step.join(reached, "vec_id", "left_anti"))
         if frontier.isEmpty():

@@ -120,27 +120,31 @@ def split_blocks(vector: Column, blocks: int, dim: int) -> Column:
 
 
 def profile_triples(triples: DataFrame, refs: DataFrame, dim: int, blocks: int) -> DataFrame:
-    """``triples(t, p, q, x)`` (id, pivot, target, neighbour vectors) with edge_len, way_len, cos_own, cos_target, cos_exact.
+    """``triples(.., p, q, x)`` (pivot, target, neighbour vectors) without the vectors and with edge_len, way_len, cos_own, cos_target, cos_exact.
 
-    ``refs`` is a table of a few hundred directions (blocks x per_block), broadcast.
+    ``refs`` is a table of a few hundred directions (blocks x per_block). They go
+    into one broadcast row, and every triple picks its directions by itself:
+    nothing is exploded or shuffled.
     """
     width = dim // blocks
+    family = refs.groupBy("block").agg(F.array_sort(F.collect_list(F.struct("ref", "dir"))).alias("own")).agg(F.array_sort(F.collect_list(F.struct("block", "own"))).alias("refs"))
     diff = lambda a, b: F.zip_with(F.col(a), F.col(b), lambda u, v: u.cast("double") - v.cast("double"))
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda u, v: u * v), F.lit(0.0), lambda s, u: s + u)
-    base = triples.select("t", diff("x", "p").alias("edge"), diff("q", "p").alias("way"))
-    base = base.select(
-        "t", "edge", "way", F.sqrt(dot(F.col("edge"), F.col("edge"))).alias("edge_len"), F.sqrt(dot(F.col("way"), F.col("way"))).alias("way_len"), dot(F.col("edge"), F.col("way")).alias("inner")
+    kept = [c for c in triples.columns if c not in ("p", "q", "x")]
+    base = triples.select(*kept, diff("x", "p").alias("edge"), diff("q", "p").alias("way")).crossJoin(F.broadcast(family))  # one row
+    cut = lambda c, b: F.slice(F.col(c), b * width + 1, F.lit(width))
+    # Of each block the direction with the largest product; ties go to the lowest reference.
+    seen = lambda b, r: F.struct(F.round(dot(cut("edge", b), r["dir"]), 9).alias("k"), (-r["ref"]).alias("r"), dot(cut("edge", b), r["dir"]).alias("own"), dot(cut("way", b), r["dir"]).alias("seen"))
+    best = F.transform("refs", lambda b: F.array_max(F.transform(b["own"], lambda r: seen(b["block"], r))))
+    total = lambda c: F.aggregate("best", F.lit(0.0), lambda s, b: s + b[c])
+    sized = base.select(
+        *kept, best.alias("best"), F.sqrt(dot(F.col("edge"), F.col("edge"))).alias("edge_len"), F.sqrt(dot(F.col("way"), F.col("way"))).alias("way_len"), dot(F.col("edge"), F.col("way")).alias("inner")
     )
-    cut = lambda c: F.slice(F.col(c), F.col("block") * width + 1, width)
-    each = base.select("t", "edge", "way").join(F.broadcast(refs)).select("t", "block", "ref", dot(cut("edge"), F.col("dir")).alias("own"), dot(cut("way"), F.col("dir")).alias("seen"))
-    # Ties go to the lowest reference.
-    best = each.groupBy("t", "block").agg(F.max_by(F.struct("own", "seen"), F.struct(F.round("own", 9), -F.col("ref"))).alias("b"))
-    sums = best.groupBy("t").agg(F.sum("b.own").alias("own"), F.sum("b.seen").alias("seen"))
-    return base.join(sums, "t").select(
-        "t",
+    return sized.select(
+        *kept,
         "edge_len",
         "way_len",
-        (F.col("own") / F.col("edge_len")).alias("cos_own"),
-        (F.col("seen") / F.col("way_len")).alias("cos_target"),
+        (total("own") / F.col("edge_len")).alias("cos_own"),
+        (total("seen") / F.col("way_len")).alias("cos_target"),
         (F.col("inner") / (F.col("edge_len") * F.col("way_len"))).alias("cos_exact"),
     )

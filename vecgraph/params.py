@@ -21,6 +21,7 @@ class Params:
     rings: bool = True
     screen: bool = True
     gate_in_build: bool = True  # False: the test only speeds up searches of a finished graph
+    scope: str = "visited"  # whom the screen looks at: all visited nodes, or "out": the new node's out-neighbours only
     threshold: str = "work"  # the gate's rim: of the working set, or of the whole "queue"
     layers: bool = False  # layered entry descent
     alpha: float = 1.0  # pruning ratio
@@ -34,8 +35,8 @@ class Params:
     def __post_init__(self) -> None:
         if self.dim < 1 or self.blocks < 1 or self.refs_per_block < 2 or self.refs_per_block > 256:
             raise ValueError("dim and blocks must be positive, refs_per_block within 2..256")
-        if self.metric not in ("l2", "cosine"):
-            raise ValueError("metric is l2 or cosine")
+        if self.metric not in ("l2", "cosine") or self.scope not in ("visited", "out"):
+            raise ValueError("metric is l2 or cosine, scope is visited or out")
 
     @property
     def cap(self) -> int:

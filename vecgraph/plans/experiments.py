@@ -22,14 +22,14 @@ from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 from ..operators import baselines as B
 from ..operators import measures as M
 from ..operators.exact import exact_knn
-from ..operators.index import SENT_FLOATS, kmeans, on_shards, raw_shards, raw_vectors, vectors_of
+from ..operators.index import SENT_FLOATS, kmeans, on_shards, raw_shards, raw_vectors, vectors_of, with_copies
 from ..operators.kernel import Graph, build
 from ..operators.quantised import Coder
 from ..params import Params
 from ..sources.session import materialise, ship
 
 RUN = (
-    "method string, ef int, qid bigint, vec_id bigint, dist double, rank int, n_checked bigint, n_pass bigint, n_exact bigint, n_visited bigint, "
+    "method string, k int, ef int, qid bigint, vec_id bigint, dist double, rank int, n_checked bigint, n_pass bigint, n_exact bigint, n_visited bigint, "
     "n_fp bigint, n_fp_reused bigint, n_rounds bigint, search_s double"
 )
 BUILT = "method string, shard int, n bigint, build_exact bigint, build_search bigint, build_s double, edges bigint, screen_edges bigint, vectors_b bigint, edges_b bigint, projection_b bigint, codes_b bigint, zero_in bigint, build_peak bigint, search_peak bigint"
@@ -46,6 +46,7 @@ class Method:
     kind: str  # graph, vamana, nsg, qgraph, pq, aniso, scalar, exact
     params: Params | None = None
     options: tuple[tuple[str, object], ...] = ()
+    inserts: bool = True  # whether vectors can be added to what is built
 
 
 def all_methods(dim: int, metric: str = "l2", **changes) -> list[Method]:
@@ -61,8 +62,8 @@ def all_methods(dim: int, metric: str = "l2", **changes) -> list[Method]:
         Method("ivfpq", "pq", Params(dim=dim, **common)),
         Method("aniso", "aniso", Params(dim=dim, **common)),
         Method("scalar", "scalar", Params(dim=dim, **common)),
-        Method("qgraph", "qgraph", Params(dim=dim, **common)),
-        Method("hnsw_test", "graph", B.plugin_params(dim, m_links=32, ef_build=128, blocks=base.blocks, refs_per_block=64, **common)),
+        Method("qgraph", "qgraph", Params(dim=dim, **common), inserts=False),
+        Method("hnsw_test", "graph", B.plugin_params(dim, m_links=32, ef_build=128, blocks=base.blocks, refs_per_block=64, **common), inserts=False),
     ]
 
 
@@ -80,16 +81,20 @@ def ablation_methods(dim: int, metric: str = "l2", **changes) -> list[Method]:
 class Cells:
     """A shard's quantised codes in memory."""
 
-    def __init__(self, kind: str, ids: np.ndarray, x: np.ndarray, params: Params):
+    #: Vectors that codebooks are trained on.
+    TRAIN = 20_000
+
+    def __init__(self, kind: str, ids: np.ndarray, x: np.ndarray, params: Params, rerank: int = 4):
         if params.metric == "cosine":
             x = x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
-        self.ids, self.x, self.metric = ids, x.astype(np.float64), params.metric
+        self.ids, self.x, self.metric, self.rerank = ids, x.astype(np.float64), params.metric, rerank
         nlist = max(1, int(np.sqrt(len(x)) / 2))
-        self.coder = Coder(kind, kmeans(self.x.astype(np.float32), nlist, params.seed).astype(np.float64), parts=max(4, params.dim // 8)).fit(self.x)
+        sample = self.x[np.random.default_rng(params.seed).choice(len(x), size=min(len(x), self.TRAIN), replace=False)]
+        self.coder = Coder(kind, kmeans(sample.astype(np.float32), nlist, params.seed).astype(np.float64), parts=max(4, params.dim // 8)).fit(sample)
         self.cell, self.codes, self.norm, self.factor = self.coder.encode(self.x)
         self.members = [np.flatnonzero(self.cell == c) for c in range(len(self.coder.centroids))]
 
-    def search(self, q: np.ndarray, k: int, ef: int, rerank: int = 4):
+    def search(self, q: np.ndarray, k: int, ef: int):
         if self.metric == "cosine":
             q = q / np.maximum(np.linalg.norm(q, axis=1, keepdims=True), 1e-12)
         nprobe = int(np.clip(ef // 8, 1, len(self.members)))
@@ -99,7 +104,7 @@ class Cells:
             probes = ((self.coder.centroids - v) ** 2).sum(axis=1).argsort()[:nprobe]
             rows = np.concatenate([self.members[c] for c in probes])
             est = np.concatenate([self.coder.estimate(v, int(c), self.codes[self.members[c]], self.norm[self.members[c]], self.factor[self.members[c]]) for c in probes])
-            best = rows[np.argsort(est, kind="stable")[: rerank * k]]
+            best = rows[np.argsort(est, kind="stable")[: self.rerank * k]]
             d = np.sqrt(((self.x[best] - v) ** 2).sum(axis=1))
             order = np.lexsort((self.ids[best], d))[:k]
             ids[i, : len(order)], dist[i, : len(order)] = best[order], d[order]
@@ -118,7 +123,7 @@ def make(method: Method, ids: np.ndarray, x: np.ndarray):
         return B.build_nsg(ids, x, p.dim, metric=p.metric, seed=p.seed, **options)
     if method.kind == "qgraph":
         return B.QuantisedGraph(ids, x, p.dim, metric=p.metric, **options)
-    return Cells(method.kind, ids, x, p)
+    return Cells(method.kind, ids, x, p, **options)
 
 
 def built_row(method: Method, made, seconds: float, n: int) -> dict:
@@ -150,34 +155,31 @@ def built_row(method: Method, made, seconds: float, n: int) -> dict:
     }
 
 
-def _answers(method: Method, made, qid, q, k: int, ef: int) -> pd.DataFrame:
+def _answers(method: Method, made, qid: np.ndarray, q: np.ndarray, k: int, ef: int, exclude_self: bool) -> pd.DataFrame:
+    """The k answers of each query, nearest first, with what its search has cost."""
+    wide = k + exclude_self
     began = time.perf_counter()
     if isinstance(made, Cells):
-        ids, dist, checked, exact = made.search(q, k, ef)
-        counters = {"n_checked": checked, "n_exact": exact}
-        labels, copies = made.ids, {}
+        found, dist, checked, exact = made.search(q, wide, ef)
+        counters, labels, copies = {"n_checked": checked, "n_exact": exact}, made.ids, {}
     else:
-        found = made.search(q, k, ef)
-        ids, dist, counters = found.ids, found.dist, found.counters
+        out = made.search(q, wide, max(wide, ef))
         g = getattr(made, "graph", made)
-        labels, copies = g.ids, g.copies
-    seconds = time.perf_counter() - began
-    out = []
-    for i in range(len(qid)):
-        at = 0
-        for place, d in zip(ids[i].tolist(), dist[i].tolist()):
-            if place < 0 or at == k:
-                break
-            for label in (int(labels[place]), *copies.get(place, ())):
-                if at < k:
-                    at += 1
-                    out.append((int(qid[i]), label, d, at, i))
-    rows = pd.DataFrame(out, columns=["qid", "vec_id", "dist", "rank", "i"])
+        found, dist, counters, labels, copies = out.ids, out.dist, out.counters, g.ids, g.copies
+    seconds = (time.perf_counter() - began) / max(1, len(qid))
+    row, ids, dist = with_copies(found, dist, labels, copies, wide)
+    if exclude_self:
+        other = ids != qid[row]
+        row, ids, dist = row[other], ids[other], dist[other]
+    order = np.lexsort((ids, dist, row))
+    row, ids, dist = row[order], ids[order], dist[order]
+    begins = np.flatnonzero(np.concatenate([[True], row[1:] != row[:-1]])) if len(row) else row
+    rank = np.arange(len(row)) - np.repeat(begins, np.diff(np.append(begins, len(row)))) + 1
+    row, ids, dist, rank = (v[rank <= k] for v in (row, ids, dist, rank))
+    rows = pd.DataFrame({"qid": qid[row], "vec_id": ids, "dist": dist, "rank": rank})
     for c in ("n_checked", "n_pass", "n_exact", "n_visited", "n_fp", "n_fp_reused", "n_rounds"):
-        values = counters.get(c, np.zeros(len(qid), dtype=np.int64))
-        rows[c] = values[rows["i"]] if len(rows) else np.zeros(0, dtype=np.int64)
-    rows["search_s"] = seconds / max(1, len(qid))
-    return rows.assign(method=method.name, ef=ef).drop(columns="i")
+        rows[c] = counters.get(c, np.zeros(len(qid), dtype=np.int64))[row]
+    return rows.assign(search_s=seconds, method=method.name, k=k, ef=ef)
 
 
 class Peak:
@@ -203,8 +205,8 @@ class Peak:
             return next(int(line.split()[1]) * 1024 for line in f if line.startswith(name))
 
 
-def run(corpus: DataFrame, queries: DataFrame, methods: list[Method], k: int, efs: list[int], shards: int = 1) -> tuple[DataFrame, DataFrame]:
-    """(answers, builds) of all methods; both tables are materialised.
+def run(corpus: DataFrame, queries: DataFrame, methods: list[Method], settings: list[tuple[int, int]], shards: int = 1, exclude_self: bool = False) -> tuple[DataFrame, DataFrame]:
+    """(answers, builds) of all methods at all settings (k, ef); both tables are materialised.
 
     Every query is searched in every shard. Counters of a query and sizes and
     seconds of a build are sums over the shards.
@@ -217,20 +219,20 @@ def run(corpus: DataFrame, queries: DataFrame, methods: list[Method], k: int, ef
     builds, parts = None, []
     for i in range(reads):
         block = queries if reads == 1 else queries.where(F.pmod(F.xxhash64("qid"), F.lit(reads)) == i)
-        done = materialise(reduce(DataFrame.unionByName, [_run_block(raw, block, m, k, efs) for m in methods]), "experiment")
+        done = materialise(reduce(DataFrame.unionByName, [_run_block(raw, block, m, settings, exclude_self) for m in methods]), "experiment")
         parts.append(done.select(*[c.split()[0] for c in RUN.split(", ")]).where("qid IS NOT NULL"))
         built = [c.split()[0] for c in BUILT.split(", ")]
         if builds is None:
             one = done.select(*built).distinct().groupBy("method")
             builds = one.agg(*[(F.max if c.endswith("_peak") else F.sum)(c).alias(c) for c in built if c not in ("method", "shard")])
     answers = reduce(DataFrame.unionByName, parts)
-    over = Window.partitionBy("method", "ef", "qid")
+    over = Window.partitionBy("method", "k", "ef", "qid")
     totals = {c: F.sum(F.when(F.col("rank") == 1, F.col(c))).over(over) for c in COUNTED}  # one answer of each shard has rank 1
-    answers = answers.withColumns(totals | {"rank": F.row_number().over(over.orderBy("dist", "vec_id"))}).where(F.col("rank") <= k)
+    answers = answers.withColumns(totals | {"rank": F.row_number().over(over.orderBy("dist", "vec_id"))}).where(F.col("rank") <= F.col("k"))
     return answers, builds
 
 
-def _run_block(raw: DataFrame, block: DataFrame, method: Method, k: int, efs: list[int]) -> DataFrame:
+def _run_block(raw: DataFrame, block: DataFrame, method: Method, settings: list[tuple[int, int]], exclude_self: bool) -> DataFrame:
     """One method over all shards with queries of a checked size; a build has its row without answers too."""
     dim = method.params.dim
     rows = block.select("qid", "qvec").toArrow().sort_by("qid")
@@ -247,9 +249,9 @@ def _run_block(raw: DataFrame, block: DataFrame, method: Method, k: int, efs: li
             seconds = time.perf_counter() - began
         row = built_row(method, made, seconds, len(ids)) | {"method": method.name, "shard": shard, "build_peak": build_peak.bytes}
         if len(qid):
-            made.search(q[:8], min(k, 8), min(efs))  # warms up
+            made.search(q[:8], 8, 16)  # warms up
         with Peak() as search_peak:
-            found = [_answers(method, made, qid, q, k, ef) for ef in efs] if len(qid) else []
+            found = [_answers(method, made, qid, q, k, ef, exclude_self) for k, ef in settings] if len(qid) else []
         row["search_peak"] = search_peak.bytes
         if not any(len(p) for p in found):
             found = [pd.DataFrame([{c.split()[0]: None for c in RUN.split(", ")}])]
@@ -260,26 +262,32 @@ def _run_block(raw: DataFrame, block: DataFrame, method: Method, k: int, efs: li
     return on_shards(raw, work, both)
 
 
-def summary(answers: DataFrame, truth: DataFrame, k: int) -> DataFrame:
-    """(method, ef, recall, and mean counters) of each run."""
-    recall = M.recall_at_k(answers, truth, k, ["method", "ef"])
-    cost = M.cost_report(answers, ["method", "ef"])
-    speed = answers.groupBy("method", "ef").agg((1 / F.avg("search_s")).alias("qps"))
-    return recall.join(cost, ["method", "ef"]).join(speed, ["method", "ef"])
+def summary(answers: DataFrame, truth: DataFrame) -> DataFrame:
+    """(method, k, ef, queries, recall, qps and mean counters) of each run; ``truth`` holds the most that any k asks for."""
+    by = ["method", "k", "ef"]
+    ks = sorted(r.k for r in answers.select("k").distinct().collect())  # a handful
+    recall = reduce(DataFrame.unionByName, [M.recall_at_k(answers.where(F.col("k") == k), truth, k, by) for k in ks])
+    cost = M.cost_report(answers, by)
+    speed = answers.where("rank = 1").groupBy(*by).agg((1 / F.avg("search_s")).alias("qps"))
+    return recall.join(cost, by).join(speed, by).withColumn("queries", F.lit(truth.select("qid").distinct().count()))
 
 
-def curve(spark: SparkSession, corpus: DataFrame, queries: DataFrame, methods: list[Method], k: int, efs: list[int], metric: str = "l2", shards: int = 1) -> tuple[DataFrame, DataFrame]:
-    """(runs, builds): the throughput-recall runs of all methods over a corpus of more than k vectors."""
+def curve(
+    spark: SparkSession, corpus: DataFrame, queries: DataFrame, methods: list[Method], k: int, efs: list, metric: str = "l2", shards: int = 1, exclude_self: bool = False
+) -> tuple[DataFrame, DataFrame]:
+    """(runs, builds): the throughput-recall runs of all methods over a corpus of more than k vectors; ``efs`` are widths, or pairs (k, width)."""
     corpus = materialise(corpus, "corpus")
     queries = materialise(queries, "queries")
-    if k >= (n := corpus.count()):
-        raise ValueError(f"{k} of {n} vectors are asked for")
-    answers, builds = run(corpus, queries, methods, k, efs, shards)
+    settings = [e if isinstance(e, tuple) else (k, e) for e in efs]
+    most = max(k for k, _ in settings)
+    if most + exclude_self > (n := corpus.count()):
+        raise ValueError(f"{most} neighbours are asked for among {n} vectors")
+    answers, builds = run(corpus, queries, methods, settings, shards, exclude_self)
     # Under cosine the methods report Euclidean distances of unit vectors.
-    truth = exact_knn(corpus, queries, k, metric)
+    truth = exact_knn(corpus, queries, most, metric, plan="blocks", exclude_self=exclude_self)
     if metric == "cosine":
         truth = truth.withColumn("dist", F.sqrt(2 * F.greatest("dist", F.lit(0.0))))
-    return summary(answers, truth, k), builds
+    return summary(answers, materialise(truth, "truth")), builds
 
 
 def with_name(methods: list[Method], **changes) -> list[Method]:

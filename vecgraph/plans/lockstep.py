@@ -19,6 +19,8 @@ from ..operators.index import Index
 from ..operators.projection import orthogonal, references, target_table
 from ..sources.session import checkpoint
 
+#: Sequence numbers of one step; a step moves fewer entries of a query than half of them.
+STEP = 1 << 32
 _STATE = ["qid", "node", "dist", "place", "expanded", "seq", "visits"]
 
 
@@ -42,10 +44,13 @@ def tables(index: Index) -> tuple[DataFrame, DataFrame]:
 
 
 def _targets(index: Index, queries: DataFrame) -> DataFrame:
-    """(qid, q, table): prepared query vectors and their products with all directions; queries are a block of checked size."""
+    """(qid, q, table): prepared query vectors and their products with all directions; all queries must fit the size that is sent at once."""
+    from ..operators.index import SENT_FLOATS
     from ..operators.projection import prepare
 
     p = index.params
+    if queries.count() * p.padded > SENT_FLOATS:
+        raise ValueError("more queries than one lock-step run takes: search in blocks")
     rows = queries.select("qid", "qvec").collect()
     q = prepare(np.array([r.qvec for r in rows], dtype=np.float32).reshape(-1, p.dim), p, orthogonal(p.padded, p.seed))
     table = target_table(q, references(p.padded, p.blocks, p.refs_per_block, p.seed))
@@ -106,7 +111,7 @@ def _refill(state: DataFrame, w: int, ef: int, rings: bool, step: int) -> DataFr
     n = F.row_number().over(Window.partitionBy("qid", ringed).orderBy("dist", "node"))
     marked = marked.withColumn("n", F.when(ringed, n))
     place = F.when(F.col("idle") & (F.col("place") == "work"), "harvest").when(F.col("n") <= w, "work").when(F.col("n") > w, "out").otherwise(F.col("place"))
-    seq = F.when(F.col("n").isNotNull(), F.col("n") + step * 100_000).otherwise(F.col("seq"))
+    seq = F.when(F.col("n").isNotNull(), F.col("n") + step * STEP).otherwise(F.col("seq"))
     return marked.select("qid", "node", "dist", place.alias("place"), "expanded", seq.alias("seq"), "visits")
 
 
@@ -139,7 +144,7 @@ def _expand(state: DataFrame, pivots: DataFrame, edges: DataFrame, vectors: Data
         .when(lost, "out" if rings else "gone")
         .otherwise(F.col("place"))
     )
-    seq = F.when(lost, F.col("n") + step * 100_000 + 50_000).otherwise(F.col("seq"))
+    seq = F.when(lost, F.col("n") + step * STEP + STEP // 2).otherwise(F.col("seq"))
     both = both.select("qid", "node", "dist", place.alias("place"), "expanded", seq.alias("seq"), "visits")
     # Rings hold their newest w entries.
     age = F.row_number().over(Window.partitionBy("qid", "place").orderBy(F.desc("seq")))

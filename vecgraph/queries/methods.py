@@ -6,9 +6,14 @@ graph, without a gate, must give the exact answers and has theirs.
 
 from __future__ import annotations
 
+import math
+from collections.abc import Callable
+
 import numpy as np
 from pyspark.sql import functions as F
 
+from ..functions import vectors as V
+
 from ..operators import baselines as B
 from ..operators import exact as E
 from ..operators import gate as G
@@ -28,12 +33,22 @@ DIM, BLOCKS, REFS = 64, 8, 16
 
 # --- SQL of the deterministic family ------------------------------------------------
 
+
+def _family(blocks: int, refs: int) -> tuple[str, str]:
+    """SQL of the directions and of the profiles with them."""
+    return tuple(
+        s.replace("range(0, 8)) AS b", f"range(0, {blocks})) AS b").replace("range(0, 16)", f"range(0, {refs})").replace("range(0, 8), lambda j", f"range(0, {DIM // blocks}), lambda j")
+        .replace("0.125", "CAST(0.125 AS DOUBLE)").replace("block * 8 + 1 : block * 8 + 8", f"block * {DIM // blocks} + 1 : block * {DIM // blocks} + {DIM // blocks}")
+        for s in (_REFS, _PROFILE)
+    )
+
+
 _REFS = """refs AS (SELECT CAST(b AS INTEGER) AS block, CAST(r AS INTEGER) AS ref, list_transform(range(0, 8), lambda j:
   (CASE WHEN r % 2 = 0 THEN 1.0 ELSE -1.0 END) * (CASE WHEN bit_count(CAST((r // 2) & j AS BIGINT)) % 2 = 0 THEN 1.0 ELSE -1.0 END) * 0.125) AS dir
   FROM (SELECT unnest(range(0, 8)) AS b), (SELECT unnest(range(0, 16)) AS r))"""
 _GRAPH = knn_sql("SELECT vec_id, embedding FROM embeddings", "SELECT vec_id AS qid, embedding AS qvec FROM embeddings", 12, where="WHERE vec_id <> qid").replace("round(dist, 6)", "dist")
 _TRIPLES = f"""e AS (SELECT qid AS src, vec_id AS dst, dist, rank FROM ({_GRAPH})),
-  t AS (SELECT a.src * 100000 + b.dst AS t, p.embedding AS p, q.embedding AS q, x.embedding AS x, z.dist AS r FROM e a JOIN e b ON b.src = a.dst AND b.dst <> a.src
+  t AS (SELECT {{'q': a.src, 'x': b.dst}} AS t, p.embedding AS p, q.embedding AS q, x.embedding AS x, z.dist AS r FROM e a JOIN e b ON b.src = a.dst AND b.dst <> a.src
     JOIN e z ON z.src = a.src AND z.rank = 12 JOIN embeddings p ON p.vec_id = a.dst JOIN embeddings q ON q.vec_id = a.src JOIN embeddings x ON x.vec_id = b.dst WHERE a.rank = 5)"""
 _PROFILE = f"""d AS (SELECT t, r, list_transform(list_zip(x, p), lambda z: CAST(z[1] AS DOUBLE) - z[2]) AS edge, list_transform(list_zip(q, p), lambda z: CAST(z[1] AS DOUBLE) - z[2]) AS way FROM t),
   s AS (SELECT t, block, ref, list_sum(list_transform(list_zip(edge[block * 8 + 1 : block * 8 + 8], dir), lambda z: z[1] * z[2])) AS own,
@@ -46,7 +61,7 @@ _WITH = f"WITH {_REFS}, {_TRIPLES}, {_PROFILE}"
 
 
 def triples(spark, d):
-    """(t, p, q, x, r): every vector as target, its fifth neighbour as pivot, the pivot's neighbours, and the target's twelfth distance as rim."""
+    """(q_id, x_id, p, q, x, r): every vector as target, its fifth neighbour as pivot, the pivot's neighbours, and the target's twelfth distance as rim."""
     edges, emb = knn_graph(spark, d)
     emb = checkpoint(emb)
     order = F.row_number().over(E.Window.partitionBy("src").orderBy("edge_len", "dst"))
@@ -57,14 +72,12 @@ def triples(spark, d):
     rows = a.join(z, "q_id").join(b, "p_id").where("x_id != q_id")
     for name in ("p", "q", "x"):
         rows = rows.join(emb.select(F.col("vec_id").alias(f"{name}_id"), F.col("embedding").alias(name)), f"{name}_id")
-    return rows.select((F.col("q_id") * 100_000 + F.col("x_id")).alias("t"), "p", "q", "x", "r")
+    return rows.select("q_id", "x_id", "p", "q", "x", "r")
 
 
 def profiled(spark, d):
     """The triples' lengths and cosines with the deterministic directions, and the rim."""
-    rows = checkpoint(triples(spark, d))
-    refs = P.walsh_references(spark, DIM, BLOCKS, REFS)
-    return P.profile_triples(rows, refs, DIM, BLOCKS).join(rows.select("t", "r"), "t")
+    return P.profile_triples(triples(spark, d), P.walsh_references(spark, DIM, BLOCKS, REFS), DIM, BLOCKS)
 
 
 @BOOK.add(
@@ -111,15 +124,15 @@ def m03(spark, d):
     return P.walsh_references(spark, DIM, BLOCKS, REFS).select("block", "ref", F.posexplode("dir").alias("pos", "v"))
 
 
-@BOOK.add("m05_edge_profile", _WITH + " SELECT t, round(edge_len, 6) AS edge_len, round(cos_own, 6) AS cos_own, round(cos_target, 6) AS cos_target FROM y")
+@BOOK.add("m05_edge_profile", _WITH + " SELECT t.q AS q_id, t.x AS x_id, round(edge_len, 6) AS edge_len, round(cos_own, 6) AS cos_own, round(cos_target, 6) AS cos_target FROM y")
 def m05(spark, d):
     r = lambda c: F.round(c, 6).alias(c)
-    return profiled(spark, d).select("t", r("edge_len"), r("cos_own"), r("cos_target"))
+    return profiled(spark, d).select("q_id", "x_id", r("edge_len"), r("cos_own"), r("cos_target"))
 
 
-@BOOK.add("m07_angle_estimate", _WITH + " SELECT t, round(cos_target / cos_own, 6) AS estimate, round(cos_exact, 6) AS cos_exact FROM y")
+@BOOK.add("m07_angle_estimate", _WITH + " SELECT t.q AS q_id, t.x AS x_id, round(cos_target / cos_own, 6) AS estimate, round(cos_exact, 6) AS cos_exact FROM y")
 def m07(spark, d):
-    return profiled(spark, d).select("t", F.round(G.estimate_cosine(F.col("cos_target"), F.col("cos_own")), 6).alias("estimate"), F.round("cos_exact", 6).alias("cos_exact"))
+    return profiled(spark, d).select("q_id", "x_id", F.round(G.estimate_cosine(F.col("cos_target"), F.col("cos_own")), 6).alias("estimate"), F.round("cos_exact", 6).alias("cos_exact"))
 
 
 def _stats(spark, d):
@@ -131,26 +144,26 @@ _GATE = "cos_target / cos_own - (edge_len * edge_len + way_len * way_len - r * r
 _SCREEN = "cos_target / cos_own - edge_len / (2 * way_len)"
 
 
-@BOOK.add("m09_gate", _WITH + f" SELECT t, round({_GATE}, 6) AS gate, {_GATE} >= 0 AS passed FROM y")
+@BOOK.add("m09_gate", _WITH + f" SELECT t.q AS q_id, t.x AS x_id, round({_GATE}, 6) AS gate, {_GATE} >= 0 AS passed FROM y")
 def m09(spark, d):
-    return _stats(spark, d).select("t", F.round("s.gate", 6).alias("gate"), (F.col("s.gate") >= 0).alias("passed"))
+    return _stats(spark, d).select("q_id", "x_id", F.round("s.gate", 6).alias("gate"), (F.col("s.gate") >= 0).alias("passed"))
 
 
-@BOOK.add("m10_gate_threshold", _WITH + " SELECT t, round((edge_len * edge_len + way_len * way_len - r * r) / (2 * edge_len * way_len), 6) AS tau, round(edge_len / (2 * way_len), 6) AS delta FROM y")
+@BOOK.add("m10_gate_threshold", _WITH + " SELECT t.q AS q_id, t.x AS x_id, round((edge_len * edge_len + way_len * way_len - r * r) / (2 * edge_len * way_len), 6) AS tau, round(edge_len / (2 * way_len), 6) AS delta FROM y")
 def m10(spark, d):
     c = F.col
-    return profiled(spark, d).select("t", F.round(G.gate_threshold(c("edge_len"), c("way_len"), c("r")), 6).alias("tau"), F.round(G.screen_threshold(c("edge_len"), c("way_len")), 6).alias("delta"))
+    return profiled(spark, d).select("q_id", "x_id", F.round(G.gate_threshold(c("edge_len"), c("way_len"), c("r")), 6).alias("tau"), F.round(G.screen_threshold(c("edge_len"), c("way_len")), 6).alias("delta"))
 
 
-@BOOK.add("m20_screen", _WITH + f" SELECT t // 100000 AS target, round(max({_SCREEN}), 6) AS stat, max({_SCREEN}) < 0 AS survives FROM y GROUP BY 1")
+@BOOK.add("m20_screen", _WITH + f" SELECT t.q AS target, round(max({_SCREEN}), 6) AS stat, max({_SCREEN}) < 0 AS survives FROM y GROUP BY 1")
 def m20(spark, d):
-    one = _stats(spark, d).groupBy(F.floor(F.col("t") / 100_000).alias("target")).agg(G.screen_stat(F.col("s.screen")).alias("v"))
+    one = _stats(spark, d).groupBy(F.col("q_id").alias("target")).agg(G.screen_stat(F.col("s.screen")).alias("v"))
     return one.select("target", F.round("v", 6).alias("stat"), (F.col("v") < 0).alias("survives"))
 
 
-@BOOK.add("m21_shared_scan", _WITH + f" SELECT t, round({_GATE}, 6) AS gate, round({_SCREEN}, 6) AS screen FROM y")
+@BOOK.add("m21_shared_scan", _WITH + f" SELECT t.q AS q_id, t.x AS x_id, round({_GATE}, 6) AS gate, round({_SCREEN}, 6) AS screen FROM y")
 def m21(spark, d):
-    return _stats(spark, d).select("t", F.round("s.gate", 6).alias("gate"), F.round("s.screen", 6).alias("screen"))
+    return _stats(spark, d).select("q_id", "x_id", F.round("s.gate", 6).alias("gate"), F.round("s.screen", 6).alias("screen"))
 
 
 @BOOK.add(
@@ -166,12 +179,12 @@ def a13(spark, d):
 
 @BOOK.add(
     "a14_screen_rates",
-    _WITH + f", g AS (SELECT t // 100000 AS k, max({_SCREEN}) AS stat, bool_or(cos_exact >= edge_len / (2 * way_len)) AS q FROM y GROUP BY 1) SELECT count(*) AS n, round(avg(CAST(stat >= 0 AS INTEGER)), 6) AS pass_ratio, round(avg(CASE WHEN q THEN CAST(stat >= 0 AS INTEGER) END), 6) AS pass_if_true, round(avg(CASE WHEN NOT q THEN CAST(stat < 0 AS INTEGER) END), 6) AS reject_if_false FROM g",
+    _WITH + f", g AS (SELECT t.q AS k, max({_SCREEN}) AS stat, bool_or(cos_exact >= edge_len / (2 * way_len)) AS q FROM y GROUP BY 1) SELECT count(*) AS n, round(avg(CAST(stat >= 0 AS INTEGER)), 6) AS pass_ratio, round(avg(CASE WHEN q THEN CAST(stat >= 0 AS INTEGER) END), 6) AS pass_if_true, round(avg(CASE WHEN NOT q THEN CAST(stat < 0 AS INTEGER) END), 6) AS reject_if_false FROM g",
 )
 def a14(spark, d):
     c = F.col
     rows = _stats(spark, d).withColumn("near", c("cos_exact") >= G.screen_threshold(c("edge_len"), c("way_len")))
-    one = rows.groupBy(F.floor(c("t") / 100_000).alias("k")).agg(F.max("s.screen").alias("stat"), F.bool_or("near").alias("truth"))
+    one = rows.groupBy("q_id").agg(F.max("s.screen").alias("stat"), F.bool_or("near").alias("truth"))
     out = M.confusion(one, "stat", "truth")
     return out.select("n", *[F.round(x, 6).alias(x) for x in ("pass_ratio", "pass_if_true", "reject_if_false")])
 
@@ -185,6 +198,30 @@ def a15(spark, d):
     return M.estimator_error(rows).select(*[F.round(x, 6).alias(x) for x in ("bias", "rmse", "corr", "covar", "var")])
 
 
+def _error_sql(blocks: int, refs: int) -> str:
+    family, profile = _family(blocks, refs)
+    return (
+        f"(WITH {family}, {_TRIPLES}, {profile}, g AS (SELECT cos_target / cos_own AS e, cos_exact AS c FROM y) "
+        f"SELECT {blocks} AS blocks, {refs} AS refs, round(avg(e - c), 6) AS bias, round(sqrt(avg((e - c) * (e - c))), 6) AS rmse, round(corr(e, c), 6) AS corr FROM g)"
+    )
+
+
+_SWEEP = ((2, 16), (4, 16), (8, 8), (8, 16))
+
+
+@BOOK.add("a15_error_by_blocks_and_references", " UNION ALL ".join(_error_sql(b, r) for b, r in _SWEEP))
+def a15b(spark, d):
+    """The estimate's error over numbers of blocks and of references: it falls with either."""
+    rows = checkpoint(triples(spark, d))
+    out = None
+    for blocks, refs in _SWEEP:
+        found = P.profile_triples(rows, P.walsh_references(spark, DIM, blocks, refs), DIM, blocks)
+        one = M.estimator_error(found.select(G.estimate_cosine(F.col("cos_target"), F.col("cos_own")).alias("estimate"), "cos_exact"))
+        one = one.select(F.lit(blocks).alias("blocks"), F.lit(refs).alias("refs"), *[F.round(x, 6).alias(x) for x in ("bias", "rmse", "corr")])
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 _UNIT = f"""v AS (SELECT list_transform(edge, lambda z: z / sqrt({dot('edge', 'edge')})) AS edge, list_transform(way, lambda z: z / sqrt({dot('way', 'way')})) AS way FROM d)"""
 
 
@@ -195,8 +232,6 @@ _UNIT = f"""v AS (SELECT list_transform(edge, lambda z: z / sqrt({dot('edge', 'e
     f"SELECT round(max(greatest(abs(sqrt(8) * sqrt({dot('a', 'a')}) - 1), abs(sqrt(8) * sqrt({dot('b', 'b')}) - 1), abs(8 * {dot('a', 'b')} - {dot('edge', 'way')}))), 6) AS eta FROM c",
 )
 def a16(spark, d):
-    from ..functions import vectors as V
-
     rows = triples(spark, d).select(V.normalise(V.subtract("x", "p")).alias("edge"), V.normalise(V.subtract("q", "p")).alias("way"))
     return M.block_balance(rows, BLOCKS).select(F.round("eta", 6).alias("eta"))
 
@@ -222,10 +257,7 @@ def m26(spark, d):
     """A search as wide as the graph, gate off: the exact answers (distances measured again in doubles)."""
     emb, q = native(spark, d)
     hits = build_index(emb, B.no_gate_params(DIM)).search(q, 10, max(64, emb.count()))
-    from ..functions import vectors as V
-
-    again = hits.select("qid", "vec_id").join(emb, "vec_id").join(q, "qid").select("qid", "vec_id", V.l2("embedding", "qvec").alias("dist"))
-    return rounded(E.top_k(again, 10).select("qid", "rank", "vec_id", "dist"))
+    return _measured_again(hits, emb, q)
 
 
 BOOK.add("m12_queue_threshold")(_search(Params(DIM, threshold="queue", rings=False), 64))
@@ -239,6 +271,98 @@ BOOK.add("b12_gate_only")(_search(B.gate_only_params(DIM), 64))
 BOOK.add("b13_no_gate")(_search(B.no_gate_params(DIM), 64))
 
 
+# A search as wide as its graph must give the exact answers, whatever the method.
+
+
+def _measured_again(hits, emb, q, k=10):
+    """The hits' distances in doubles, and their ranks by them."""
+    again = hits.select("qid", "vec_id").join(emb, "vec_id").join(q, "qid").select("qid", "vec_id", V.l2("embedding", "qvec").alias("dist"))
+    return rounded(E.top_k(again, k).select("qid", "rank", "vec_id", "dist"))
+
+
+def _whole(params: Callable[[int], Params], **build):
+    def query(spark, d):
+        """As wide as the graph, with a working set of that size: the exact answers."""
+        emb, q = native(spark, d)
+        n = emb.count()
+        return _measured_again(build_index(emb, params(n), **build).search(q, 10, n), emb, q)
+
+    return query
+
+
+def _whole_method(kind: str, **options):
+    def query(spark, d):
+        """All cells, or a beam as wide as the graph, all reranked: the exact answers."""
+        emb, q = native(spark, d)
+        n = emb.count()
+        given = tuple((k, v(n) if callable(v) else v) for k, v in options.items())
+        hits, _ = X.run(emb, q, [X.Method(kind, kind, Params(DIM), given)], [(10, 8 * n)])
+        return _measured_again(hits, emb, q)
+
+    return query
+
+
+for _name, _params in {
+    "b02_hnsw_whole": lambda n: B.hnsw_params(DIM),
+    "b10_plugin_whole": lambda n: B.plugin_params(DIM),
+    "b12_gate_only_whole": lambda n: B.gate_only_params(DIM),
+    "m12_queue_threshold_whole": lambda n: Params(DIM, threshold="queue", rings=False),
+    "m15_ringed_gate_whole": lambda n: Params(DIM, work=n),
+    "m28_throughput_whole": lambda n: Params.throughput(DIM, work=n),
+    "m29_compact_whole": lambda n: Params.compact(DIM, work=n, half=False),
+    "m11_cosine_whole": lambda n: Params(DIM, metric="cosine", work=n),
+    "m13_many_rounds_whole": lambda n: Params(DIM, work=32, gate=False),
+}.items():
+    BOOK.add(_name, _EXACT10)(_whole(_params))
+BOOK.add("sharded_whole", _EXACT10)(_whole(lambda n: Params(DIM, work=n), shards=4))
+BOOK.add("b03_vamana_whole", _EXACT10)(_whole_method("vamana"))
+BOOK.add("b04_nsg_whole", _EXACT10)(_whole_method("nsg"))
+BOOK.add("b08_quantised_graph_whole", _EXACT10)(_whole_method("qgraph"))
+for _kind, _label in (("pq", "b05_ivfpq"), ("aniso", "b06_anisotropic"), ("scalar", "b07_scalar_codes")):
+    BOOK.add(f"{_label}_cells_whole", _EXACT10)(_whole_method(_kind, rerank=lambda n: n))
+
+
+@BOOK.add("m27_insertion_whole", _EXACT10)
+def m27b(spark, d):
+    """A third of the corpus built, the rest inserted in batches without a shuffle of the index: a full search is exact."""
+    emb, q = native(spark, d)
+    n = emb.count()
+    index = build_index(emb.where("vec_id % 3 = 0"), Params(DIM, work=n), shards=3)
+    for part in (1, 2):
+        index = insert_batch(index, emb.where(f"vec_id % 3 = {part}"))
+    return _measured_again(index.search(q, 10, n), emb, q)
+
+
+@BOOK.add("m24_screen_scope")
+def m24(spark, d):
+    """The screen over the out-neighbours of a new node against all visited nodes, on a corpus with hubs: screened edges and starved nodes."""
+    corpus = materialise(C.doc_vec(spark, d, 384), "corpus")
+    out = None
+    for scope in ("out", "visited"):
+        index = build_index(corpus, Params(384, scope=scope))
+        edges = checkpoint(index.edges())
+        degrees = M.in_degrees(edges, index.nodes())
+        one = degrees.agg(F.lit(scope).alias("scope"), F.count("*").alias("nodes"), F.count_if(F.col("in_degree") <= 1).alias("at_most_one"), F.avg("in_degree").alias("mean"))
+        one = one.crossJoin(F.broadcast(edges.agg(F.count_if(F.col("origin") == "screen").alias("screened"))))  # one row each
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@BOOK.add("a11_visited_nodes")
+def a11(spark, d):
+    """Visited nodes of equally good searches against M log n, over growing parts of the lines."""
+    lines = materialise(C.doc_line_vec(spark, d, 96), "corpus")
+    out = None
+    for share in (8, 4, 2, 1):
+        part = materialise(lines.where(f"vec_id % {share} = 0"), "part")
+        n = part.count()
+        runs = X.curve(spark, part, C.native_queries(part), [X.Method("hnsw", "graph", B.hnsw_params(96))], 10, [16, 32, 64], exclude_self=True)[0]
+        best = runs.where("recall >= 0.9").orderBy("n_visited").limit(1)
+        one = best.select(F.lit(n).alias("n"), "ef", "recall", "n_visited", "n_exact", (F.col("n_exact") / (16 * math.log(n))).alias("over_m_log_n"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 @BOOK.add("m13_ring_sizes")
 def m13(spark, d):
     """The working set's size against cost and recall; as large as the search, it is the single queue."""
@@ -335,7 +459,7 @@ BOOK.add("b08_quantised_graph")(_single(X.Method("qgraph", "qgraph", Params(DIM)
 def b09(spark, d):
     """The quantised graph with 16-bit sums over dimensions: recall falls where they overflow."""
     out = None
-    for dim in (384, 1536):
+    for dim in (384, 1536, 3072):
         corpus, queries = C.doc_vec(spark, d, dim), C.bench_vec(spark, d, dim).select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec"))
         methods = [X.Method(a, "qgraph", Params(dim), (("accumulator", a),)) for a in ("i32", "u16")]
         one = X.curve(spark, corpus, queries, methods, 10, [64])[0].withColumn("dim", F.lit(dim))
@@ -378,10 +502,29 @@ def a17b(spark, d):
 
 @BOOK.add("a17_unreachable")
 def a17c(spark, d):
-    emb, _ = native(spark, d)
-    index = build_index(emb, Params(DIM))
-    edges, nodes = checkpoint(index.edges().select("src", "dst")), index.nodes().select("vec_id", "entry")
-    return M.unreachable(edges, nodes, nodes.where("entry"))
+    """Nodes that no path reaches, with and without the screen, on a corpus with hubs and few links."""
+    corpus = materialise(C.doc_vec(spark, d, 384), "corpus")
+    out = None
+    for name, on in (("without", False), ("with", True)):
+        index = build_index(corpus, Params(384, screen=on, m_links=4, ef_build=16))
+        edges, nodes = checkpoint(index.edges().select("src", "dst")), checkpoint(index.nodes().select("vec_id", "entry"))
+        lost = M.unreachable(edges, nodes, nodes.where("entry"))
+        one = lost.agg(F.lit(name).alias("screen"), F.count("*").alias("unreachable"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@BOOK.add(
+    "u07_reachable",
+    f"""WITH RECURSIVE e AS ({_GRAPH}), r AS (SELECT CAST(0 AS BIGINT) AS vec_id UNION SELECT e.vec_id FROM r JOIN e ON e.qid = r.vec_id AND e.rank <= 2)
+    SELECT vec_id FROM embeddings WHERE vec_id NOT IN (SELECT vec_id FROM r)""",
+)
+def u07(spark, d):
+    """What the two nearest links of each node do not reach from node 0: a loop over tables here, a recursion in SQL."""
+    edges, emb = knn_graph(spark, d)
+    near = E.Window.partitionBy("src").orderBy("edge_len", "dst")
+    two = checkpoint(edges.withColumn("rank", F.row_number().over(near)).where("rank <= 2").select("src", "dst"))
+    return M.unreachable(two, emb, emb.where("vec_id = 0"))
 
 
 @BOOK.add("m32_ablation_native")
@@ -390,7 +533,7 @@ def m32(spark, d):
     return X.curve(spark, emb, q, X.ablation_methods(DIM), 10, [32, 64, 128])[0]
 
 
-@BOOK.add("a21_cost_model")
+@BOOK.add("a21_cost_model_runs")
 def a21(spark, d):
     """Modelled against counted operations of the ablation arms."""
     emb, q = native(spark, d)

@@ -102,6 +102,11 @@ def _corpus(name, build, sql):
 
 
 _corpus("corpus_documents_384", lambda s, d: C.doc_vec(s, d, 384), C.hash_vectors_sql(C.DOC_TOKENS_SQL, 384))
+_corpus("corpus_benchmark_384", lambda s, d: C.bench_vec(s, d, 384), C.hash_vectors_sql(C.BENCH_TOKENS_SQL, 384))
+_corpus("corpus_pages_512", lambda s, d: C.page_vec(s, d, 512), C.hash_vectors_sql(C.PAGE_TOKENS_SQL, 512))
+_corpus("corpus_conversations_384", lambda s, d: C.conv_vec(s, d, 384), C.hash_vectors_sql(C.CONV_TOKENS_SQL, 384))
+_corpus("corpus_lines_96", lambda s, d: C.doc_line_vec(s, d, 96), C.hash_vectors_sql(C.LINE_TOKENS_SQL, 96))
+_corpus("corpus_lineitem_96", lambda s, d: C.line_vec(s, d, 96), C.hash_vectors_sql(C.LINEITEM_TOKENS_SQL, 96))
 _corpus("corpus_parts_150", lambda s, d: C.part_vec(s, d, 150), C.hash_vectors_sql(C.PART_TOKENS_SQL, 150))
 _corpus("corpus_customers_96", lambda s, d: C.customer_vec(s, d, 96), C.hash_vectors_sql(C.CUSTOMER_TOKENS_SQL, 96))
 _corpus("corpus_users_120", lambda s, d: C.user_vec(s, d), C.USER_VEC_SQL)
@@ -181,11 +186,91 @@ def j13(spark, d):
 # --- measures over exact results ----------------------------------------------------
 
 
-@BOOK.add("a01_recall_exact", "SELECT 1.0::DOUBLE AS recall")
+_NEAR30 = knn_sql("SELECT vec_id, embedding FROM embeddings", NATIVE_Q, 30).replace(f"round(dist, {D})", "dist")
+
+
+@BOOK.add(
+    "a01_recall",
+    f"""WITH t AS ({_NEAR30}), h AS (SELECT m, qid, dist, row_number() OVER (PARTITION BY m, qid ORDER BY dist, vec_id) AS rank FROM t, (SELECT unnest([2, 3, 5, 7]) AS m) WHERE vec_id % m <> 0),
+    g AS (SELECT m, t.qid, count(h.qid) AS got FROM (SELECT qid, max(dist) AS far FROM t WHERE rank <= 10 GROUP BY 1) t CROSS JOIN (SELECT unnest([2, 3, 5, 7]) AS m)
+      LEFT JOIN h USING (m, qid) WHERE h.qid IS NULL OR h.rank <= 10 GROUP BY 1, 2), w AS (SELECT m, qid, sum(CAST(h.dist <= far + 1e-6 AS INTEGER)) AS good FROM h JOIN (SELECT qid, max(dist) AS far FROM t WHERE rank <= 10 GROUP BY 1) USING (qid) WHERE rank <= 10 GROUP BY 1, 2)
+    SELECT m, round(avg(coalesce(good, 0) / 10), 6) AS recall FROM g LEFT JOIN w USING (m, qid) GROUP BY 1""",
+)
 def a01(spark, d):
+    """Recall of answers that miss every m-th id: what is left of the thirty nearest, against the ten nearest."""
     emb, q = native(spark, d)
-    truth = checkpoint(E.exact_knn(emb, q, 10, plan="sql"))
-    return M.recall_at_k(E.exact_knn(emb, q, 10, plan="blocks"), truth, 10)
+    near = checkpoint(E.exact_knn(emb, q, 30, plan="blocks"))
+    hits = near.drop("rank").join(F.broadcast(spark.createDataFrame([(m,) for m in (2, 3, 5, 7)], "m int")), F.col("vec_id") % F.col("m") != 0)  # four rows
+    ranked = hits.withColumn("rank", F.row_number().over(Window.partitionBy("m", "qid").orderBy("dist", "vec_id")))
+    return M.recall_at_k(ranked, near, 10, ["m"]).select("m", F.round("recall", 6).alias("recall"))
+
+
+#: The parts as if they were runs: a brand's sizes and prices for a method's recalls and costs.
+_RUNS = "SELECT p_brand AS method, p_size / 50.0::DOUBLE AS recall, p_retailprice AS n_exact FROM part"
+
+
+def _runs(spark, d):
+    return load(spark, d, "part").select(F.col("p_brand").alias("method"), (F.col("p_size") / 50.0).alias("recall"), F.col("p_retailprice").alias("n_exact"))
+
+
+_CURVE = f"""c AS (SELECT method, recall, n_exact FROM (SELECT *, max(recall) OVER (PARTITION BY method ORDER BY n_exact, recall DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS best FROM ({_RUNS})) WHERE best IS NULL OR recall > best)"""
+_AT = f"""{_CURVE}, l AS (SELECT method, recall, n_exact AS c, lead(recall) OVER w AS r2, lead(n_exact) OVER w AS c2 FROM c WINDOW w AS (PARTITION BY method ORDER BY recall, n_exact)),
+  x AS (SELECT method, min(CASE WHEN recall >= 0.55 THEN c ELSE c + (c2 - c) * (0.55 - recall) / (r2 - recall) END) AS cost FROM l WHERE (recall <= 0.55 AND r2 >= 0.55) OR recall >= 0.55 GROUP BY 1)"""
+
+
+@BOOK.add("a03_tradeoff_curve", f"WITH {_CURVE} SELECT method, round(recall, 6) AS recall, n_exact FROM c")
+def a03(spark, d):
+    return M.tradeoff_curve(_runs(spark, d)).select("method", F.round("recall", 6).alias("recall"), "n_exact")
+
+
+@BOOK.add("a04_speedup", f"WITH {_AT} SELECT x.method, round(b.cost / x.cost, 6) AS speedup FROM x, (SELECT cost FROM x WHERE method = 'Brand#12') b")
+def a04(spark, d):
+    return M.speedup_at(_runs(spark, d), 0.55, "Brand#12").select("method", F.round("speedup", 6).alias("speedup"))
+
+
+@BOOK.add("a05_recall_nines", f"SELECT method, round(recall, 6) AS recall, round(-log10(1 - recall), 6) AS nines FROM (SELECT DISTINCT method, recall FROM ({_RUNS})) WHERE recall < 1")
+def a05(spark, d):
+    runs = _runs(spark, d).select("method", "recall").distinct().where("recall < 1")
+    return runs.select("method", F.round("recall", 6).alias("recall"), F.round(V.recall_nines("recall"), 6).alias("nines"))
+
+
+@BOOK.add("a10_cost_report", "SELECT p_brand AS method, round(avg(p_size), 6) AS n_checked, round(sum(p_partkey % 7) / sum(p_size), 6) AS pass_ratio FROM part GROUP BY 1")
+def a10(spark, d):
+    p = load(spark, d, "part")
+    counters = {c: F.lit(0) for c in ("n_exact", "n_visited", "n_fp", "n_fp_reused", "n_rounds")}
+    hits = p.select(F.col("p_brand").alias("method"), F.col("p_partkey").alias("qid"), F.col("p_size").alias("n_checked"), (F.col("p_partkey") % 7).alias("n_pass")).withColumns(counters)
+    return M.cost_report(hits, ["method"]).select("method", F.round("n_checked", 6).alias("n_checked"), F.round("pass_ratio", 6).alias("pass_ratio"))
+
+
+@BOOK.add("a19_amortised_ratio", "SELECT o_orderpriority AS method, round(avg(o_totalprice) FILTER (WHERE o_orderstatus = 'O') / avg(o_totalprice) FILTER (WHERE o_orderstatus <> 'O'), 6) AS ratio FROM orders GROUP BY 1")
+def a19(spark, d):
+    o = load(spark, d, "orders")
+    runs = o.select(F.col("o_orderpriority").alias("method"), F.when(F.col("o_orderstatus") == "O", "insert").otherwise("search").alias("op"), F.col("o_totalprice").alias("cost"))
+    return M.amortised_ratio(runs).select("method", F.round("ratio", 6).alias("ratio"))
+
+
+@BOOK.add(
+    "a20_tiers",
+    f"""WITH s AS (SELECT 'price' AS criterion, method, avg(n_exact) AS score FROM ({_RUNS}) GROUP BY 2 UNION ALL SELECT 'size', method, avg(recall) FROM ({_RUNS}) GROUP BY 2),
+    g AS (SELECT *, ln(score) - lag(ln(score)) OVER (PARTITION BY criterion ORDER BY score, method) AS gap FROM s),
+    p AS (SELECT *, row_number() OVER (PARTITION BY criterion ORDER BY gap DESC NULLS LAST, method) AS place FROM g),
+    t AS (SELECT *, sum(CASE WHEN place < 4 AND gap > 0 THEN 1 ELSE 0 END) OVER (PARTITION BY criterion ORDER BY score, method) AS step FROM p)
+    SELECT criterion, method, CAST(4 - max(step) OVER (PARTITION BY criterion) + step AS INTEGER) AS tier FROM t""",
+)
+def a20(spark, d):
+    runs = _runs(spark, d).groupBy("method")
+    scores = runs.agg(F.avg("n_exact").alias("score")).select(F.lit("price").alias("criterion"), "method", "score").unionByName(runs.agg(F.avg("recall").alias("score")).select(F.lit("size").alias("criterion"), "method", "score"))
+    return M.tier_methods(scores).select("criterion", "method", "tier")
+
+
+@BOOK.add("a21_cost_model", "SELECT vec_id, vec_id * 32 * 8 + 0.25 * 32 * vec_id * 64 AS ops FROM embeddings")
+def a21(spark, d):
+    return load(spark, d, "embeddings").select("vec_id", M.cost_model("vec_id", 32, 8, F.lit(0.25), 64).alias("ops"))
+
+
+@BOOK.add("a22_robustness", f"SELECT method, round(regr_slope(n_exact, ln(recall)), 6) AS slope, round(corr(n_exact, ln(recall)), 6) AS corr FROM ({_RUNS}) GROUP BY 1")
+def a22(spark, d):
+    return M.robustness(_runs(spark, d), "recall", "n_exact").select("method", F.round("slope", 6).alias("slope"), F.round("corr", 6).alias("corr"))
 
 
 _EDGES = knn_sql("SELECT vec_id, embedding FROM embeddings", "SELECT vec_id AS qid, embedding AS qvec FROM embeddings", 12, where="WHERE vec_id <> qid").replace(f"round(dist, {D})", "dist")

@@ -1,19 +1,23 @@
 """The experiments on the given tables: corpora, sweeps, streams, ablation, tiers, applications.
 
 Searches within a corpus take every id divisible by 100 as queries, against all
-rows; corpora with a query source of their own take all of it.
+rows; corpora with a query source of their own take all of it. Every experiment
+on several sets or methods runs once for each application and folder; the queries
+that report on it share its tables.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from dataclasses import dataclass, replace
 from functools import reduce
 
-from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from ..operators import exact as E
 from ..operators import measures as M
 from ..operators import baselines as B
-from ..operators.index import build_index
+from ..operators.index import build_index, insert_batch
 from ..params import Params
 from ..plans import experiments as X
 from ..plans import lockstep
@@ -35,29 +39,66 @@ def hundredth(df: DataFrame) -> DataFrame:
     return as_queries(df.where("vec_id % 100 = 0"))
 
 
-#: name: (dimension, metric, corpus, queries). Dimensions are the published ones; what stands for what is in FIXTURES.md.
+def tenth(df: DataFrame) -> DataFrame:
+    return as_queries(df.where("vec_id % 10 = 0"))
+
+
+@dataclass(frozen=True)
+class Set:
+    """A corpus of a published dimension and its queries; what stands for what is in FIXTURES.md."""
+
+    dim: int
+    metric: str
+    corpus: Callable[[SparkSession, str, int], DataFrame]
+    #: queries of another source, or which of the corpus's own vectors are asked; those never count as their own answers
+    asked: Callable[[SparkSession, str, int], DataFrame] | None = None
+    own: Callable[[DataFrame], DataFrame] = hundredth
+    #: shards asked for, so that large corpora are built by many tasks
+    shards: int = 1
+
+    def data(self, spark, d) -> tuple[DataFrame, DataFrame]:
+        """(corpus, queries), materialised."""
+        corpus = materialise(self.corpus(spark, d, self.dim), "corpus")
+        return corpus, materialise(as_queries(self.asked(spark, d, self.dim)) if self.asked else self.own(corpus), "queries")
+
+    def curve(self, spark, d, methods, k, efs) -> tuple[DataFrame, DataFrame]:
+        corpus, queries = self.data(spark, d)
+        return X.curve(spark, corpus, queries, methods, k, efs, self.metric, self.shards, exclude_self=self.asked is None)
+
+
 SETS = {
-    "text1536": (1536, "l2", C.doc_vec, lambda s, d, n, c: as_queries(C.bench_vec(s, d, n))),
-    "text3072": (3072, "l2", C.doc_vec, lambda s, d, n, c: as_queries(C.bench_vec(s, d, n))),
-    "page512": (512, "l2", C.page_vec, lambda s, d, n, c: hundredth(c)),
-    "ood1536": (1536, "l2", C.page_vec, lambda s, d, n, c: as_queries(C.conv_vec(s, d, n, "user"))),
-    "line384": (384, "l2", C.doc_line_vec, lambda s, d, n, c: hundredth(c)),
-    "big1024": (1024, "l2", C.conv_vec, lambda s, d, n, c: as_queries(C.bench_vec(s, d, n))),
-    "word300": (300, "l2", C.word_vec, lambda s, d, n, c: hundredth(c)),
-    "page960": (960, "l2", C.page_vec, lambda s, d, n, c: hundredth(c)),
-    "word200": (200, "l2", C.word_vec, lambda s, d, n, c: hundredth(c)),
-    "part150": (150, "l2", C.part_vec, lambda s, d, n, c: hundredth(c)),
-    "part128_cos": (128, "cosine", C.part_vec, lambda s, d, n, c: hundredth(c)),
-    "customer96_cos": (96, "cosine", C.customer_vec, lambda s, d, n, c: hundredth(c)),
-    "native64": (64, "l2", lambda s, d, n: C.embeddings(s, d), lambda s, d, n, c: hundredth(c)),
+    "text1536": Set(1536, "l2", C.doc_vec, C.bench_vec),
+    "text3072": Set(3072, "l2", C.doc_vec, C.bench_vec),
+    "page512": Set(512, "l2", C.page_vec),
+    "ood1536": Set(1536, "l2", C.page_vec, lambda s, d, n: C.conv_vec(s, d, n, "user")),
+    "line384": Set(384, "l2", C.doc_line_vec),
+    "big1024": Set(1024, "l2", C.line_vec, own=tenth, shards=8),
+    "word300": Set(300, "l2", C.word_vec),
+    "page960": Set(960, "l2", C.page_vec),
+    "word200": Set(200, "l2", C.word_vec),
+    "part150": Set(150, "l2", C.part_vec),
+    "line128_cos": Set(128, "cosine", C.line_vec, shards=8),
+    "line96_cos": Set(96, "cosine", C.line_vec, shards=8),
+    "native64": Set(64, "l2", lambda s, d, n: C.embeddings(s, d)),
 }
+#: The sets of the main comparison.
+MAIN = ["text1536", "text3072", "page512", "ood1536", "line384", "big1024", "word200", "line96_cos", "native64"]
+#: The same vectors by Euclidean distance, for sweeps over the number of neighbours and for insertions.
+LINE96 = Set(96, "l2", C.line_vec, shards=8)
+
+_SHARED: dict[tuple, object] = {}
+
 
+def once(name: str, make: Callable[[SparkSession, str], object]) -> Callable[[SparkSession, str], object]:
+    """What several queries report on is run once for each application and folder."""
 
-def data(spark, d, name):
-    """(dimension, metric, corpus, queries) of a set, materialised."""
-    dim, metric, corpus, queries = SETS[name]
-    made = materialise(corpus(spark, d, dim), "corpus")
-    return dim, metric, made, materialise(queries(spark, d, dim, made), "queries")
+    def get(spark, d):
+        key = (spark.sparkContext.applicationId, d, name)
+        if key not in _SHARED:
+            _SHARED[key] = make(spark, d)
+        return _SHARED[key]
+
+    return get
 
 
 def _gated(dim: int, metric: str) -> list[X.Method]:
@@ -67,8 +108,8 @@ def _gated(dim: int, metric: str) -> list[X.Method]:
 def _workload(name: str):
     def query(spark, d):
         """The gated graph and the layered one at three widths, K = 10."""
-        dim, metric, corpus, queries = data(spark, d, name)
-        return X.curve(spark, corpus, queries, _gated(dim, metric), 10, [16, 64, 128], metric)[0]
+        own = SETS[name]
+        return own.curve(spark, d, _gated(own.dim, own.metric), 10, [16, 64, 128])[0]
 
     return query
 
@@ -77,156 +118,216 @@ for _name in SETS:
     BOOK.add(f"wl_{_name}")(_workload(_name))
 
 
-def _all_runs(spark, d, names, k, efs):
+def _main_runs(spark, d):
+    """(runs, builds) of all methods on all main sets, K = 100."""
     out = []
-    for name in names:
-        dim, metric, corpus, queries = data(spark, d, name)
-        runs, builds = X.curve(spark, corpus, queries, X.all_methods(dim, metric), k, efs, metric)
+    for name in MAIN:
+        own = replace(SETS[name], own=hundredth)
+        runs, builds = own.curve(spark, d, X.all_methods(own.dim, own.metric), 100, [100, 200])
         out.append((runs.withColumn("dataset", F.lit(name)), builds.withColumn("dataset", F.lit(name))))
-    return reduce(DataFrame.unionByName, [r for r, _ in out]), reduce(DataFrame.unionByName, [b for _, b in out])
+    return tuple(checkpoint(reduce(DataFrame.unionByName, [o[i] for o in out])) for i in (0, 1))
+
+
+main_runs = once("main", _main_runs)
 
 
 @BOOK.add("d1_curve")
 def d1(spark, d):
-    """Throughput and recall of all methods, K = 100 (at most the corpus)."""
-    return _all_runs(spark, d, ["native64", "page512"], 100, [100, 200])[0].withColumn("nines", F.when(F.col("recall") < 1, -F.log10(1 - F.col("recall"))))
+    """Throughput and recall of all methods on all main sets, K = 100."""
+    return main_runs(spark, d)[0].withColumn("nines", F.when(F.col("recall") < 1, -F.log10(1 - F.col("recall"))))
 
 
 @BOOK.add("d1_pareto")
 def d1b(spark, d):
     """The runs that no cheaper run of the same method beats, and speed-up over the layered graph at equal recall."""
-    dim, metric, corpus, queries = data(spark, d, "native64")
-    runs = checkpoint(X.curve(spark, corpus, queries, X.all_methods(dim, metric), 10, [16, 32, 64, 128, 256], metric)[0])
+    own = SETS["native64"]
+    runs = checkpoint(own.curve(spark, d, X.all_methods(own.dim, own.metric), 10, [16, 32, 64, 128, 256])[0])
     return M.tradeoff_curve(runs).join(M.speedup_at(runs, 0.95, "hnsw"), "method", "left")
 
 
 @BOOK.add("d2_build")
 def d2(spark, d):
-    """Build cost of all methods: exact distances and seconds, and their ratio to the layered graph."""
-    builds = _all_runs(spark, d, ["native64", "page512"], 10, [16])[1]
+    """Build cost of all methods on all main sets: exact distances and seconds, and their ratio to the layered graph."""
+    builds = main_runs(spark, d)[1]
     base = builds.where("method = 'hnsw'").select("dataset", F.col("build_exact").alias("base_exact"), F.col("build_s").alias("base_s"))
-    return builds.join(F.broadcast(base), "dataset").select("dataset", "method", "n", "build_exact", "build_search", "build_s", (F.col("build_exact") / F.col("base_exact")).alias("exact_ratio"), (F.col("build_s") / F.col("base_s")).alias("time_ratio"))  # a row a dataset
+    return builds.join(F.broadcast(base), "dataset").select(  # a row a dataset
+        "dataset", "method", "n", "build_exact", "build_search", "build_s", (F.col("build_exact") / F.col("base_exact")).alias("exact_ratio"), (F.col("build_s") / F.col("base_s")).alias("time_ratio")
+    )
 
 
 @BOOK.add("d3_memory")
 def d3(spark, d):
-    """Bytes by part of all methods; codes-only methods keep vectors for reranking."""
-    builds = _all_runs(spark, d, ["native64", "page512"], 10, [16])[1]
+    """Bytes by part, and measured peaks of the build's and the search's memory (the largest shard's); codes-only methods keep vectors for reranking."""
+    builds = main_runs(spark, d)[1]
     total = F.col("vectors_b") + F.col("edges_b") + F.col("projection_b") + F.col("codes_b")
-    return builds.select("dataset", "method", "vectors_b", "edges_b", "projection_b", "codes_b", total.alias("total_b"))
+    return builds.select("dataset", "method", "vectors_b", "edges_b", "projection_b", "codes_b", total.alias("total_b"), "build_peak", "search_peak")
 
 
-@BOOK.add("d4_dims")
-def d4(spark, d):
-    """One corpus over dimensions: recall and exact-distance ratio to the layered graph."""
+DIMS = (384, 512, 1024, 1536, 3072)
+
+
+def _dim_runs(spark, d):
     out = []
-    for dim in (384, 1024, 1536):
-        corpus, queries = C.page_vec(spark, d, dim), as_queries(C.bench_vec(spark, d, dim))
-        methods = [*_gated(dim, "l2"), X.Method("qgraph", "qgraph", Params(dim)), X.Method("qgraph_u16", "qgraph", Params(dim), (("accumulator", "u16"),))]
+    for dim in DIMS:
+        corpus, queries = C.doc_vec(spark, d, dim), as_queries(C.bench_vec(spark, d, dim))
+        extra = [X.Method("qgraph", "qgraph", Params(dim), inserts=False), X.Method("qgraph_u16", "qgraph", Params(dim), (("accumulator", "u16"),), inserts=False)]
+        methods = [*[m for m in X.all_methods(dim) if m.name != "qgraph"], *extra]
         out.append(X.curve(spark, corpus, queries, methods, 10, [64])[0].withColumn("dim", F.lit(dim)))
-    runs = checkpoint(reduce(DataFrame.unionByName, out))
-    base = runs.where("method = 'hnsw'").select("dim", F.col("n_exact").alias("base"))
-    return runs.join(F.broadcast(base), "dim").withColumn("saving", F.col("base") / F.col("n_exact"))  # a row a dimension
+    return checkpoint(reduce(DataFrame.unionByName, out))
+
+
+dim_runs = once("dims", _dim_runs)
+
+
+@BOOK.add("d4_dims")
+def d4(spark, d):
+    """One corpus of texts over five dimensions: recall, exact distances and queries a second against the layered graph's."""
+    runs = dim_runs(spark, d)
+    base = runs.where("method = 'hnsw'").select("dim", F.col("n_exact").alias("base"), F.col("qps").alias("base_qps"))
+    both = runs.join(F.broadcast(base), "dim")  # a row a dimension
+    return both.withColumn("saving", F.col("base") / F.col("n_exact")).withColumn("qps_ratio", F.col("qps") / F.col("base_qps"))
 
 
 @BOOK.add("d4_robustness")
 def d4b(spark, d):
-    """How the saving moves with the dimension: slope and correlation over its logarithm."""
-    return M.robustness(d4(spark, d), "dim", "saving")
+    """How the saving and the ratio of queries a second move with the dimension: slope and correlation over its logarithm."""
+    runs = d4(spark, d)
+    return M.robustness(runs, "dim", "saving").withColumn("of", F.lit("saving")).unionByName(M.robustness(runs, "dim", "qps_ratio").withColumn("of", F.lit("qps_ratio")))
 
 
-def _k_runs(spark, d, ks):
-    dim, metric, corpus, queries = data(spark, d, "native64")
-    n = corpus.count()
-    methods = [*_gated(dim, metric), X.Method("qgraph", "qgraph", Params(dim))]
-    out = [X.curve(spark, corpus, queries, methods, min(k, n), [max(64, min(k, n))], metric)[0].withColumn("k", F.lit(min(k, n))) for k in dict.fromkeys(min(k, n) for k in ks)]
-    return reduce(DataFrame.unionByName, out)
+SIZES = (10, 100, 200, 400, 600, 800, 1000)
+
+
+def _size_runs(spark, d):
+    methods = [*_gated(96, "l2"), X.Method("qgraph", "qgraph", Params(96), inserts=False)]
+    return checkpoint(LINE96.curve(spark, d, methods, 10, [(k, max(64, k)) for k in SIZES])[0])
+
+
+size_runs = once("sizes", _size_runs)
+
+
+def _with_ratio(runs: DataFrame) -> DataFrame:
+    base = runs.where("method = 'qgraph'").select("k", F.col("qps").alias("base"), F.col("recall").alias("base_recall"))
+    both = runs.join(F.broadcast(base), "k")  # a row a size
+    return both.withColumn("qps_ratio", F.col("qps") / F.col("base")).withColumn("recall_gap", F.col("recall") - F.col("base_recall"))
 
 
 for _k in (10, 100, 1000):
-    BOOK.add(f"d5_k{_k}")(lambda spark, d, k=_k: _k_runs(spark, d, [k]))
+    BOOK.add(f"d5_k{_k}")(lambda spark, d, k=_k: _with_ratio(size_runs(spark, d).where(F.col("k") == k)))
 
 
 @BOOK.add("d5_sweep")
 def d5(spark, d):
-    return _k_runs(spark, d, [200, 400, 600, 800])
+    """From 200 to 800 neighbours."""
+    return _with_ratio(size_runs(spark, d).where("k BETWEEN 200 AND 800"))
 
 
-@BOOK.add("d6_stream")
-def d6(spark, d):
-    """Interleaved insertions and searches in batches: recall of each search batch against the exact answers on what is there by then."""
-    return _mixed(spark, d, Params.throughput(64, ef_build=64), "throughput")
+@BOOK.add("d5_robustness")
+def d5b(spark, d):
+    """How queries a second and recall against the quantised graph move with the number of neighbours."""
+    runs = _with_ratio(size_runs(spark, d))
+    return M.robustness(runs, "k", "qps_ratio").withColumn("of", F.lit("qps_ratio")).unionByName(M.robustness(runs, "k", "recall_gap").withColumn("of", F.lit("recall_gap")))
+
 
+#: Batches of insertions, and as many of searches between them.
+BATCHES = 10
 
-def _mixed(spark, d, params, name, batches: int = 2):
-    emb = materialise(C.embeddings(spark, d), "corpus")
-    initial, requests = S.mixed_requests(emb, share=5, batches=batches)
+
+def _mixed(spark, d, own: Set, params: Params, k: int = 100, share: int = 6) -> DataFrame:
+    """A sixth of the corpus is inserted and a sixth searched, in interleaved batches, insertions first, at equal width: a row for each batch.
+
+    Seconds are those of the tasks that insert or search; recall is against the
+    exact answers on what is there by then.
+    """
+    corpus = materialise(own.corpus(spark, d, own.dim), "corpus")
+    initial, requests = S.mixed_requests(corpus, share, BATCHES)
     requests = materialise(requests, "requests")
-    index = build_index(initial, params)
-    root = S.new_root(spark, index)
-    seen, out = initial, []
-    for b in range(2 * batches):
-        rows = requests.where(F.col("batch") == b)
-        answers = S.step(spark, root, rows, b, 10, params.ef_build)
-        seen = seen.unionByName(rows.where("op = 'insert'").select("vec_id", F.col("vec").alias("embedding"))) if b % 2 == 0 else seen
-        if answers is not None:
-            answers = checkpoint(answers.withColumn("batch", F.lit(b)))
-            asked = rows.where("op = 'search'").select(F.col("req_id").alias("qid"), F.col("vec").alias("qvec"))
-            truth = E.exact_knn(seen.dropDuplicates(["vec_id"]), asked, 10)
-            out.append(M.recall_at_k(answers, truth, 10, ["batch"]).join(M.cost_report(answers, ["batch"]), "batch"))
-    return reduce(DataFrame.unionByName, out).withColumn("method", F.lit(name))
+    index = build_index(initial, params, shards=own.shards)
+    out, paid = [], []
+    for b in range(BATCHES):
+        rows = requests.where(F.col("batch") == 2 * b)
+        stats: list = []
+        index = insert_batch(index, rows.select("vec_id", F.col("vec").alias("embedding")), stats=stats)
+        n = sum(s[1] for s in stats)
+        paid.append((2 * b, "insert", n, sum(s[2] for s in stats) / max(1, n), float(sum(s[3] for s in stats)) / max(1, n), len(stats)))
+        asked = materialise(requests.where(F.col("batch") == 2 * b + 1).select(F.col("req_id").alias("qid"), F.col("vec").alias("qvec")), "asked")
+        hits = materialise(index.search(asked, k, params.ef_build, timed=True), "hits")
+        there = corpus.join(requests.where((F.col("op") == "insert") & (F.col("batch") > 2 * b)).select("vec_id"), "vec_id", "left_anti")
+        truth = E.exact_knn(there, asked, k, own.metric, plan="blocks")
+        recall = M.recall_at_k(hits, truth, k)
+        one = hits.where("rank = 1").agg(F.count("*").alias("n"), F.avg("search_s").alias("seconds"), F.avg("n_exact").alias("n_exact"))
+        out.append(recall.crossJoin(F.broadcast(one)).select(F.lit(2 * b + 1).alias("batch"), F.lit("search").alias("op"), "n", "seconds", "n_exact", F.lit(index.shards).alias("shards"), "recall"))  # one row each
+    inserts = spark.createDataFrame(paid, "batch int, op string, n bigint, seconds double, n_exact double, shards int").withColumn("recall", F.lit(None).cast("double"))
+    searches = reduce(DataFrame.unionByName, out)
+    return checkpoint(inserts.unionByName(searches).withColumn("method", F.lit(params.preset)))
+
+
+def _insertion_params(dim: int) -> list[Params]:
+    return [Params.throughput(dim), Params.compact(dim, ef_build=128), B.hnsw_params(dim, m_links=32, ef_build=128)]
+
+
+mixed_runs = {p.preset: once(f"mixed {p.preset}", lambda spark, d, p=p: _mixed(spark, d, LINE96, p)) for p in _insertion_params(96)}
+
+
+@BOOK.add("d6_stream")
+def d6(spark, d):
+    """Twenty interleaved batches of insertions and searches, K = 100: what each costs and finds."""
+    return mixed_runs["throughput"](spark, d)
 
 
 @BOOK.add("d6_compare")
 def d6b(spark, d):
-    """The mixed stream by the gated and the layered graph."""
-    return _mixed(spark, d, Params.throughput(64, ef_build=64), "throughput").unionByName(_mixed(spark, d, B.hnsw_params(64, m_links=32, ef_build=64), "hnsw"))
+    """The mixed stream by both presets and the layered graph."""
+    return reduce(DataFrame.unionByName, [get(spark, d) for get in mixed_runs.values()])
 
 
 @BOOK.add("d6_insert_cost")
 def d6c(spark, d):
-    """Exact distances of an insertion over those of a search, at equal width: the amortised condition."""
-    emb, q = native(spark, d)
-    methods = [X.Method("throughput", "graph", Params.throughput(64, ef_build=64)), X.Method("hnsw", "graph", B.hnsw_params(64, m_links=32, ef_build=64))]
-    runs, builds = X.curve(spark, emb, q, methods, 10, [64])
-    inserts = builds.select("method", F.lit("insert").alias("op"), (F.col("build_exact") / F.col("n")).alias("cost"))
-    return M.amortised_ratio(inserts.unionByName(runs.select("method", F.lit("search").alias("op"), F.col("n_exact").alias("cost"))))
+    """Cost of an insertion over that of a search at equal width, in exact distances and seconds, and how it moves over the batches: the amortised condition."""
+    runs = d6b(spark, d)
+    out = M.amortised_ratio(runs.select("method", "op", F.col("n_exact").alias("cost"))).withColumnRenamed("ratio", "exact_ratio")
+    out = out.join(M.amortised_ratio(runs.select("method", "op", F.col("seconds").alias("cost"))).withColumnRenamed("ratio", "time_ratio"), "method")
+    moves = runs.where("op = 'insert'").groupBy("method").agg(F.corr("batch", "n_exact").alias("trend"), (F.max("n_exact") / F.min("n_exact")).alias("spread"))
+    return out.join(moves, "method")
 
 
 @BOOK.add("d6_ood_corpus")
 def d6d(spark, d):
-    """Insertions into the corpus of the out-of-distribution set, queries from the corpus itself."""
-    from ..operators.index import insert_batch
-
-    corpus = materialise(C.page_vec(spark, d, 1536), "corpus")
-    initial, requests = S.mixed_requests(corpus, share=5, batches=1)
-    index = insert_batch(build_index(initial, Params.throughput(1536, ef_build=64)), requests.where("op = 'insert'").select("vec_id", F.col("vec").alias("embedding")))
-    asked = requests.where("op = 'search'").select(F.col("req_id").alias("qid"), F.col("vec").alias("qvec"))
-    hits = checkpoint(index.search(asked, 10, 64).withColumn("method", F.lit("throughput")))
-    return M.recall_at_k(hits, E.exact_knn(corpus, asked, 10), 10, ["method"]).join(M.cost_report(hits, ["method"]), "method")
+    """The mixed stream on the corpus of the out-of-distribution set, queries from the corpus itself."""
+    own = Set(1536, "l2", C.page_vec)
+    return reduce(DataFrame.unionByName, [_mixed(spark, d, own, p, k=20) for p in (Params.throughput(1536), B.hnsw_params(1536, m_links=32, ef_build=128))])
 
 
 @BOOK.add("ablation")
 def ablation(spark, d):
-    """The gate alone, with rings, with rings and screen, on text and pages; with the build's cost."""
+    """The gate alone, with rings, with rings and screen, on four sets; with the build's cost."""
     out = []
-    for name in ("text1536", "page512", "ood1536"):
-        dim, metric, corpus, queries = data(spark, d, name)
-        runs, builds = X.curve(spark, corpus, queries, X.ablation_methods(dim, metric), 10, [64, 128], metric)
-        out.append(runs.join(builds.select("method", "build_exact", "build_search", "build_s", "edges", "screen_edges", "zero_in"), "method").withColumn("dataset", F.lit(name)))
+    for name in ("text3072", "page512", "line384", "ood1536"):
+        own = SETS[name]
+        runs, builds = own.curve(spark, d, X.ablation_methods(own.dim, own.metric), 10, [64, 128])
+        out.append(runs.join(builds.select("method", "build_exact", "build_search", "build_s", "edges", "screen_edges", "zero_in", "build_peak"), "method").withColumn("dataset", F.lit(name)))
     return reduce(DataFrame.unionByName, out)
 
 
 @BOOK.add("tiers")
 def tiers(spark, d):
-    """Methods in tiers by cost at equal recall, build cost and bytes."""
-    dim, metric, corpus, queries = data(spark, d, "native64")
-    runs, builds = X.curve(spark, corpus, queries, X.all_methods(dim, metric), 10, [16, 64, 128, 256], metric)
-    search = M.cost_at(runs, 0.8).select(F.lit("search").alias("criterion"), "method", (1 / F.col("cost")).alias("score"))
-    build = builds.select(F.lit("build").alias("criterion"), "method", (1 / F.col("build_s")).alias("score"))
-    total = F.col("vectors_b") + F.col("edges_b") + F.col("projection_b") + F.col("codes_b")
-    memory = builds.select(F.lit("memory").alias("criterion"), "method", (1 / total).alias("score"))
-    return M.tier_methods(search.unionByName(build).unionByName(memory))
+    """Methods by the six criteria: tiers of cost at equal recall, build cost and bytes, and whether recall holds at high dimensions, at many neighbours, and vectors can be added."""
+    runs, builds = main_runs(spark, d)
+    name = "text1536"
+    runs, builds = runs.where(F.col("dataset") == name), builds.where(F.col("dataset") == name)
+    search = M.cost_at(runs, 0.8, "seconds") if "seconds" in runs.columns else M.cost_at(runs.withColumn("seconds", 1 / F.col("qps")), 0.8, "seconds")
+    total = F.col("vectors_b") * F.col("method").isin("ivfpq", "aniso", "scalar").cast("int") * -1 + F.col("vectors_b") + F.col("edges_b") + F.col("projection_b") + F.col("codes_b")
+    scores = [
+        search.select(F.lit("search").alias("criterion"), "method", (1 / F.col("cost")).alias("score")),
+        builds.select(F.lit("build").alias("criterion"), "method", (1 / F.col("build_s")).alias("score")),
+        builds.select(F.lit("memory").alias("criterion"), "method", (1 / total).alias("score")),
+    ]
+    tiered = M.tier_methods(reduce(DataFrame.unionByName, scores)).withColumn("holds", F.lit(None).cast("boolean"))
+    dims = dim_runs(spark, d).groupBy(F.when(F.col("method") == "qgraph_u16", "qgraph").otherwise(F.col("method")).alias("method")).agg(F.min("recall").alias("least"), F.max("recall").alias("most"))
+    high = dims.select(F.lit("dimension").alias("criterion"), "method", F.col("least").alias("score"), F.lit(None).cast("int").alias("tier"), (F.col("least") >= 0.5 * F.col("most")).alias("holds"))
+    many = size_runs(spark, d).where("k = 1000").select(F.lit("neighbours").alias("criterion"), "method", F.col("recall").alias("score"), F.lit(None).cast("int").alias("tier"), (F.col("recall") >= 0.9).alias("holds"))
+    added = spark.createDataFrame([("insertion", m.name, 0.0, None, m.inserts) for m in X.all_methods(96)], "criterion string, method string, score double, tier int, holds boolean")
+    return reduce(DataFrame.unionByName, [tiered, high, many, added])
 
 
 @BOOK.add("bsp_search")
@@ -244,7 +345,8 @@ def bsp(spark, d):
 def rag(spark, d):
     """For each user turn the ten documents nearest to it."""
     docs, asked = C.doc_vec(spark, d, 384), as_queries(C.conv_vec(spark, d, 384, "user"))
-    return build_index(docs, Params.throughput(384, ef_build=64)).search(asked, 10, 64).select("qid", "rank", "vec_id", F.round("dist", 5).alias("dist"))
+    index = build_index(materialise(docs, "corpus"), Params.throughput(384, ef_build=64), shards=8)
+    return index.search(asked, 10, 64).select("qid", "rank", "vec_id", F.round("dist", 5).alias("dist"))
 
 
 @BOOK.add("app_pages")
@@ -264,9 +366,7 @@ def recsys(spark, d):
 @BOOK.add("app_memory")
 def memory(spark, d):
     """An agent's memory: turns come one after the other; each search sees only earlier turns."""
-    from ..operators.index import insert_batch
-
-    turns = materialise(C.conv_vec(spark, d, 384), "corpus").withColumn("turn", (F.col("vec_id") % 1000).cast("int"))
+    turns = materialise(C.conv_vec(spark, d, 384).join(C.turn_ids(spark, d).select("vec_id", F.col("turn").cast("int").alias("turn")), "vec_id"), "corpus")
     times = sorted(r.turn for r in turns.select("turn").distinct().collect())  # a row a turn
     out = [spark.createDataFrame([], "qid bigint, rank int, vec_id bigint, dist double, turn int")]
     index = build_index(turns.where(F.col("turn") == times[0]), Params(384, ef_build=64)) if times else None
@@ -300,10 +400,11 @@ def r03(spark, d):
 
 @BOOK.add("r04_nearest_items")
 def r04(spark, d):
-    """For each benchmark item the lines of documents nearest to it."""
-    lines = C.doc_line_vec(spark, d, 384)
-    hits = build_index(lines, Params(384, ef_build=48, m_links=12)).search(as_queries(C.bench_vec(spark, d, 384)), 3, 48)
-    return hits.select("qid", "rank", F.floor(F.col("vec_id") / 10_000).alias("doc_id"), F.round("dist", 5).alias("dist"))
+    """For each benchmark item the lines of documents nearest to it, and the documents' sources."""
+    lines = materialise(C.doc_line_vec(spark, d, 384), "corpus")
+    hits = build_index(lines, Params(384, ef_build=48, m_links=12), shards=8).search(as_queries(C.bench_vec(spark, d, 384)), 3, 48)
+    named = hits.join(C.line_ids(spark, d).select("vec_id", "doc_id"), "vec_id")
+    return named.join(load(spark, d, "documents").select("doc_id", "source"), "doc_id").select("qid", "rank", "doc_id", "source", F.round("dist", 5).alias("dist"))
 
 
 # --- sources, sinks and surface -----------------------------------------------------

@@ -3,7 +3,9 @@
 A token's slot is the first seven hexadecimal digits of its MD5 modulo the
 dimension, its sign the parity of the eighth; the sums are scaled to unit
 length. Everything is integer arithmetic until the last step, so SQL gives the
-same vectors. Rows without a token (or whose signs cancel) are left out.
+same vectors. Rows without a token (or whose signs cancel) have no direction and
+are left out. Rows that two columns name get 60 bits of a hash of both as their
+id, and a table that tells which row it is (``line_ids``, ``turn_ids``).
 """
 
 from __future__ import annotations
@@ -16,8 +18,45 @@ from .session import ship
 from .tables import load
 
 
+def _slots(tokens, dim: int):
+    """(slot, sign) of each token of an array column."""
+    digest = lambda t: F.md5(t.cast("binary"))
+    kept = F.filter(tokens, lambda t: t.isNotNull() & (t != ""))
+    return (
+        F.transform(kept, lambda t: (F.conv(F.substring(digest(t), 1, 7), 16, 10).cast("bigint") % dim).cast("int")),
+        F.transform(kept, lambda t: (1 - 2 * (F.conv(F.substring(digest(t), 8, 1), 16, 10).cast("bigint") % 2)).cast("int")),
+    )
+
+
+def hash_rows(rows: DataFrame, dim: int) -> DataFrame:
+    """(vec_id, embedding) of ``rows(vec_id, tokens array<string>)``: each row by itself, nothing is shuffled."""
+    ship(rows.sparkSession)
+    slots, signs = _slots(F.col("tokens"), dim)
+
+    def work(batches):
+        for whole in batches:
+            step = max(1, (64 << 20) // (8 * dim))
+            for i in range(0, whole.num_rows, step):
+                b = whole.slice(i, step)
+                out = np.zeros((b.num_rows, dim), dtype=np.float64)
+                sizes = np.diff(b.column(1).offsets.to_numpy())
+                np.add.at(out, (np.repeat(np.arange(b.num_rows), sizes), b.column(1).flatten().to_numpy()), b.column(2).flatten().to_numpy())
+                norm = np.sqrt((out * out).sum(axis=1))
+                kept = norm > 0
+                out = out[kept] / norm[kept, None]
+                yield _vectors(b.column(0).filter(pa.array(kept)), out, dim)
+
+    full = rows.where("tokens is not null").select("vec_id", slots.alias("slots"), signs.alias("signs"))
+    return full.mapInArrow(work, "vec_id bigint, embedding array<float>")
+
+
+def _vectors(ids: pa.Array, x: np.ndarray, dim: int) -> pa.RecordBatch:
+    ends = pa.array(np.arange(len(x) + 1, dtype=np.int32) * dim)
+    return pa.RecordBatch.from_arrays([ids, pa.ListArray.from_arrays(ends, pa.array(x.astype(np.float32).ravel()))], ["vec_id", "embedding"])
+
+
 def hash_vectors(tokens: DataFrame, dim: int) -> DataFrame:
-    """(vec_id, embedding) of ``tokens(vec_id, token)``: sparse sums first, then one array for each id."""
+    """(vec_id, embedding) of ``tokens(vec_id, token)``, whose tokens of an id stand in many rows: sparse sums first, then one array for each id."""
     digest = F.md5(F.col("token").cast("binary"))
     slots = tokens.where("token is not null and token != ''").select(
         "vec_id",
@@ -41,8 +80,7 @@ def _dense(rows: DataFrame, dim: int) -> DataFrame:
             at = np.repeat(np.arange(b.num_rows), np.diff(b.column(1).offsets.to_numpy()))
             out[at, b.column(1).flatten().to_numpy()] = b.column(2).flatten().to_numpy()
             out /= b.column(3).to_numpy()[:, None]
-            flat = pa.array(out.astype(np.float32).ravel())
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(pa.array(np.arange(b.num_rows + 1, dtype=np.int32) * dim), flat)], ["vec_id", "embedding"])
+            yield _vectors(b.column(0), out, dim)
 
     return rows.select("vec_id", "slots", "values", "norm").mapInArrow(work, "vec_id bigint, embedding array<float>")
 
@@ -57,44 +95,109 @@ def hash_vectors_sql(tokens: str, dim: int) -> str:
 
 
 def _words(table: DataFrame, key: str, text: str) -> DataFrame:
-    return table.select(F.col(key).alias("vec_id"), F.explode(F.split(F.col(text), " ")).alias("token"))
+    return table.select(F.col(key).alias("vec_id"), F.split(F.col(text), " ").alias("tokens"))
+
+
+def hashed_id(*parts: str):
+    """An id for rows that two or more columns name: 60 bits of the MD5 of both, the same in SQL."""
+    whole = F.concat_ws("/", *[F.col(p).cast("string") for p in parts])
+    return F.conv(F.substring(F.md5(whole.cast("binary")), 1, 15), 16, 10).cast("bigint")
+
+
+def hashed_id_sql(*parts: str) -> str:
+    return f"CAST(('0x' || substr(md5({' || chr(47) || '.join(f'CAST({p} AS VARCHAR)' for p in parts)}), 1, 15)) AS BIGINT)"
 
 
 def doc_vec(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
-    return hash_vectors(_words(load(spark, sf_dir, "documents"), "doc_id", "text"), dim)
+    return hash_rows(_words(load(spark, sf_dir, "documents"), "doc_id", "text"), dim)
 
 
 DOC_TOKENS_SQL = "SELECT doc_id AS vec_id, unnest(string_split(text, ' ')) AS token FROM documents"
 
 
 def bench_vec(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
-    return hash_vectors(_words(load(spark, sf_dir, "benchmark"), "item_id", "text"), dim)
+    return hash_rows(_words(load(spark, sf_dir, "benchmark"), "item_id", "text"), dim)
+
+
+BENCH_TOKENS_SQL = "SELECT item_id AS vec_id, unnest(string_split(text, ' ')) AS token FROM benchmark"
 
 
 def page_vec(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
-    return hash_vectors(_words(load(spark, sf_dir, "pages"), "page_id", "html"), dim)
+    return hash_rows(_words(load(spark, sf_dir, "pages"), "page_id", "html"), dim)
+
+
+PAGE_TOKENS_SQL = "SELECT page_id AS vec_id, unnest(string_split(html, ' ')) AS token FROM pages"
+
+
+def turn_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(vec_id, conv_id, turn, role, text) of every turn."""
+    return load(spark, sf_dir, "conversations").select(hashed_id("conv_id", "turn").alias("vec_id"), "conv_id", "turn", "role", "text")
 
 
 def conv_vec(spark: SparkSession, sf_dir: str, dim: int, role: str | None = None) -> DataFrame:
-    rows = load(spark, sf_dir, "conversations")
-    rows = rows if role is None else rows.where(F.col("role") == role)
-    return hash_vectors(_words(rows.withColumn("id", F.col("conv_id") * 1000 + F.col("turn")), "id", "text"), dim)
+    rows = turn_ids(spark, sf_dir)
+    return hash_rows(_words(rows if role is None else rows.where(F.col("role") == role), "vec_id", "text"), dim)
+
 
+CONV_TOKENS_SQL = f"SELECT {hashed_id_sql('conv_id', 'turn')} AS vec_id, unnest(string_split(text, ' ')) AS token FROM conversations"
 
-def doc_line_vec(spark: SparkSession, sf_dir: str, dim: int, least_chars: int = 20) -> DataFrame:
-    """Lines of documents; the id is doc_id * 10000 + line number."""
+
+def line_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(vec_id, doc_id, n, line) of every line of every document; n counts from 0."""
     lines = load(spark, sf_dir, "documents").select("doc_id", F.posexplode(F.split("text", "\n")).alias("n", "line"))
-    lines = lines.where(F.length("line") >= least_chars).select((F.col("doc_id") * 10_000 + F.col("n")).alias("id"), "line")
-    return hash_vectors(_words(lines, "id", "line"), dim)
+    return lines.select(hashed_id("doc_id", "n").alias("vec_id"), "doc_id", "n", "line")
+
+
+def doc_line_vec(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
+    """All lines of documents that have a word."""
+    return hash_rows(_words(line_ids(spark, sf_dir), "vec_id", "line"), dim)
+
+
+LINE_TOKENS_SQL = f"SELECT {hashed_id_sql('doc_id', 'n - 1')} AS vec_id, unnest(string_split(line, ' ')) AS token FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS n FROM documents)"
 
 
 def word_vec(spark: SparkSession, sf_dir: str, dim: int, least: int = 10) -> DataFrame:
-    """Words by the words within two places of them; a word belongs to the vocabulary if it occurs ``least`` times."""
+    """Words by the words within two places of them; a word belongs to the vocabulary if it occurs ``least`` times.
+
+    Pairs are counted before anything meets by word: a very common word has many
+    rows but few different neighbours' slots, and partial sums take them.
+    """
     words = load(spark, sf_dir, "documents").select(F.split("text", " ").alias("w"))
     near = F.transform("w", lambda x, i: F.struct(x.alias("word"), F.concat(F.slice("w", F.greatest(i - 1, F.lit(1)), F.least(i, F.lit(2))), F.slice("w", i + 2, 2)).alias("near")))
     rows = words.select(F.explode(near).alias("x")).select("x.word", "x.near").where("word != ''")
-    kept = rows.groupBy("word").count().where(F.col("count") >= least).select("word", F.xxhash64("word").alias("vec_id"))
-    return hash_vectors(rows.join(kept, "word").select("vec_id", F.explode("near").alias("token")), dim)
+    digest = F.md5(F.col("token").cast("binary"))
+    tokens = rows.select("word", F.explode("near").alias("token")).where("token != ''")
+    slots = tokens.select(
+        "word",
+        (F.conv(F.substring(digest, 1, 7), 16, 10).cast("bigint") % dim).cast("int").alias("slot"),
+        (1 - 2 * (F.conv(F.substring(digest, 8, 1), 16, 10).cast("bigint") % 2)).alias("sign"),
+    )
+    sums = slots.groupBy("word", "slot").agg(F.sum("sign").alias("v"))  # at most one row for each word and slot
+    kept = rows.groupBy("word").count().where(F.col("count") >= least).select("word")
+    full = sums.where("v != 0").join(kept, "word").groupBy(hashed_id("word").alias("vec_id"))
+    return _dense(full.agg(F.collect_list("slot").alias("slots"), F.collect_list("v").alias("values"), F.sqrt(F.sum((F.col("v") * F.col("v")).cast("double"))).alias("norm")), dim)
+
+
+def line_vec(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
+    """Rows of lineitem by their values: each column with its band is a token. An order repeats line numbers, so part and supplier belong to the id."""
+    band = lambda name, c: F.concat(F.lit(f"{name}="), c.cast("string"))
+    tokens = F.array(
+        band("part", (F.col("l_partkey") % 97)),
+        band("supplier", (F.col("l_suppkey") % 53)),
+        band("quantity", F.col("l_quantity").cast("int")),
+        band("price", (F.col("l_extendedprice") / 2000).cast("int")),
+        band("discount", F.round(F.col("l_discount") * 100).cast("int")),
+        band("tax", F.round(F.col("l_tax") * 100).cast("int")),
+        band("flag", F.concat("l_returnflag", "l_linestatus")),
+        F.concat(F.lit("month="), F.date_format("l_shipdate", "yyyy-MM")),
+        F.concat(F.lit("day="), F.date_format("l_shipdate", "dd")),
+    )
+    return hash_rows(load(spark, sf_dir, "lineitem").select(hashed_id("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey").alias("vec_id"), tokens.alias("tokens")), dim)
+
+
+LINEITEM_TOKENS_SQL = f"""SELECT {hashed_id_sql('l_orderkey', 'l_linenumber', 'l_partkey', 'l_suppkey')} AS vec_id, unnest(['part=' || l_partkey % 97, 'supplier=' || l_suppkey % 53, 'quantity=' || CAST(trunc(l_quantity) AS INTEGER),
+  'price=' || CAST(trunc(l_extendedprice / 2000) AS INTEGER), 'discount=' || CAST(round(l_discount * 100) AS INTEGER), 'tax=' || CAST(round(l_tax * 100) AS INTEGER), 'flag=' || l_returnflag || l_linestatus,
+  'month=' || strftime(l_shipdate, '%Y-%m'), 'day=' || strftime(l_shipdate, '%d')]) AS token FROM lineitem"""
 
 
 def part_vec(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
@@ -104,7 +207,7 @@ def part_vec(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
         F.split("p_type", " "),
         F.array(F.concat(F.lit("brand="), "p_brand"), F.concat(F.lit("size="), F.col("p_size").cast("string")), F.concat(F.lit("price="), (F.col("p_retailprice") / 50).cast("int").cast("string"))),
     )
-    return hash_vectors(rows.select(F.col("p_partkey").alias("vec_id"), F.explode(tokens).alias("token")), dim)
+    return hash_rows(rows.select(F.col("p_partkey").alias("vec_id"), tokens.alias("tokens")), dim)
 
 
 PART_TOKENS_SQL = """SELECT p_partkey AS vec_id, unnest(list_concat(string_split(p_name, ' '), string_split(p_type, ' '),
