@@ -212,6 +212,24 @@ def g02b(spark, d):
     return e.select("event_type", "approx_users", F.hll_sketch_estimate("s").alias("hll_users"))
 
 
+@BOOK.add("g02_theta_sketches")
+def g02c(spark, d):
+    e = load(spark, d, "events").groupBy("event_type").agg(F.theta_sketch_agg("user_id").alias("s"))
+    return e.select("event_type", F.theta_sketch_estimate("s").alias("users"))
+
+
+@BOOK.add("g03_quantile_sketches")
+def g03b(spark, d):
+    e = load(spark, d, "events").groupBy("event_type").agg(F.kll_sketch_agg_double("value").alias("s"))
+    return e.select("event_type", F.kll_sketch_get_quantile_double("s", F.lit(0.5)).alias("p50"), F.kll_sketch_get_quantile_double("s", F.lit(0.99)).alias("p99"))
+
+
+@BOOK.add("p06_bernoulli_sample")
+def p06c(spark, d):
+    """The sampling operator: each row falls in or out by itself, with a seed."""
+    return load(spark, d, "lineitem").sample(withReplacement=False, fraction=0.05, seed=11).select("l_orderkey", "l_linenumber")
+
+
 @BOOK.add("g03_percentiles", "SELECT event_type, round(quantile_cont(value, 0.5), 6) AS p50, round(quantile_cont(value, 0.99), 6) AS p99 FROM events GROUP BY 1")
 def g03(spark, d):
     return load(spark, d, "events").groupBy("event_type").agg(F.round(F.percentile("value", 0.5), 6).alias("p50"), F.round(F.percentile("value", 0.99), 6).alias("p99"))

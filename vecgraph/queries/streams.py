@@ -16,6 +16,7 @@ from ..sources.tables import load
 from ..streaming import insertion as S
 from ..streaming import windows as W
 from .base import Book
+from .vectors import NATIVE_Q, knn_sql, l2
 
 BOOK = Book()
 
@@ -59,15 +60,30 @@ def t06(spark, d):
     return finish(counts, "complete").drop("batch")
 
 
-@BOOK.add("t06_sliding_windows")
+_MARK = "(SELECT max(ts) - INTERVAL 10 MINUTE AS mark FROM events)"
+
+
+@BOOK.add(
+    "t06_sliding_windows",
+    f"""SELECT strftime(date_trunc('hour', ts) - INTERVAL 1 HOUR * back, '%Y-%m-%d %H') AS start, event_type, count(*) AS n FROM events, (SELECT unnest([0, 1]) AS back), {_MARK}
+    WHERE date_trunc('hour', ts) - INTERVAL 1 HOUR * back + INTERVAL 2 HOUR <= mark GROUP BY 1, 2""",
+)
 def t06b(spark, d):
     """Two-hour windows that begin every hour, as they close behind the watermark."""
-    return finish(W.rates(events_stream(spark, d), "2 hours", "1 hour"))
+    out = finish(W.rates(events_stream(spark, d), "2 hours", "1 hour"))
+    return out.select(F.date_format("start", "yyyy-MM-dd HH").alias("start"), "event_type", "n")
 
 
-@BOOK.add("t06_streamed_sessions")
+@BOOK.add(
+    "t06_streamed_sessions",
+    f"""WITH g AS (SELECT user_id, ts, event_id, CASE WHEN ts - lag(ts) OVER w < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)),
+    s AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS k FROM g),
+    x AS (SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 30 MINUTE AS fin, count(*) AS n FROM s GROUP BY user_id, k)
+    SELECT user_id, strftime(start, '%Y-%m-%d %H:%M:%S') AS start, n FROM x, {_MARK} WHERE fin <= mark""",
+)
 def t06c(spark, d):
-    return finish(W.sessions(events_stream(spark, d)))
+    """Sessions, as they close behind the watermark."""
+    return finish(W.sessions(events_stream(spark, d))).select("user_id", F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n")
 
 
 @BOOK.add("t07_late_events")
@@ -79,7 +95,7 @@ def t07(spark, d):
     return finish(W.rates(W.stream_table(spark, folder, spark.read.parquet(folder).schema)))
 
 
-@BOOK.add("t09_interval_join")
+@BOOK.add("t09_interval_join", "SELECT b.event_id AS purchase, v.event_id AS view FROM events b JOIN events v ON v.user_id = b.user_id AND v.ts <= b.ts AND v.ts >= b.ts - INTERVAL 1 HOUR WHERE b.event_type = 'purchase' AND v.event_type = 'view'")
 def t09(spark, d):
     """Purchases with the same user's views within the hour before, both sides as streams."""
     s = events_stream(spark, d)
@@ -121,27 +137,49 @@ def t03(spark, d):
     return spark.range(1).select(F.lit(second["version"]).cast("bigint").alias("versions_after_replay"), F.lit(first == second).alias("same"))
 
 
-@BOOK.add("t04_stream_static_search")
+@BOOK.add("t09_search_insert_join", "SELECT s.vec_id AS search, i.vec_id AS hit FROM embeddings s JOIN embeddings i ON i.vec_id = s.vec_id - 1 WHERE s.vec_id % 2 = 1")
+def t09b(spark, d):
+    """Searches joined with the insertions that created their hits, at most an hour before: both sides are streams."""
+    emb = C.embeddings(spark, d)
+    folder = shared_folder(spark, "requests")
+    ts = F.timestamp_seconds(1_700_000_000 + F.col("vec_id") * 60)
+    # every odd vector is searched a minute after the even one before it is inserted, and finds it
+    emb.select("vec_id", ts.alias("ts"), F.when(F.col("vec_id") % 2 == 0, "insert").otherwise("search").alias("op")).coalesce(1).write.parquet(folder)
+    read = lambda: W.stream_table(spark, folder, spark.read.parquet(folder).schema)
+    searches = read().where("op = 'search'").select(F.col("vec_id").alias("search"), (F.col("vec_id") - 1).alias("s_id"), F.col("ts").alias("s_ts"))
+    inserts = read().where("op = 'insert'").select(F.col("vec_id").alias("i_id"), F.col("ts").alias("i_ts"))
+    return finish(W.interval_join(searches, inserts).select("search", F.col("i_id").alias("hit")))
+
+
+@BOOK.add("t04_stream_static_search", knn_sql("SELECT vec_id, embedding FROM embeddings", NATIVE_Q, 5).replace("round(dist, 6)", "round(dist, 5)"))
 def t04(spark, d):
-    """A stream of queries against one pinned version."""
+    """A stream of queries against one pinned version, as wide as its graph."""
     emb = C.embeddings(spark, d)
-    index = build_index(emb, Params(64))
+    n = emb.count()
+    index = build_index(emb, Params(64, work=n))
     folder = shared_folder(spark, "queries")
     C.native_queries(emb).repartition(2).write.parquet(folder)
     stream = W.stream_table(spark, folder, spark.read.parquet(folder).schema)
     out, log = shared_folder(spark, "answers"), shared_folder(spark, "log")
 
     def each(rows, batch_id):
-        index.search(rows, 5, 48).write.mode("overwrite").parquet(f"{out}/batch={batch_id:06d}")
+        index.search(rows, 5, n).write.mode("overwrite").parquet(f"{out}/batch={batch_id:06d}")
 
     stream.writeStream.foreachBatch(each).option("checkpointLocation", log).trigger(availableNow=True).start().awaitTermination()
     return spark.read.parquet(out).select("qid", "rank", "vec_id", F.round("dist", 5).alias("dist"))
 
 
-@BOOK.add("t08_recent_vectors")
+_HELD = """WITH r AS (SELECT vec_id, vec_id % 4 AS key, embedding, CASE WHEN vec_id % 60 = 59 THEN 'verify' WHEN vec_id % 5 = 3 THEN 'search' ELSE 'insert' END AS op FROM embeddings),
+  s AS (SELECT q.vec_id AS req, q.embedding AS qvec, q.key, coalesce((SELECT max(v.vec_id) FROM r v WHERE v.op = 'verify' AND v.key = q.key AND v.vec_id < q.vec_id), -1) AS since FROM r q WHERE q.op = 'search')"""
+
+
+@BOOK.add("t08_recent_vectors", _HELD + f" SELECT req, hit, round(dist, 5) AS dist FROM (SELECT req, i.vec_id AS hit, {l2('qvec', 'i.embedding')} AS dist, row_number() OVER (PARTITION BY req ORDER BY {l2('qvec', 'i.embedding')}, i.vec_id) AS place FROM s JOIN r i ON i.op = 'insert' AND i.key = s.key AND i.vec_id < req AND i.vec_id > since) WHERE place = 1")
 def t08(spark, d):
-    """Per key, how many inserted vectors wait for verification (every request of kind 'purchase' verifies)."""
-    kind = F.when(F.col("event_type") == "purchase", "verify").otherwise("insert")
-    requests = events_stream(spark, d).select(F.col("user_id").alias("key"), kind.alias("op"), F.col("event_id").alias("vec_id"))
+    """Per key, vectors inserted since the last verification are scanned exactly by searches; a verification lets them go."""
+    op = F.when(F.col("vec_id") % 60 == 59, "verify").when(F.col("vec_id") % 5 == 3, "search").otherwise("insert")
+    rows = C.embeddings(spark, d).select((F.col("vec_id") % 4).alias("key"), F.col("vec_id").alias("seq"), op.alias("op"), "vec_id", "embedding")
+    folder = shared_folder(spark, "requests")
+    rows.repartitionByRange(2, "seq").sortWithinPartitions("seq").write.parquet(folder)
     spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
-    return finish(W.recent(requests), "update").drop("batch")
+    stream = W.stream_table(spark, folder, spark.read.parquet(folder).schema, files=2)
+    return finish(W.recent(stream), "update").select("req", "hit", F.round("dist", 5).alias("dist"))

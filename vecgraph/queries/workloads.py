@@ -26,7 +26,7 @@ from ..sources.session import checkpoint, materialise
 from ..sources.tables import load
 from ..streaming import insertion as S
 from .base import Book
-from .vectors import native
+from .vectors import knn_sql, native
 
 BOOK = Book()
 
@@ -389,13 +389,22 @@ def r02(spark, d):
 
 @BOOK.add("r03_near_copy_votes")
 def r03(spark, d):
-    """Label votes among each document's nearest others by the graph."""
+    """Groups of documents within a radius of each other, by searches of the graph and connected links; votes of the labels inside each group."""
     corpus = materialise(C.doc_vec(spark, d, 384), "corpus")
     labels = load(spark, d, "labels")
-    asked = as_queries(corpus.join(labels.select(F.col("doc_id").alias("vec_id")).distinct(), "vec_id", "left_semi"))
-    hits = build_index(corpus, Params(384, ef_build=64)).search(asked, 6, 48).where("vec_id != qid")
-    votes = hits.join(labels.select(F.col("doc_id").alias("vec_id"), "quality"), "vec_id").groupBy("qid").agg(F.avg("quality").alias("share"), F.count("*").alias("n"))
-    return votes.join(labels.select(F.col("doc_id").alias("qid"), F.col("quality").alias("own")), "qid").groupBy("own").agg(F.count("*").alias("n"), F.avg("share").alias("share"))
+    index = build_index(corpus, Params(384, ef_build=64), shards=4)
+    near = index.search(as_queries(corpus), 12, 48).where("vec_id != qid AND dist <= 0.6").select("qid", "vec_id")
+    # one document's links are few, so the least reachable id is found by passing ids along until none falls
+    links = checkpoint(near.union(near.select("vec_id", "qid")).distinct())
+    state = checkpoint(corpus.select("vec_id", F.col("vec_id").alias("grp")))
+    while True:
+        met = links.join(state.select(F.col("vec_id").alias("qid"), F.col("grp").alias("other")), "qid").groupBy("vec_id").agg(F.min("other").alias("other"))
+        after = checkpoint(state.join(met, "vec_id", "left").select("vec_id", F.least("grp", F.coalesce("other", "grp")).alias("grp"), F.col("grp").alias("was")))
+        if after.where("grp != was").isEmpty():
+            break
+        state = after.select("vec_id", "grp")
+    votes = state.join(labels.select(F.col("doc_id").alias("vec_id"), "quality"), "vec_id").groupBy("grp").agg(F.count("*").alias("members"), F.avg("quality").alias("share"))
+    return votes.groupBy("members").agg(F.count("*").alias("groups"), F.avg(F.greatest("share", 1 - F.col("share"))).alias("agreement"))
 
 
 @BOOK.add("r04_nearest_items")
@@ -410,7 +419,7 @@ def r04(spark, d):
 # --- sources, sinks and surface -----------------------------------------------------
 
 
-@BOOK.add("s02_format_round_trips", "SELECT 'csv' AS kind, count(*) AS n, CAST(sum(n_nationkey) AS BIGINT) AS keys FROM nation UNION ALL SELECT 'json', count(*), CAST(sum(n_nationkey) AS BIGINT) FROM nation UNION ALL SELECT 'orc', count(*), CAST(sum(n_nationkey) AS BIGINT) FROM nation")
+@BOOK.add("s02_format_round_trips", "SELECT 'csv' AS kind, count(*) AS n, CAST(sum(n_nationkey) AS BIGINT) AS keys FROM nation UNION ALL SELECT 'json', count(*), CAST(sum(n_nationkey) AS BIGINT) FROM nation UNION ALL SELECT 'orc', count(*), CAST(sum(n_nationkey) AS BIGINT) FROM nation UNION ALL SELECT 'text', count(*), CAST(sum(length(n_name)) AS BIGINT) FROM nation")
 def s02(spark, d):
     from ..sources.formats import read_as, write_as
     from ..sources.session import shared_folder
@@ -420,6 +429,9 @@ def s02(spark, d):
         path = shared_folder(spark, kind)
         write_as(nation, kind, path)
         out.append(read_as(spark, kind, path, nation.schema).agg(F.lit(kind).alias("kind"), F.count("*").alias("n"), F.sum("n_nationkey").alias("keys")))
+    path = shared_folder(spark, "text")
+    nation.select(F.col("n_name").alias("value")).write.text(path)
+    out.append(spark.read.text(path).agg(F.lit("text").alias("kind"), F.count("*").alias("n"), F.sum(F.length("value")).alias("keys")))
     return reduce(DataFrame.unionByName, out)
 
 
@@ -451,15 +463,51 @@ def s04(spark, d):
     return read_fvecs(spark.read.parquet(path)).agg(F.count("*").alias("n"), F.max(F.size("embedding")).alias("dim"))
 
 
-@BOOK.add("u04_search_table_function")
+@BOOK.add("s05_index_files", "SELECT count(DISTINCT embedding) AS nodes, count(*) AS vectors, CAST(0 AS BIGINT) AS pending, true AS same FROM embeddings")
+def s05(spark, d):
+    """An index written, opened by its path and read part by part."""
+    from ..operators.index import Index
+
+    emb, _ = native(spark, d)
+    index = build_index(emb, Params(64), shards=3)
+    again = Index.open(spark, index.path)
+    one = again.nodes().agg(F.count("*").alias("nodes")).crossJoin(F.broadcast(again.rows.agg((F.count("*") + F.sum(F.size("copies"))).alias("vectors"))))  # one row each
+    one = one.crossJoin(F.broadcast(again.pending().agg(F.count("*").alias("pending"))))
+    return one.select("nodes", "vectors", "pending", F.lit(again.params == index.params and again.generations == index.generations).alias("same"))
+
+
+@BOOK.add("s09_noop_sink", "SELECT count(*) AS n FROM lineitem")
+def s09(spark, d):
+    """A table run to its last row without a sink; the rows are counted on the way."""
+    from pyspark.sql import Observation
+
+    seen = Observation("rows")
+    load(spark, d, "lineitem").observe(seen, F.count("*").alias("n")).write.format("noop").mode("overwrite").save()
+    return spark.createDataFrame([(seen.get["n"],)], "n bigint")
+
+
+_FIRST = "SELECT vec_id, embedding FROM embeddings"
+
+
+@BOOK.add("u04_search_table_function", knn_sql(_FIRST, "SELECT vec_id AS qid, embedding AS qvec FROM embeddings WHERE vec_id = 0", 10).replace("SELECT qid, CAST(rank AS INTEGER) AS rank, vec_id, round(dist, 6) AS dist", "SELECT vec_id, round(dist, 5) AS dist"))
 def u04(spark, d):
-    """The index as a table function in SQL: neighbours of a node."""
+    """The search as a table function in SQL, over the shards of an index, as wide as the graph."""
+    from ..functions.aggregates import register_search
+
+    emb, _ = native(spark, d)
+    n = emb.count()
+    register_search(spark, build_index(emb, Params(64, work=n), shards=2))
+    asked = ", ".join(f"CAST({v!r} AS FLOAT)" for v in emb.where("vec_id = 0").first().embedding)
+    return spark.sql(f"SELECT vec_id, round(dist, 5) AS dist FROM ann_search(TABLE(SELECT * FROM ann_search_shards) PARTITION BY shard, array({asked}), 10, {n}) ORDER BY dist, vec_id LIMIT 10")
+
+
+@BOOK.add("u04_hops_table_function")
+def u04b(spark, d):
+    """Neighbours of a node by edges, as a table function."""
     from pyspark.sql.functions import udtf
 
     emb, _ = native(spark, d)
-    index = build_index(emb, Params(64))
-    index.edges().createOrReplaceTempView("index_edges")
-    index.nodes().createOrReplaceTempView("index_nodes")
+    build_index(emb, Params(64)).edges().createOrReplaceTempView("index_edges")
 
     class Hops:
         def eval(self, near: list, hops: int):
@@ -471,6 +519,75 @@ def u04(spark, d):
     return spark.sql("SELECT n.src, f.node, f.place FROM (SELECT src, transform(array_sort(collect_list(struct(edge_len, dst))), e -> e.dst) AS near FROM index_edges GROUP BY src) n, LATERAL near_nodes(n.near, 3) f")
 
 
+@BOOK.add("u06_inspection_views", "SELECT count(DISTINCT embedding) AS nodes, true AS linked, CAST(0 AS BIGINT) AS pending, '64' AS dim FROM embeddings")
+def u06(spark, d):
+    """The parts of an index as views."""
+    from ..functions.aggregates import register_inspection
+
+    emb, _ = native(spark, d)
+    register_inspection(spark, build_index(emb, Params(64)))
+    return spark.sql(
+        """SELECT (SELECT count(*) FROM index_nodes) AS nodes, (SELECT count(*) FROM index_edges) > (SELECT count(*) FROM index_nodes) AS linked,
+        (SELECT count(*) FROM index_pending) AS pending, (SELECT value FROM index_manifest WHERE name = 'dim') AS dim"""
+    )
+
+
+@BOOK.add("g07_top_k_aggregate", "SELECT label, vec_id, CAST(place AS INTEGER) AS place FROM (SELECT label, vec_id, row_number() OVER (PARTITION BY label ORDER BY embedding[1], vec_id) AS place FROM embeddings) WHERE place <= 5")
+def g07(spark, d):
+    """The five vectors of each label with the least first element, by an aggregate."""
+    from ..functions.aggregates import top_k_by
+
+    best = load(spark, d, "embeddings").groupBy("label").agg(top_k_by(5)(F.get("embedding", 0).cast("double"), F.col("vec_id")).alias("best"))
+    return best.select("label", F.posexplode("best").alias("place", "vec_id")).select("label", "vec_id", (F.col("place") + 1).alias("place"))
+
+
+_MEANS = "SELECT label, CAST(i - 1 AS INTEGER) AS pos, round(avg(CAST(embedding[i] AS DOUBLE)), 6) AS mean FROM embeddings, (SELECT unnest(range(1, 65)) AS i) GROUP BY 1, 2"
+
+
+@BOOK.add("u03_vector_average", _MEANS)
+def u03(spark, d):
+    """Mean vectors by an aggregate function."""
+    from ..functions.aggregates import vec_avg
+
+    means = load(spark, d, "embeddings").groupBy("label").agg(vec_avg("embedding").alias("mean"))
+    return means.select("label", F.posexplode("mean").alias("pos", "mean")).select("label", "pos", F.round("mean", 6).alias("mean"))
+
+
+@BOOK.add("g08_partial_vector_sums", _MEANS)
+def g08b(spark, d):
+    """Mean vectors by partial sums of each task."""
+    from ..functions.aggregates import vector_mean
+
+    means = vector_mean(load(spark, d, "embeddings"), "label")
+    return means.select("label", F.posexplode("mean").alias("pos", "mean")).select("label", "pos", F.round("mean", 6).alias("mean"))
+
+
+@BOOK.add("u02_arrow_function", "SELECT vec_id, round(sqrt(list_sum(list_transform(embedding, lambda v: CAST(v AS DOUBLE) * v))), 6) AS norm FROM embeddings")
+def u02(spark, d):
+    from ..functions.aggregates import arrow_norm
+
+    return load(spark, d, "embeddings").select("vec_id", F.round(arrow_norm("embedding"), 6).alias("norm"))
+
+
+@BOOK.add("j03_bucketed_join", "SELECT l_returnflag, o_orderpriority, count(*) AS n, round(sum(l_extendedprice), 2) AS price FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1, 2")
+def j03(spark, d):
+    """Two tables bucketed by the joined key: they meet without an exchange."""
+    lines, orders = bucketed(load(spark, d, "lineitem"), "l_orderkey"), bucketed(load(spark, d, "orders"), "o_orderkey")
+    both = lines.hint("merge").join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
+    return both.groupBy("l_returnflag", "o_orderpriority").agg(F.count("*").alias("n"), F.round(F.sum("l_extendedprice"), 2).alias("price"))
+
+
+def bucketed(df: DataFrame, key: str, buckets: int = 8) -> DataFrame:
+    """The rows as a table bucketed and sorted by a key, in the shared folder."""
+    import uuid
+
+    from ..sources.session import shared_folder
+
+    name = f"bucketed_{uuid.uuid4().hex}"
+    df.write.bucketBy(buckets, key).sortBy(key).option("path", shared_folder(df.sparkSession, name)).saveAsTable(name)
+    return df.sparkSession.table(name)
+
+
 @BOOK.add("t06_window_rates", "SELECT strftime(date_trunc('hour', ts), '%Y-%m-%d %H:%M:%S') AS start, event_type, count(*) AS n, round(avg(value), 6) AS mean FROM events GROUP BY 1, 2")
 def t06(spark, d):
     """Request rates by hour and kind; the streaming form is in ``streaming.windows``."""

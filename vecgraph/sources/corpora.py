@@ -179,7 +179,7 @@ def word_vec(spark: SparkSession, sf_dir: str, dim: int, least: int = 10) -> Dat
 
 
 def line_vec(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
-    """Rows of lineitem by their values: each column with its band is a token. An order repeats line numbers, so part and supplier belong to the id."""
+    """Rows of lineitem by their values: each column with its band is a token. An order repeats line numbers, so part, supplier and day belong to the id."""
     band = lambda name, c: F.concat(F.lit(f"{name}="), c.cast("string"))
     tokens = F.array(
         band("part", (F.col("l_partkey") % 97)),
@@ -192,10 +192,10 @@ def line_vec(spark: SparkSession, sf_dir: str, dim: int) -> DataFrame:
         F.concat(F.lit("month="), F.date_format("l_shipdate", "yyyy-MM")),
         F.concat(F.lit("day="), F.date_format("l_shipdate", "dd")),
     )
-    return hash_rows(load(spark, sf_dir, "lineitem").select(hashed_id("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey").alias("vec_id"), tokens.alias("tokens")), dim)
+    return hash_rows(load(spark, sf_dir, "lineitem").select(hashed_id("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate").alias("vec_id"), tokens.alias("tokens")), dim)
 
 
-LINEITEM_TOKENS_SQL = f"""SELECT {hashed_id_sql('l_orderkey', 'l_linenumber', 'l_partkey', 'l_suppkey')} AS vec_id, unnest(['part=' || l_partkey % 97, 'supplier=' || l_suppkey % 53, 'quantity=' || CAST(trunc(l_quantity) AS INTEGER),
+LINEITEM_TOKENS_SQL = f"""SELECT {hashed_id_sql('l_orderkey', 'l_linenumber', 'l_partkey', 'l_suppkey', 'l_shipdate')} AS vec_id, unnest(['part=' || l_partkey % 97, 'supplier=' || l_suppkey % 53, 'quantity=' || CAST(trunc(l_quantity) AS INTEGER),
   'price=' || CAST(trunc(l_extendedprice / 2000) AS INTEGER), 'discount=' || CAST(round(l_discount * 100) AS INTEGER), 'tax=' || CAST(round(l_tax * 100) AS INTEGER), 'flag=' || l_returnflag || l_linestatus,
   'month=' || strftime(l_shipdate, '%Y-%m'), 'day=' || strftime(l_shipdate, '%d')]) AS token FROM lineitem"""
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
@@ -43,24 +44,32 @@ def run_once(df: DataFrame, name: str, checkpoint: str, mode: str = "append") ->
 
 
 class RecentVectors(StatefulProcessor):
-    """Per key, the vectors not verified yet: a request answers with how many are held; ``verify`` empties them."""
+    """Per key, the vectors that no verification has seen yet: a search scans them exactly, ``verify`` lets them go; each is forgotten after a day."""
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.held = handle.getListState("held", "vec_id long")
+        self.held = handle.getListState("held", "vec_id long, embedding array<float>", ttlDurationMs=86_400_000)
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timers) -> Iterator[pd.DataFrame]:
-        held = [r[0] for r in self.held.get()]
-        for pdf in rows:
-            for op, vec_id in zip(pdf["op"], pdf["vec_id"]):
-                held = [] if op == "verify" else [*held, int(vec_id)] if op == "insert" else held
-        self.held.put([(v,) for v in held]) if held else self.held.clear()
-        yield pd.DataFrame({"key": [key[0]], "held": [len(held)]})
+        held = [(int(r[0]), list(r[1])) for r in self.held.get()]
+        out = []
+        for r in pd.concat(list(rows)).sort_values("seq").itertuples(index=False):
+            if r.op == "insert":
+                held.append((int(r.vec_id), [float(v) for v in r.embedding]))
+            elif r.op == "verify":
+                held = []
+            elif held:
+                diff = np.array([v for _, v in held], dtype=np.float64) - np.asarray(r.embedding, dtype=np.float64)
+                dist = np.sqrt((diff * diff).sum(axis=1))
+                best = min(range(len(held)), key=lambda i: (dist[i], held[i][0]))
+                out.append((int(r.vec_id), held[best][0], float(dist[best])))
+        self.held.put(held) if held else self.held.clear()
+        yield pd.DataFrame(out, columns=["req", "hit", "dist"]).astype({"req": "int64", "hit": "int64", "dist": "float64"})
 
     def close(self) -> None:
         pass
 
 
 def recent(requests: DataFrame) -> DataFrame:
-    """How many unverified vectors each key holds after each batch."""
+    """(req, hit, dist): the nearest unverified vector of each search ``requests(key, seq, op, vec_id, embedding)``."""
     ship(requests.sparkSession)
-    return requests.groupBy("key").transformWithStateInPandas(RecentVectors(), "key bigint, held bigint", "Update", "None")
+    return requests.groupBy("key").transformWithStateInPandas(RecentVectors(), "req bigint, hit bigint, dist double", "Update", "ProcessingTime")
