@@ -69,7 +69,7 @@ def arrow_norm(column: str) -> Column:
 
 
 def register_search(spark: SparkSession, index: Index, name: str = "ann_search") -> None:
-    """``SELECT * FROM name(TABLE(SELECT * FROM name_shards) PARTITION BY shard, array(..) , k, ef)``: the hits of each shard.
+    """``SELECT * FROM name(TABLE(SELECT * FROM name_shards) PARTITION BY (shard), array(..), k, ef)``: the hits of each shard.
 
     The view ``name_shards`` holds the index's blobs. A shard's hits are k rows;
     an outer ORDER BY dist, vec_id LIMIT k merges them.

@@ -498,7 +498,7 @@ def u04(spark, d):
     n = emb.count()
     register_search(spark, build_index(emb, Params(64, work=n), shards=2))
     asked = ", ".join(f"CAST({v!r} AS FLOAT)" for v in emb.where("vec_id = 0").first().embedding)
-    return spark.sql(f"SELECT vec_id, round(dist, 5) AS dist FROM ann_search(TABLE(SELECT * FROM ann_search_shards) PARTITION BY shard, array({asked}), 10, {n}) ORDER BY dist, vec_id LIMIT 10")
+    return spark.sql(f"SELECT vec_id, round(dist, 5) AS dist FROM ann_search(TABLE(SELECT * FROM ann_search_shards) PARTITION BY (shard), array({asked}), 10, {n}) ORDER BY dist, vec_id LIMIT 10")
 
 
 @BOOK.add("u04_hops_table_function")

@@ -44,10 +44,13 @@ def run_once(df: DataFrame, name: str, checkpoint: str, mode: str = "append") ->
 
 
 class RecentVectors(StatefulProcessor):
-    """Per key, the vectors that no verification has seen yet: a search scans them exactly, ``verify`` lets them go; each is forgotten after a day."""
+    """Per key, the vectors that no verification has seen yet: a search scans them exactly, ``verify`` lets them go, and so does the time to live, if there is one."""
+
+    def __init__(self, ttl_ms: int | None = None):
+        self.ttl_ms = ttl_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.held = handle.getListState("held", "vec_id long, embedding array<float>", ttlDurationMs=86_400_000)
+        self.held = handle.getListState("held", "vec_id long, embedding array<float>", ttlDurationMs=self.ttl_ms)
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timers) -> Iterator[pd.DataFrame]:
         held = [(int(r[0]), list(r[1])) for r in self.held.get()]
@@ -69,7 +72,10 @@ class RecentVectors(StatefulProcessor):
         pass
 
 
-def recent(requests: DataFrame) -> DataFrame:
-    """(req, hit, dist): the nearest unverified vector of each search ``requests(key, seq, op, vec_id, embedding)``."""
+def recent(requests: DataFrame, ttl_ms: int | None = None) -> DataFrame:
+    """(req, hit, dist): the nearest unverified vector of each search ``requests(key, seq, op, vec_id, embedding)``.
+
+    A time to live needs processing time, which keeps a stream running: it is for streams without an end.
+    """
     ship(requests.sparkSession)
-    return requests.groupBy("key").transformWithStateInPandas(RecentVectors(), "req bigint, hit bigint, dist double", "Update", "ProcessingTime")
+    return requests.groupBy("key").transformWithStateInPandas(RecentVectors(ttl_ms), "req bigint, hit bigint, dist double", "Update", "ProcessingTime" if ttl_ms else "None")
