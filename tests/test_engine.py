@@ -232,61 +232,84 @@ def test_pareto_speedup_and_tiers(spark):
 # --- worked examples ----------------------------------------------------------------
 
 
-def _exact_estimate(g: Graph, q, pivot):
-    """Gate and screen statistics of a pivot's neighbours with exact angles in place of estimates."""
-    near = g.adj[pivot, : g.degree[pivot]]
-    edge, way = g.x[near] - g.x[pivot], q - g.x[pivot]
-    a, b = np.linalg.norm(edge, axis=1), np.linalg.norm(way)
-    return near, a, b, edge @ way / (a * b)
+def _overview(seed):
+    """A pivot (place 0) with seven neighbours and the rim (place 8) of a working set of two; the target is the origin."""
+    rng = np.random.default_rng(seed)
+    g = Graph(Params(8, blocks=2, refs_per_block=8, m_links=8, work=2))
+    g._room(9)
+    g.size = 9
+    pivot = np.eye(8, dtype=np.float32)[0]
+    turn = rng.normal(size=(7, 8))
+    g.x[0], g.x[1:8] = pivot, pivot + (turn / np.linalg.norm(turn, axis=1, keepdims=True) * rng.uniform(0.9, 1.6, size=(7, 1)))
+    g.x[8] = np.eye(8, dtype=np.float32)[1] * rng.uniform(1.15, 1.45)
+    g._set_edges(np.zeros(7, dtype=int), np.arange(1, 8), 0)
+    return g
 
 
 def test_overview_example():
-    """Seven neighbours of a pivot: two are nearer than the rim, of which one is admitted only by the test's error; none is nearer to the target than the pivot."""
-    p = Params(2, blocks=1, refs_per_block=64, m_links=8, work=3)
-    g = Graph(p)
-    g._room(9)
-    q = np.array([0.0, 0.0], dtype=np.float32)
-    angles = np.deg2rad([100, 140, 60, 180, 75, 220, 260])
-    pivot = np.array([1.0, 0.0], dtype=np.float32)
-    length = np.array([1.2, 1.5, 0.55, 1.6, 0.9, 1.4, 1.3])
-    way = np.pi  # towards the target
-    others = pivot + length[:, None] * np.stack([np.cos(way - angles), np.sin(way - angles)], axis=1)
-    g.x[:8, :2] = np.vstack([pivot, others])
-    g.size = 8
-    g._set_edges(np.zeros(7, dtype=int), np.arange(1, 8), 0)
-    near, a, b, cosine = _exact_estimate(g, q, 0)
-    d = np.linalg.norm(g.x[near] - q, axis=1)
-    rim = float(np.sort(d)[1]) + 1e-3
-    tau = (a**2 + b**2 - rim**2) / (2 * a * b)
-    passed = near[cosine >= tau]
-    assert sorted(passed.tolist()) == sorted(near[d <= rim].tolist()) and len(passed) == 2
-    screen = cosine - a / (2 * b)
-    assert ((screen < 0) == (d > b)).all()
-    assert np.allclose((cosine - tau) + tau - a / (2 * b), screen)
+    """Seven neighbours of a pivot: the test passes two, of which one is a false positive and waits in its ring, the other
+    displaces the rim, which waits in the other ring; both come back with the distances paid, and no witness is seen."""
+    target, starts = np.zeros((1, 8), dtype=np.float32), np.array([[0, 8]])
+    for seed in range(4000):
+        g = _overview(seed)
+        d = np.linalg.norm(g.x[:9], axis=1)
+        nearer = np.flatnonzero(d[1:8] < d[8]) + 1
+        if len(nearer) != 1 or (d[1:8] <= d[0]).any():
+            continue
+        f = g._lockstep(target, 4, 9, 4, screen=True, starts=starts)
+        if f.counters["n_pass"][0] == 2 and f.counters["n_fp"][0] == 1 and set(nearer) <= set(f.ids[0].tolist()) and f.visited[2][f.visited[1] == 0][0] < 0:
+            break
+    else:
+        raise AssertionError("no geometry with these outcomes")
+    count = {c: int(v[0]) for c, v in f.counters.items()}
+    assert count["n_checked"] == 7 and count["n_exact"] == 2 + 2  # two members at the start, two that passed
+    false = ({*f.ids[0].tolist()} - {0, 8, *nearer}).pop()
+    assert d[false] >= d[8]  # passed by the test's error
+    assert count["n_fp_reused"] == 1 and count["n_rounds"] == 1  # after one round it comes back, and so does the rim
+    assert f.ids[0].tolist() == sorted([0, 8, int(nearer[0]), false], key=lambda i: d[i]) and np.allclose(f.dist[0], np.sort(d[[0, 8, int(nearer[0]), false]]))
+    # with a rim as near as the pivot (the shift to the left) neither passes, and the screen agrees
+    stat = f.visited[2][f.visited[1] == 0][0]
+    near = g.adj[0, :7].astype(int)
+    estimate = g._dots(target_table(target, g.refs).ravel(), np.zeros(7, dtype=int), np.arange(7)) / (d[0] * g.own[0, :7])
+    a = g.length[0, :7]
+    assert np.isclose(stat, (estimate - a / (2 * d[0])).max(), atol=1e-5) and sorted(near.tolist()) == list(range(1, 8))
+    gate = estimate - (a * a + d[0] ** 2 - d[8] ** 2) / (2 * a * d[0])
+    assert (gate >= 0).sum() == 2 and (gate - (d[8] ** 2 - d[0] ** 2) / (2 * a * d[0]) < 0).all()
 
 
 def test_screen_adds_incoming_edges_that_pruning_alone_misses():
-    """A target with four out-neighbours of which pruning keeps one in-edge; three other visited nodes have no witness."""
-    p = Params(2, blocks=1, refs_per_block=64, m_links=8)
-    g = Graph(p)
+    """A target with four out-neighbours of which pruning keeps one in-edge; a search that screens what it visits finds three more."""
+    g = Graph(Params(2, blocks=1, refs_per_block=64, m_links=8))
     g._room(11)
     g.size = 11
-    target, outs, visited, far = 0, [1, 2, 3, 4], [5, 6, 7], [8, 9, 10]
+    target, outs, others = 0, np.array([1, 2, 3, 4]), {5, 6, 7}
     g.x[:11, :2] = [[0, 0], [1, 0], [1.1, 0.1], [1.2, -0.1], [1.15, 0.2], [-2, 0], [0, 2.2], [0, -2.4], [-3, 0.1], [0.1, 3.3], [0.1, -3.5]]
-    g._set_edges(np.array([1, 2, 3, 4, 5, 6, 7]), np.array([2, 1, 1, 1, *far]), 0)
-    kept = g.keeps_incoming(np.array(outs), np.zeros(4, dtype=int))
-    assert kept.tolist() == [True, False, False, False]
-    for pivot in visited:
-        near, a, b, cosine = _exact_estimate(g, g.x[target], pivot)
-        assert (cosine - a / (2 * b)).max() < 0  # the screen sees no witness
-    for pivot in outs[1:]:
-        near, a, b, cosine = _exact_estimate(g, g.x[target], pivot)
-        assert (cosine - a / (2 * b)).max() >= 0
-    g.pending = [(np.array(visited), np.zeros(3, dtype=int), np.array([-1.0, -1.0, -1.0]))]
-    g.add_incoming(np.array(outs)[kept], np.zeros(1, dtype=int), 1)
+    links = [(1, 2), (1, 3), (1, 4), (1, 5), (1, 6), (1, 7), (2, 1), (3, 1), (4, 1), (5, 8), (6, 9), (7, 10)]
+    g._set_edges(np.array([a for a, _ in links]), np.array([b for _, b in links]), 0)
+    kept = g.keeps_incoming(outs, np.zeros(4, dtype=int))
+    assert kept.tolist() == [True, False, False, False]  # the out-neighbours alone give one in-edge
+    g.add_incoming(outs[kept], np.zeros(1, dtype=int), 1)
+    # the target was not in the graph when it was searched for: its in-edge is hidden
+    found = g._lockstep(g.x[:1], 10, 11, 10, gate=False, screen=True, starts=np.array([[1]]))
+    _, pivot, stat = found.visited
+    survivors = {int(p) for p, s in zip(pivot, stat) if s < 0 and p != target}
+    assert others <= survivors and not survivors & {2, 3, 4}
+    chosen = np.array(sorted(survivors - set(outs[kept].tolist())))
+    g.pending = [(chosen, np.zeros(len(chosen), dtype=int), np.zeros(len(chosen)))]
     g.verify_pending()
     source, dst, _, origin = g.edges()
-    assert sorted(zip(source[dst == 0].tolist(), origin[dst == 0].tolist())) == [(1, 1), (5, 2), (6, 2), (7, 2)]
+    into = sorted(zip(source[dst == 0].tolist(), origin[dst == 0].tolist()))
+    assert [x for x in into if x[0] in (1, *others)] == [(1, 1), (5, 2), (6, 2), (7, 2)]
+
+
+def test_bucketed_tables_join_without_an_exchange(spark, small):
+    from vecgraph.queries.workloads import bucketed
+    from vecgraph.sources.tables import load
+
+    lines, orders = bucketed(load(spark, small, "lineitem"), "l_orderkey", 4), bucketed(load(spark, small, "orders"), "o_orderkey", 4)
+    joined = lines.hint("merge").join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
+    assert "Exchange" not in joined._jdf.queryExecution().executedPlan().toString()
+    assert joined.count() == load(spark, small, "lineitem").count()
 
 
 def test_gate_is_open_without_a_rim():

@@ -31,6 +31,11 @@ def query_blocks(queries: DataFrame, dim: int) -> list[DataFrame]:
     return [queries.where(F.pmod(F.xxhash64("qid"), F.lit(parts)) == k) for k in range(parts)]
 
 
+def pairs(corpus: DataFrame, queries: DataFrame, dim: int) -> DataFrame:
+    """Every vector with every query, which are broadcast in blocks of a checked size."""
+    return reduce(DataFrame.unionByName, [corpus.crossJoin(F.broadcast(b)) for b in query_blocks(queries, dim)])
+
+
 def top_k(pairs: DataFrame, k: int, key: str = "qid") -> DataFrame:
     """The k rows of least (dist, vec_id) of each query, with their rank."""
     order = Window.partitionBy(key).orderBy("dist", "vec_id")

@@ -313,8 +313,8 @@ class Graph:
                         _push(out, n_out, mine[rest], left[rest] & ~NEW, True)
                         _push(harvest, n_harvest, mine[expanded], left[expanded], False)
             active = active[~done]
-        # what is still in work has an exact distance: it joins the harvest
-        every = np.sort(np.hstack([harvest, work_]), axis=1)[:, :keep]
+        # what is still in work or in the rings has an exact distance: it may be an answer too
+        every = np.sort(np.hstack([harvest, work_, fp & ~NEW, out]), axis=1)[:, :keep]
         if every.shape[1] < keep:
             every = np.pad(every, ((0, 0), (0, keep - every.shape[1])), constant_values=EMPTY)
         visited = None

@@ -93,7 +93,7 @@ def search(index: Index, queries: DataFrame, k: int, ef: int, gate: bool = True,
         if pivots.isEmpty():
             break
         state = checkpoint(_expand(state, pivots, edges, vectors, targets, w, gate, p.rings, step))
-    done = state.where(F.col("place").isin("harvest", "work"))
+    done = state.where(F.col("place") != "gone")
     ranked = done.withColumn("rank", F.row_number().over(near)).withColumn("n_visited", F.col("visits"))
     measured = state.groupBy("qid").agg(F.count("*").alias("n_exact"))
     names = index.rows.select(F.col("place").alias("node"), "vec_id")

@@ -86,7 +86,7 @@ def u01(spark, d):
     emb, q = native(spark, d)
     emb.createOrReplaceTempView("corpus_view")
     q.createOrReplaceTempView("query_view")
-    return spark.sql("SELECT /*+ BROADCAST(q) */ qid, vec_id, round(vec_l2(embedding, qvec), 6) AS dist, round(vec_dot(embedding, qvec), 6) AS inner_product FROM corpus_view CROSS JOIN query_view q")
+    return spark.sql("SELECT qid, vec_id, round(vec_l2(embedding, qvec), 6) AS dist, round(vec_dot(embedding, qvec), 6) AS inner_product FROM corpus_view CROSS JOIN query_view q")
 
 
 # --- corpora ------------------------------------------------------------------------
@@ -133,7 +133,7 @@ _COS = f"1 - {dot('embedding', 'qvec')} / (sqrt({dot('embedding', 'embedding')})
 @BOOK.add("b01_exact_knn_cosine", knn_sql("SELECT vec_id, embedding FROM embeddings", NATIVE_Q, 10, f"abs(round({_COS}, 9))"))
 def b01c(spark, d):
     emb, q = native(spark, d)
-    pairs = emb.crossJoin(F.broadcast(q)).select("qid", "vec_id", F.abs(F.round(V.cosine_distance("embedding", "qvec"), 9)).alias("dist"))  # queries: one row in a hundred of a small table
+    pairs = E.pairs(emb, q, 64).select("qid", "vec_id", F.abs(F.round(V.cosine_distance("embedding", "qvec"), 9)).alias("dist"))
     return rounded(E.top_k(pairs, 10).select("qid", "rank", "vec_id", "dist"))
 
 
@@ -351,7 +351,7 @@ _PARTS = C.hash_vectors_sql(C.PART_TOKENS_SQL, 64)
 def r01(spark, d):
     """Sales of the parts most like each queried part."""
     v = checkpoint(C.part_vec(spark, d, 64))
-    pairs = v.crossJoin(F.broadcast(v.where("vec_id % 100 = 0").select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec"))))
+    pairs = E.pairs(v, C.native_queries(v), 64)
     near = E.top_k(pairs.select("qid", "vec_id", F.round(V.l2("embedding", "qvec"), 6).alias("dist")), 5)
     j = near.join(load(spark, d, "lineitem"), F.col("vec_id") == F.col("l_partkey"))
     return j.groupBy("qid").agg(F.count("*").alias("lines"), F.round(F.sum("l_extendedprice"), 2).alias("sales"))
