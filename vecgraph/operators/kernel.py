@@ -214,7 +214,7 @@ class Graph:
         fp, n_fp, out, n_out = np.full(shape, EMPTY), np.zeros(m, dtype=np.int64), np.full(shape, EMPTY), np.zeros(m, dtype=np.int64)
         table = target_table(q, self.refs).ravel() if gate or screen else None
         cap = self.adj.shape[1]
-        length, own = self.length.ravel(), self.own.ravel()
+        adj, length, own = self.adj.ravel(), self.length.ravel(), self.own.ravel()
         seen: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
 
         if starts is None:
@@ -256,12 +256,14 @@ class Graph:
                 pivots, b = _ids(pivot_keys), _dist(pivot_keys)
                 work_[rows, pick] |= EXPANDED
                 count["n_visited"][rows] += 1
-                near = self.adj[pivots]
-                valid = near >= 0 if n == self.size else (near >= 0) & (near < n)
-                place = np.flatnonzero(valid)
-                r = place // cap
-                node = near.ravel().take(place).astype(np.int64)
-                edge = (pivots * cap).take(r) + place - r * cap
+                # Edges fill a node's row from the left, so a pivot's edges are a run.
+                many = self.degree.take(pivots)
+                r = np.repeat(np.arange(len(rows)), many)
+                edge = np.arange(len(r)) + np.repeat(pivots * cap - (np.cumsum(many) - many), many)
+                node = adj.take(edge).astype(np.int64)
+                if n < self.size:
+                    there = node < n
+                    r, edge, node = r[there], edge[there], node[there]
                 fresh = ~stamps.seen(rows.take(r), node)
                 rim = _dist(work_[rows, -1])  # infinite while work is not full
                 dots = None
