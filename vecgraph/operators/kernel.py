@@ -162,7 +162,8 @@ class Graph:
             none = {c: np.zeros(len(q), dtype=np.int64) for c in COUNTERS}
             empty = np.zeros(0, dtype=np.int64)
             return Found(np.full((len(q), keep), -1), np.full((len(q), keep), np.inf), none, (empty, empty, np.zeros(0)))
-        step = max(1, min(1024, MEASURED_BYTES // n))
+        # A step fetches the vectors of at most a node's links for each target, and of a few as a rule.
+        step = max(1, min(1024, MEASURED_BYTES // n, max(64, MEASURED_BYTES // (16 * 4 * q.shape[1]))))
         parts = [self._lockstep(q[i : i + step], ef, n, keep, **options) for i in range(0, len(q), step)]
         visited = None
         if parts[0].visited is not None:
@@ -375,9 +376,11 @@ class Graph:
     def keeps_incoming(self, pivots: np.ndarray, targets: np.ndarray) -> np.ndarray:
         """Whether the edge pivot -> target has no witness among the pivot's out-neighbours."""
         out = np.ones(len(pivots), dtype=bool)
-        d = np.linalg.norm(self.x[pivots] - self.x[targets], axis=1)
-        for i in range(0, len(pivots), 4096):
-            part = slice(i, i + 4096)
+        d = np.empty(len(pivots), dtype=np.float32)
+        step = max(64, min(4096, (2 << 20) // (4 * self.x.shape[1])))
+        for i in range(0, len(pivots), step):
+            part = slice(i, i + step)
+            d[part] = np.linalg.norm(self.x[pivots[part]] - self.x[targets[part]], axis=1)
             near = self.adj[pivots[part]]
             maybe = (near >= 0) & (self.length[pivots[part]] <= d[part, None]) & (near != targets[part, None])
             r, c = np.nonzero(maybe)
@@ -396,7 +399,14 @@ class Graph:
         at = self.degree[source] + _ranks(source)
         self.adj[source, at] = target
         self.origin[source, at] = origin
-        self.length[source, at], self.own[source, at], self.shift[source, at], self.codes[source, at] = profile(self.x[source], self.x[target], self.refs)
+        tested = self.params.gate or self.params.screen
+        step = max(256, (16 << 20) // (4 * self.x.shape[1]))
+        for i in range(0, len(source), step):
+            a, b, c = source[i : i + step], target[i : i + step], at[i : i + step]
+            if tested:
+                self.length[a, c], self.own[a, c], self.shift[a, c], self.codes[a, c] = profile(self.x[a], self.x[b], self.refs)
+            else:
+                self.length[a, c] = np.linalg.norm(self.x[b] - self.x[a], axis=1)
         np.add.at(self.degree, source, 1)
 
     def add_incoming(self, pivots: np.ndarray, targets: np.ndarray, origin: int) -> None:
