@@ -109,7 +109,7 @@ def test_curve_over_shards_searches_and_counts_all_of_them(spark, native, monkey
     # builds are reported without queries as well
     assert X.run(emb, q.where("qid < 0"), [method], [(10, 128)])[1].collect()[0].n == n
     with pytest.raises(ValueError):
-        X.curve(spark, emb, q, [method], n, [n])
+        X.curve(spark, emb, q, [method], n + 1, [n])
 
 
 def test_search_moves_no_index_and_insertion_writes_one_shard(spark, native):
