@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import os
 import tempfile
-import uuid
 import zipfile
 from collections.abc import Callable, Iterator
 
@@ -66,13 +65,6 @@ def checkpoint(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def materialise(df: DataFrame, name: str) -> DataFrame:
-    """The rows written as Parquet to the shared folder and read again."""
-    path = f"{shared_folder(df.sparkSession)}/{name}_{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def pieces(batch: pa.RecordBatch, rows: int, size: int) -> Iterator[pa.RecordBatch]:
     """The batch cut in pieces of at most ``rows`` rows and about ``size`` bytes (one row at least)."""
     step = max(1, min(rows, batch.num_rows * size // max(1, batch.nbytes)))

@@ -24,7 +24,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, functions as F
 
-from .common import checkpoint, materialise
+from .common import checkpoint
 
 #: Fixed values of the base rules.
 MIN_WORDS = 50
@@ -125,16 +125,15 @@ def host_verdicts(measured: DataFrame, host: str = "source") -> DataFrame:
     return out.select("host", "n_docs", *[f"{r}_{x}" for r in HOST_RULES for x in ("failed", "rate", "distrusted")])
 
 
-def judged(measured: DataFrame, host: str = "source") -> DataFrame:
-    """(row, q, kept) of measured rows, which are read twice."""
-    verdicts = host_verdicts(measured, host)
+def judged(measured: DataFrame, verdicts: DataFrame, host: str = "source") -> DataFrame:
+    """(row, q, kept) of measured rows by the verdicts on their hosts."""
     distrusted = verdicts.select("host", F.struct(*[f"{r}_distrusted" for r in HOST_RULES]).alias("v")).where(" or ".join(f"v.{r}_distrusted" for r in HOST_RULES))
     distrusted = checkpoint(distrusted)
     own = F.col(f"row.`{host}`")
     if distrusted.count() <= BROADCAST_HOSTS:
         joined = measured.withColumn("host", own).join(F.broadcast(distrusted), "host", "left")
     else:  # the rows of a host are dealt by a salt, as one host may have most of them
-        salt = F.pmod(F.xxhash64("q", "row.doc_id"), F.lit(SALTS)).cast("int")
+        salt = F.pmod(F.xxhash64("q"), F.lit(SALTS)).cast("int")
         every = distrusted.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
         joined = measured.withColumn("host", own).withColumn("salt", salt).join(every, ["host", "salt"], "left")
     against = F.lit(False)
@@ -151,13 +150,19 @@ def _within(condition: str) -> str:
 def quality_report(docs: DataFrame, host: str = "source") -> DataFrame:
     """doc_id, the measures, base_failed and kept: one row for each row of ``docs``."""
     measured = measure(docs.select("doc_id", "text", host)).withColumn("row", F.col("row").dropFields("text"))
-    out = judged(checkpoint(measured), host)
+    measured = checkpoint(measured)
+    out = judged(measured, host_verdicts(measured, host), host)
     return out.select("row.doc_id", *[f"q.{m}" for m in _MEASURES], "q.base_failed", "kept")
 
 
 def keep_good(docs: DataFrame, host: str = "source") -> DataFrame:
-    """The rows of ``docs`` that are kept, with the columns of ``docs``; texts are measured once and wait as a Parquet table."""
-    return judged(materialise(measure(docs), "measured"), host).where("kept").select("row.*")
+    """The rows of ``docs`` that are kept, with the columns of ``docs``.
+
+    Texts are measured twice, for the hosts' verdicts and for their own, rather
+    than written in between: that takes processor time but no disk and little memory.
+    """
+    verdicts = host_verdicts(measure(docs.select("text", host)), host)
+    return judged(measure(docs), verdicts, host).where("kept").select("row.*")
 
 
 def quality_sql() -> str:
