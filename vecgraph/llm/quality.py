@@ -125,11 +125,11 @@ def host_verdicts(measured: DataFrame, host: str = "source") -> DataFrame:
     return out.select("host", "n_docs", *[f"{r}_{x}" for r in HOST_RULES for x in ("failed", "rate", "distrusted")])
 
 
-def judged(measured: DataFrame, verdicts: DataFrame, host: str = "source") -> DataFrame:
+def judged(measured: DataFrame, verdicts: DataFrame, host: str = "source", row: str = "row") -> DataFrame:
     """(row, q, kept) of measured rows by the verdicts on their hosts."""
     distrusted = verdicts.select("host", F.struct(*[f"{r}_distrusted" for r in HOST_RULES]).alias("v")).where(" or ".join(f"v.{r}_distrusted" for r in HOST_RULES))
     distrusted = checkpoint(distrusted)
-    own = F.col(f"row.`{host}`")
+    own = F.col(f"{row}.`{host}`")
     if distrusted.count() <= BROADCAST_HOSTS:
         joined = measured.withColumn("host", own).join(F.broadcast(distrusted), "host", "left")
     else:  # the rows of a host are dealt by a salt, as one host may have most of them
@@ -162,7 +162,9 @@ def keep_good(docs: DataFrame, host: str = "source") -> DataFrame:
     than written in between: that takes processor time but no disk and little memory.
     """
     verdicts = host_verdicts(measure(docs.select("text", host)), host)
-    return judged(measure(docs), verdicts, host).where("kept").select("row.*")
+    # A row's number is not deterministic to the optimizer, so it does not measure anew in the filter what was measured.
+    measured = measure(docs).withColumn("row", F.struct("row", F.monotonically_increasing_id().alias("number")))
+    return judged(measured, verdicts, host, "row.row").where("kept AND row.number >= 0").select("row.row.*")
 
 
 def quality_sql() -> str:
