@@ -481,6 +481,24 @@ def a09(spark, d):
     return M.cost_report(build_index(emb, Params.throughput(DIM)).search(q, 10, 64).withColumn("method", F.lit("throughput")), ["method"])
 
 
+@BOOK.add("a02_throughput")
+def a02(spark, d):
+    """Queries a second by the driver's clock, after a run that warms up, to a sink that keeps nothing: every vector asks."""
+    import time
+
+    emb, _ = native(spark, d)
+    asked = materialise(emb.select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec")), "queries")
+    n, out = asked.count(), []
+    for name, params in (("throughput", Params.throughput(DIM)), ("compact", Params.compact(DIM)), ("hnsw", B.hnsw_params(DIM, m_links=32, ef_build=128))):
+        index = build_index(emb, params, shards=4)
+        for run in range(2):
+            began = time.perf_counter()
+            index.search(asked, 10, 64).write.format("noop").mode("overwrite").save()
+        seconds = time.perf_counter() - began
+        out.append((name, n, seconds, n / seconds))
+    return spark.createDataFrame(out, "method string, queries bigint, seconds double, qps double")
+
+
 @BOOK.add("a17_starved_nodes")
 def a17b(spark, d):
     """In-degrees with and without the screen on a corpus with hubs."""
