@@ -182,9 +182,11 @@ def test_toxicity_query_against_brute_force(spark, small):
 
 def test_fragments_of_ordinary_words_are_no_terms():
     clean = ["the fragment of xmoronx stands inside"] * 40 + ["stone river light"] * 40
-    toxic = ["you moron are bad"] * 10 + ["stupid stone light"] * 10
+    toxic = [f"w{k} w{k + 1} you moron are bad" for k in range(10)] + [f"v{k} v{k + 1} stupid stone light" for k in range(10)]
     terms = toxicity.learn_lexicon(clean + toxic, [0] * 80 + [1] * 20)
     assert "stupid" in terms and "moron" not in terms
+    # copies of one text are one text
+    assert "stupid" not in toxicity.learn_lexicon(clean + toxic[:10] + toxic[10:11] * 10, [0] * 80 + [1] * 20)
 
 
 def test_toxicity_ranks_held_out_rows(spark):

@@ -1,8 +1,9 @@
 """Toxicity by Levenshtein automata over a lexicon trie, with context windows.
 
 The lexicon is learned from labelled rows: words, and stems that open many
-different words, whose presence separates the two labels; a term that stands
-inside the words of unlabelled-toxic texts as often is a fragment and left out.
+different words, whose presence separates the two labels in texts that are no
+copies of each other; a term that stands as often inside the words of clean
+texts is a fragment and left out.
 The lexicon's trie is intersected with the Levenshtein automaton of each term
 (none, one or two edits by the term's length); the product is determinised step
 by step as words are read, so a word costs one table lookup a character and most
@@ -30,6 +31,7 @@ from __future__ import annotations
 import math
 import random
 import re
+import zlib
 from collections import Counter
 
 import numpy as np
@@ -46,6 +48,8 @@ STATES = 100_000
 WINDOW = 6
 #: What a misspelled hit must weigh at least to count.
 NOISE = 1.5
+#: A labelled clean row counts as so many rows: calling it toxic is the worse error.
+CLEAN_WEIGHT = 4.0
 _WORD = re.compile(r"\w+")
 _QUOTES = re.compile("[\"“”«»„‘‹›]")
 #: Fixed context words.
@@ -153,20 +157,28 @@ class LexiconAutomaton:
         return self.found[state]
 
 
+def _family(words: list[str]) -> int:
+    """A number that copies and most near copies of a text share: the least hash of its five-word shingles."""
+    return min((zlib.crc32(" ".join(words[i : i + 5]).encode("utf-8", "surrogatepass")) for i in range(max(1, len(words) - 4))), default=0)
+
+
 def learn_lexicon(texts: list[str], labels: list[int], least_docs: int = 6, precision: float = 0.8) -> list[str]:
-    """Words and stems present mostly in toxic texts, each stem standing for its words."""
-    seen, toxic = Counter(), Counter()
+    """Words and stems present mostly in toxic texts, and in some that are no copies of each other, each stem standing for its words."""
+    seen, toxic, families = Counter(), Counter(), {}
     for text, y in zip(texts, labels):
-        words = set(_WORD.findall(text.lower()))
+        in_order = _WORD.findall(text.lower())
+        words = set(in_order)
         keys = words | {w[:k] + "*" for w in words for k in range(4, min(9, len(w)))}
         seen.update(keys)
         if y:
             toxic.update(keys)
+            families.setdefault(_family(in_order), set()).update(keys)
     n, t = len(labels), sum(labels)
     if not 0 < t < n:
         return []
+    apart = Counter(k for keys in families.values() for k in keys)
     share = max(precision, 2 * t / n)
-    good = {k: c for k, c in toxic.items() if c >= least_docs and len(k) >= 3 and (c + 0.5) / (seen[k] + 1) >= share}
+    good = {k: c for k, c in toxic.items() if apart[k] >= least_docs and len(k) >= 3 and (c + 0.5) / (seen[k] + 1) >= share}
     words = {k for k in good if not k.endswith("*")}
     chosen: list[str] = []
     for k in sorted(good, key=lambda k: (len(k), k)):
@@ -321,13 +333,22 @@ def train(texts: list[str], labels: list[int], ridge: float = 1.0) -> Model:
         model.weights[key] = math.log((bad + 1) / (t + 2)) - math.log((good + 1) / (n - t + 2))
     x = np.stack([scorer.features(text) for text in [*texts, *more]])
     y, w = np.array([*labels, *marks], dtype=np.float64), np.zeros(9)
+    each = np.array([*[1.0 if v else CLEAN_WEIGHT for v in labels], *[1.0] * len(marks)])
     w[0] = bias
     penalty = ridge * np.diag([1e-3] + [1.0] * (x.shape[1] - 1))
-    for _ in range(30):  # Newton's method
+
+    def loss(w: np.ndarray) -> float:
+        z = x @ w
+        return float((each * (np.logaddexp(0, z) - y * z)).sum() + w @ penalty @ w / 2)
+
+    now = loss(w)
+    for _ in range(50):  # Newton's method; a step that raises the loss is halved
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        step = np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + penalty, x.T @ (y - p) - penalty @ w)
-        w += step
-        if np.abs(step).max() < 1e-6:
+        step = np.linalg.solve((x * (each * p * (1 - p))[:, None]).T @ x + penalty, x.T @ (each * (y - p)) - penalty @ w)
+        while (after := loss(w + step)) > now and np.abs(step).max() > 1e-9:
+            step /= 2
+        w, gain, now = w + step, now - after, after
+        if gain < 1e-9:
             break
     model.coefficients = w
     return model
