@@ -63,6 +63,14 @@ def test_shards_and_probes(native):
     assert 0.2 <= few <= 1
 
 
+def test_copies_meet_in_one_shard(spark):
+    x = np.random.default_rng(3).normal(size=(200, 16)).astype(np.float32)
+    table = lambda first: spark.createDataFrame([(first + i, v.tolist()) for i, v in enumerate(x)], "vec_id bigint, embedding array<float>")
+    index = build_index(table(0).unionByName(table(200)), Params(16, shard_size=40))
+    assert index.shards > len(set(index.cells.tolist())) and index.rows.count() == 200 == index.copies().count()
+    assert insert_batch(index, table(400)).rows.count() == 200
+
+
 def test_presets_move_as_documented(native):
     emb, q = native
     truth = E.exact_knn(emb, q, 10).persist()

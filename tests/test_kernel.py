@@ -153,6 +153,23 @@ def test_copies_share_a_node_and_are_answers():
     assert g.size == 50 and 1000 in [c for v in g.copies.values() for c in v]
 
 
+@pytest.mark.parametrize("dim", [16, 64, 96, 128])
+def test_copies_turn_to_the_same_bits_at_any_place(dim):
+    x = points(50, dim)
+    p = Params(dim)
+    y = prepare(np.vstack([x, x[:3], x]), p)
+    assert (y[:50] == y[53:]).all() and (y[50:53] == y[:3]).all()
+    assert np.allclose(y[:50], x.astype(np.float64) @ orthogonal(p.padded, p.seed), atol=1e-5)
+
+
+def test_copies_join_nodes_that_no_edge_leads_to():
+    x = points(80, 16)
+    g = build(np.arange(80), x, Params(16))
+    g.adj[:], g.degree[:] = -1, 0
+    g.insert(np.arange(100, 180), x)
+    assert g.size == 80 and sorted(c for v in g.copies.values() for c in v) == list(range(100, 180))
+
+
 @pytest.mark.parametrize("n", [0, 1, 2, 3])
 def test_tiny_graphs(n):
     g = build(np.arange(n), points(n, 8), Params(8, blocks=2))
