@@ -220,6 +220,29 @@ def test_incoming_rule_by_hand():
     assert g.keeps_incoming(np.array([0, 0]), np.array([2, 3])).tolist() == [False, True]
 
 
+@pytest.mark.parametrize("params", [Params(24), Params(24, gate=False), Params(24, threshold="queue", rings=False), B.hnsw_params(24), B.plugin_params(24), Params(24, metric="cosine")])
+@pytest.mark.parametrize("work", [16, 300])
+def test_a_search_as_wide_as_its_graph_finds_nodes_that_no_edge_leads_to(params, work):
+    x = points(300, 24)
+    g = build(np.arange(300), x, params.but(work=work))
+    lost = np.isin(g.adj, np.arange(250, 300)) & (g.adj >= 0)
+    for i in np.flatnonzero(lost.any(axis=1)):
+        keep = g.adj[i][(g.adj[i] >= 0) & ~lost[i]]
+        g.adj[i], g.degree[i] = -1, len(keep)
+        g.adj[i, : len(keep)] = keep
+    f = g.search(x[:40], 12, 300)
+    y = g.x[:300]
+    d = np.linalg.norm(prepare(x[:40], g.params)[:, None] - y[None], axis=2)
+    assert (np.sort(f.ids, axis=1) == np.sort(np.argsort(d, axis=1)[:, :12], axis=1)).all()
+    assert np.allclose(f.dist, np.sort(d, axis=1)[:, :12], atol=1e-5) and (f.counters["n_exact"] >= 300).all()
+
+
+def test_a_beam_as_wide_as_its_quantised_graph_is_exact():
+    x = points(300, 24)
+    f = B.QuantisedGraph(np.arange(300), x, 24).search(x[:40], 12, 8 * 300)
+    assert np.allclose(f.dist, exact(x, x[:40], 12), atol=1e-5)
+
+
 def test_published_graphs_reach_recall():
     x = points()
     truth = exact(x, x[:40], 10)
