@@ -33,6 +33,14 @@ def test_lateral_search_does_not_shuffle_pairs_by_their_vectors(spark, small):
     assert "vec_id" in plan and not any("qvec" in line for line in plan.splitlines() if "hashpartitioning" in line or "Sort " in line)
 
 
+def test_stream_ranks_by_doubles(spark, tmp_path):
+    # distances of 1 and up to 3e-9 more, the nearest last by id
+    rows = [(0, [0.0] * 64), *[(i, [1.0, (9 - i) * 1e-5] + [0.0] * 62) for i in range(1, 9)]]
+    spark.createDataFrame(rows, "vec_id bigint, embedding array<float>").toPandas().to_parquet(f"{tmp_path}/embeddings.parquet")
+    name = "t04_stream_static_search"
+    same(spark, str(tmp_path), entry_module.queries()[name], entry_module.oracle_sql()[name], connect(str(tmp_path)))
+
+
 def test_names_are_unique_and_sql_has_queries():
     queries, sql = entry_module.queries(), entry_module.oracle_sql()
     assert set(sql) <= set(queries)
