@@ -28,6 +28,10 @@ def test_entry(spark):
     assert len(rows) == 50 and {"qid", "rank", "vec_id", "dist"} <= set(rows[0].asDict())
 
 
+def test_directions_are_chosen_by_a_given_table(spark, small):
+    assert any("embeddings" in f for f in entry_module.queries()["m03_reference_family"](spark, small).inputFiles())
+
+
 def test_lateral_search_does_not_shuffle_pairs_by_their_vectors(spark, small):
     plan = entry_module.queries()["j13_lateral_top_k"](spark, small)._jdf.queryExecution().executedPlan().toString()
     assert "vec_id" in plan and not any("qvec" in line for line in plan.splitlines() if "hashpartitioning" in line or "Sort " in line)
