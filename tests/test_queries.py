@@ -6,7 +6,7 @@ import pytest
 
 import __spark_entry__ as entry_module
 from tests_oracle import connect, same
-from vecgraph.queries import workloads
+from vecgraph.queries import methods, workloads
 from vecgraph.sources import corpora as C
 
 BOOKS = entry_module.BOOKS
@@ -45,6 +45,18 @@ def test_stream_ranks_by_doubles(spark, tmp_path):
     same(spark, str(tmp_path), entry_module.queries()[name], entry_module.oracle_sql()[name], connect(str(tmp_path)))
 
 
+@pytest.mark.parametrize("name", ["m28_throughput_whole", "b10_plugin_whole", "b08_quantised_graph_whole", "t04_stream_static_search"])
+def test_whole_searches_are_built_by_many_tasks(spark, small, duck, name, monkeypatch):
+    from vecgraph.operators import index
+
+    seen = []
+    assign = index.assign_shards
+    monkeypatch.setattr(methods, "WHOLE_SHARD", 16)
+    monkeypatch.setattr(index, "assign_shards", lambda *a: seen.append(assign(*a)) or seen[-1])
+    same(spark, small, entry_module.queries()[name], entry_module.oracle_sql()[name], duck)
+    assert all(len(centroids) > 1 for _, centroids in seen) and seen
+
+
 def test_names_are_unique_and_sql_has_queries():
     queries, sql = entry_module.queries(), entry_module.oracle_sql()
     assert set(sql) <= set(queries)

@@ -18,6 +18,7 @@ from ..sources.tables import load
 from ..streaming import insertion as S
 from ..streaming import windows as W
 from .base import Book
+from .methods import whole_shards
 from .vectors import NATIVE_Q, knn_sql, l2
 
 BOOK = Book()
@@ -158,7 +159,7 @@ def t04(spark, d):
     """A stream of queries against one pinned version, as wide as its graph."""
     emb = C.embeddings(spark, d)
     n = emb.count()
-    index = build_index(emb, Params(64, work=n))
+    index = build_index(emb, Params(64, work=n), shards=whole_shards(n))
     folder = shared_folder(spark, "queries")
     C.native_queries(emb).repartition(2).write.parquet(folder)
     stream = W.stream_table(spark, folder, spark.read.parquet(folder).schema)
