@@ -325,3 +325,45 @@ def test_gate_is_open_without_a_rim():
     f = g.search(np.zeros((1, 8), dtype=np.float32), 3, 4)
     assert f.counters["n_exact"][0] >= f.counters["n_pass"][0] > 0
     assert target_table(np.zeros((1, 8), dtype=np.float32), g.refs).shape == (1, 2, 32)
+
+
+def test_word_vectors_against_a_loop_and_one_row_a_word_and_task(spark, monkeypatch):
+    import hashlib
+    from collections import Counter, defaultdict
+
+    texts = ["a b c a  b", "b a", None, "", "a", "c c c c c a b", "é \U0001f600 a é b", "\n a\tb b a x y"] * 3
+    docs = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string").coalesce(1)
+    monkeypatch.setattr(C, "load", lambda *_: docs)
+    count, sums = Counter(), defaultdict(lambda: np.zeros(16))
+    for text in texts:
+        words = text.split(" ") if text is not None else []
+        for i, word in enumerate(words):
+            count[word] += 1
+            for other in words[max(0, i - 2) : i] + words[i + 1 : i + 3]:
+                if word and other:
+                    digest = hashlib.md5(other.encode()).hexdigest()
+                    sums[word][int(digest[:7], 16) % 16] += 1 - 2 * (int(digest[7], 16) % 2)
+    name = lambda w: int(hashlib.md5(w.encode()).hexdigest()[:15], 16)
+    for least in (1, 5):
+        want = {name(w): (v / np.linalg.norm(v)).astype(np.float32) for w, v in sums.items() if count[w] >= least and v.any()}
+        got = {r.vec_id: np.array(r.embedding, dtype=np.float32) for r in C.word_vec(spark, "", 16, least).collect()}
+        assert got.keys() == want.keys() and all(np.allclose(got[k], want[k], atol=1e-7) for k in want)
+    rows = C.word_sums(docs.select("text"), 16).collect()
+    assert {r.word: r.n for r in rows} == {w: n for w, n in count.items() if w} and len(rows) == len({r.word for r in rows})
+
+
+def test_words_given_out_early_and_cut_by_batches_are_added_up():
+    import pyarrow as pa
+
+    texts = pa.array([" ".join(f"w{(i * j) % 7}" for j in range(40)) for i in range(30)])
+    whole, parts = C._Words(8), []
+    whole.add(texts)
+    for i in range(0, 30, 3):
+        held = C._Words(8)
+        held.add(texts.slice(i, 3))
+        parts.append(held.out())
+    rows = pa.Table.from_batches(parts).sort_by("word").combine_chunks().to_batches(max_chunksize=4)
+    carried: list = []
+    got = [b for r in [*rows, None] for b in C._word_vectors(r, 8, 1, carried)]
+    want = list(C._word_vectors(pa.Table.from_batches([whole.out()]).sort_by("word").combine_chunks().to_batches()[0], 8, 1, carried)) + list(C._word_vectors(None, 8, 1, carried))
+    assert pa.Table.from_batches(got).to_pylist() == pa.Table.from_batches(want).to_pylist() and sum(len(b) for b in got) == 7
