@@ -367,3 +367,40 @@ def test_words_given_out_early_and_cut_by_batches_are_added_up():
     got = [b for r in [*rows, None] for b in C._word_vectors(r, 8, 1, carried)]
     want = list(C._word_vectors(pa.Table.from_batches([whole.out()]).sort_by("word").combine_chunks().to_batches()[0], 8, 1, carried)) + list(C._word_vectors(None, 8, 1, carried))
     assert pa.Table.from_batches(got).to_pylist() == pa.Table.from_batches(want).to_pylist() and sum(len(b) for b in got) == 7
+
+
+def test_many_queries_to_all_shards_are_not_shuffled_to_them(spark, native, monkeypatch):
+    emb, q = native
+    index = build_index(emb, Params(64), shards=3)
+    want = [tuple(r) for r in index.search(q, 10, 96).orderBy("qid", "rank").collect()]
+    few = [tuple(r) for r in index.search(q, 10, 96, probes=2).orderBy("qid", "rank").collect()]
+    monkeypatch.setattr(I, "MOST_READS", 0)
+    assert [tuple(r) for r in index.search(q, 10, 96, probes=2).orderBy("qid", "rank").collect()] == few  # shuffled
+    monkeypatch.setattr(I, "SENT_FLOATS", 64 * 3)
+    monkeypatch.setattr(Index, "_search_shuffled", None)
+    assert sorted(tuple(r) for r in index.search(q, 10, 96).collect()) == sorted(want)
+
+
+def test_answers_within_a_radius_and_of_nodes_only(spark):
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(90, 8)).astype(np.float32)
+    x[60:] = x[:30]
+    emb = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    q = emb.selectExpr("vec_id AS qid", "embedding AS qvec")
+    index = build_index(emb, Params(8, work=90), shards=2)
+    every = index.search(q, 20, 90)
+    assert sorted(tuple(r) for r in index.search(q, 20, 90, within=2.0).collect()) == sorted(tuple(r) for r in every.where("dist <= 2").collect())
+    assert {(r.vec_id, r.rep_id) for r in index.members().collect()} == {(i, i % 60) for i in range(90)}
+    alone = index.search(q, 20, 90, with_copies=False).toPandas()
+    assert alone.vec_id.max() < 60 and (alone.groupby("qid").size() == 20).all() and (alone[alone["rank"] == 1].vec_id == alone[alone["rank"] == 1].qid % 60).all()
+
+
+def test_groups_of_copies_do_not_hide_each_other(spark, tmp_path):
+    from vecgraph.queries import workloads as W
+
+    near, far = "a b c d e f g h i j k l m n o p", "q r s t u v w x y z"
+    texts = [near] * 20 + [near + " q"] * 20 + [far] * 3
+    spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(i, int(i % 4 > 0)) for i in range(len(texts))], "doc_id long, quality int").write.parquet(f"{tmp_path}/labels.parquet")
+    got = {r.members: (r.groups, r.agreement) for r in W.r03(spark, str(tmp_path)).collect()}
+    assert got == {40: (1, 0.75), 3: (1, 2 / 3)}
