@@ -120,6 +120,42 @@ def test_curve_over_shards_searches_and_counts_all_of_them(spark, native, monkey
         X.curve(spark, emb, q, [method], n + 1, [n])
 
 
+@pytest.mark.parametrize("metric, own", [("l2", True), ("cosine", False)])
+def test_curve_counts_answers_in_the_tasks(spark, native, metric, own, monkeypatch):
+    """A row for each setting, query and shard, not for each answer; recall is that of the merged answers."""
+    emb, q = native
+    methods = [X.Method("few", "graph", Params(64, metric=metric, m_links=3, work=4, ef_build=8, shard_size=80)), X.Method("scalar", "scalar", Params(64, metric=metric))]
+    settings = [(5, 8), (30, 30), (30, 40)]
+    seen = []
+    monkeypatch.setattr(X, "summary", lambda counts, limits, f=X.summary: seen.append((counts, limits)) or f(counts, limits))
+    runs = X.curve(spark, emb, q, methods, 5, settings, metric, exclude_self=own)[0].collect()
+    (counts, limits), m = seen[0], q.count()
+    shards = X.raw_shards(emb, methods[0].params)[0].select("shard").distinct().count()
+    assert shards > 1 and counts.count() == len(methods) * len(settings) * m * shards and limits.count() == 2 * m
+    truth = E.exact_knn(emb, q, 30, metric, plan="blocks", exclude_self=own)
+    if metric == "cosine":
+        truth = truth.selectExpr("qid", "rank", "vec_id", "sqrt(2 * greatest(dist, 0D)) AS dist")
+    answers = X.run(emb, q, methods, settings, exclude_self=own)[0].persist()
+    for k in (5, 30):
+        want = {(r.method, r.ef): r.recall for r in X.M.recall_at_k(answers.where(f"k = {k}"), truth, k, ["method", "ef"]).collect()}
+        assert {(r.method, r.ef): round(r.recall, 9) for r in runs if r.k == k} == {key: round(v, 9) for key, v in want.items()}
+    cost = {(r.method, r.k, r.ef): r for r in X.M.cost_report(answers, ["method", "k", "ef"]).collect()}
+    for r in runs:
+        assert (r.n_exact, r.n_visited, r.pass_ratio, r.queries) == (cost[r.method, r.k, r.ef].n_exact, cost[r.method, r.k, r.ef].n_visited, cost[r.method, r.k, r.ef].pass_ratio, m)
+    assert any(0 < r.recall < 1 for r in runs)
+
+
+def test_kth_distances_are_those_of_exact_answers(spark, native, monkeypatch):
+    emb, q = native
+    truth = {(r.qid, r["rank"]): r.dist for r in E.exact_knn(emb, q, 12, plan="blocks", exclude_self=True).collect()}
+    for gathered in (1, 64 << 20):
+        monkeypatch.setattr(E, "GATHERED_BYTES", gathered)
+        got = E.kth_distances(emb.repartition(3), q, [12, 1, 5], exclude_self=True).collect()
+        assert len(got) == 3 * q.count() and all(r.want == r.k and abs(r.limit - truth[r.qid, r.k]) < 1e-12 for r in got)
+    few = E.kth_distances(emb.where("vec_id < 4"), q.where("qid = 0"), [2, 9]).collect()
+    assert sorted((r.k, r.want) for r in few) == [(2, 2), (9, 4)] and E.kth_distances(emb, q.limit(0), [3]).count() == 0
+
+
 def test_search_moves_no_index_and_insertion_writes_one_shard(spark, native):
     emb, q = native
     index = build_index(emb.where("vec_id != 7"), Params(64), shards=4)
