@@ -1,5 +1,8 @@
 """The Spark side: index, shards, lock-step search, experiments, files, streams, worked examples."""
 
+import threading
+import time
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -145,6 +148,30 @@ def test_curve_counts_answers_in_the_tasks(spark, native, metric, own, monkeypat
     assert any(0 < r.recall < 1 for r in runs)
 
 
+def test_experiments_on_several_sets_are_under_way_at_once(spark, small, monkeypatch):
+    """Whole experiments over sets and dimensions overlap; every one is there, in its order."""
+    from vecgraph.queries import workloads as W
+
+    built = "build_exact build_search build_s edges screen_edges zero_in build_peak".split()
+    now, most, lock = [0], [0], threading.Lock()
+
+    def curve(*_, **__):
+        with lock:
+            now[0] += 1
+            most[0] = max(most[0], now[0])
+        time.sleep(0.5)
+        with lock:
+            now[0] -= 1
+        return spark.createDataFrame([("hnsw",)], "method string"), spark.createDataFrame([("hnsw", *range(7))], ["method", *built])
+
+    monkeypatch.setattr(X, "curve", curve)
+    for run, name, wanted in ((lambda: W._dim_runs(spark, small), "dim", set(W.DIMS)), (lambda: W.ablation(spark, small), "dataset", {"text3072", "page512", "line384", "ood1536"}), (lambda: W._main_runs(spark, small)[1], "dataset", set(W.MAIN))):
+        most[0] = 0
+        got = [r[0] for r in run().select(name).collect()]
+        assert set(got) == wanted and len(got) == len(wanted) and 1 < most[0] <= X.AT_ONCE
+    assert X.together(spark, [lambda i=i: i for i in range(7)]) == list(range(7))
+
+
 def test_kth_distances_are_those_of_exact_answers(spark, native, monkeypatch):
     emb, q = native
     truth = {(r.qid, r["rank"]): r.dist for r in E.exact_knn(emb, q, 12, plan="blocks", exclude_self=True).collect()}
