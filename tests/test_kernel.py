@@ -257,3 +257,31 @@ def test_narrow_sums_overflow_at_high_dimensions():
     good = recall(B.QuantisedGraph(np.arange(200), x, 1536).search(x[:20] + 0.3, 10, 48), truth)
     bad = recall(B.QuantisedGraph(np.arange(200), x, 1536, accumulator="u16").search(x[:20] + 0.3, 10, 48), truth)
     assert bad < good
+
+
+@pytest.mark.parametrize("kind", ["throughput", "hnsw", "plugin", "gate_only", "vamana", "qgraph"])
+def test_searches_of_rising_width_go_on_and_find_the_same(kind):
+    x, ids = points(900, 16, seed=3), np.arange(900)
+    make = {"throughput": Params.throughput(16), "hnsw": B.hnsw_params(16), "plugin": B.plugin_params(16), "gate_only": B.gate_only_params(16)}
+    g = build(ids, x, make[kind]) if kind in make else B.build_vamana(ids, x, 16) if kind == "vamana" else B.QuantisedGraph(ids, x, 16)
+    q, settings = points(70, 16, seed=4), [(100, 100), (10, 8), (10, 64), (20, 64), (400, 400), (11, 24), (900, 900)]
+    for (k, ef), (found, seconds) in zip(settings, g.search_each(q, settings)):
+        alone = g.search(q, k, ef)
+        assert (found.ids == alone.ids).all() and (found.dist == alone.dist).all() and seconds > 0
+        assert all((found.counters[c] == alone.counters[c]).all() for c in alone.counters)
+
+
+@pytest.mark.parametrize("kind", ["throughput", "hnsw", "qgraph"])
+def test_wider_searches_take_no_step_twice(kind, monkeypatch):
+    from vecgraph.operators import kernel
+    from vecgraph.plans import experiments as X
+
+    x, ids, steps = points(600, 16, seed=3), np.arange(600), []
+    method = X.Method(kind, "qgraph" if kind == "qgraph" else "graph", B.hnsw_params(16) if kind == "hnsw" else Params.throughput(16))
+    made = X.make(method, ids, x)
+    seen = kernel.Stamps.seen
+    monkeypatch.setattr(kernel.Stamps, "seen", lambda self, rows, nodes: steps.append(1) or seen(self, rows, nodes))
+    list(X._searches(made, x[:5], [(200, 200)], True))
+    widest = len(steps)
+    list(X._searches(made, x[:5], [(k, k) for k in (64, 100, 150, 200)], True))
+    assert len(steps) - widest <= 1.1 * widest
