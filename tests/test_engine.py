@@ -172,6 +172,26 @@ def test_experiments_on_several_sets_are_under_way_at_once(spark, small, monkeyp
     assert X.together(spark, [lambda i=i: i for i in range(7)]) == list(range(7))
 
 
+def test_builds_are_reported_without_searches(spark, native, monkeypatch):
+    """What ``d2_build`` reports asks for no query and no exact answer, and is what the whole runs report."""
+    from vecgraph.queries import workloads as W
+
+    emb, q = native
+    methods = [X.Method("few", "graph", Params(64, m_links=3, work=4, ef_build=8, shard_size=80)), X.Method("scalar", "scalar", Params(64))]
+    told = ("method", "n", "build_exact", "build_search", "edges", "screen_edges", "vectors_b", "edges_b", "projection_b", "codes_b", "zero_in")
+    whole = sorted(X.curve(spark, emb, q, methods, 5, [8])[1].select(*told).collect())
+    monkeypatch.setattr(X, "curve", None)
+    monkeypatch.setattr(X, "kth_distances", None)
+    assert sorted(X.builds(emb, methods).select(*told).collect()) == whole
+    own = W.Set(64, "l2", lambda s, d, n: emb, lambda *_: pytest.fail("queries are made"))
+    monkeypatch.setattr(W, "SETS", {"one": own})
+    monkeypatch.setattr(W, "MAIN", ["one"])
+    monkeypatch.setattr(W, "_SHARED", {})
+    monkeypatch.setattr(X, "all_methods", lambda dim, metric: [*methods, X.Method("hnsw", "graph", B.hnsw_params(64))])
+    rows = {r.method: r for r in W.d2(spark, "nowhere").collect()}
+    assert set(rows) == {"few", "scalar", "hnsw"} and rows["hnsw"].exact_ratio == 1 and rows["few"].n == emb.count()
+
+
 def test_kth_distances_are_those_of_exact_answers(spark, native, monkeypatch):
     emb, q = native
     truth = {(r.qid, r["rank"]): r.dist for r in E.exact_knn(emb, q, 12, plan="blocks", exclude_self=True).collect()}
