@@ -192,6 +192,19 @@ def test_builds_are_reported_without_searches(spark, native, monkeypatch):
     assert set(rows) == {"few", "scalar", "hnsw"} and rows["hnsw"].exact_ratio == 1 and rows["few"].n == emb.count()
 
 
+def test_a_set_is_stored_once(spark, native, monkeypatch):
+    """The corpus of an experiment is written as a table once, not again by the curve."""
+    from vecgraph.queries import workloads as W
+
+    emb, _ = native
+    written = []
+    for module in (W, X):
+        monkeypatch.setattr(module, "materialise", lambda df, name, f=module.materialise: written.append(name) or f(df, name))
+    own = W.Set(64, "l2", lambda s, d, n: emb)
+    assert own.curve(spark, "nowhere", [X.Method("few", "graph", Params(64, m_links=3, ef_build=8))], 5, [8])[0].count() == 1
+    assert written.count("corpus") == written.count("queries") == 1
+
+
 def test_kth_distances_are_those_of_exact_answers(spark, native, monkeypatch):
     emb, q = native
     truth = {(r.qid, r["rank"]): r.dist for r in E.exact_knn(emb, q, 12, plan="blocks", exclude_self=True).collect()}

@@ -285,3 +285,20 @@ def test_wider_searches_take_no_step_twice(kind, monkeypatch):
     widest = len(steps)
     list(X._searches(made, x[:5], [(k, k) for k in (64, 100, 150, 200)], True))
     assert len(steps) - widest <= 1.1 * widest
+
+
+def test_distances_in_pieces_are_those_of_all_at_once(monkeypatch):
+    """Fetched vectors stay within a core's cache, whatever a step asks for."""
+    from vecgraph.operators import kernel
+
+    x = points(300, 48)
+    g = build(np.arange(300), x, Params(48))
+    q, rng = g.x[:7] + np.float32(0.1), np.random.default_rng(2)
+    node, row = rng.integers(0, 300, 1000), np.sort(rng.integers(0, 7, 1000))
+    whole = g._distances(node, q, row)
+    diff = g.x[node] - q[row]
+    assert (whole == np.sqrt(np.einsum("nd,nd->n", diff, diff))).all()
+    monkeypatch.setattr(kernel, "CACHED_BYTES", 4 * 48 * 16)
+    assert (g._distances(node, q, row) == whole).all() and len(g._distances(node[:0], q, row[:0])) == 0
+    again = build(np.arange(300), x, Params(48))
+    assert (again.adj == g.adj).all() and again.exact == g.exact
