@@ -205,6 +205,28 @@ def test_a_set_is_stored_once(spark, native, monkeypatch):
     assert written.count("corpus") == written.count("queries") == 1
 
 
+def test_growing_parts_are_under_way_at_once(spark, small, monkeypatch):
+    """The parts of the lines overlap, the smallest part is the first row, and none is written twice."""
+    from vecgraph.queries import methods as Q
+
+    now, most, lock = [0], [0], threading.Lock()
+
+    def curve(_, corpus, queries, *__, stored=False, **___):
+        assert stored and queries.count() <= corpus.count()
+        with lock:
+            now[0] += 1
+            most[0] = max(most[0], now[0])
+        time.sleep(2)
+        with lock:
+            now[0] -= 1
+        return spark.createDataFrame([(0.5, 16, 1.0, 2.0), (0.95, 32, 2.0, 3.0)], "recall double, ef int, n_visited double, n_exact double"), None
+
+    monkeypatch.setattr(X, "curve", curve)
+    rows = Q.a11(spark, small).collect()
+    assert [r.ef for r in rows] == [32] * 4 and 1 < most[0] <= X.AT_ONCE
+    assert [r.n for r in rows] == sorted(r.n for r in rows) and rows[-1].n == C.doc_line_vec(spark, small, 96).count()
+
+
 def test_kth_distances_are_those_of_exact_answers(spark, native, monkeypatch):
     emb, q = native
     truth = {(r.qid, r["rank"]): r.dist for r in E.exact_knn(emb, q, 12, plan="blocks", exclude_self=True).collect()}
