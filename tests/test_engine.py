@@ -148,6 +148,23 @@ def test_curve_counts_answers_in_the_tasks(spark, native, metric, own, monkeypat
     assert any(0 < r.recall < 1 for r in runs)
 
 
+def test_experiments_keep_little_in_the_driver(spark, native, monkeypatch):
+    """No sample of vectors comes to the driver, queries come in small blocks, once for all methods, and a shard is built once for all blocks."""
+    emb, q = native
+    methods = [X.Method("few", "graph", Params(64, m_links=3, work=4, ef_build=8, shard_size=80)), X.Method("scalar", "scalar", Params(64))]
+    runs = lambda: [sorted(df.drop("qps", "build_s", "build_peak", "search_peak").collect()) for df in X.curve(spark, emb, q, methods, 5, [8, 16], shards=2)]
+    whole = runs()
+    assert len(whole[0]) == 4 and q.count() > 4
+    monkeypatch.setattr(X, "HELD_FLOATS", 66 * 4)
+    monkeypatch.setattr(E, "HELD_FLOATS", 64 * 4)
+    fetched, written, kind = [], [], type(emb)
+    monkeypatch.setattr(kind, "toArrow", lambda df, f=kind.toArrow: fetched.append(f(df)) or fetched[-1])
+    monkeypatch.setattr(X, "materialise", lambda df, name, f=X.materialise: written.append(name) or f(df, name))
+    assert runs() == whole
+    assert written.count("experiment") == 1
+    assert sum(t.num_rows for t in fetched) == 2 * q.count() and max(t.num_rows for t in fetched) < q.count()
+
+
 def test_experiments_on_several_sets_are_under_way_at_once(spark, small, monkeypatch):
     """Whole experiments over sets and dimensions overlap; every one is there, in its order."""
     from vecgraph.queries import workloads as W

@@ -1,6 +1,7 @@
 """The array kernel: identities, enumeration, invariants, rings, recall."""
 
 import itertools
+import tracemalloc
 
 import numpy as np
 import pytest
@@ -9,6 +10,7 @@ from vecgraph.operators import baselines as B
 from vecgraph.operators.kernel import EMPTY, Graph, _ids, _keys, _push, build
 from vecgraph.operators.projection import orthogonal, prepare, profile, references, target_table
 from vecgraph.params import Params
+from vecgraph.plans import experiments as X
 
 
 def points(n=400, d=32, seed=1):
@@ -302,3 +304,23 @@ def test_distances_in_pieces_are_those_of_all_at_once(monkeypatch):
     assert (g._distances(node, q, row) == whole).all() and len(g._distances(node[:0], q, row[:0])) == 0
     again = build(np.arange(300), x, Params(48))
     assert (again.adj == g.adj).all() and again.exact == g.exact
+
+
+def test_builds_work_on_vectors_in_pieces():
+    """Beside the graph, linking and coding hold a few MB of fetched vectors or doubles, whatever the dimension; the results are those of whole arrays."""
+    rng = np.random.default_rng(8)
+    n, d = 800, 2048
+    x = rng.normal(size=(n, d)).astype(np.float32)
+    x[700:] = x[:100]
+    own = n * d * 4
+    for method, most in ((X.all_methods(d)[3], 40 * own), (X.all_methods(d)[5], 11 * own), (X.all_methods(d)[8], 25 * own)):
+        tracemalloc.start()
+        made = X.make(method, np.arange(n), x)
+        peak = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        assert peak < most, (method.name, peak / own)
+    assert made.graph.size == 700 and made.graph.copies[int(np.flatnonzero(made.graph.ids[:700] == 5)[0])] == [705]
+    g = made.graph
+    cand = np.array([[1, 2, -1], [3, -1, -1]])
+    whole = np.where(cand >= 0, np.linalg.norm(g.x[np.maximum(cand, 0)] - g.x[[7, 8]][:, None, :], axis=2), np.inf)
+    assert (g.gaps(cand, np.array([7, 8])) == whole).all()
