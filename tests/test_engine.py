@@ -539,3 +539,57 @@ def test_groups_of_copies_do_not_hide_each_other(spark, tmp_path):
     spark.createDataFrame([(i, int(i % 4 > 0)) for i in range(len(texts))], "doc_id long, quality int").write.parquet(f"{tmp_path}/labels.parquet")
     got = {r.members: (r.groups, r.agreement) for r in W.r03(spark, str(tmp_path)).collect()}
     assert got == {40: (1, 0.75), 3: (1, 2 / 3)}
+
+
+def test_exact_distances_hold_few_vectors_in_a_task(monkeypatch):
+    """The k nearest are measured again piece by piece; pieces change no bit of a distance."""
+    import tracemalloc
+
+    rng = np.random.default_rng(4)
+    x, q = rng.normal(size=(2000, 512)), rng.normal(size=(256, 512))
+    ids, qid = np.arange(2000), np.arange(256)
+    best = lambda metric: [c.to_numpy() for b in E._best(ids, x, qid, q, 100, metric, True) for c in b.columns]
+    tracemalloc.start()
+    got = best("l2")
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 80 << 20  # 100 x 256 vectors of 512 doubles are 105 MB
+    row, at, dist = got
+    assert len(row) == 25_600 and (dist == np.sqrt(((q[row] - x[at]) ** 2).sum(axis=1))).all() and (row != at).all()
+    monkeypatch.setattr(E, "MEASURED_BYTES", 1 << 30)
+    assert all((a == b).all() for a, b in zip(got, best("l2")))
+
+
+def test_scalar_codes_turn_a_query_once(monkeypatch):
+    """Estimates from a query's turned vector are those from each turned residual; a search turns a block of queries in one product."""
+    rng = np.random.default_rng(6)
+    x = rng.normal(size=(900, 48)).astype(np.float32)
+    made = X.Cells("scalar", np.arange(900), x, Params(48))
+    v = x[3].astype(np.float64) + 0.1
+    for c, mine in enumerate(made.members):
+        own = made.codes[mine], made.norm[mine], made.factor[mine]
+        assert np.allclose(made.coder.estimate(v, c, *own), made.coder.estimate(v, c, *own, made.coder.turn(v[None])[0]), rtol=0, atol=1e-9)
+    whole = made.search(x[:30], 10, 64)
+    asked = []
+    monkeypatch.setattr(Z.Coder, "turn", lambda self, q, f=Z.Coder.turn: asked.append(len(q)) or f(self, q))
+    assert all((a == b).all() for a, b in zip(whole, made.search(x[:30], 10, 64))) and asked == [30]
+
+
+def test_raw_shards_are_written_part_by_part(spark, native, monkeypatch):
+    """Tasks get rows, not a whole shard as one table; every shard has its vectors in the order of their ids, in parts of a bounded size, in one file."""
+    emb, _ = native
+    monkeypatch.setattr(type(emb.groupBy()), "applyInArrow", lambda *_: pytest.fail("a shard as one table"))
+    monkeypatch.setattr(I, "PART_BYTES", 4 * 64 * 7)
+    raw, centroids = I.raw_shards(emb, Params(64, shard_size=60))
+    want = {r.vec_id: np.array(r.embedding, dtype=np.float32) for r in emb.collect()}
+    by: dict[int, list[dict]] = {}
+    for r in raw.collect():
+        by.setdefault(r.shard, []).append(r.asDict())
+    assert 1 < len(by) <= len(centroids) and len(raw.inputFiles()) == len(by)
+    seen = []
+    for rows in by.values():
+        ids, x = I.raw_vectors(rows, 64)
+        assert (np.diff(ids) > 0).all() and all((want[i] == v).all() for i, v in zip(ids.tolist(), x))
+        assert sorted(r["part"] for r in rows) == list(range(-(-len(ids) // 7))) and max(len(r["ids"]) for r in rows) == 8 * min(7, len(ids))
+        seen += ids.tolist()
+    assert sorted(seen) == sorted(want)
