@@ -593,3 +593,14 @@ def test_raw_shards_are_written_part_by_part(spark, native, monkeypatch):
         assert sorted(r["part"] for r in rows) == list(range(-(-len(ids) // 7))) and max(len(r["ids"]) for r in rows) == 8 * min(7, len(ids))
         seen += ids.tolist()
     assert sorted(seen) == sorted(want)
+
+
+def test_raw_shards_of_sparse_vectors_are_small(spark, small):
+    """The zeros of hashed texts take no room on disk."""
+    import os
+
+    corpus = C.doc_vec(spark, small, 1536)
+    raw, _ = I.raw_shards(corpus, Params(1536))
+    size = sum(os.path.getsize(f.removeprefix("file://")) for f in raw.inputFiles())
+    assert size < corpus.count() * 1536 * 4 / 2
+    assert sum(len(r.ids) for r in raw.select("ids").collect()) == 8 * corpus.count()
